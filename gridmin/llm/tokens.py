@@ -33,13 +33,14 @@ def tokenizer_json(spark: SparkSession, path: str | None = None) -> Broadcast:
 class ChunkEncoder:
     """bytes of a text -> little-endian unsigned 32-bit ids as bytes."""
 
-    def __init__(self, json_text: str, limit: int = 400_000):
+    def __init__(self, json_text: str, limit: int = 1_000_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_str(json_text)
         self.limit = limit
         self.known: dict[bytes, bytes] = {}
+        self.tails = _Tails(self)
         vocab = self.tokenizer.get_vocab(with_added_tokens=True)
         self.size = max(vocab.values()) + 1
         self.ends = np.zeros(self.size, bool)
@@ -58,53 +59,61 @@ class ChunkEncoder:
         """Ids of each text, in order, ``step`` texts at a time."""
         texts = iter(texts)
         while part := list(islice(texts, step)):
-            chunks = [t.split() for t in part]
             if len(self.known) > self.limit:
                 self.known = {}
-            known = self.known
-            new = {c for cs in chunks for c in cs if c not in known}
+            look = self.known.get
+            chunks = [t.split() for t in part]
+            found = [list(map(look, cs)) for cs in chunks]
+            new = {c for cs, ids in zip(chunks, found) if None in ids for c, i in zip(cs, ids) if i is None}
             if new:
                 self._learn(new)
-            look = known.__getitem__
-            for cs in chunks:
-                yield b"".join(map(look, cs))
+                found = [[i if i is not None else look(c) for c, i in zip(cs, ids)] if None in ids else ids for cs, ids in zip(chunks, found)]
+            for ids in found:
+                yield b"".join(ids)
 
     def _learn(self, new: set[bytes]) -> None:
-        """Chunks made of letters and a tail of plain signs are put together from both; others are encoded alone."""
-        known, stems, tails, odd = self.known, {}, {}, []
-        for chunk in new:
-            text = chunk.decode()
-            stem = text.rstrip(_TAIL)
-            if stem.isalpha() and (len(stem) == len(text) or stem):
-                stems.setdefault(stem, []).append((chunk, text[len(stem):]))
-                tails.setdefault(text[len(stem):], b"")
-            else:
-                odd.append(chunk)
-        for tail in tails:
-            if tail:
-                tails[tail] = self._alone([tail])[0]
-        fresh = [s for s in stems if s.encode() not in known]
-        ids_of = {s: known[s.encode()] for s in stems if s.encode() in known}
-        for at in range(0, len(fresh), 2048):
-            part = fresh[at:at + 2048]
-            ids_of.update(zip(part, self._joined(part), strict=True))
-        for stem, uses in stems.items():
-            ids = ids_of[stem]
-            for chunk, tail in uses:
-                known[chunk] = ids + tails[tail]
-        for chunk, ids in zip(odd, self._alone([c.decode() for c in odd]), strict=True):
-            known[chunk] = ids
-
-    def _joined(self, stems: list[str]) -> list[bytes]:
-        """Words of letters give one word end each; if the count differs (odd letters), they are encoded one by one."""
-        ids = np.array(self.tokenizer.encode_batch_fast(["\n".join(stems)], add_special_tokens=False)[0].ids, "<u4")
-        ends = np.flatnonzero(self.ends[ids]) + 1
-        if len(ends) != len(stems):
-            return self._alone(stems)
-        raw, cuts = ids.tobytes(), [0, *(ends * 4).tolist()]
+        """Chunks made of letters and a tail of plain signs are encoded together, one a line: letters end one word, a tail
+        ends another, which tells where each chunk's ids stop. Should the count of word ends differ, and for all other
+        chunks, each is encoded alone."""
+        texts = [c.decode() for c in new]
+        stems = [t.rstrip(_TAIL) for t in texts]
+        for k, (t, s) in enumerate(zip(texts, stems)):  # a known word with a new tail
+            if len(s) != len(t) and (ids := self.known.get(s.encode())) is not None and s.isalpha():
+                self.known[t.encode()] = ids + self.tails[t[len(s):]]
+                texts[k] = stems[k] = ""
+        texts, stems = list(filter(None, texts)), [s for t, s in zip(texts, stems) if t]
+        plain = [s.isalpha() for s in stems]
+        together = [t for t, p in zip(texts, plain) if p]
+        words = [1 if len(s) == len(t) else 2 for s, t, p in zip(stems, texts, plain) if p]
+        for at in range(0, len(together), 2048):
+            part = together[at:at + 2048]
+            self.known.update(zip(map(str.encode, part), self._joined(part, words[at:at + 2048])))
+        odd = [t for t, p in zip(texts, plain) if not p]
+        self.known.update(zip(map(str.encode, odd), self._alone(odd)))
+
+    def _joined(self, texts: list[str], words: list[int]) -> list[bytes]:
+        ids = np.array(self.tokenizer.encode_batch_fast(["\n".join(texts)], add_special_tokens=False)[0].ids, "<u4")
+        ends, at = np.flatnonzero(self.ends[ids]) + 1, np.cumsum(words)
+        if len(ends) != at[-1]:
+            return self._alone(texts)
+        raw, cuts = ids.tobytes(), [0, *(ends[at - 1] * 4).tolist()]
         return [raw[a:b] for a, b in zip(cuts, cuts[1:])]
 
     def _alone(self, texts: list[str]) -> list[bytes]:
         if not texts:
             return []
         return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+
+
+class _Tails(dict):
+    """Ids of runs of plain signs."""
+
+    def __init__(self, encoder: ChunkEncoder):
+        super().__init__()
+        self.encoder = encoder
+
+    def __missing__(self, tail: str) -> bytes:
+        if len(self) > 100_000:
+            self.clear()
+        ids = self[tail] = self.encoder._alone([tail])[0]
+        return ids
