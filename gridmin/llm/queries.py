@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gridmin.llm import common, exact_dedup, huffman, mixing, packing, sharding, simhash
+from gridmin.llm import common, exact_dedup, huffman, mixing, ordinal, packing, quality_rules, sharding, simhash, toxicity, wordpiece
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -116,3 +116,30 @@ select doc_id, size::bigint as size, text_crc32::bigint as text_crc32, 'rows' as
   (pos - (shard::bigint * n + 7) // 8)::bigint as slot, null::int as grown_shard
 from s
 """
+
+
+@query
+def op2_risk_controlled_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    measured = common.stage(quality_rules.measure(_docs(spark, sf_dir, "doc_id", "text", "lang")), "measured")
+    labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
+    out = quality_rules.judge(measured, quality_rules.cutoffs(measured, labels))
+    return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+
+
+@query
+def op3_longest_match_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return wordpiece.token_counts(_docs(spark, sf_dir, "doc_id", "text"))
+
+
+@query
+def op5_ordinal_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, labels = _docs(spark, sf_dir, "doc_id", "text"), spark.read.parquet(f"{sf_dir}/labels.parquet")
+    out = ordinal.grade(docs, ordinal.fit(docs, labels))
+    return out.select("doc_id", common.in_fold(F.col("doc_id")).alias("held_out"), "expected_grade", "tail_1", "tail_2", (F.col("tail_1") >= 0.5).alias("kept"))
+
+
+@query
+def op8_subword_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, labels = _docs(spark, sf_dir, "doc_id", "text"), spark.read.parquet(f"{sf_dir}/labels.parquet")
+    out = toxicity.scores(docs, toxicity.fit(docs, labels))
+    return out.select("doc_id", common.in_fold(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= 0.7).cast("int").alias("predicted"))
