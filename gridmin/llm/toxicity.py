@@ -63,8 +63,12 @@ def windows(sums: np.ndarray, counts: np.ndarray, width: int = WINDOW) -> np.nda
     return (s[w:] - s[:-w]) / (c[w:] - c[:-w])
 
 
-def train(texts: list[bytes], labels: list[int], dim: int = 8, warm: int = 15, rounds: int = 40, rate: float = 0.5, seed: int = 3) -> Model:
-    """Joint training of n-gram vectors and softmax by AdaGrad steps over all rows."""
+def train(texts: list[bytes], labels: list[int], dim: int = 8, warm: int = 15, rounds: int = 40, rate: float = 0.5, seed: int = 3,
+          decay: float = 0.02, floor: float = 0.02) -> Model:
+    """Joint training of n-gram vectors and softmax by AdaGrad steps over all rows, with decaying vectors.
+
+    The step's denominator has a floor in the largest gradient of any n-gram, so n-grams of few documents move little.
+    """
     rng = np.random.default_rng(seed)
     vectors = rng.uniform(-0.5, 0.5, (BUCKETS, dim)) / dim
     out = rng.uniform(-0.5, 0.5, (dim, 2))
@@ -81,11 +85,12 @@ def train(texts: list[bytes], labels: list[int], dim: int = 8, warm: int = 15, r
     flat, first = np.concatenate(bags), np.concatenate([[0], np.cumsum(sizes)])
     target = np.eye(2)[y]
     balance = np.where(y == 1, 0.5 / max(1, (y == 1).sum()), 0.5 / max(1, (y == 0).sum()))[:, None]
+    largest = 0.0
     sum_v, sum_o, sum_b = np.full(BUCKETS, 1e-8), np.full(out.shape, 1e-8), np.full(2, 1e-8)
 
     def step(bag: np.ndarray, of: np.ndarray, weight: np.ndarray) -> None:
         """One step on means: entry k of ``bag`` adds weight[k] times its vector to row of[k]."""
-        nonlocal out, bias
+        nonlocal out, bias, largest
         mean = np.zeros((len(docs), dim))
         for k in range(dim):
             mean[:, k] = np.bincount(of, weights=weight * vectors[bag, k], minlength=len(docs))
@@ -99,7 +104,9 @@ def train(texts: list[bytes], labels: list[int], dim: int = 8, warm: int = 15, r
         grad = np.stack([np.bincount(at, weights=weight * back[of, k], minlength=len(touched)) for k in range(dim)], 1)
         g_out, g_bias = mean.T @ err, err.sum(0)
         sum_v[touched] += (grad**2).mean(1)
-        vectors[touched] -= rate * grad / np.sqrt(sum_v[touched])[:, None]
+        vectors[:] *= 1.0 - decay
+        largest = max(largest, float((grad**2).mean(1).max()))
+        vectors[touched] -= rate * grad / np.sqrt(sum_v[touched] + floor * largest)[:, None]
         np.add(sum_o, g_out**2, out=sum_o)
         out = out - rate * g_out / np.sqrt(sum_o)
         np.add(sum_b, g_bias**2, out=sum_b)
@@ -117,7 +124,7 @@ def train(texts: list[bytes], labels: list[int], dim: int = 8, warm: int = 15, r
         rows = np.repeat(of, n)
         return bag, rows, (1.0 / np.bincount(rows, minlength=len(docs)))[rows]
 
-    spread = chosen(lambda k, d: d[np.sort(rng.choice(len(d), min(len(d), 128), replace=False))])
+    spread = chosen(lambda k, d: d[np.sort(rng.choice(len(d), min(len(d), 64), replace=False))])
     for _ in range(warm):
         step(*spread)
     for _ in range(rounds):
