@@ -70,6 +70,30 @@ def own_columns(df: DataFrame, **columns: str) -> DataFrame:
     return df.select(*[df[old].alias(new) for new, old in columns.items()])
 
 
+def mark(text: Column) -> Column:
+    """With the id, what names a row among rows that differ: a 64-bit hash of the text."""
+    return F.xxhash64(text)
+
+
+def keep_rows(docs: DataFrame, keepers: DataFrame, seen: DataFrame, doc_id: str, text: str) -> DataFrame:
+    """The rows of ``docs`` named by ``keepers`` (doc_id, mark), each once. ``seen``: (doc_id, mark) of all rows, staged.
+
+    Texts move once, to meet the list of rows to keep. Rows alike in id and text can't be told apart by name: where
+    ``seen`` shows such rows, one of each is taken.
+    """
+    names = docs.columns
+    tied = stage(seen.groupBy("doc_id", "mark").agg(F.count("*").alias("n")).where("n > 1").select(F.col("doc_id").alias("_ti"), F.col("mark").alias("_tm")), "tied")
+    keys = keepers.select(F.col("doc_id").alias("_ki"), F.col("mark").alias("_km"))
+    marked = docs.withColumns({"_id": F.col(doc_id).cast("long"), "_mark": mark(F.col(text))})
+    kept = marked.join(keys.hint("shuffle_hash"), F.col("_id").eqNullSafe(F.col("_ki")) & (F.col("_mark") == F.col("_km")), "left_semi")
+    if tied.isEmpty():
+        return kept.select(*names)
+    on = F.col("_id").eqNullSafe(F.col("_ti")) & (F.col("_mark") == F.col("_tm"))
+    single, several = kept.join(tied, on, "left_anti"), kept.join(tied, on, "left_semi")
+    first = several.groupBy("_id", "_mark").agg(F.first(F.struct(*names)).alias("r")).select("r.*")
+    return single.select(*names).unionByName(first)
+
+
 def in_fold(doc_id: Column) -> Column:
     """True for held-out rows: crc32 of the id as text leaves 1 modulo 3. A null id is held out (it can't be learnt from)."""
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % 3 == 1, F.lit(True))

@@ -26,7 +26,7 @@ from gridmin.llm import common
 from gridmin.session import map_arrow
 
 RECIPES = T.StructType([
-    T.StructField("uid", T.LongType()), T.StructField("doc_id", T.LongType()), T.StructField("text_sha256", T.StringType()),
+    T.StructField("uid", T.LongType()), T.StructField("doc_id", T.LongType()), T.StructField("mark", T.LongType()), T.StructField("text_sha256", T.StringType()),
     T.StructField("weak", T.ArrayType(T.LongType())), T.StructField("strong", T.ArrayType(T.BinaryType())),
 ])
 
@@ -68,7 +68,7 @@ def cuts(data: bytes) -> list[int]:
 
 def recipes(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """One row a document: uid (unique), doc_id, text_sha256, and the weak and strong identifiers of its chunks, in order."""
-    own = common.own_columns(docs, doc_id=doc_id, text=text).withColumn("doc_id", F.col("doc_id").cast("long"))
+    own = common.own_columns(docs, doc_id=doc_id, text=text).withColumns({"doc_id": F.col("doc_id").cast("long"), "mark": common.mark(F.col("text"))})
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         out, first = common.arrow_schema(RECIPES), TaskContext.get().partitionId() << 40
@@ -76,14 +76,14 @@ def recipes(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> Data
         def rows() -> Iterator[tuple]:
             uid = first
             for b in batches:
-                for key, raw in zip(common.column_of(b, "doc_id").to_pylist(), common.texts_of(b, "text"), strict=True):
+                for key, mark, raw in zip(common.column_of(b, "doc_id").to_pylist(), common.column_of(b, "mark").to_pylist(), common.texts_of(b, "text"), strict=True):
                     data, at, weak, strong = raw.lower(), 0, [], []
                     for end in cuts(data):
                         chunk = data[at:end]
                         weak.append(xxhash.xxh64_intdigest(chunk) - (1 << 63))
                         strong.append(hashlib.sha256(chunk).digest())
                         at = end
-                    yield uid, key, hashlib.sha256(data).hexdigest(), weak, strong
+                    yield uid, key, mark, hashlib.sha256(data).hexdigest(), weak, strong
                     uid += 1
 
         yield from common.to_batches(rows(), out, 4096)
@@ -98,12 +98,18 @@ def chunk_table(made: DataFrame) -> DataFrame:
 
 
 def deduplicate(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """uid, doc_id, keep_id, group_size, kept, text_sha256: one row a document; the largest id of a group is kept."""
+    """uid, doc_id, mark, keep_id, group_size, kept, text_sha256: one row a document; the largest id of a group is kept."""
     made = common.stage(recipes(docs, doc_id, text), "recipes")
     clash = not chunk_table(made).where(F.col("strong") != F.col("other")).isEmpty()
-    listed = made.select("uid", "doc_id", "text_sha256", F.col("strong" if clash else "weak").alias("recipe"))
+    listed = made.select("uid", "doc_id", "mark", "text_sha256", F.col("strong" if clash else "weak").alias("recipe"))
     groups = listed.groupBy("recipe").agg(
         F.max(F.struct(F.coalesce("doc_id", F.lit(-(2**63))).alias("rank"), "doc_id", "uid")).alias("top"), F.count("*").alias("group_size"))
     groups = common.stage(groups.select("recipe", F.col("top.doc_id").alias("keep_id"), F.col("top.uid").alias("keep_uid"), "group_size"), "groups")
     placed = common.attach(listed, groups, "recipe", "group_size", made.count())
-    return placed.select("uid", "doc_id", "keep_id", "group_size", (F.col("uid") == F.col("keep_uid")).alias("kept"), "text_sha256")
+    return placed.select("uid", "doc_id", "mark", "keep_id", "group_size", (F.col("uid") == F.col("keep_uid")).alias("kept"), "text_sha256")
+
+
+def distinct_documents(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """The rows of ``docs`` that stay, with all their columns."""
+    judged = common.stage(deduplicate(docs, doc_id, text).select("doc_id", "mark", "kept"), "judged")
+    return common.keep_rows(docs, judged.where("kept"), judged, doc_id, text)

@@ -75,7 +75,7 @@ def op6_pivot_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query
 def op9_chunk_recipes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return exact_dedup.deduplicate(_docs(spark, sf_dir, "doc_id", "text")).drop("uid")
+    return exact_dedup.deduplicate(_docs(spark, sf_dir, "doc_id", "text")).drop("uid", "mark")
 
 
 ORACLES["op9_chunk_recipes"] = """

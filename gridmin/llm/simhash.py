@@ -28,7 +28,7 @@ from gridmin.llm import common
 from gridmin.llm.components import components
 from gridmin.session import map_arrow
 
-FINGERPRINTS = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("fp", T.LongType())])
+FINGERPRINTS = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("mark", T.LongType()), T.StructField("fp", T.LongType())])
 EDGES = T.StructType([T.StructField("a", T.LongType()), T.StructField("b", T.LongType())])
 PIVOTS = 16
 MOST_NODES = 4096
@@ -60,14 +60,14 @@ def fingerprint(text: bytes, shingle: int = 3) -> int:
 
 
 def fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shingle: int = 3) -> DataFrame:
-    """(doc_id, fp): fp as a signed long of the same 64 bits."""
-    own = common.own_columns(docs, doc_id=doc_id, text=text).withColumn("doc_id", F.col("doc_id").cast("long"))
+    """(doc_id, mark, fp): fp as a signed long of the same 64 bits."""
+    own = common.own_columns(docs, doc_id=doc_id, text=text).withColumns({"doc_id": F.col("doc_id").cast("long"), "mark": common.mark(F.col("text"))})
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         out = common.arrow_schema(FINGERPRINTS)
         for b in batches:
             fps = np.array([fingerprint(t, shingle) for t in common.texts_of(b, "text")], np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([common.column_of(b, "doc_id"), pa.array(fps, pa.int64())], schema=out)
+            yield pa.RecordBatch.from_arrays([common.column_of(b, "doc_id"), common.column_of(b, "mark"), pa.array(fps, pa.int64())], schema=out)
 
     return map_arrow(own, run, FINGERPRINTS)
 
@@ -169,13 +169,26 @@ def _bucket_links(most: int):
     return run
 
 
+def _rooted(made: DataFrame, most: int) -> DataFrame:
+    """Staged (fp, least, top, n, root) of the distinct fingerprints of ``made``: root names the component."""
+    order = F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "mark")
+    nodes = common.stage(made.groupBy("fp").agg(F.min("doc_id").alias("least"), F.min(order).alias("top"), F.count("*").alias("n")), "nodes")
+    joined = components(links(nodes, most))
+    rooted = nodes.join(joined, F.col("fp") == F.col("node"), "left").select("fp", "least", "top", "n", F.coalesce("root", "fp").alias("root"))
+    return common.stage(rooted, "rooted")
+
+
 def classes(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shingle: int = 3, most: int = 2) -> DataFrame:
     """(doc_id, fp, component_id): one row a document."""
-    made = common.stage(fingerprints(docs, doc_id, text, shingle), "fingerprints")
-    nodes = common.stage(made.groupBy("fp").agg(F.min("doc_id").alias("least"), F.count("*").alias("n")), "nodes")
-    joined = components(links(nodes, most))
-    rooted = nodes.join(joined, F.col("fp") == F.col("node"), "left").select("fp", "least", "n", F.coalesce("root", "fp").alias("root"))
-    rooted = common.stage(rooted, "rooted")
+    made = common.stage(fingerprints(docs, doc_id, text, shingle).select("doc_id", "mark", "fp"), "fingerprints")
+    rooted = _rooted(made, most)
     tops = common.stage(rooted.groupBy("root").agg(F.min("least").alias("component_id"), F.count("*").alias("fps")), "tops")
-    each = common.stage(common.attach(rooted.select("fp", "n", "root"), tops, "root", "fps", nodes.count()).select("fp", "n", "component_id"), "each")
+    each = common.stage(common.attach(rooted.select("fp", "n", "root"), tops, "root", "fps", rooted.count()).select("fp", "n", "component_id"), "each")
     return common.attach(made, each, "fp", "n", made.count()).select("doc_id", "fp", "component_id")
+
+
+def distinct_documents(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shingle: int = 3, most: int = 2) -> DataFrame:
+    """One row of ``docs`` for each component, with all its columns: the one of least id (rows without id last)."""
+    made = common.stage(fingerprints(docs, doc_id, text, shingle), "fingerprints")
+    tops = _rooted(made, most).groupBy("root").agg(F.min("top").alias("top"))
+    return common.keep_rows(docs, tops.select("top.doc_id", "top.mark"), made, doc_id, text)
