@@ -241,7 +241,18 @@ class Quadratic(Objective):
 
     def evaluate(self, x):
         g = ops.numpy_map([self.curvature, x, self.b], lambda a, z, b: a * z - b).cut()
-        return 0.5 * (ops.dot(g, x) - ops.dot(self.b, x)), g
+        m = ops.gram([g, x, self.b])
+        return float(0.5 * (m[0, 1] - m[1, 2])), g
+
+    def along(self, x, d):
+        bend = ops.numpy_map([self.curvature, x], lambda a, z: a * z), ops.numpy_map([self.curvature, d], lambda a, z: a * z)
+        m = ops.gram([x, d, *bend, self.b])
+
+        class Parabola(Line):
+            def at(self, etas):
+                return [(float(m[0, 2] / 2 + e * m[0, 3] + e * e * m[1, 3] / 2 - m[0, 4] - e * m[1, 4]), float(m[0, 3] + e * m[1, 3] - m[1, 4])) for e in etas]
+
+        return Parabola()
 
 
 class Penalised(Objective):

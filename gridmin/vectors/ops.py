@@ -93,7 +93,7 @@ def keyed_zip(a: Vec, b: Vec, fn: Callable[[Column, Column, Column], Column], ke
     start = F.col("block_id").cast("long") * a.block_size
     width = layout.block_length(F.col("block_id"), a.length, a.block_size)
     pairs = F.arrays_zip(F.col("v0").alias("x"), F.col("v1").alias("y"))
-    return a.with_df(wide([a, b]).select("block_id", F.transform(pairs, lambda s, i: fn(key(start + i % width), s["v0"], s["v1"])).alias("values")))
+    return a.with_df(wide([a, b]).select("block_id", F.transform(pairs, lambda s, i: fn(key(start + i % width), s["x"], s["y"])).alias("values")))
 
 
 def _total(values: Column, fn: Callable[[Column], Column]) -> Column:
