@@ -1,8 +1,8 @@
 """Canonical length-limited Huffman files of token ids.
 
 Layout under a folder: ``header`` (id, code length: canonical codes follow from these alone) and ``blocks`` (file, block,
-the documents of the block with their id counts, symbol count, payload bits, and the bit offset of every
-``every``-th symbol). Blocks hold whole documents and decode alone; the offsets let one block decode as many
+the documents of the block with their id counts, symbol count, payload bits, and the strides between the bit
+offsets of every EVERY-th symbol). Blocks hold whole documents and decode alone; the offsets let one block decode as many
 parallel runs. Both parts are Parquet, so any store that Spark reaches will do, and a lost task rewrites its file only.
 
 Documents lie in ascending id order (null first; equal ids by a hash of their ids). Null or empty text: the end id
@@ -27,15 +27,16 @@ from gridmin.llm import common, tokens
 from gridmin.session import map_arrow
 
 MAX_BITS = 16
-EVERY = 256
+EVERY = 128
 
 BLOCKS = T.StructType([
     T.StructField("file", T.IntegerType()), T.StructField("block", T.IntegerType()), T.StructField("first", T.LongType()),
     T.StructField("doc_ids", T.ArrayType(T.LongType())), T.StructField("doc_tokens", T.ArrayType(T.LongType())),
-    T.StructField("symbols", T.LongType()), T.StructField("bits", T.LongType()), T.StructField("checkpoints", T.ArrayType(T.LongType())),
+    T.StructField("symbols", T.LongType()), T.StructField("bits", T.LongType()), T.StructField("strides", T.ArrayType(T.IntegerType())),
     T.StructField("payload", T.BinaryType()),
 ])
-IDS = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("ids", T.BinaryType()), T.StructField("tie", T.LongType())])
+IDS = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("ids", T.BinaryType()), T.StructField("tie", T.LongType()), T.StructField("kind", T.IntegerType())])
+DOCUMENT, COUNTS = 0, 1
 DECODED = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("start", T.LongType()), T.StructField("n_tokens", T.LongType()), T.StructField("ids_crc32", T.LongType())])
 
 
@@ -80,9 +81,8 @@ class Codec:
         steps = np.left_shift(1, self.most - self.lengths) if len(by) else np.zeros(0, np.int64)
         aligned = np.concatenate([[0], np.cumsum(steps)])[: len(by)]
         size = int(self.symbols.max(initial=0)) + 1
-        self.code, self.length = np.zeros(size, np.uint64), np.zeros(size, np.int64)
-        self.code[self.symbols] = (aligned >> (self.most - self.lengths)).astype(np.uint64)
-        self.length[self.symbols] = self.lengths
+        self.code = np.zeros(size, np.uint32)  # code and, in the low 5 bits, its length: one look-up a symbol
+        self.code[self.symbols] = ((aligned >> (self.most - self.lengths)) << 5 | self.lengths).astype(np.uint32)
         self.table_symbol = np.zeros(1 << self.most, np.uint32)
         self.table_length = np.zeros(1 << self.most, np.int64)
         filled = int(steps.sum())
@@ -90,90 +90,97 @@ class Codec:
         self.table_length[:filled] = np.repeat(self.lengths, steps)
 
     def encode(self, ids: np.ndarray, every: int = EVERY) -> tuple[bytes, int, np.ndarray]:
-        """(payload, bits, bit offset of each ``every``-th symbol)."""
-        n = self.length[ids]
+        """(payload, bits, bit offset of each ``every``-th symbol). Codes never overlap, so adding them per 32-bit word packs them."""
+        if not len(ids):
+            return b"", 0, np.zeros(0, np.int64)
+        both = self.code[ids]
+        n = (both & np.uint32(31)).astype(np.int64)
         ends = np.cumsum(n)
-        bits = int(ends[-1]) if len(ids) else 0
-        at = ends - n
-        # each code is put, left-aligned, into a 32-bit window at its byte; windows are added up byte by byte
-        shift = (32 - n - (at & 7)).astype(np.uint64)
-        window = np.left_shift(self.code[ids], shift)
-        out = np.zeros((bits >> 3) + 8, np.int64)
-        for k in range(4):
-            part = ((window >> np.uint64(24 - 8 * k)) & np.uint64(255)).astype(np.float64)
-            out += np.bincount((at >> 3) + k, weights=part, minlength=len(out)).astype(np.int64)
-        return out[: (bits + 7) >> 3].astype(np.uint8).tobytes(), bits, at[::every].copy()
+        at, bits = ends - n, int(ends[-1])
+        window = (both >> np.uint32(5)).astype(np.uint64) << (64 - n - (at & 31)).astype(np.uint64)
+        word = at >> 5
+        first = np.flatnonzero(np.diff(word, prepend=-1))
+        out = np.zeros((bits >> 5) + 2, np.uint64)
+        out[word[first]] = np.add.reduceat(window >> np.uint64(32), first)
+        out[word[first] + 1] += np.add.reduceat(window & np.uint64(0xFFFFFFFF), first)
+        return out.astype(">u4").tobytes()[: (bits + 7) >> 3], bits, at[::every].copy()
 
     def decode(self, payload: bytes, symbols: int, checkpoints: np.ndarray, every: int = EVERY) -> np.ndarray:
         """All runs between checkpoints advance together, one table look-up a symbol."""
-        raw = np.frombuffer(payload + bytes(8), np.uint8).astype(np.uint32)
-        out = np.empty((len(checkpoints), every), np.uint32)
-        at, drop = np.array(checkpoints, np.int64), np.uint32(32 - self.most)
+        raw = np.frombuffer(payload + bytes(8), np.uint8)
+        words = (raw[:-3].astype(np.uint32) << 24) | (raw[1:-2].astype(np.uint32) << 16) | (raw[2:-1].astype(np.uint32) << 8) | raw[3:]
+        out = np.empty((every, len(checkpoints)), np.uint32)
+        at, drop = np.array(checkpoints, np.int64), 32 - self.most
         live = len(checkpoints)
         last = symbols - (live - 1) * every if live else 0
         for k in range(every if live > 1 else last):
             if k == last:
                 live -= 1  # the final run is shorter
                 at = at[:live]
-            b = at >> 3
-            word = (raw[b] << np.uint32(24)) | (raw[b + 1] << np.uint32(16)) | (raw[b + 2] << np.uint32(8)) | raw[b + 3]
-            key = (word << (at & 7).astype(np.uint32)) >> drop
-            out[:live, k] = self.table_symbol[key]
+            key = (words[at >> 3] << (at & 7).astype(np.uint32)) >> np.uint32(drop)
+            out[k, :live] = self.table_symbol[key]
             at = at + self.table_length[key]
-        return out.reshape(-1)[:symbols]
+        return out.T.reshape(-1)[:symbols]
 
 
 def encode_ids(docs: DataFrame, doc_id: str, text: str, tokenizer: str | None, end_id: int = tokens.END_ID) -> DataFrame:
-    """doc_id, ids (unsigned 16-bit where the vocabulary allows, else 32-bit), and a hash to order equal ids."""
+    """doc_id, ids (unsigned 16-bit where the vocabulary allows, else 32-bit), a hash to order equal ids, and the row's kind:
+    a document, or a task's counts of all ids as signed 64-bit numbers."""
     shared = tokens.tokenizer_json(docs.sparkSession, tokenizer)
     own = common.own_columns(docs, doc_id=doc_id, text=text).withColumn("doc_id", F.col("doc_id").cast("long"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder, out = tokens.ChunkEncoder.of(shared), common.arrow_schema(IDS)
-        end = end_id.to_bytes(4, "little")
-        for b in batches:
-            keys = common.column_of(b, "doc_id").to_pylist()
-            rows = ((k, _narrow(ids + end, encoder.size), zlib.crc32(ids)) for k, ids in zip(keys, encoder.encode(common.texts_of(b, "text")), strict=True))
-            yield from common.to_batches(rows, out, 1024)
+        end, width = end_id.to_bytes(encoder.bytes, "little"), encoder.width
+        counts = np.zeros(encoder.size, np.int64)
 
-    return map_arrow(own, run, IDS)
+        def rows() -> Iterator[tuple]:
+            for b in batches:
+                for k, ids in zip(common.column_of(b, "doc_id").to_pylist(), encoder.encode(common.texts_of(b, "text")), strict=True):
+                    yield k, ids + end, zlib.crc32(ids), DOCUMENT
 
+        for made in common.to_batches(rows(), out, 1024):
+            counts += np.bincount(np.frombuffer(made.column(1).buffers()[2], width), minlength=len(counts))
+            yield made
+        yield from common.to_batches([(None, counts.tobytes(), 0, COUNTS)], out)
 
-def _narrow(ids: bytes, size: int) -> bytes:
-    return np.frombuffer(ids, "<u4").astype("<u2").tobytes() if size <= 1 << 16 else ids
+    return map_arrow(own, run, IDS)
 
 
-def _counts(ids: DataFrame, width: str) -> DataFrame:
-    schema = T.StructType([T.StructField("symbol", T.LongType()), T.StructField("n", T.LongType())])
+def _counts(staged: DataFrame) -> np.ndarray:
+    """Global counts by id: the tasks' count rows are added up in rounds of salted sums, never all in one place."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(0, np.int64)
         for b in batches:
-            c = np.bincount(np.frombuffer(b"".join(common.column_of(b, "ids").to_pylist()), width))
-            total, c = (total, c) if len(total) >= len(c) else (c, total)
-            total[: len(c)] += c
-        seen = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(seen, pa.int64()), pa.array(total[seen], pa.int64())], schema=common.arrow_schema(schema))
+            for raw in common.column_of(b, "ids").to_pylist():
+                c = np.frombuffer(raw, np.int64)
+                total = c + total if len(total) else c
+        if len(total):
+            yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()])], names=["ids"])
 
-    return map_arrow(ids.select("ids"), run, schema).groupBy("symbol").agg(F.sum("n").alias("n"))
+    rows = map_arrow(staged.where(F.col("kind") == COUNTS).select("ids"), run, "ids binary")
+    fewer = map_arrow(rows.repartition(8), run, "ids binary").coalesce(1)
+    got = map_arrow(fewer, run, "ids binary").collect()  # one row of a number for each id of the vocabulary
+    return np.frombuffer(got[0]["ids"], np.int64) if got else np.zeros(0, np.int64)
 
 
 def write_files(docs: DataFrame, path: str, doc_id: str = "doc_id", text: str = "text", tokenizer: str | None = None,
-                block_symbols: int = 1 << 16, max_bits: int = MAX_BITS) -> None:
+                block_symbols: int = 1 << 18, max_bits: int = MAX_BITS) -> None:
     """Tokenize all of ``docs`` and write ``header`` and ``blocks`` below ``path``.
 
     Global counts have a row for each id of the vocabulary at most; they alone come to the driver, to fix the code lengths.
     """
     spark = docs.sparkSession
     staged = common.stage(encode_ids(docs, doc_id, text, tokenizer), "ids")
-    width = "<u2" if _vocabulary(spark, tokenizer) <= 1 << 16 else "<u4"
-    counted = _counts(staged, width).toPandas().sort_values("symbol")
-    symbols = counted["symbol"].to_numpy(np.int64)
-    lengths = code_lengths(counted["n"].to_numpy(np.int64), max_bits)
+    counts = _counts(staged)
+    width = "<u2" if len(counts) <= 1 << 16 else "<u4"
+    symbols = np.flatnonzero(counts)
+    lengths = code_lengths(counts[symbols], max_bits)
     header = spark.createDataFrame([(int(s), int(n)) for s, n in zip(symbols, lengths)], "symbol long, bits int")
     header.coalesce(1).write.parquet(f"{path}/header")
     parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    ordered = staged.repartitionByRange(parts, F.col("doc_id").asc_nulls_first(), "tie").sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "tie")
+    ordered = staged.where(F.col("kind") == DOCUMENT).repartitionByRange(parts, F.col("doc_id").asc_nulls_first(), "tie").sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "tie")
     code = spark.sparkContext.broadcast((symbols, lengths))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -196,7 +203,7 @@ def write_files(docs: DataFrame, path: str, doc_id: str = "doc_id", text: str =
 
         def one(keys: list, parts: list, size: int, block: int, first: int) -> tuple:
             payload, bits, marks = codec.encode(np.concatenate(parts))
-            return file, block, first, keys, [len(p) for p in parts], size, bits, marks.tolist(), payload
+            return file, block, first, keys, [len(p) for p in parts], size, bits, np.diff(marks, prepend=0).tolist(), payload
 
         yield from common.to_batches(blocks(), out, 16)
 
@@ -204,10 +211,6 @@ def write_files(docs: DataFrame, path: str, doc_id: str = "doc_id", text: str =
     common.drop_staged(spark, staged)
 
 
-def _vocabulary(spark: SparkSession, tokenizer: str | None) -> int:
-    return tokens.ChunkEncoder.of(tokens.tokenizer_json(spark, tokenizer)).size
-
-
 def read_files(spark: SparkSession, path: str, with_ids: bool = False) -> DataFrame:
     """doc_id, start (ids before it in the whole order), n_tokens, ids_crc32, and ``ids`` as 32-bit bytes if asked for."""
     header = spark.read.schema("symbol long, bits int").parquet(f"{path}/header").toPandas()  # a row for each id of the vocabulary at most
@@ -215,7 +218,7 @@ def read_files(spark: SparkSession, path: str, with_ids: bool = False) -> DataFr
     blocks = spark.read.schema(BLOCKS).parquet(f"{path}/blocks")
     sizes = blocks.groupBy("file").agg(F.sum("symbols").alias("n"))  # a row for each file: as many as write tasks
     before = sizes.select("file", (F.sum("n").over(W.orderBy("file")) - F.col("n")).alias("before"))
-    placed = blocks.join(F.broadcast(before), "file").select((F.col("before") + F.col("first")).alias("first"), "doc_ids", "doc_tokens", "symbols", "checkpoints", "payload")
+    placed = blocks.join(F.broadcast(before), "file").select((F.col("before") + F.col("first")).alias("first"), "doc_ids", "doc_tokens", "symbols", "strides", "payload")
     schema = T.StructType([*DECODED.fields, *([T.StructField("ids", T.BinaryType())] if with_ids else [])])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -224,7 +227,7 @@ def read_files(spark: SparkSession, path: str, with_ids: bool = False) -> DataFr
         def rows() -> Iterator[tuple]:
             for b in batches:
                 for r in b.to_pylist():
-                    raw = codec.decode(r["payload"], r["symbols"], np.array(r["checkpoints"], np.int64)).astype("<u4").tobytes()
+                    raw = codec.decode(r["payload"], r["symbols"], np.cumsum(np.array(r["strides"], np.int64))).astype("<u4").tobytes()
                     at = 0
                     for key, n in zip(r["doc_ids"], r["doc_tokens"], strict=True):
                         ids = raw[at * 4:(at + n) * 4]

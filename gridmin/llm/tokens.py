@@ -7,7 +7,9 @@ together; everything else is a dictionary look-up. ``tests/llm`` compares this w
 
 from __future__ import annotations
 
+import json
 import os
+import unicodedata
 from collections.abc import Iterable
 from itertools import islice
 
@@ -31,7 +33,7 @@ def tokenizer_json(spark: SparkSession, path: str | None = None) -> Broadcast:
 
 
 class ChunkEncoder:
-    """bytes of a text -> little-endian unsigned 32-bit ids as bytes."""
+    """bytes of a text -> its ids as bytes of numpy type ``width``: unsigned 16-bit where the vocabulary allows, else 32-bit."""
 
     def __init__(self, json_text: str, limit: int = 1_000_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
@@ -39,10 +41,12 @@ class ChunkEncoder:
 
         self.tokenizer = Tokenizer.from_str(json_text)
         self.limit = limit
+        self.words = self._word_tokenizer(json_text)
         self.known: dict[bytes, bytes] = {}
         self.tails = _Tails(self)
         vocab = self.tokenizer.get_vocab(with_added_tokens=True)
         self.size = max(vocab.values()) + 1
+        self.width, self.bytes = ("<u2", 2) if self.size <= 1 << 16 else ("<u4", 4)
         self.ends = np.zeros(self.size, bool)
         self.ends[[i for t, i in vocab.items() if t.endswith("</w>")]] = True
 
@@ -64,45 +68,86 @@ class ChunkEncoder:
             look = self.known.get
             chunks = [t.split() for t in part]
             found = [list(map(look, cs)) for cs in chunks]
-            new = {c for cs, ids in zip(chunks, found) if None in ids for c, i in zip(cs, ids) if i is None}
-            if new:
-                self._learn(new)
-                found = [[i if i is not None else look(c) for c, i in zip(cs, ids)] if None in ids else ids for cs, ids in zip(chunks, found)]
+            gaps = [(cs, ids, _gaps(ids)) for cs, ids in zip(chunks, found) if None in ids]
+            if gaps:
+                self._learn({cs[k] for cs, _, at in gaps for k in at})
+                for cs, ids, at in gaps:
+                    for k in at:
+                        ids[k] = look(cs[k])
             for ids in found:
                 yield b"".join(ids)
 
+    def wide(self, ids: bytes) -> bytes:
+        """The same ids, little-endian unsigned 32-bit."""
+        return np.frombuffer(ids, self.width).astype("<u4").tobytes()
+
+    def _word_tokenizer(self, json_text: str):
+        """The same model behind a splitter that only cuts lines, for words known to be letters in normal form and lower case.
+        None if it doesn't agree with the full tokenizer on the vocabulary's own words."""
+        from tokenizers import Tokenizer, normalizers, pre_tokenizers
+
+        spec = json.loads(json_text)
+        if spec["model"].get("end_of_word_suffix") != "</w>":
+            return None
+        short = Tokenizer.from_str(json_text)
+        short.normalizer = normalizers.Sequence([])
+        short.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.CharDelimiterSplit("\n"), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
+        probe = [w for w in (t.removesuffix("</w>") for t in spec["model"]["vocab"]) if w.isascii() and w.isalpha() and w.islower()][::8]
+        probe += ["\u00fcber", "\u00e9t\u00e9", "ni\u00f1o", "\u4e2d\u6587", "\u043c\u0438\u0440"]
+        both = [t.encode_batch_fast(["\n".join(probe)], add_special_tokens=False)[0].ids for t in (short, self.tokenizer)]
+        return short if both[0] == both[1] else None
+
     def _learn(self, new: set[bytes]) -> None:
-        """Chunks made of letters and a tail of plain signs are encoded together, one a line: letters end one word, a tail
-        ends another, which tells where each chunk's ids stop. Should the count of word ends differ, and for all other
-        chunks, each is encoded alone."""
-        texts = [c.decode() for c in new]
-        stems = [t.rstrip(_TAIL) for t in texts]
-        for k, (t, s) in enumerate(zip(texts, stems)):  # a known word with a new tail
-            if len(s) != len(t) and (ids := self.known.get(s.encode())) is not None and s.isalpha():
-                self.known[t.encode()] = ids + self.tails[t[len(s):]]
-                texts[k] = stems[k] = ""
-        texts, stems = list(filter(None, texts)), [s for t, s in zip(texts, stems) if t]
-        plain = [s.isalpha() for s in stems]
-        together = [t for t, p in zip(texts, plain) if p]
-        words = [1 if len(s) == len(t) else 2 for s, t, p in zip(stems, texts, plain) if p]
-        for at in range(0, len(together), 2048):
-            part = together[at:at + 2048]
-            self.known.update(zip(map(str.encode, part), self._joined(part, words[at:at + 2048])))
-        odd = [t for t, p in zip(texts, plain) if not p]
-        self.known.update(zip(map(str.encode, odd), self._alone(odd)))
-
-    def _joined(self, texts: list[str], words: list[int]) -> list[bytes]:
-        ids = np.array(self.tokenizer.encode_batch_fast(["\n".join(texts)], add_special_tokens=False)[0].ids, "<u4")
-        ends, at = np.flatnonzero(self.ends[ids]) + 1, np.cumsum(words)
-        if len(ends) != at[-1]:
-            return self._alone(texts)
-        raw, cuts = ids.tobytes(), [0, *(ends[at - 1] * 4).tolist()]
+        """Chunks of letters and a tail of plain signs are put together from both; all others are encoded alone."""
+        known, odd, stems = self.known, [], {}
+        for chunk in new:
+            text = chunk.decode()
+            stem = text.rstrip(_TAIL)
+            if not stem.isalpha():
+                odd.append(text)
+            elif len(stem) == len(text):
+                stems.setdefault(stem, [])
+            elif (ids := known.get(stem.encode())) is not None:
+                known[chunk] = ids + self.tails[text[len(stem):]]
+            else:
+                stems.setdefault(stem, []).append(text[len(stem):])
+        fresh = list(stems)
+        for at in range(0, len(fresh), 2048):
+            part = fresh[at:at + 2048]
+            for stem, ids in zip(part, self._joined(part)):
+                known[stem.encode()] = ids
+                for tail in stems[stem]:
+                    known[(stem + tail).encode()] = ids + self.tails[tail]
+        known.update(zip(map(str.encode, odd), self._alone(odd)))
+
+    def _joined(self, words: list[str]) -> list[bytes]:
+        """Words of letters, a line each. They end as often as there are lines; if not, each is encoded alone. Texts not in
+        normal form, or whose lower case depends on context or length, go through the full tokenizer."""
+        text = "\n".join(words)
+        lower = text.lower()
+        plain = self.words is not None and unicodedata.is_normalized("NFC", text) and len(lower) == len(text) and "\u03a3" not in text and "\u0130" not in text
+        ids = np.array((self.words if plain else self.tokenizer).encode_batch_fast([lower if plain else text], add_special_tokens=False)[0].ids, self.width)
+        ends = np.flatnonzero(self.ends[ids]) + 1
+        if len(ends) != len(words):
+            return self._alone(words)
+        raw, cuts = ids.tobytes(), [0, *(ends * self.bytes).tolist()]
         return [raw[a:b] for a, b in zip(cuts, cuts[1:])]
 
     def _alone(self, texts: list[str]) -> list[bytes]:
         if not texts:
             return []
-        return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+        return [np.array(e.ids, self.width).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+
+
+def _gaps(ids: list) -> list[int]:
+    """Where ``ids`` has None."""
+    at, k = [], -1
+    try:
+        while True:
+            k = ids.index(None, k + 1)
+            at.append(k)
+    except ValueError:
+        return at
 
 
 class _Tails(dict):
