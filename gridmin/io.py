@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gridmin.vectors.vec import Vec
@@ -15,6 +15,11 @@ def table(spark: SparkSession, sf_dir: str, name: str, columns: list[str] | None
     return df.select(*columns) if columns else df
 
 
+def micros(col) -> Column:
+    """Microseconds since 1970 of a timestamp without zone."""
+    return F.timestamp_diff("MICROSECOND", F.lit("1970-01-01 00:00:00").cast("timestamp_ntz"), F.col(col) if isinstance(col, str) else col)
+
+
 def write_batches(df: DataFrame, path: str, key: str = "batch_id") -> None:
     """One folder a batch, so that a read of one batch lists one folder."""
     df.write.mode("overwrite").partitionBy(key).parquet(path)

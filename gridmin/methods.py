@@ -609,7 +609,7 @@ select k::int as row, feature_id as idx, round(sum(ds * (t - v[k + 1])) / (selec
 def rank_gradient(spark, d):
     w = workloads.w5(spark, d)
     g = _long(w.objective.gradient(_fm_weights(spark)), 8)
-    seen = w.objective.cells.select((F.col("feat_part").cast("long") * 512 + F.explode("local_ids")).alias("idx")).distinct()
+    seen = w.objective.cells.select("feat_part", F.explode("local_ids").alias("i")).select((F.col("feat_part").cast("long") * 512 + F.col("i")).alias("idx")).distinct()
     return g.join(seen, "idx", "left_semi")
 
 
@@ -982,3 +982,89 @@ def met_plan(spark, d):
         return _ok(spark, metrics.exchanges(ops.add(a, b).df) == 0, metrics.plan_depth(a.df) < 40, metrics.run_info(spark)["cores"] >= 1)
     finally:
         spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+@register("model_save_load", OK)
+def model_save_load(spark, d):
+    import uuid
+
+    from gridmin.facade import MultiClassifier, Regressor
+    from gridmin.vectors.vec import shared_dir
+
+    w = workloads.w1r(spark, d)
+    m = Regressor(4, 4, minimiser=workloads.quick(4)).fit(w.data["features"], w.data["labels"])
+    path = f"{shared_dir(spark)}/model-{uuid.uuid4().hex}"
+    m.save(path)
+    again = Regressor.load(spark, path)
+    worst = m.transform(w.data["features"]).join(again.transform(w.data["features"]).withColumnRenamed("score", "other"), "example_id").agg(F.max(F.abs(F.col("score") - F.col("other")))).first()[0]
+    e = workloads.w2(spark, d).data
+    c = MultiClassifier(64, 64, minimiser=workloads.quick(3), k=10).fit(e["features"], e["labels"])
+    return _ok(spark, worst == 0.0, c.evaluate(e["features"], e["labels"]).first()[0] > 0.15)
+
+
+@register("fm_classifier_fit", OK)
+def fm_classifier_fit(spark, d):
+    """Quality of documents from language, source and length class."""
+    from gridmin.facade import FMClassifier
+
+    docs = io.table(spark, d, "documents", ["doc_id", "lang", "source", "n_chars"]).join(io.table(spark, d, "labels"), "doc_id")
+    of = lambda name, col, n, at: (workloads.h32(name, col) % n + at)
+    ids = F.array(of("l", F.col("lang"), 16, 0), of("s", F.col("source"), 48, 16), F.least(F.floor(F.log2(F.col("n_chars") + 1.0)), F.lit(31)) + 64)
+    feats = docs.select(F.col("doc_id").alias("example_id"), F.explode(ids).alias("feature_id"), F.lit(1.0).alias("value"))
+    labels = docs.select(F.col("doc_id").alias("example_id"), F.col("quality").cast("double").alias("label"))
+    m = FMClassifier(96, 96, minimiser=workloads.quick(3)).fit(feats, labels)
+    return _ok(spark, m.result.value < m.result.log[0][1])
+
+
+@register("met_gap", OK)
+def met_gap(spark, d):
+    """Training and held-out loss of the sparse logistic model; the training loss is the lower one."""
+    w = workloads.w6(spark, d, bits=12)
+    fold = F.pmod(F.xxhash64("example_id"), F.lit(3)) == 0
+    t, h = (workloads.linear(w.data["features"].where(k), w.data["labels"].where(k), 1 << 12, losses.Logistic(), 4096, workloads.quick(5)) for k in (~fold, fold))
+    x = t.run().x
+    return _ok(spark, t.objective.value(x) <= h.objective.value(x))
+
+
+_W1F = f"with ids as (select o_orderkey as example_id from orders), feats as ({workloads.FEATURES_SQL.format(d=10007, nnz=30)})"
+
+
+@register("feat_csr", f"{_W1F} select example_id, count(*) as nnz, round(sum(value), 8) + 0.0::double as total from feats where value <> 0 group by 1")
+def feat_csr(spark, d):
+    """Rows of the compressed cells, put together again."""
+    cells = workloads.w1(spark, d).data["cells"]
+    rows = cells.select(F.explode(F.transform("ex_ids", lambda e, i: F.struct(e.alias("e"), F.slice("vals", F.col("indptr")[i] + 1, F.col("indptr")[i + 1] - F.col("indptr")[i]).alias("v")))).alias("r"))
+    each = rows.select(F.col("r.e").alias("example_id"), F.explode("r.v").alias("v"))
+    return each.groupBy("example_id").agg(F.count("*").alias("nnz"), (F.round(F.sum("v"), 8) + F.lit(0.0)).alias("total"))
+
+
+@register("group_apply", f"{_W1F} select count(*) as cells, sum(n)::bigint as rows from (select feature_id // 1024 as b, count(distinct example_id) as n from feats where value <> 0 group by 1)")
+def group_apply(spark, d):
+    """Cells built one group at a time; with one example part there is a cell for each feature block."""
+    ids = io.table(spark, d, "orders", ["o_orderkey"]).select(F.col("o_orderkey").alias("example_id"))
+    cells = grid.build_cells(workloads.planted_features(ids, 30, 10_007), 1, 1024)
+    return cells.agg(F.count("*").alias("cells"), F.sum(F.size("ex_ids")).alias("rows"))
+
+
+@register("map_in_arrow", f"{_W1F} select count(*) as n, round(sum(s), 4) + 0.0::double as total from (select example_id, sum(value * {_FIX}) as s from feats group by 1)")
+def map_in_arrow(spark, d):
+    s = workloads.w1(spark, d).objective.scores(_fixed(spark, 10_007))
+    return s.agg(F.count("*").alias("n"), (F.round(F.sum(F.col("s")[0]), 4) + F.lit(0.0)).alias("total"))
+
+
+@register("feat_hashing", "select doc_id, ('0x' || substr(md5('t:' || w), 1, 8))::bigint % 4096 as idx, count(*) as n from (select doc_id, unnest(string_split(lower(text), ' ')) as w from documents) where w <> '' group by 1, 2 having count(*) >= 4")
+def feat_hashing(spark, d):
+    words = io.table(spark, d, "documents", ["doc_id", "text"]).select("doc_id", F.explode(F.split(F.lower("text"), " ")).alias("w")).where("w <> ''")
+    return words.groupBy("doc_id", baselines.hash_index(F.col("w"), 12).alias("idx")).agg(F.count("*").alias("n")).where("n >= 4")
+
+
+@register("feat_min_count", "select o_custkey, count(*) as n from orders group by 1 having count(*) >= 8")
+def feat_min_count(spark, d):
+    f = io.table(spark, d, "orders", ["o_custkey"]).withColumnRenamed("o_custkey", "feature_id")
+    return baselines.min_count(f, 8).groupBy(F.col("feature_id").alias("o_custkey")).agg(F.count("*").alias("n"))
+
+
+@register("feat_topk_other", "with k as (select p_name from part group by 1 order by count(*) desc, p_name limit 10) select case when p_name in (select p_name from k) then p_name else 'other' end as level, count(*) as n from part group by 1")
+def feat_topk_other(spark, d):
+    df = baselines.topk_levels(io.table(spark, d, "part", ["p_name"]), "p_name", 10)
+    return df.groupBy(F.col("p_name").alias("level")).agg(F.count("*").alias("n"))

@@ -83,7 +83,7 @@ class ScoreLine(Line):
                     s, ds = s + eta * eta * F.col("c2"), ds + 2 * eta * F.col("c2")
                 slope = self.loss.derivative(s, F.col("label")) * ds
             else:
-                s = F.zip_with("c0", "c1", lambda a, b, eta=eta: a + F.lit(float(eta)) * b)
+                s = F.zip_with("c0", "c1", _plus(float(eta)))
                 slope = F.aggregate(F.zip_with(self.loss.derivative(s, F.col("label")), F.col("c1"), lambda a, b: a * b), F.lit(0.0), lambda acc, z: acc + z)
             aggs += [F.sum(F.col("weight") * self.loss.value(s, F.col("label"))).alias(f"v{i}"), F.sum(F.col("weight") * slope).alias(f"d{i}")]
         r = self.rows.agg(F.sum("weight").alias("w"), *aggs).first()
@@ -93,6 +93,10 @@ class ScoreLine(Line):
         self.rows.unpersist()
 
 
+def _plus(eta: float):
+    return lambda a, b: a + F.lit(eta) * b
+
+
 def _number(x) -> float:
     return float("nan") if x is None else float(x)
 

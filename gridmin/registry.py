@@ -11,7 +11,7 @@ Query = Callable[[SparkSession, str], DataFrame]
 
 _QUERIES: dict[str, Query] = {}
 _ORACLES: dict[str, str] = {}
-_MODULES: list[str] = ["gridmin.methods", "gridmin.sqlops"]
+_MODULES: list[str] = ["gridmin.methods", "gridmin.sqlops", "gridmin.stream"]
 
 
 def register(key: str, sql: str | None = None) -> Callable[[Query], Query]:

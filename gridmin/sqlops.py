@@ -51,7 +51,7 @@ _round_trip("json", "region", "select * from region")
 _round_trip("orc", "supplier", "select * from supplier")
 
 
-@register("src_text_lines", "select count(*) as n, sum(length(r_name)) as chars from region")
+@register("src_text_lines", "select count(*) as n, sum(length(r_name))::bigint as chars from region")
 def src_text_lines(spark, d):
     path = scratch(spark, "text")
     io.table(spark, d, "region", ["r_name"]).write.text(path)
@@ -72,7 +72,7 @@ def src_range_synth(spark, d):
     return workloads.planted_features(spark.range(200).withColumnRenamed("id", "example_id"), 5, 101)
 
 
-@register("src_python_datasource", "select count(*) as n, sum(i) as total from (select unnest(range(1000)) as i)")
+@register("src_python_datasource", "select count(*) as n, sum(i)::bigint as total from (select unnest(range(1000)) as i)")
 def src_python_datasource(spark, d):
     from gridmin.source import register_counter
 
@@ -113,7 +113,7 @@ def sink_modes(spark, d):
 
 # projections, predicates, sampling -----------------------------------------------------------------------------------------
 
-sql_query("prj_expr", "select l_orderkey, round(l_extendedprice * (1 - l_discount) * (1 + l_tax), 4) as charge from lineitem", lambda t: t("lineitem", "l_orderkey", "l_extendedprice", "l_discount", "l_tax").select("l_orderkey", F.round(c("l_extendedprice") * (1 - c("l_discount")) * (1 + c("l_tax")), 4).alias("charge")))
+sql_query("prj_expr", "select l_orderkey, round(l_extendedprice * (1 - l_discount) * (1 + l_tax), 7) as charge from lineitem", lambda t: t("lineitem", "l_orderkey", "l_extendedprice", "l_discount", "l_tax").select("l_orderkey", F.round(c("l_extendedprice") * (1 - c("l_discount")) * (1 + c("l_tax")), 7).alias("charge")))
 sql_query("prj_case", "select p_partkey, case when p_size < 10 then 'small' when p_size < 30 then 'medium' else 'large' end as size from part", lambda t: t("part", "p_partkey", "p_size").select("p_partkey", F.when(c("p_size") < 10, "small").when(c("p_size") < 30, "medium").otherwise("large").alias("size")))
 sql_query("prj_cast", "select p_partkey, try_cast(substr(p_brand, 7) as int) as brand, try_cast(p_name as int) as none from part", lambda t: t("part", "p_partkey", "p_brand", "p_name").select("p_partkey", F.expr("try_cast(substr(p_brand, 7) as int)").alias("brand"), F.expr("try_cast(p_name as int)").alias("none")))
 sql_query("prj_struct_rename_drop", "select p_partkey as key, p_brand as brand, p_size as size from part", lambda t: t("part").select("p_partkey", F.struct("p_brand", "p_size").alias("s"), "p_type").withColumnRenamed("p_partkey", "key").drop("p_type").select("key", c("s.p_brand").alias("brand"), c("s.p_size").alias("size")))
@@ -230,7 +230,7 @@ sql_query("agg_kll", "select true as ok", lambda t: t("events", "value").agg(F.e
 sql_query("agg_grouping_sets", "select o_orderstatus, o_orderpriority, count(*) as n, grouping(o_orderstatus, o_orderpriority)::bigint as g from orders group by grouping sets ((o_orderstatus), (o_orderpriority), ())", lambda t: t("orders", "o_orderstatus", "o_orderpriority").groupingSets([["o_orderstatus"], ["o_orderpriority"], []], "o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n"), F.grouping_id().alias("g")))
 sql_query("agg_cube", "select o_orderstatus, o_orderpriority, count(*) as n from orders group by cube (1, 2)", lambda t: t("orders", "o_orderstatus", "o_orderpriority").cube("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n")))
 sql_query("agg_rollup", "select o_orderstatus, o_orderpriority, count(*) as n from orders group by rollup (1, 2)", lambda t: t("orders", "o_orderstatus", "o_orderpriority").rollup("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n")))
-sql_query("agg_pivot", "select quality, count(*) filter (toxic = 0) as t0, count(*) filter (toxic = 1) as t1 from labels group by 1", lambda t: t("labels", "quality", "toxic").groupBy("quality").pivot("toxic", [0, 1]).agg(F.count("*")).select("quality", F.coalesce(c("`0`"), F.lit(0)).alias("t0"), F.coalesce(c("`1`"), F.lit(0)).alias("t1")))
+sql_query("agg_pivot", "select quality, count(*) filter (toxic = 0) as t0, count(*) filter (toxic = 1) as t1 from labels group by 1", lambda t: t("labels", "quality", "toxic").groupBy("quality").pivot("toxic", [0, 1]).agg(F.count(F.lit(1))).select("quality", F.coalesce(c("`0`"), F.lit(0)).alias("t0"), F.coalesce(c("`1`"), F.lit(0)).alias("t1")))
 sql_query("agg_unpivot", "select doc_id, 'quality' as label, quality as value from labels union all select doc_id, 'toxic', toxic from labels", lambda t: t("labels").unpivot("doc_id", ["quality", "toxic"], "label", "value"))
 sql_query("agg_filter", "select count(*) filter (value > 100) as big, round(sum(value) filter (event_type = 'view'), 4) as viewed from events", lambda t: t("events", "value", "event_type").agg(F.count_if(c("value") > 100).alias("big"), F.round(F.sum(F.when(c("event_type") == "view", c("value"))), 4).alias("viewed")))
 sql_query("agg_collect", "select conv_id, string_agg(role, '>' order by turn) as roles from conversations group by 1", lambda t: t("conversations", "conv_id", "turn", "role").groupBy("conv_id").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("turn", "role"))), lambda z: z["role"]), ">").alias("roles")))
@@ -247,27 +247,32 @@ sql_query("agg_sort", "select p_brand, min(p_name) as first, max(p_name) as last
 # windows -------------------------------------------------------------------------------------------------------------------------
 
 _OW = "partition by o_custkey order by o_totalprice, o_orderkey"
-_ow = W.partitionBy("o_custkey").orderBy("o_totalprice", "o_orderkey")
+
+
+def _ow():
+    return W.partitionBy("o_custkey").orderBy("o_totalprice", "o_orderkey")
+
+
 for _k, _s, _f in [
-    ("win_row_number", f"row_number() over ({_OW})", lambda: F.row_number().over(_ow).cast("long")),
+    ("win_row_number", f"row_number() over ({_OW})", lambda: F.row_number().over(_ow()).cast("long")),
     ("win_rank_dense", "dense_rank() over (partition by o_orderstatus order by o_orderpriority)", lambda: F.dense_rank().over(W.partitionBy("o_orderstatus").orderBy("o_orderpriority")).cast("long")),
-    ("win_percent_cume", f"round(cume_dist() over ({_OW}), 8)", lambda: F.round(F.cume_dist().over(_ow), 8)),
-    ("win_ntile", f"ntile(4) over ({_OW})", lambda: F.ntile(4).over(_ow).cast("long")),
-    ("win_lag_lead", f"coalesce(lag(o_orderkey) over ({_OW}), -1) + coalesce(lead(o_orderkey) over ({_OW}), -1)", lambda: F.coalesce(F.lag("o_orderkey").over(_ow), F.lit(-1)) + F.coalesce(F.lead("o_orderkey").over(_ow), F.lit(-1))),
-    ("win_first_last_nth", f"first_value(o_orderkey) over ({_OW}) + coalesce(nth_value(o_orderkey, 2) over ({_OW}), -1)", lambda: F.first("o_orderkey").over(_ow) + F.coalesce(F.nth_value("o_orderkey", 2).over(_ow), F.lit(-1))),
-    ("win_running_sum", f"round(sum(o_totalprice) over ({_OW} rows unbounded preceding), 2)", lambda: F.round(F.sum("o_totalprice").over(_ow.rowsBetween(W.unboundedPreceding, 0)), 2)),
-    ("win_moving_avg", f"round(avg(o_totalprice) over ({_OW} rows between 2 preceding and current row), 4)", lambda: F.round(F.avg("o_totalprice").over(_ow.rowsBetween(-2, 0)), 4)),
+    ("win_percent_cume", f"round(cume_dist() over ({_OW}), 8)", lambda: F.round(F.cume_dist().over(_ow()), 8)),
+    ("win_ntile", f"ntile(4) over ({_OW})", lambda: F.ntile(4).over(_ow()).cast("long")),
+    ("win_lag_lead", f"coalesce(lag(o_orderkey) over ({_OW}), -1) + coalesce(lead(o_orderkey) over ({_OW}), -1)", lambda: F.coalesce(F.lag("o_orderkey").over(_ow()), F.lit(-1)) + F.coalesce(F.lead("o_orderkey").over(_ow()), F.lit(-1))),
+    ("win_first_last_nth", f"first_value(o_orderkey) over ({_OW}) + coalesce(nth_value(o_orderkey, 2) over ({_OW}), -1)", lambda: F.first("o_orderkey").over(_ow()) + F.coalesce(F.nth_value("o_orderkey", 2).over(_ow()), F.lit(-1))),
+    ("win_running_sum", f"round(sum(o_totalprice) over ({_OW} rows unbounded preceding), 2)", lambda: F.round(F.sum("o_totalprice").over(_ow().rowsBetween(W.unboundedPreceding, 0)), 2)),
+    ("win_moving_avg", f"round(avg(o_totalprice) over ({_OW} rows between 2 preceding and current row), 4)", lambda: F.round(F.avg("o_totalprice").over(_ow().rowsBetween(-2, 0)), 4)),
     ("win_range_value", "count(*) over (partition by o_custkey order by o_totalprice range between 50000 preceding and current row)", lambda: F.count("*").over(W.partitionBy("o_custkey").orderBy("o_totalprice").rangeBetween(-50000, 0))),
 ]:
     sql_query(_k, f"select o_orderkey, {_s} as v from orders", lambda t, f=_f: t("orders", "o_orderkey", "o_custkey", "o_totalprice", "o_orderstatus", "o_orderpriority").select("o_orderkey", f().alias("v")))
-sql_query("win_range_interval", "select event_id, count(*) over (partition by user_id order by epoch_us(ts) range between 3600000000 preceding and current row) as n from events", lambda t: t("events", "event_id", "user_id", "ts").select("event_id", F.count("*").over(W.partitionBy("user_id").orderBy(F.unix_micros("ts")).rangeBetween(-3_600_000_000, 0)).alias("n")))
+sql_query("win_range_interval", "select event_id, count(*) over (partition by user_id order by epoch_us(ts) range between 3600000000 preceding and current row) as n from events", lambda t: t("events", "event_id", "user_id", "ts").select("event_id", F.count("*").over(W.partitionBy("user_id").orderBy(io.micros("ts")).rangeBetween(-3_600_000_000, 0)).alias("n")))
 sql_query("win_topk_group", "select p_brand, p_partkey from part qualify row_number() over (partition by p_brand order by p_retailprice desc, p_partkey) <= 3", lambda t: t("part", "p_brand", "p_partkey", "p_retailprice").withColumn("r", F.row_number().over(W.partitionBy("p_brand").orderBy(F.desc("p_retailprice"), "p_partkey"))).where("r <= 3").select("p_brand", "p_partkey"))
 
 
 def sessionise(df: DataFrame, user: str, ts: str, gap_seconds: int) -> DataFrame:
     """Session number within each user: a pause longer than the gap starts a new one."""
     w = W.partitionBy(user).orderBy(ts)
-    new = F.coalesce((F.unix_micros(ts) - F.unix_micros(F.lag(ts).over(w)) > gap_seconds * 1_000_000).cast("int"), F.lit(1))
+    new = F.coalesce((io.micros(ts) - io.micros(F.lag(ts).over(w)) > gap_seconds * 1_000_000).cast("int"), F.lit(1))
     return df.withColumn("_new", new).withColumn("session", F.sum("_new").over(w.rowsBetween(W.unboundedPreceding, 0))).drop("_new")
 
 
@@ -309,7 +314,7 @@ _D = [
     ("fn_date_trunc_parts", "orders", "o_orderkey", {"m": ("strftime(date_trunc('month', o_orderdate), '%Y-%m-%d')", lambda: F.date_format(F.date_trunc("month", "o_orderdate"), "yyyy-MM-dd")), "y": ("year(o_orderdate)::int", lambda: F.year("o_orderdate")), "q": ("quarter(o_orderdate)::int", lambda: F.quarter("o_orderdate"))}),
     ("fn_date_diff_add", "orders", "o_orderkey", {"d": ("datediff('day', date '1990-01-01', o_orderdate::date)::int", lambda: F.datediff("o_orderdate", F.lit("1990-01-01").cast("date"))), "a": ("strftime(o_orderdate + interval 3 month, '%Y-%m-%d')", lambda: F.date_format(F.add_months("o_orderdate", 3), "yyyy-MM-dd"))}),
     ("fn_date_cyclic", "events", "event_id", {"s": ("round(sin(2 * pi() * hour(ts) / 24), 8) + 0.0::double", lambda: F.round(F.sin(2 * F.pi() * F.hour("ts") / 24), 8) + F.lit(0.0))}),
-    ("fn_epoch_batches", "events", "event_id", {"b": ("epoch_us(ts) // 86400000000", lambda: F.floor(F.unix_micros("ts") / 86_400_000_000))}),
+    ("fn_epoch_batches", "events", "event_id", {"b": ("epoch_us(ts) // 86400000000", lambda: F.floor(io.micros("ts") / 86_400_000_000))}),
     ("fn_math_stable", "events", "event_id", {"a": ("round(ln(1 + value), 8)", lambda: F.round(F.log1p("value"), 8)), "b": ("round(sqrt(value) + pow(value, 0.3::double), 6)", lambda: F.round(F.sqrt("value") + F.pow("value", F.lit(0.3)), 6))}),
     ("fn_math_round_mod", "events", "event_id", {"f": ("floor(value)::bigint", lambda: F.floor("value")), "g": ("greatest(value, 50.0::double)", lambda: F.greatest("value", F.lit(50.0))), "m": ("event_id % 7", lambda: F.pmod("event_id", F.lit(7)))}),
     ("fn_math_link", "events", "event_id", {"s": ("round(1.0::double / (1.0::double + exp(-value / 100.0::double)), 8)", lambda: F.round(losses.sigmoid(c("value") / 100.0), 8)), "p": ("round(ln(1.0::double + exp(-abs(value / 100.0::double))) + value / 100.0::double, 8)", lambda: F.round(losses.softplus(c("value") / 100.0), 8))}),
@@ -328,16 +333,16 @@ sql_query("fn_map_ops", "select event_id, case event_type when 'view' then 0.1::
 # user functions ----------------------------------------------------------------------------------------------------------------------------
 
 
-def _sig(x: pd.Series) -> pd.Series:
+@register("udf_scalar_arrow", "select event_id, round(1.0::double / (1.0::double + exp(-value / 100.0::double)), 8) as s from events")
+def udf_scalar_arrow(spark, d):
     import numpy as np
 
-    return 1.0 / (1.0 + np.exp(-x / 100.0))
+    ship(spark)
 
+    def sigmoid(x: pd.Series) -> pd.Series:
+        return 1.0 / (1.0 + np.exp(-x / 100.0))
 
-@register("udf_scalar_arrow", "select event_id, round(1.0::double / (1.0::double + exp(-value / 100.0::double)), 8) as s from events")
-def udf_scalar_arrow(spark, d):
-    ship(spark)
-    f = F.pandas_udf(_sig, T.DoubleType())
+    f = F.pandas_udf(sigmoid, T.DoubleType())
     return io.table(spark, d, "events", ["event_id", "value"]).select("event_id", F.round(f("value"), 8).alias("s"))
 
 
