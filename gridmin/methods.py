@@ -779,9 +779,8 @@ def accumulated_batches(spark, d):
 @register("warm_start", OK)
 def warm_start(spark, d):
     f, x = _quadratic(spark)
-    phases = optim.chain([optim.AdaptiveGradient(0.5, stop=[optim.MaxIter(3)]), optim.LimitedMemory(stop=[optim.MaxIter(2)])], f, x)
-    cold = optim.AdaptiveGradient(0.5, stop=[optim.MaxIter(5)]).run(f, x)
-    return _ok(spark, phases[-1].value <= cold.value)
+    phases = optim.chain([optim.AdaptiveGradient(0.5, stop=[optim.MaxIter(3)]), optim.LimitedMemory(stop=[optim.MaxIter(3)])], f, x)
+    return _ok(spark, phases[1].value <= phases[0].value, phases[1].log[0][1] == phases[0].value)
 
 
 @register("penalty_values", f"select round(0.3::double * sum(abs(p)) + 0.1::double * sum(p * p), 3) as penalty from ({_PQ})")
@@ -975,13 +974,19 @@ def met_timing(spark, d):
 @register("met_plan", OK)
 def met_plan(spark, d):
     """Vectors that are partitioned alike and cached meet without a further exchange."""
-    n = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    a, b = (v.with_df(layout.copartition(v.df, n)) for v in (_price(spark, d), _qty(spark, d)))
+    n, plan = int(spark.conf.get("spark.sql.shuffle.partitions")), "spark.sql.adaptive.enabled"
+    before, cast = spark.conf.get(plan), spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set(plan, "false")
     spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
     try:
-        return _ok(spark, metrics.exchanges(ops.add(a, b).df) == 0, metrics.plan_depth(a.df) < 40, metrics.run_info(spark)["cores"] >= 1)
+        a, b = (v.cut() for v in (_price(spark, d), _qty(spark, d)))
+        apart = metrics.exchanges(ops.add(a, b).df)
+        a, b = (v.with_df(layout.copartition(v.df, n)) for v in (a, b))
+        together = metrics.exchanges(ops.add(a, b).df.select("block_id")) - metrics.exchanges(a.df) - metrics.exchanges(b.df)
+        return _ok(spark, apart == 2, together <= 0, metrics.plan_depth(a.df) < 40, metrics.run_info(spark)["cores"] >= 1)
     finally:
-        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+        spark.conf.set(plan, before)
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", cast)
 
 
 @register("model_save_load", OK)

@@ -31,9 +31,9 @@ def classification(df: DataFrame, p: str = "p", label: str = "label", cut: float
 
 def auc(df: DataFrame, score: str = "score", label: str = "label") -> DataFrame:
     """Area under the curve with ties at mid-rank. Counts by distinct score first, so the window runs over scores only."""
-    by = df.groupBy(score).agg(F.count_if(F.col(label) == 1).alias("p"), F.count_if(F.col(label) != 1).alias("n"))
-    below = F.sum("n").over(W.orderBy(score)) - F.col("n")
-    return by.withColumn("u", F.col("p") * (below + F.col("n") / 2)).agg((F.sum("u") / (F.sum("p") * F.sum("n"))).alias("auc"))
+    by = df.groupBy(F.col(score).alias("_score")).agg(F.count_if(F.col(label) == 1).alias("_p"), F.count_if(F.col(label) != 1).alias("_n"))
+    below = F.sum("_n").over(W.orderBy("_score")) - F.col("_n")
+    return by.withColumn("_u", F.col("_p") * (below + F.col("_n") / 2)).agg((F.sum("_u") / (F.sum("_p") * F.sum("_n"))).alias("auc"))
 
 
 def calibration(df: DataFrame, p: str = "p", label: str = "label", bins: int = 10) -> DataFrame:

@@ -144,8 +144,9 @@ def st_stateful(spark, d):
     return table.withColumn("_r", F.row_number().over(W.partitionBy("user_id").orderBy(F.desc("n")))).where("_r = 1").select("user_id", "n", F.round("total", 4).alias("total"))
 
 
-def user_state(df: DataFrame) -> DataFrame:
-    """(user_id, n, total) with a processing-time timeout after which a silent user's state goes."""
+def user_state(df: DataFrame, timeout_ms: int | None = None) -> DataFrame:
+    """(user_id, n, total). With ``timeout_ms`` the state of a user silent for so long goes; for endless queries only, as a query
+    with timers never runs out of batches."""
     from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
     def step(key: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
@@ -156,11 +157,12 @@ def user_state(df: DataFrame) -> DataFrame:
         for p in parts:
             n, total = n + len(p), total + float(p["value"].sum())
         state.update((n, total))
-        state.setTimeoutDuration(3_600_000)
+        if timeout_ms:
+            state.setTimeoutDuration(timeout_ms)
         yield pd.DataFrame({"user_id": [key[0]], "n": [n], "total": [total]})
 
     ship(df.sparkSession)
-    return df.groupBy("user_id").applyInPandasWithState(step, "user_id long, n long, total double", "n long, total double", "update", GroupStateTimeout.ProcessingTimeTimeout)
+    return df.groupBy("user_id").applyInPandasWithState(step, "user_id long, n long, total double", "n long, total double", "update", GroupStateTimeout.ProcessingTimeTimeout if timeout_ms else GroupStateTimeout.NoTimeout)
 
 
 class ModelStore:
