@@ -6,7 +6,8 @@ number of pieces popped on the way. Counting then reads each character once and
 in its length and no piece is ever built. A word that can't be cut into pieces counts as one unknown.
 
 Null or empty text: no words, no tokens. Null ids and repeated rows: a row each. Empty table: no rows. Extra columns are
-ignored. Words of any length are counted whole.
+ignored. Words of any length are counted whole. The mark ## of a continuing piece is notation: a word that begins with these
+characters is cut by them like any other.
 """
 
 from __future__ import annotations
