@@ -28,6 +28,7 @@ from gridmin.session import map_arrow
 
 MAX_BITS = 16
 EVERY = 128
+_PART = 1 << 14
 
 BLOCKS = T.StructType([
     T.StructField("file", T.IntegerType()), T.StructField("block", T.IntegerType()), T.StructField("first", T.LongType()),
@@ -83,44 +84,50 @@ class Codec:
         size = int(self.symbols.max(initial=0)) + 1
         self.code = np.zeros(size, np.uint32)  # code and, in the low 5 bits, its length: one look-up a symbol
         self.code[self.symbols] = ((aligned >> (self.most - self.lengths)) << 5 | self.lengths).astype(np.uint32)
-        self.table_symbol = np.zeros(1 << self.most, np.uint32)
-        self.table_length = np.zeros(1 << self.most, np.int64)
-        filled = int(steps.sum())
-        self.table_symbol[:filled] = np.repeat(self.symbols, steps)
-        self.table_length[:filled] = np.repeat(self.lengths, steps)
+        self.table = np.zeros(1 << self.most, np.uint32)  # symbol and, in the low 5 bits, its code's length
+        self.table[:int(steps.sum())] = np.repeat((self.symbols << 5 | self.lengths).astype(np.uint32), steps)
 
     def encode(self, ids: np.ndarray, every: int = EVERY) -> tuple[bytes, int, np.ndarray]:
         """(payload, bits, bit offset of each ``every``-th symbol). Codes never overlap, so adding them per 32-bit word packs them."""
-        if not len(ids):
-            return b"", 0, np.zeros(0, np.int64)
-        both = self.code[ids]
-        n = (both & np.uint32(31)).astype(np.int64)
-        ends = np.cumsum(n)
-        at, bits = ends - n, int(ends[-1])
-        window = (both >> np.uint32(5)).astype(np.uint64) << (64 - n - (at & 31)).astype(np.uint64)
-        word = at >> 5
-        first = np.flatnonzero(np.diff(word, prepend=-1))
-        out = np.zeros((bits >> 5) + 2, np.uint64)
-        out[word[first]] = np.add.reduceat(window >> np.uint64(32), first)
-        out[word[first] + 1] += np.add.reduceat(window & np.uint64(0xFFFFFFFF), first)
-        return out.astype(">u4").tobytes()[: (bits + 7) >> 3], bits, at[::every].copy()
+        out, marks, start, bits = [], [], 0, 0
+        carry = np.uint64(0)  # the word at which a part ends is finished by the next one
+        for k in range(0, len(ids), _PART):  # parts that stay in the processor's cache
+            both = self.code[ids[k:k + _PART]]
+            n = (both & np.uint32(31)).astype(np.int64)
+            ends = np.cumsum(n)
+            at = ends - n + start
+            marks.append(at[-k % every::every] + (bits - start))
+            word = at >> 5
+            first = np.flatnonzero(np.diff(word, prepend=-1))
+            window = (both >> np.uint32(5)).astype(np.uint64) << (64 - n - (at & 31)).astype(np.uint64)
+            packed = np.zeros(int(word[-1]) + 2, np.uint64)
+            packed[word[first]] = np.add.reduceat(window >> np.uint64(32), first)
+            packed[word[first] + 1] += np.add.reduceat(window & np.uint64(0xFFFFFFFF), first)
+            packed[0] += carry
+            bits += int(ends[-1])
+            full, start = divmod(start + int(ends[-1]), 32)
+            out.append(packed[:full].astype(">u4").tobytes())
+            carry = packed[full] if full < len(packed) else np.uint64(0)
+        out.append(np.array([carry]).astype(">u4").tobytes())
+        return b"".join(out)[: (bits + 7) >> 3], bits, np.concatenate([*marks, np.zeros(0, np.int64)])
 
     def decode(self, payload: bytes, symbols: int, checkpoints: np.ndarray, every: int = EVERY) -> np.ndarray:
         """All runs between checkpoints advance together, one table look-up a symbol."""
-        raw = np.frombuffer(payload + bytes(8), np.uint8)
-        words = (raw[:-3].astype(np.uint32) << 24) | (raw[1:-2].astype(np.uint32) << 16) | (raw[2:-1].astype(np.uint32) << 8) | raw[3:]
+        raw = np.frombuffer(payload + bytes(12 - len(payload) % 4), ">u4").astype(np.uint64)
+        pairs = raw[:-1] << np.uint64(32) | raw[1:]  # 64 bits from each 32-bit word on
         out = np.empty((every, len(checkpoints)), np.uint32)
-        at, drop = np.array(checkpoints, np.int64), 32 - self.most
+        at, drop, mask = np.array(checkpoints, np.int64), 64 - self.most, np.uint64((1 << self.most) - 1)
         live = len(checkpoints)
         last = symbols - (live - 1) * every if live else 0
         for k in range(every if live > 1 else last):
             if k == last:
                 live -= 1  # the final run is shorter
                 at = at[:live]
-            key = (words[at >> 3] << (at & 7).astype(np.uint32)) >> np.uint32(drop)
-            out[k, :live] = self.table_symbol[key]
-            at = at + self.table_length[key]
-        return out.T.reshape(-1)[:symbols]
+            key = pairs[at >> 5] >> (drop - (at & 31)).astype(np.uint64) & mask
+            got = self.table[key]
+            out[k, :live] = got
+            at = at + (got & np.uint32(31))
+        return (out >> np.uint32(5)).T.reshape(-1)[:symbols]
 
 
 def encode_ids(docs: DataFrame, doc_id: str, text: str, tokenizer: str | None, end_id: int = tokens.END_ID) -> DataFrame:
@@ -136,7 +143,7 @@ def encode_ids(docs: DataFrame, doc_id: str, text: str, tokenizer: str | None, e
 
         def rows() -> Iterator[tuple]:
             for b in batches:
-                for k, ids in zip(common.column_of(b, "doc_id").to_pylist(), encoder.encode(common.texts_of(b, "text")), strict=True):
+                for k, ids in zip(common.column_of(b, "doc_id").to_pylist(), encoder.encode_column(common.column_of(b, "text")), strict=True):
                     yield k, ids + end, zlib.crc32(ids), DOCUMENT
 
         for made in common.to_batches(rows(), out, 1024):

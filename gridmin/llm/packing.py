@@ -131,7 +131,7 @@ def pack(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", tokenizer:
 
         def rows() -> Iterator[tuple]:
             for b in batches:
-                for key, ids in zip(common.column_of(b, "doc_id").to_pylist(), encoder.encode(common.texts_of(b, "text")), strict=True):
+                for key, ids in zip(common.column_of(b, "doc_id").to_pylist(), encoder.encode_column(common.column_of(b, "text")), strict=True):
                     yield from packer.put(key, encoder.wide(ids) + end)
             yield from packer.finish()
 

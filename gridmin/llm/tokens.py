@@ -10,10 +10,12 @@ from __future__ import annotations
 import json
 import os
 import unicodedata
-from collections.abc import Iterable
+from collections.abc import Iterable, Iterator
 from itertools import islice
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import Broadcast
 from pyspark.sql import SparkSession
 
@@ -59,23 +61,43 @@ class ChunkEncoder:
             _ENCODERS[key] = cls(text)
         return _ENCODERS[key]
 
-    def encode(self, texts: Iterable[bytes], step: int = 64) -> Iterable[bytes]:
-        """Ids of each text, in order, ``step`` texts at a time."""
+    def encode(self, texts: Iterable[bytes], step: int = 8192) -> Iterable[bytes]:
+        """Ids of each text, in order; ``step`` texts are split, and their different chunks looked up, together."""
         texts = iter(texts)
         while part := list(islice(texts, step)):
-            if len(self.known) > self.limit:
-                self.known = {}
-            look = self.known.get
-            chunks = [t.split() for t in part]
-            found = [list(map(look, cs)) for cs in chunks]
-            gaps = [(cs, ids, _gaps(ids)) for cs, ids in zip(chunks, found) if None in ids]
-            if gaps:
-                self._learn({cs[k] for cs, _, at in gaps for k in at})
-                for cs, ids, at in gaps:
-                    for k in at:
-                        ids[k] = look(cs[k])
-            for ids in found:
-                yield b"".join(ids)
+            yield from self._encode_part(pa.array(part, pa.large_binary()).cast(pa.large_string()))
+
+    def encode_column(self, column: pa.Array, step: int = 8192) -> Iterator[bytes]:
+        """The same for a text column; null counts as empty."""
+        column = pc.fill_null(column.cast(pa.large_string()), "")
+        for at in range(0, len(column), step):
+            yield from self._encode_part(column.slice(at, step))
+
+    def _encode_part(self, texts: pa.Array) -> Iterator[bytes]:
+        chunks = pc.ascii_split_whitespace(texts)
+        coded = chunks.flatten().dictionary_encode()
+        names = coded.dictionary.cast(pa.large_binary()).to_pylist()
+        if len(self.known) > self.limit:
+            self.known = {}
+        ids = list(map(self.known.get, names))
+        if None in ids:
+            at = [k for k, i in enumerate(ids) if i is None]
+            self._learn([names[k] for k in at], coded.dictionary.take(pa.array(at, pa.int64())))
+            ids = list(map(self.known.__getitem__, names))
+        size = np.fromiter(map(len, ids), np.int64, len(ids)) // self.bytes
+        first, flat = np.cumsum(size) - size, np.frombuffer(b"".join(ids), self.width)
+        codes = coded.indices.to_numpy()
+        n = size[codes]
+        ends = np.concatenate([[0], np.cumsum(n)])
+        words = chunks.offsets.to_numpy()
+        stop = ends[words - words[0]]
+        for low in range(0, len(texts), 256):  # texts whose ids are gathered at once
+            w0, w1 = words[low] - words[0], words[min(low + 256, len(texts))] - words[0]
+            m = n[w0:w1]
+            take = np.repeat(first[codes[w0:w1]] - (ends[w0:w1] - ends[w0]), m) + np.arange(m.sum())
+            raw, base = flat[take].tobytes(), ends[w0]
+            for k in range(low, min(low + 256, len(texts))):
+                yield raw[(stop[k] - base) * self.bytes:(stop[k + 1] - base) * self.bytes]
 
     def wide(self, ids: bytes) -> bytes:
         """The same ids, little-endian unsigned 32-bit."""
@@ -97,39 +119,39 @@ class ChunkEncoder:
         both = [t.encode_batch_fast(["\n".join(probe)], add_special_tokens=False)[0].ids for t in (short, self.tokenizer)]
         return short if both[0] == both[1] else None
 
-    def _learn(self, new: set[bytes]) -> None:
+    def _learn(self, new: list[bytes], texts: pa.Array) -> None:
         """Chunks of letters and a tail of plain signs are put together from both; all others are encoded alone."""
-        known, odd, stems = self.known, [], {}
-        for chunk in new:
-            text = chunk.decode()
-            stem = text.rstrip(_TAIL)
-            if not stem.isalpha():
-                odd.append(text)
-            elif len(stem) == len(text):
+        known, odd, stems, tails = self.known, [], {}, self.tails
+        heads = pc.utf8_rtrim(texts, characters=_TAIL)
+        letters = pc.utf8_is_alpha(heads).to_pylist()
+        for chunk, stem, plain in zip(new, heads.cast(pa.large_binary()).to_pylist(), letters):
+            if not plain:
+                odd.append(chunk)
+            elif len(stem) == len(chunk):
                 stems.setdefault(stem, [])
-            elif (ids := known.get(stem.encode())) is not None:
-                known[chunk] = ids + self.tails[text[len(stem):]]
+            elif (ids := known.get(stem)) is not None:
+                known[chunk] = ids + tails[chunk[len(stem):]]
             else:
-                stems.setdefault(stem, []).append(text[len(stem):])
+                stems.setdefault(stem, []).append(chunk[len(stem):])
         fresh = list(stems)
         for at in range(0, len(fresh), 2048):
             part = fresh[at:at + 2048]
             for stem, ids in zip(part, self._joined(part)):
-                known[stem.encode()] = ids
+                known[stem] = ids
                 for tail in stems[stem]:
-                    known[(stem + tail).encode()] = ids + self.tails[tail]
-        known.update(zip(map(str.encode, odd), self._alone(odd)))
+                    known[stem + tail] = ids + tails[tail]
+        known.update(zip(odd, self._alone([c.decode() for c in odd])))
 
-    def _joined(self, words: list[str]) -> list[bytes]:
+    def _joined(self, words: list[bytes]) -> list[bytes]:
         """Words of letters, a line each. They end as often as there are lines; if not, each is encoded alone. Texts not in
         normal form, or whose lower case depends on context or length, go through the full tokenizer."""
-        text = "\n".join(words)
+        text = b"\n".join(words).decode()
         lower = text.lower()
         plain = self.words is not None and unicodedata.is_normalized("NFC", text) and len(lower) == len(text) and "\u03a3" not in text and "\u0130" not in text
         ids = np.array((self.words if plain else self.tokenizer).encode_batch_fast([lower if plain else text], add_special_tokens=False)[0].ids, self.width)
         ends = np.flatnonzero(self.ends[ids]) + 1
         if len(ends) != len(words):
-            return self._alone(words)
+            return self._alone([w.decode() for w in words])
         raw, cuts = ids.tobytes(), [0, *(ends * self.bytes).tolist()]
         return [raw[a:b] for a, b in zip(cuts, cuts[1:])]
 
@@ -139,17 +161,6 @@ class ChunkEncoder:
         return [np.array(e.ids, self.width).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
 
-def _gaps(ids: list) -> list[int]:
-    """Where ``ids`` has None."""
-    at, k = [], -1
-    try:
-        while True:
-            k = ids.index(None, k + 1)
-            at.append(k)
-    except ValueError:
-        return at
-
-
 class _Tails(dict):
     """Ids of runs of plain signs."""
 
@@ -157,8 +168,8 @@ class _Tails(dict):
         super().__init__()
         self.encoder = encoder
 
-    def __missing__(self, tail: str) -> bytes:
+    def __missing__(self, tail: bytes) -> bytes:
         if len(self) > 100_000:
             self.clear()
-        ids = self[tail] = self.encoder._alone([tail])[0]
+        ids = self[tail] = self.encoder._alone([tail.decode()])[0]
         return ids
