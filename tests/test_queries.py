@@ -3,6 +3,7 @@
 import os
 
 import duckdb
+import pandas as pd
 import pytest
 
 from gridmin import registry
@@ -14,9 +15,9 @@ KEYS = ["vec_add", "vec_keyed_zip", "w1_gradient", "sgd_constant", "adagrad_elas
 
 def rows(frame):
     def text(v):
-        if v is None or v != v:
+        if pd.isna(v):
             return "null"
-        return repr(round(float(v), 6) + 0.0) if isinstance(v, float) else str(v)
+        return repr(round(float(v), 6) + 0.0) if isinstance(v, (int, float)) and not isinstance(v, bool) else str(v)
 
     frame = frame[sorted(frame.columns)].astype(object)
     return sorted(tuple(text(v) for v in r) for r in frame.itertuples(index=False))
