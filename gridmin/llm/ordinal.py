@@ -105,7 +105,7 @@ def grade(docs: DataFrame, model: Model, doc_id: str = "doc_id", text: str = "te
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m, out = shared.value, common.arrow_schema(GRADES)
-        look = common.WordMemo(lambda w: float(m.weight[features(w)].sum()), 1_000_000).__getitem__
+        look = common.WordMemo(lambda w: float(m.weight[features(w)].sum()), 400_000).__getitem__
         for b in batches:
             f = []
             for t in common.texts_of(b, "text"):

@@ -3,7 +3,7 @@
 A word is the bag of its hashed character n-grams, so an unseen spelling shares most of its vectors with a known one. A few
 insults in a long text would vanish in its mean; the average is therefore taken over windows of WINDOW words and a
 document scores as its worst window. Training starts on whole-document means and then keeps to each document's worst
-window under the current model. As the softmax is linear, a word enters a score only by the sum of its n-grams' projections,
+windows under the current model (of marked documents, only those that it finds toxic beside the worst). As the softmax is linear, a word enters a score only by the sum of its n-grams' projections,
 so scoring is one look-up a word.
 
 Training rows: labelled documents outside the held-out fold, at most ``most_rows`` of them, chosen by hash. Labels, language,
@@ -15,6 +15,7 @@ that of the untrained prior. Extra columns are ignored.
 from __future__ import annotations
 
 import zlib
+from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -27,7 +28,7 @@ from pyspark.sql import types as T
 from gridmin.llm import common
 from gridmin.session import map_arrow
 
-WINDOW = 8
+WINDOW = 3
 BUCKETS = 1 << 16
 SCORES = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("score", T.DoubleType())])
 
@@ -63,11 +64,12 @@ def windows(sums: np.ndarray, counts: np.ndarray, width: int = WINDOW) -> np.nda
     return (s[w:] - s[:-w]) / (c[w:] - c[:-w])
 
 
-def train(texts: list[bytes], labels: list[int], dim: int = 8, warm: int = 15, rounds: int = 40, rate: float = 0.5, seed: int = 3,
-          decay: float = 0.02, floor: float = 0.02) -> Model:
+def train(texts: list[bytes], labels: list[int], dim: int = 8, warm: int = 15, rounds: int = 60, rate: float = 0.5, seed: int = 3,
+          decay: float = 0.02, floor: float = 0.005, marked: float = 0.35) -> Model:
     """Joint training of n-gram vectors and softmax by AdaGrad steps over all rows, with decaying vectors.
 
-    The step's denominator has a floor in the largest gradient of any n-gram, so n-grams of few documents move little.
+    The step's denominator has a floor in the largest gradient of any n-gram, so n-grams of few documents move little. Class 1
+    has the share ``marked`` of the loss: below one half, clean documents are kept in doubt.
     """
     rng = np.random.default_rng(seed)
     vectors = rng.uniform(-0.5, 0.5, (BUCKETS, dim)) / dim
@@ -80,24 +82,30 @@ def train(texts: list[bytes], labels: list[int], dim: int = 8, warm: int = 15, r
     if len(set(y.tolist())) < 2:
         share = (sum(labels) + 1.0) / (len(labels) + 2.0)
         return Model(np.zeros(BUCKETS), float(np.log(share / (1 - share))))
-    bags = [np.array(grams(w), np.int32) for w in index]
-    sizes = np.array([len(b) for b in bags])
-    flat, first = np.concatenate(bags), np.concatenate([[0], np.cumsum(sizes)])
-    target = np.eye(2)[y]
-    balance = np.where(y == 1, 0.5 / max(1, (y == 1).sum()), 0.5 / max(1, (y == 0).sum()))[:, None]
+    flat, counted = array("i"), array("i")
+    for w in index:
+        g = grams(w)
+        flat.extend(g)
+        counted.append(len(g))
+    del index
+    flat, sizes = np.frombuffer(flat, np.int32), np.frombuffer(counted, np.int32).astype(np.int64)
+    first = np.concatenate([[0], np.cumsum(sizes)])
     largest = 0.0
     sum_v, sum_o, sum_b = np.full(BUCKETS, 1e-8), np.full(out.shape, 1e-8), np.full(2, 1e-8)
 
-    def step(bag: np.ndarray, of: np.ndarray, weight: np.ndarray) -> None:
-        """One step on means: entry k of ``bag`` adds weight[k] times its vector to row of[k]."""
+    def step(bag: np.ndarray, of: np.ndarray, weight: np.ndarray, owner: np.ndarray) -> None:
+        """One step on means: entry k of ``bag`` adds weight[k] times its vector to row of[k]; row r belongs to document owner[r]."""
         nonlocal out, bias, largest
-        mean = np.zeros((len(docs), dim))
+        label = y[owner]
+        share = 1.0 / np.bincount(owner, minlength=len(docs))[owner]
+        balance = np.where(label == 1, marked / max(1, (y == 1).sum()), (1 - marked) / max(1, (y == 0).sum())) * share
+        mean = np.zeros((len(owner), dim))
         for k in range(dim):
-            mean[:, k] = np.bincount(of, weights=weight * vectors[bag, k], minlength=len(docs))
+            mean[:, k] = np.bincount(of, weights=weight * vectors[bag, k], minlength=len(owner))
         z = mean @ out + bias
         p = np.exp(z - z.max(1, keepdims=True))
         p /= p.sum(1, keepdims=True)
-        err = (p - target) * balance
+        err = (p - np.eye(2)[label]) * balance[:, None]
         back = err @ out.T
         touched = np.unique(bag)
         at = np.searchsorted(touched, bag)
@@ -112,28 +120,36 @@ def train(texts: list[bytes], labels: list[int], dim: int = 8, warm: int = 15, r
         np.add(sum_b, g_bias**2, out=sum_b)
         bias = bias - rate * 0.2 * g_bias / np.sqrt(sum_b)
 
-    def chosen(pick) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        words, of = [], []
+    def chosen(pick) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        words, owner = [], []
         for k, d in enumerate(docs):
-            part = pick(k, d)
-            words.append(part)
-            of.append(np.full(len(part), k))
-        words, of = np.concatenate(words), np.concatenate(of)
+            for part in pick(k, d):
+                words.append(part)
+                owner.append(k)
+        of = np.repeat(np.arange(len(words)), [len(w) for w in words])
+        words = np.concatenate(words)
         n = sizes[words]
         bag = flat[np.repeat(first[words], n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)]
         rows = np.repeat(of, n)
-        return bag, rows, (1.0 / np.bincount(rows, minlength=len(docs)))[rows]
+        return bag, rows, (1.0 / np.bincount(rows, minlength=len(owner)))[rows], np.array(owner)
 
-    spread = chosen(lambda k, d: d[np.sort(rng.choice(len(d), min(len(d), 64), replace=False))])
+    spread = chosen(lambda k, d: [d[np.sort(rng.choice(len(d), min(len(d), 64), replace=False))]])
     for _ in range(warm):
         step(*spread)
     for _ in range(rounds):
         projected = vectors @ (out[:, 1] - out[:, 0])
         per_word = np.add.reduceat(projected[flat], first[:-1])
-
-        def worst(k: int, d: np.ndarray) -> np.ndarray:
-            at = int(np.argmax(windows(per_word[d], sizes[d])))
-            return d[at:at + WINDOW]
+        shift = bias[1] - bias[0]
+
+        def worst(k: int, d: np.ndarray) -> list[np.ndarray]:
+            z, got = windows(per_word[d], sizes[d]), []
+            for _ in range(4):
+                at = int(np.argmax(z))
+                if got and (y[k] == 0 or z[at] + shift <= 0):
+                    break
+                got.append(d[at:at + WINDOW])
+                z[max(0, at - WINDOW + 1):at + WINDOW] = -np.inf
+            return got
 
         step(*chosen(worst))
     return Model((vectors @ (out[:, 1] - out[:, 0])), float(bias[1] - bias[0]))
@@ -182,7 +198,7 @@ def with_scores(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
 
 
 def _scorer(model: Model):
-    memo, none = common.WordMemo(model.word, 1_000_000), 1.0 / (1.0 + float(np.exp(-model.bias)))
+    memo, none = common.WordMemo(model.word, 400_000), 1.0 / (1.0 + float(np.exp(-model.bias)))
     look = memo.__getitem__
 
     def score(text: bytes) -> float:
