@@ -71,6 +71,7 @@ def recipes(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> Data
     own = common.own_columns(docs, doc_id=doc_id, text=text).withColumns({"doc_id": F.col("doc_id").cast("long"), "mark": common.mark(F.col("text"))})
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.lean()
         out, first = common.arrow_schema(RECIPES), TaskContext.get().partitionId() << 40
 
         def rows() -> Iterator[tuple]:

@@ -64,6 +64,7 @@ def fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", sh
     own = common.own_columns(docs, doc_id=doc_id, text=text).withColumns({"doc_id": F.col("doc_id").cast("long"), "mark": common.mark(F.col("text"))})
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.lean()
         out = common.arrow_schema(FINGERPRINTS)
         for b in batches:
             fps = np.array([fingerprint(t, shingle) for t in common.texts_of(b, "text")], np.uint64).view(np.int64)

@@ -19,6 +19,8 @@ import pyarrow.compute as pc
 from pyspark import Broadcast
 from pyspark.sql import SparkSession
 
+from gridmin.llm import common
+
 END_ID = 2
 _TAIL = ".,;:!?*#$%&|"
 _ENCODERS: dict[str, "ChunkEncoder"] = {}
@@ -37,7 +39,7 @@ def tokenizer_json(spark: SparkSession, path: str | None = None) -> Broadcast:
 class ChunkEncoder:
     """bytes of a text -> its ids as bytes of numpy type ``width``: unsigned 16-bit where the vocabulary allows, else 32-bit."""
 
-    def __init__(self, json_text: str, limit: int = 1_000_000):
+    def __init__(self, json_text: str, limit: int = 600_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -61,13 +63,13 @@ class ChunkEncoder:
             _ENCODERS[key] = cls(text)
         return _ENCODERS[key]
 
-    def encode(self, texts: Iterable[bytes], step: int = 8192) -> Iterable[bytes]:
+    def encode(self, texts: Iterable[bytes], step: int = 2048) -> Iterable[bytes]:
         """Ids of each text, in order; ``step`` texts are split, and their different chunks looked up, together."""
         texts = iter(texts)
         while part := list(islice(texts, step)):
             yield from self._encode_part(pa.array(part, pa.large_binary()).cast(pa.large_string()))
 
-    def encode_column(self, column: pa.Array, step: int = 8192) -> Iterator[bytes]:
+    def encode_column(self, column: pa.Array, step: int = 2048) -> Iterator[bytes]:
         """The same for a text column; null counts as empty."""
         column = pc.fill_null(column.cast(pa.large_string()), "")
         for at in range(0, len(column), step):
@@ -161,6 +163,14 @@ class ChunkEncoder:
         return [np.array(e.ids, self.width).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
 
+def _forget() -> None:
+    for encoder in _ENCODERS.values():
+        encoder.known = {}
+
+
+common._CACHES.append(_forget)
+
+
 class _Tails(dict):
     """Ids of runs of plain signs."""
 

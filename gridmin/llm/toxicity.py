@@ -198,7 +198,8 @@ def with_scores(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
 
 
 def _scorer(model: Model):
-    memo, none = common.WordMemo(model.word, 400_000), 1.0 / (1.0 + float(np.exp(-model.bias)))
+    common.lean()
+    memo, none = common.WordMemo(model.word, 300_000), 1.0 / (1.0 + float(np.exp(-model.bias)))
     look = memo.__getitem__
 
     def score(text: bytes) -> float:
