@@ -3,9 +3,8 @@
 Each stage takes (spark, docs, sf_dir) and returns a DataFrame; ``run`` writes every stage's result as Parquet to the shared
 folder and reads it back as the next one's documents.
 
-Near copies: fingerprints of 3-word shingles at 6 or fewer of 64 differing bits. The stage's bound is wider than the
-fingerprint query's 2 bits: in the given tables half of the pairs whose 5-word shingles agree to 0.8, and three
-quarters of those that agree to 0.9, lie within 6 bits, hardly any within 2.
+Near copies: texts whose 5-word shingles agree to 0.8. Fingerprints of 3-word shingles at 6 or fewer of 64 differing bits
+(the fingerprint query has 2) only bring candidates together; whole texts decide.
 """
 
 from __future__ import annotations
@@ -15,7 +14,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gridmin.llm import common, exact_dedup, mixing, packing, simhash, toxicity
+from gridmin.llm import common, exact_dedup, mixing, near_copies, packing, toxicity
 
 TOXIC = 0.7
 NEAR_BITS = 6
@@ -31,7 +30,7 @@ def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return simhash.distinct_documents(docs, most=NEAR_BITS)
+    return near_copies.distinct_documents(docs, most=NEAR_BITS)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -11,7 +11,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
-from gridmin.llm import components, exact_dedup, huffman, mixing, ordinal, packing, quality_rules, sharding, simhash, tokens, toxicity, wordpiece
+from gridmin.llm import components, exact_dedup, huffman, mixing, near_copies, ordinal, packing, quality_rules, sharding, simhash, tokens, toxicity, wordpiece
 from gridmin.llm import common
 
 
@@ -222,6 +222,33 @@ def test_links_join_exactly_the_near_ones(spark, most, most_nodes):
     assert {n: got.get(n, n) for n in nodes} == want
 
 
+def five_word_sets(t):
+    w = low(t).split()
+    return {tuple(w[i:i + 5]) for i in range(max(1, len(w) - 4))}
+
+
+def near_groups(rows):
+    """Least id of each group of texts at 0.8 or more, by brute force over all pairs."""
+    sets = {r[0]: five_word_sets(r[1]) for r in rows}
+    group = closure(sorted(sets), lambda a, b: 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b]))
+    return set(group.values())
+
+
+def test_near_copies_are_verified(odd):
+    """Texts within 6 bits, but below 0.8 in 5-word shingles, all stay; true near copies go, in one cell or in many."""
+    words = [f"w{i}" for i in range(400)]
+    rows = [(i, " ".join("x" + str(i) if k % 40 == 7 else w for k, w in enumerate(words)), "en", "a") for i in range(5)]
+    rows += [(10 + i, " ".join([*words[::-1], f"tail{i}"]), "en", "a") for i in range(9)]
+    fps = [brute_fingerprint(t) for _, t, _, _ in rows[:5]]
+    assert any((a ^ b).bit_count() <= 6 for i, a in enumerate(fps) for b in fps[:i])
+    want = near_groups(rows)
+    assert want == {0, 1, 2, 3, 4, 10}
+    docs = odd(rows)
+    for cell_nodes in (512, 2):
+        stay = near_copies.distinct_documents(docs, cell_nodes=cell_nodes)
+        assert stay.columns == docs.columns and sorted(r["doc_id"] for r in stay.collect()) == sorted(want)
+
+
 def test_components_of_a_chain(spark):
     edges = common.stage(spark.createDataFrame([(i, i + 1) for i in range(200)], "a long, b long"), "chain")
     assert {r["root"] for r in components.components(edges).collect()} == {0}
