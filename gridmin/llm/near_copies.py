@@ -1,7 +1,12 @@
 """Near copies by whole texts: documents whose sets of 5-word shingles agree to 0.8 (Jaccard) or more are linked.
 
 Candidates meet in buckets, and every pair of a bucket is compared over the whole sets, so no bucket links anything by
-itself. Buckets are the components of fingerprints within ``most`` bits (the pivot method of ``simhash``).
+itself. There are two kinds:
+
+* components of fingerprints within ``most`` bits (the pivot method of ``simhash``);
+* for what fingerprints miss, one bucket a shingle. In any order common to all sets, two sets at 0.8 share a shingle among
+  the first n - ceil(0.8 n) + 1 of each, so every pair meets. Frequent shingles come last: passages that many unrelated
+  texts hold are then rarely among the first. Which ones count as frequent changes the work, not the result.
 
 A bucket above ``cell_nodes`` texts or ``cell_shingles`` shingles is dealt into slices, and each pair of slices is a cell;
 tasks hold one cell at a time. A cell emits a spanning forest of its true links. The cells of a bucket grow with the
@@ -27,9 +32,13 @@ from gridmin.llm.components import components
 from gridmin.session import map_arrow
 
 SHINGLE = 5
+#: A shingle among the first of more texts than this, in order of hash, counts as frequent; at most so many are told apart.
+FREQUENT = 8
+MOST_FREQUENT = 100_000
 CELL_NODES = 512
 CELL_SHINGLES = 1 << 20
 COLUMNS = 4096
+FIRST = T.StructType([T.StructField("node", T.LongType()), T.StructField("size", T.LongType()), T.StructField("first", T.ArrayType(T.LongType()))])
 MADE = T.StructType([*simhash.FINGERPRINTS, T.StructField("node", T.LongType()), T.StructField("size", T.LongType())])
 
 
@@ -119,6 +128,51 @@ def pivot_buckets(made: DataFrame, most: int) -> DataFrame:
     return met.distinct()
 
 
+def first_shingles(own: np.ndarray, frequent: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """Those of which two alike sets share one: ``own`` in order of frequency, then hash. ``frequent`` is ascending."""
+    n = len(own)
+    if len(frequent):
+        at = np.minimum(np.searchsorted(frequent, own), len(frequent) - 1)
+        own = own[np.argsort(np.where(frequent[at] == own, counts[at], 0), kind="stable")]
+    return own[:n - -(-4 * n // 5) + 1]
+
+
+def _first(docs: DataFrame, frequent: np.ndarray, counts: np.ndarray) -> DataFrame:
+    """(node, size, first): one row a document."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.lean()
+
+        def rows() -> Iterator[tuple]:
+            for b in batches:
+                for own in map(shingles, common.texts_of(b, "text")):
+                    yield node_of(own), len(own), first_shingles(own, frequent, counts).view(np.int64)
+
+        yield from common.to_batches(rows(), common.arrow_schema(FIRST), 1024)
+
+    return map_arrow(docs.select("text"), run, FIRST)
+
+
+def shingle_buckets(docs: DataFrame, frequent: int = FREQUENT) -> DataFrame:
+    """(key, node, size): nodes that share one of their first shingles.
+
+    A bucket goes if all its nodes also meet in another one, that of the first shared shingle of each.
+    """
+    none = np.zeros(0, np.uint64)
+    often = _first(docs, none, none).select(F.explode("first").alias("key")).groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > frequent)
+    top = often.orderBy(F.desc("n"), "key").limit(MOST_FREQUENT).toArrow()
+    keys, counts = top["key"].to_numpy().view(np.uint64), top["n"].to_numpy()
+    by = np.argsort(keys)
+    rows = common.stage(_first(docs, keys[by], counts[by]), "first")
+    rows = rows.select("node", "size", F.posexplode("first").alias("pos", "key"))
+    shared = common.stage(rows.groupBy("key").agg(F.count("*").alias("n")).where("n > 1"), "shared")
+    met = common.attach(rows, shared, "key", "n", rows.count()).groupBy("node", "size").agg(F.sort_array(F.collect_set(F.struct("pos", "key"))).alias("all"))
+    met = common.stage(met.select("node", "size", F.col("all")[0]["key"].alias("lead"), F.explode("all.key").alias("key")), "met")
+    held = met.groupBy("key").agg(F.count("*").alias("n"), F.min("lead").alias("lo"), F.max("lead").alias("hi"))
+    held = common.stage(held.where("n > 1 and (lo <> hi or lo = key)").select("key", "n"), "held")
+    return common.attach(met.select("key", "node", "size"), held, "key", "n", met.count()).select("key", "node", "size")
+
+
 def bucket_links(docs: DataFrame, buckets: DataFrame, nodes: DataFrame, cell_nodes: int, cell_shingles: int) -> DataFrame:
     """Staged (a, b) true links that span what the buckets' texts are joined to. ``docs``: doc_id, text, mark."""
     buckets = common.stage(buckets, "buckets")
@@ -159,7 +213,7 @@ def distinct_documents(docs: DataFrame, doc_id: str = "doc_id", text: str = "tex
     made = common.stage(_made(own), "made")
     order = F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "mark")
     nodes = common.stage(made.groupBy("node").agg(F.min(order).alias("top")), "nodes")
-    buckets = pivot_buckets(made, most)
+    buckets = pivot_buckets(made, most).unionByName(shingle_buckets(own))
     joined = components(bucket_links(own, buckets, nodes, cell_nodes, cell_shingles))
     rooted = nodes.join(joined, "node", "left").select("top", F.coalesce("root", "node").alias("root"))
     tops = rooted.groupBy("root").agg(F.min("top").alias("top"))

@@ -249,6 +249,23 @@ def test_near_copies_are_verified(odd):
         assert stay.columns == docs.columns and sorted(r["doc_id"] for r in stay.collect()) == sorted(want)
 
 
+def test_near_copies_outside_the_bits_are_found(spark, odd):
+    """Texts at 0.8 or more, but over 6 bits apart, go too; compared with brute force, among passages shared by unrelated texts."""
+    rng = np.random.default_rng(3)
+    passage, rows = [f"law{i}" for i in range(30)], []
+    for g in range(25):
+        words = [*passage, *(f"g{g}x{i}" for i in range(20, 120))] if g % 2 else [f"g{g}x{i}" for i in range(60)]
+        rows += [(10 * g + k, " ".join([*words[:at], f"new{g}y{k}", *words[at + 1:]]), "en", "a") for k, at in enumerate(rng.integers(0, len(words), 4))]
+    rows += [(900 + i, " ".join([*passage, f"own{i}"]), "en", "a") for i in range(12)] + [(950, "two words", "en", "a"), (951, "TWO  words", "en", "a")]
+    want = near_groups(rows)
+    fps = {r[0]: brute_fingerprint(r[1]) for r in rows}
+    bits = closure(sorted(fps), lambda a, b: (fps[a] ^ fps[b]).bit_count() <= 6)
+    assert len(want) < len(rows) - 30 and not set(bits.values()) <= want
+    docs = odd(rows)
+    assert {r["doc_id"] for r in near_copies.distinct_documents(docs).collect()} == want
+    assert {r["doc_id"] for r in near_copies.distinct_documents(docs, cell_nodes=5).collect()} == want
+
+
 def test_components_of_a_chain(spark):
     edges = common.stage(spark.createDataFrame([(i, i + 1) for i in range(200)], "a long, b long"), "chain")
     assert {r["root"] for r in components.components(edges).collect()} == {0}
