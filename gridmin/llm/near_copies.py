@@ -6,7 +6,9 @@ itself. There are two kinds:
 * components of fingerprints within ``most`` bits (the pivot method of ``simhash``);
 * for what fingerprints miss, one bucket a shingle. In any order common to all sets, two sets at 0.8 share a shingle among
   the first n - ceil(0.8 n) + 1 of each, so every pair meets. Frequent shingles come last: passages that many unrelated
-  texts hold are then rarely among the first. Which ones count as frequent changes the work, not the result.
+  texts hold are then rarely among the first. Which ones count as frequent changes the work, not the result. In buckets
+  of up to ``SMALL`` nodes, pairs whose counts of shingles in ``BINS`` bins differ by more than alike sets can are left
+  out first; what is left of them forms one bucket for each lesser node of a pair.
 
 A bucket above ``cell_nodes`` texts or ``cell_shingles`` shingles is dealt into slices, and each pair of slices is a cell;
 tasks hold one cell at a time. A cell emits a spanning forest of its true links. The cells of a bucket grow with the
@@ -35,10 +37,12 @@ SHINGLE = 5
 #: A shingle among the first of more texts than this, in order of hash, counts as frequent; at most so many are told apart.
 FREQUENT = 8
 MOST_FREQUENT = 100_000
+SMALL = 64
+BINS = 256
 CELL_NODES = 512
 CELL_SHINGLES = 1 << 20
 COLUMNS = 4096
-FIRST = T.StructType([T.StructField("node", T.LongType()), T.StructField("size", T.LongType()), T.StructField("first", T.ArrayType(T.LongType()))])
+FIRST = T.StructType([T.StructField("node", T.LongType()), T.StructField("size", T.LongType()), T.StructField("first", T.ArrayType(T.LongType())), T.StructField("bins", T.BinaryType())])
 MADE = T.StructType([*simhash.FINGERPRINTS, T.StructField("node", T.LongType()), T.StructField("size", T.LongType())])
 
 
@@ -120,11 +124,11 @@ def _made(docs: DataFrame) -> DataFrame:
 
 
 def pivot_buckets(made: DataFrame, most: int) -> DataFrame:
-    """(key, node, size): nodes whose fingerprints are in one component, where there are several."""
+    """(key, node): nodes whose fingerprints are in one component, where there are several."""
     rooted = simhash._rooted(made, most)
     tops = common.stage(rooted.groupBy("root").agg(F.count("*").alias("fps")), "tops")
     each = common.stage(common.attach(rooted.select("fp", "n", "root"), tops, "root", "fps", rooted.count()).select("fp", "n", "root"), "each")
-    met = common.attach(made.select("fp", "node", "size"), each, "fp", "n", made.count()).select(F.xxhash64(F.lit("pivot"), "root").alias("key"), "node", "size")
+    met = common.attach(made.select("fp", "node"), each, "fp", "n", made.count()).select(F.xxhash64(F.lit("pivot"), "root").alias("key"), "node")
     return met.distinct()
 
 
@@ -137,8 +141,19 @@ def first_shingles(own: np.ndarray, frequent: np.ndarray, counts: np.ndarray) ->
     return own[:n - -(-4 * n // 5) + 1]
 
 
+def bins(own: np.ndarray) -> np.ndarray:
+    """Shingles in each bin, 255 at most. The sum of differences between two sets is never above the number of shingles that only one has."""
+    return np.minimum(np.bincount((own % np.uint64(BINS)).astype(np.int64), minlength=BINS), 255).astype(np.uint8)
+
+
+def may_be_alike(each: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """For each two rows of bins: false only if they can't be alike. Alike sets differ in a ninth of their sizes' sum at most."""
+    apart = np.array([np.abs(each - one).sum(1) for one in each])
+    return 9 * apart <= size[:, None] + size[None, :]
+
+
 def _first(docs: DataFrame, frequent: np.ndarray, counts: np.ndarray) -> DataFrame:
-    """(node, size, first): one row a document."""
+    """(node, size, first, bins): one row a document."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         common.lean()
@@ -146,36 +161,73 @@ def _first(docs: DataFrame, frequent: np.ndarray, counts: np.ndarray) -> DataFra
         def rows() -> Iterator[tuple]:
             for b in batches:
                 for own in map(shingles, common.texts_of(b, "text")):
-                    yield node_of(own), len(own), first_shingles(own, frequent, counts).view(np.int64)
+                    yield node_of(own), len(own), first_shingles(own, frequent, counts).view(np.int64), bins(own).tobytes()
 
         yield from common.to_batches(rows(), common.arrow_schema(FIRST), 1024)
 
     return map_arrow(docs.select("text"), run, FIRST)
 
 
-def shingle_buckets(docs: DataFrame, frequent: int = FREQUENT) -> DataFrame:
-    """(key, node, size): nodes that share one of their first shingles.
+def _wanted(rows: DataFrame) -> DataFrame:
+    """Staged (key, node, size) without the keys whose nodes all have one same first key (least ``pos``), as they meet there.
 
-    A bucket goes if all its nodes also meet in another one, that of the first shared shingle of each.
+    ``rows``: key, node, size, pos.
     """
+    met = rows.groupBy("node", "size").agg(F.sort_array(F.collect_set(F.struct("pos", "key"))).alias("all"))
+    met = common.stage(met.select("node", "size", F.col("all")[0]["key"].alias("lead"), F.explode("all.key").alias("key")), "met")
+    held = met.groupBy("key").agg(F.count("*").alias("n"), F.min("lead").alias("lo"), F.max("lead").alias("hi"))
+    held = common.stage(held.where("n > 1 and (lo <> hi or lo = key)").select("key", "n"), "held")
+    return common.stage(common.attach(met.select("key", "node", "size"), held, "key", "n", met.count()).select("key", "node", "size"), "wanted")
+
+
+def _run_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def pairs(names: list, sizes: list, each: list) -> Iterator[tuple]:
+        size = np.array(sizes, np.int64)
+        i, j = np.nonzero(may_be_alike(np.array([np.frombuffer(x, np.uint8) for x in each], np.int16), size))
+        for a, b in zip(i.tolist(), j.tolist()):
+            if names[a] < names[b]:
+                yield names[a], names[b]
+
+    def rows() -> Iterator[tuple]:
+        common.lean()
+        at, held = None, ([], [], [])
+        for b in batches:
+            for key, *row in zip(*(common.column_of(b, k).to_pylist() for k in ("key", "node", "size", "bins"))):
+                if key != at:
+                    if len(held[0]) > 1:
+                        yield from pairs(*held)
+                    at, held = key, ([], [], [])
+                for x, y in zip(held, row):
+                    x.append(y)
+        if len(held[0]) > 1:
+            yield from pairs(*held)
+
+    yield from common.to_batches(rows(), common.arrow_schema(simhash.EDGES))
+
+
+def shingle_buckets(docs: DataFrame, frequent: int = FREQUENT, small: int = SMALL) -> DataFrame:
+    """(key, node): nodes that share one of their first shingles, without pairs that can't be alike in small buckets."""
     none = np.zeros(0, np.uint64)
     often = _first(docs, none, none).select(F.explode("first").alias("key")).groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > frequent)
     top = often.orderBy(F.desc("n"), "key").limit(MOST_FREQUENT).toArrow()
     keys, counts = top["key"].to_numpy().view(np.uint64), top["n"].to_numpy()
     by = np.argsort(keys)
-    rows = common.stage(_first(docs, keys[by], counts[by]), "first")
-    rows = rows.select("node", "size", F.posexplode("first").alias("pos", "key"))
+    first = common.stage(_first(docs, keys[by], counts[by]), "first")
+    rows = first.select("node", "size", F.posexplode("first").alias("pos", "key"))
     shared = common.stage(rows.groupBy("key").agg(F.count("*").alias("n")).where("n > 1"), "shared")
-    met = common.attach(rows, shared, "key", "n", rows.count()).groupBy("node", "size").agg(F.sort_array(F.collect_set(F.struct("pos", "key"))).alias("all"))
-    met = common.stage(met.select("node", "size", F.col("all")[0]["key"].alias("lead"), F.explode("all.key").alias("key")), "met")
-    held = met.groupBy("key").agg(F.count("*").alias("n"), F.min("lead").alias("lo"), F.max("lead").alias("hi"))
-    held = common.stage(held.where("n > 1 and (lo <> hi or lo = key)").select("key", "n"), "held")
-    return common.attach(met.select("key", "node", "size"), held, "key", "n", met.count()).select("key", "node", "size")
+    total = rows.count()
+    few, many = (common.attach(rows, shared.where(which), "key", "n", total).select("key", "node", "size", "pos") for which in (f"n <= {small}", f"n > {small}"))
+    sketches = first.select(F.col("node").alias("_n"), "bins").dropDuplicates(["_n"])
+    binned = _wanted(few).join(sketches, F.col("node") == F.col("_n")).select("key", "node", "size", "bins")
+    pairs = common.stage(map_arrow(binned.repartition("key").sortWithinPartitions("key"), _run_pairs, simhash.EDGES).distinct(), "pairs")
+    key = F.xxhash64(F.lit("pairs"), "a").alias("key")
+    met = pairs.select(key, F.col("b").alias("node")).unionByName(pairs.select(key, F.col("a").alias("node")).distinct())
+    return met.unionByName(_wanted(many).select("key", "node"))
 
 
 def bucket_links(docs: DataFrame, buckets: DataFrame, nodes: DataFrame, cell_nodes: int, cell_shingles: int) -> DataFrame:
     """Staged (a, b) true links that span what the buckets' texts are joined to. ``docs``: doc_id, text, mark."""
-    buckets = common.stage(buckets, "buckets")
+    buckets = common.stage(buckets.join(nodes.select("node", "size"), "node"), "buckets")
     held = buckets.groupBy("key").agg(F.count("*").alias("held"), F.sum("size").alias("load")).where("held > 1")
     slices = F.ceil(F.greatest(F.col("held") / cell_nodes, F.col("load") / cell_shingles)).cast("long")
     keys = common.stage(held.select("key", "held", slices.alias("g")), "keys")
@@ -212,7 +264,7 @@ def distinct_documents(docs: DataFrame, doc_id: str = "doc_id", text: str = "tex
     own = common.own_columns(docs, doc_id=doc_id, text=text).withColumns({"doc_id": F.col("doc_id").cast("long"), "mark": common.mark(F.col("text"))})
     made = common.stage(_made(own), "made")
     order = F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "mark")
-    nodes = common.stage(made.groupBy("node").agg(F.min(order).alias("top")), "nodes")
+    nodes = common.stage(made.groupBy("node").agg(F.min(order).alias("top"), F.first("size").alias("size")), "nodes")
     buckets = pivot_buckets(made, most).unionByName(shingle_buckets(own))
     joined = components(bucket_links(own, buckets, nodes, cell_nodes, cell_shingles))
     rooted = nodes.join(joined, "node", "left").select("top", F.coalesce("root", "node").alias("root"))

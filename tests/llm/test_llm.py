@@ -249,7 +249,7 @@ def test_near_copies_are_verified(odd):
         assert stay.columns == docs.columns and sorted(r["doc_id"] for r in stay.collect()) == sorted(want)
 
 
-def test_near_copies_outside_the_bits_are_found(spark, odd):
+def test_near_copies_outside_the_bits_are_found(odd, monkeypatch):
     """Texts at 0.8 or more, but over 6 bits apart, go too; compared with brute force, among passages shared by unrelated texts."""
     rng = np.random.default_rng(3)
     passage, rows = [f"law{i}" for i in range(30)], []
@@ -264,6 +264,9 @@ def test_near_copies_outside_the_bits_are_found(spark, odd):
     docs = odd(rows)
     assert {r["doc_id"] for r in near_copies.distinct_documents(docs).collect()} == want
     assert {r["doc_id"] for r in near_copies.distinct_documents(docs, cell_nodes=5).collect()} == want
+    monkeypatch.setattr(near_copies, "MOST_FREQUENT", 3)  # passages stay among the first shingles, in buckets above the small ones
+    monkeypatch.setattr(near_copies.shingle_buckets, "__defaults__", (8, 6))
+    assert {r["doc_id"] for r in near_copies.distinct_documents(docs, cell_nodes=5).collect()} == want
 
 
 def test_components_of_a_chain(spark):
