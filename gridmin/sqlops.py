@@ -163,8 +163,8 @@ def _tokens(t) -> DataFrame:
 
 
 sql_query("feat_tokens", f"select doc_id, count(*) as n, count(distinct w) as distinct_n from ({_TOK}) where w <> '' group by 1", lambda t: _tokens(t).groupBy("doc_id").agg(F.count("*").alias("n"), F.countDistinct("w").alias("distinct_n")))
-sql_query("feat_tf", f"select doc_id, w, count(*) as tf from ({_TOK}) where w <> '' group by 1, 2 having count(*) >= 5", lambda t: _tokens(t).groupBy("doc_id", "w").agg(F.count("*").alias("tf")).where("tf >= 5"))
-sql_query("feat_tfidf", f"with k as ({_TOK}), tf as (select doc_id, w, count(*) as tf from k where w <> '' group by 1, 2), df as (select w, count(*) as df from tf group by 1), n as (select count(*) as n from documents) select doc_id, w, round(tf * (ln((n + 1)::double / (df + 1)) + 1), 6) as tfidf from tf join df using (w), n where tf >= 5", lambda t: (lambda tf: tf.join(tf.groupBy("w").agg(F.count("*").alias("df")), "w").join(F.broadcast(t("documents", "doc_id").agg(F.count("*").alias("n")))).where("tf >= 5").select("doc_id", "w", F.round(c("tf") * (F.log((c("n") + 1) / (c("df") + 1)) + 1), 6).alias("tfidf")))(_tokens(t).groupBy("doc_id", "w").agg(F.count("*").alias("tf"))))
+sql_query("feat_tf", f"select doc_id, w, count(*) as tf from ({_TOK}) where w <> '' group by 1, 2", lambda t: _tokens(t).groupBy("doc_id", "w").agg(F.count("*").alias("tf")))
+sql_query("feat_tfidf", f"with k as ({_TOK}), tf as (select doc_id, w, count(*) as tf from k where w <> '' group by 1, 2), df as (select w, count(*) as df from tf group by 1), n as (select count(*) as n from documents) select doc_id, w, round(tf * (ln((n + 1)::double / (df + 1)) + 1), 6) as tfidf from tf join df using (w), n", lambda t: (lambda tf: tf.join(tf.groupBy("w").agg(F.count("*").alias("df")), "w").join(F.broadcast(t("documents", "doc_id").agg(F.count("*").alias("n")))).select("doc_id", "w", F.round(c("tf") * (F.log((c("n") + 1) / (c("df") + 1)) + 1), 6).alias("tfidf")))(_tokens(t).groupBy("doc_id", "w").agg(F.count("*").alias("tf"))))
 sql_query("feat_bias_missing", "select o_orderkey, f as feature, 1.0::double as value from (select o_orderkey, unnest(['bias', case when o_orderstatus = 'P' then 'missing' end]) as f from orders) where f is not null", lambda t: t("orders", "o_orderkey", "o_orderstatus").select("o_orderkey", F.explode(F.array_compact(F.array(F.lit("bias"), F.when(c("o_orderstatus") == "P", "missing")))).alias("feature"), F.lit(1.0).alias("value")))
 sql_query("feat_sparse_map", "select o_orderkey, 2 as n, round(o_totalprice, 2) as price from orders", lambda t: t("orders", "o_orderkey", "o_totalprice").withColumn("m", F.create_map(F.lit("bias"), F.lit(1.0), F.lit("price"), c("o_totalprice"))).select("o_orderkey", F.size("m").alias("n"), F.round(c("m")["price"], 2).alias("price")))
 sql_query("feat_dedupe", "select l_orderkey, l_partkey, sum(l_quantity) as value from lineitem group by 1, 2", lambda t: t("lineitem", "l_orderkey", "l_partkey", "l_quantity").groupBy("l_orderkey", "l_partkey").agg(F.sum("l_quantity").alias("value")))

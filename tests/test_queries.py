@@ -1,6 +1,8 @@
 """Registered queries against their SQL on the smallest tables (a cross-section; the driver compares all of them)."""
 
+import math
 import os
+from collections import Counter
 
 import duckdb
 import pandas as pd
@@ -34,3 +36,21 @@ def test_matches_sql(spark, key):
 def test_keys_are_complete():
     assert set(registry.oracles()) <= set(registry.queries())
     assert len(registry.queries()) > 200
+
+
+def words_of(con):
+    """(doc_id, word) -> count in whole lower-cased texts, by plain Python."""
+    out = Counter()
+    for i, text in con.execute(f"select doc_id, text from '{DIR}/documents.parquet' where text is not null").fetchall():
+        out.update((i, w) for w in text.lower().split(" ") if w)
+    return out
+
+
+def test_terms_are_whole(spark):
+    tf = words_of(duckdb.connect())
+    df, n = Counter(w for _, w in tf), pd.read_parquet(f"{DIR}/documents.parquet", columns=["doc_id"]).shape[0]
+    assert min(tf.values()) == 1
+    assert {(r.doc_id, r.w): r.tf for r in registry.queries()["feat_tf"](spark, DIR).collect()} == tf
+    got = {(r.doc_id, r.w): r.tfidf for r in registry.queries()["feat_tfidf"](spark, DIR).collect()}
+    assert got.keys() == tf.keys()
+    assert all(abs(v - tf[k] * (math.log((n + 1) / (df[k[1]] + 1)) + 1)) < 1e-5 for k, v in got.items())
