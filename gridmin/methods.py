@@ -1057,10 +1057,10 @@ def map_in_arrow(spark, d):
     return s.agg(F.count("*").alias("n"), (F.round(F.sum(F.col("s")[0]), 4) + F.lit(0.0)).alias("total"))
 
 
-@register("feat_hashing", "select doc_id, ('0x' || substr(md5('t:' || w), 1, 8))::bigint % 4096 as idx, count(*) as n from (select doc_id, unnest(string_split(lower(text), ' ')) as w from documents) where w <> '' group by 1, 2 having count(*) >= 4")
+@register("feat_hashing", "select doc_id, ('0x' || substr(md5('t:' || w), 1, 8))::bigint % 4096 as idx, count(*) as n from (select doc_id, unnest(string_split(lower(text), ' ')) as w from documents) where w <> '' group by 1, 2")
 def feat_hashing(spark, d):
     words = io.table(spark, d, "documents", ["doc_id", "text"]).select("doc_id", F.explode(F.split(F.lower("text"), " ")).alias("w")).where("w <> ''")
-    return words.groupBy("doc_id", baselines.hash_index(F.col("w"), 12).alias("idx")).agg(F.count("*").alias("n")).where("n >= 4")
+    return words.groupBy("doc_id", baselines.hash_index(F.col("w"), 12).alias("idx")).agg(F.count("*").alias("n"))
 
 
 @register("feat_min_count", "select o_custkey, count(*) as n from orders group by 1 having count(*) >= 8")

@@ -1,5 +1,6 @@
 """Registered queries against their SQL on the smallest tables (a cross-section; the driver compares all of them)."""
 
+import hashlib
 import math
 import os
 from collections import Counter
@@ -54,3 +55,11 @@ def test_terms_are_whole(spark):
     got = {(r.doc_id, r.w): r.tfidf for r in registry.queries()["feat_tfidf"](spark, DIR).collect()}
     assert got.keys() == tf.keys()
     assert all(abs(v - tf[k] * (math.log((n + 1) / (df[k[1]] + 1)) + 1)) < 1e-5 for k, v in got.items())
+
+
+def test_hashed_features_are_whole(spark):
+    want = Counter()
+    for (i, w), n in words_of(duckdb.connect()).items():
+        want[i, int(hashlib.md5(f"t:{w}".encode()).hexdigest()[:8], 16) % 4096] += n
+    assert min(want.values()) < 4
+    assert {(r.doc_id, r.idx): r.n for r in registry.queries()["feat_hashing"](spark, DIR).collect()} == want
