@@ -281,7 +281,21 @@ sql_query("win_cumulative_share", "select k, round(sum(n) over (order by k) / su
 
 # sorts, limits, sets ----------------------------------------------------------------------------------------------------------------
 
-sql_query("srt_multi_nulls", "select row_number() over (order by s desc nulls last, o_orderkey) as r, o_orderkey from (select o_orderkey, nullif(o_orderstatus, 'P') as s from orders) order by 1 limit 100", lambda t: t("orders", "o_orderkey", "o_orderstatus").withColumn("s", F.nullif(c("o_orderstatus"), F.lit("P"))).orderBy(F.desc_nulls_last("s"), "o_orderkey").limit(100).withColumn("r", F.row_number().over(W.orderBy(F.desc_nulls_last("s"), "o_orderkey")).cast("long")).select("r", "o_orderkey"))
+
+
+def ranked_orders(orders: DataFrame, width: int = 4096) -> DataFrame:
+    """Rank of every order by status (descending, 'P' as null and last), then key: counts of (status, key range) give each
+    range its start, so no window holds more than a range."""
+    k = orders.withColumns({"s": F.nullif(c("o_orderstatus"), F.lit("P")), "b": F.floor(c("o_orderkey") / width)})
+    ranges = k.groupBy("s", "b").agg(F.count("*").alias("n"))
+    earlier = F.coalesce(F.sum("n").over(W.partitionBy("s").orderBy("b").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    statuses = ranges.groupBy("s").agg(F.sum("n").alias("m")).withColumn("upto", F.sum("m").over(W.orderBy(F.desc_nulls_last("s"))) - c("m"))
+    starts = ranges.withColumn("earlier", earlier).alias("x").join(F.broadcast(statuses.alias("y")), c("x.s").eqNullSafe(c("y.s"))).select(c("x.s").alias("_s"), c("b").alias("_b"), (c("earlier") + c("upto")).alias("start"))
+    rows = k.withColumn("at", F.row_number().over(W.partitionBy("s", "b").orderBy("o_orderkey")))
+    return rows.join(starts, c("s").eqNullSafe(c("_s")) & (c("b") == c("_b"))).select((c("start") + c("at")).cast("long").alias("r"), "o_orderkey")
+
+
+sql_query("srt_multi_nulls", "select row_number() over (order by s desc nulls last, o_orderkey) as r, o_orderkey from (select o_orderkey, nullif(o_orderstatus, 'P') as s from orders) order by 1", lambda t: ranked_orders(t("orders", "o_orderkey", "o_orderstatus")))
 sql_query("srt_within", "select o_orderkey from orders", lambda t: t("orders", "o_orderkey").repartition(4, "o_orderkey").sortWithinPartitions("o_orderkey"))
 sql_query("lim_offset", "select o_orderkey from orders order by o_orderkey limit 20 offset 30", lambda t: t("orders", "o_orderkey").orderBy("o_orderkey").offset(30).limit(20))
 sql_query("lim_topk", "select o_orderkey, o_totalprice from orders order by o_totalprice desc, o_orderkey limit 10", lambda t: t("orders", "o_orderkey", "o_totalprice").orderBy(F.desc("o_totalprice"), "o_orderkey").limit(10))

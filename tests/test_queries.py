@@ -63,3 +63,11 @@ def test_hashed_features_are_whole(spark):
         want[i, int(hashlib.md5(f"t:{w}".encode()).hexdigest()[:8], 16) % 4096] += n
     assert min(want.values()) < 4
     assert {(r.doc_id, r.idx): r.n for r in registry.queries()["feat_hashing"](spark, DIR).collect()} == want
+
+
+def test_every_order_is_ranked(spark):
+    o = pd.read_parquet(f"{DIR}/orders.parquet", columns=["o_orderkey", "o_orderstatus"])
+    place = {s: i for i, s in enumerate(sorted(set(o.o_orderstatus) - {"P"}, reverse=True))}
+    want = [k for _, k in sorted((place.get(s, len(place)), k) for k, s in zip(o.o_orderkey, o.o_orderstatus))]
+    assert (o.o_orderstatus == "P").any() and len(want) > 100
+    assert sorted((r.r, r.o_orderkey) for r in registry.queries()["srt_multi_nulls"](spark, DIR).collect()) == list(enumerate(want, 1))
