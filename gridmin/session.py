@@ -29,6 +29,17 @@ def local(cores: str = "*", partitions: int = 8, memory: str = "8g") -> SparkSes
     return spark
 
 
+def shared_base(spark: SparkSession) -> str:
+    """The folder named by spark.checkpoint.dir. Where that is unset, a local session uses one below its warehouse; on a cluster
+    this raises, as no other folder is known to be shared."""
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if base:
+        return base.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+    return spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_stage"
+
+
 def ship(spark: SparkSession) -> None:
     """Send this package to the executors, once an application, so that their Python workers can import it."""
     app = spark.sparkContext.applicationId
