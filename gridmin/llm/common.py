@@ -5,11 +5,14 @@ from __future__ import annotations
 import uuid
 import zlib
 from collections.abc import Iterable, Iterator
+from contextlib import contextmanager
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from gridmin import session
+
 #: Words everywhere are maximal runs of bytes other than space and \t \n \v \f \r; bytes.split() cuts at just these.
 WORD = r"[^\x20\x09-\x0D]+"
 
@@ -17,10 +20,28 @@ WORD = r"[^\x20\x09-\x0D]+"
 HEAVY = 1024
 
 
+_SCRATCH: list[list[str]] = []
+
+
 def shared_dir(spark: SparkSession) -> str:
-    """Folder that driver and executors share: spark.checkpoint.dir, or one below the warehouse where that is unset."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_stage"
-    return f"{base.rstrip('/')}/gridmin-{spark.sparkContext.applicationId}"
+    """Folder that driver and executors share; refuses machine-local ones on a cluster."""
+    return f"{session.shared_base(spark)}/gridmin-{spark.sparkContext.applicationId}"
+
+
+@contextmanager
+def scratch(spark: SparkSession) -> Iterator[None]:
+    """Staged tables of the block are deleted at its end: for code that has written its result by then."""
+    _SCRATCH.append([])
+    try:
+        yield
+    finally:
+        for path in _SCRATCH.pop():
+            _delete(spark, path)
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
 
 
 def stage(df: DataFrame, what: str, codec: str = "zstd") -> DataFrame:
@@ -28,25 +49,17 @@ def stage(df: DataFrame, what: str, codec: str = "zstd") -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{what}-{uuid.uuid4().hex}"
     schema = df.schema
+    if _SCRATCH:
+        _SCRATCH[-1].append(path)
     df.write.option("compression", codec).parquet(path)
     return spark.read.schema(schema).parquet(path)
 
 
 def drop_staged(spark: SparkSession, df: DataFrame) -> None:
     """Delete the files of a staged table that no later plan reads."""
-    jvm = spark.sparkContext._jvm
-    folders = {f.rsplit("/", 1)[0] for f in df.inputFiles()}
-    for folder in folders:
+    for folder in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
         if "/gridmin-" in folder:
-            path = jvm.org.apache.hadoop.fs.Path(folder)
-            path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
-
-
-def release(spark: SparkSession) -> None:
-    """Delete everything this application has staged; results that still read it become unreadable."""
-    jvm = spark.sparkContext._jvm
-    path = jvm.org.apache.hadoop.fs.Path(shared_dir(spark))
-    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+            _delete(spark, folder)
 
 
 def attach(rows: DataFrame, lookup: DataFrame, key: str, weight: str, total: int) -> DataFrame:
@@ -67,7 +80,21 @@ def attach(rows: DataFrame, lookup: DataFrame, key: str, weight: str, total: int
 
 def own_columns(df: DataFrame, **columns: str) -> DataFrame:
     """Only the named columns, under the operator's own names: extra columns, clashing or not, never get in."""
-    return df.select(*[df[old].alias(new) for new, old in columns.items()])
+    return df.select(*[_named(old).alias(new) for new, old in columns.items()])
+
+
+def carried(docs: DataFrame, **columns: Column | str) -> DataFrame:
+    """The whole input row as one struct ``row``, beside columns under the operator's own names: nothing clashes, whatever the
+    input's columns are called. ``restored`` gives the rows back."""
+    return docs.select(F.struct(*[_named(c) for c in docs.columns]).alias("row"), *[(_named(c) if isinstance(c, str) else c).alias(k) for k, c in columns.items()])
+
+
+def restored(df: DataFrame, columns: list[str], *more: str | Column) -> DataFrame:
+    return df.select(*[F.col("row").getField(c).alias(c) for c in columns], *more)
+
+
+def _named(column: str) -> Column:
+    return F.col("`" + column.replace("`", "``") + "`")
 
 
 def mark(text: Column) -> Column:
@@ -81,17 +108,15 @@ def keep_rows(docs: DataFrame, keepers: DataFrame, seen: DataFrame, doc_id: str,
     Texts move once, to meet the list of rows to keep. Rows alike in id and text can't be told apart by name: where
     ``seen`` shows such rows, one of each is taken.
     """
-    names = docs.columns
-    tied = stage(seen.groupBy("doc_id", "mark").agg(F.count("*").alias("n")).where("n > 1").select(F.col("doc_id").alias("_ti"), F.col("mark").alias("_tm")), "tied")
-    keys = keepers.select(F.col("doc_id").alias("_ki"), F.col("mark").alias("_km"))
-    marked = docs.withColumns({"_id": F.col(doc_id).cast("long"), "_mark": mark(F.col(text))})
-    kept = marked.join(keys.hint("shuffle_hash"), F.col("_id").eqNullSafe(F.col("_ki")) & (F.col("_mark") == F.col("_km")), "left_semi")
-    if tied.isEmpty():
-        return kept.select(*names)
-    on = F.col("_id").eqNullSafe(F.col("_ti")) & (F.col("_mark") == F.col("_tm"))
-    single, several = kept.join(tied, on, "left_anti"), kept.join(tied, on, "left_semi")
-    first = several.groupBy("_id", "_mark").agg(F.first(F.struct(*names)).alias("r")).select("r.*")
-    return single.select(*names).unionByName(first)
+    tied = stage(seen.groupBy("doc_id", "mark").agg(F.count("*").alias("n")).where("n > 1").select(F.col("doc_id").alias("ti"), F.col("mark").alias("tm")), "tied")
+    keys = keepers.select(F.col("doc_id").alias("ki"), F.col("mark").alias("km"))
+    marked = carried(docs, own_id=_named(doc_id).cast("long"), own_mark=mark(_named(text)))
+    kept = marked.join(keys.hint("shuffle_hash"), F.col("own_id").eqNullSafe(F.col("ki")) & (F.col("own_mark") == F.col("km")), "left_semi")
+    if not tied.isEmpty():
+        on = F.col("own_id").eqNullSafe(F.col("ti")) & (F.col("own_mark") == F.col("tm"))
+        single, several = kept.join(tied, on, "left_anti"), kept.join(tied, on, "left_semi")
+        kept = single.select("row").unionByName(several.groupBy("own_id", "own_mark").agg(F.first("row").alias("row")).select("row"))
+    return restored(kept, docs.columns)
 
 
 def in_fold(doc_id: Column) -> Column:

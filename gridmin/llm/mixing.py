@@ -6,8 +6,9 @@ point is read off one sort by cap / weight. A source's words are then drawn as w
 fractional one: the first documents in seeded order whose words come nearest to what is left.
 
 Only a plan with one row a source is made from the corpus; each document finds its repetitions from its own hash, so no
-text moves. Null source: a source of its own, last. Null text: size 0. Documents with equal ids share one draw.
-Sources without words: target 0. Empty table: no rows. Extra columns pass through ``mix``.
+text moves. Null source: a source of its own, last. Null text: size 0. The hash is of id and text, so equal ids are drawn
+apart; rows equal in both share one draw. Sources without words: target 0. Empty table: no rows. ``mix`` carries the
+whole input row in a struct, so extra columns pass through whatever their names.
 """
 
 from __future__ import annotations
@@ -31,13 +32,13 @@ def words(text: Column) -> Column:
     return F.coalesce(F.regexp_count(text, F.lit(common.WORD)), F.lit(0)).cast("long")
 
 
-def plan(sizes: DataFrame, weights: tuple[float, ...] = (5, 2, 1), share: float = 1.5, most_epochs: float = 2.0, seed: int = 11) -> DataFrame:
-    """One row a source from (doc_id, source, size): source_size, target, whole repetitions, and where the fractional one ends.
+def plan(sizes: DataFrame, weights: tuple[float, ...] = (5, 2, 1), share: float = 1.5, most_epochs: float = 2.0) -> DataFrame:
+    """One row a source from (draw, source, size), ``draw`` as from ``order_key``: source_size, target, whole repetitions, and where the fractional one ends.
 
     ``sizes`` is read twice and should be staged. Weights go round the sources in code point order, null last.
     """
     buckets = LEAST_BUCKETS + sizes.count() // ROWS_A_BUCKET
-    keyed = sizes.select("doc_id", "size", "source", source_key(F.col("source")).alias("_s"), order_key(F.col("doc_id"), seed).alias("_k")).withColumn("_b", hash_bucket(F.col("_k"), F.lit(buckets)))
+    keyed = sizes.select("size", "source", source_key(F.col("source")).alias("_s"), F.col("draw").alias("_k")).withColumn("_b", hash_bucket(F.col("_k"), F.lit(buckets)))
     sums = keyed.groupBy("_s", "_b").agg(F.sum("size").alias("_w"), F.first("source").alias("source"))
     totals = sums.groupBy("_s").agg(F.sum("_w").alias("source_size"), F.first("source").alias("source"))
     everyone = W.partitionBy()
@@ -62,11 +63,16 @@ def plan(sizes: DataFrame, weights: tuple[float, ...] = (5, 2, 1), share: float
     return common.stage(t.join(last.withColumnRenamed("_b", "cut_bucket"), "_s", "left").withColumn("buckets", F.lit(buckets)), "plan")
 
 
-def repeats(docs: DataFrame, made: DataFrame, doc_id: str = "doc_id", source: str = "source", seed: int = 11) -> DataFrame:
-    """``docs`` with ``source_size``, ``target`` and ``n_repeats``."""
-    keyed = docs.withColumns({"_ds": source_key(F.col(source)), "_k": order_key(F.col(doc_id), seed)})
-    sources = made.count()
-    side = F.broadcast(made) if sources <= BROADCAST_SOURCES else made.hint("merge")
+def sizes_of(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str = "source", seed: int = 11) -> DataFrame:
+    """(doc_id, source, size, draw): one row a document."""
+    own = common.own_columns(docs, doc_id=doc_id, text=text, source=source)
+    return own.select("doc_id", "source", words(F.col("text")).alias("size"), order_key(seed, F.col("doc_id"), F.md5("text")).alias("draw"))
+
+
+def repeats(rows: DataFrame, made: DataFrame) -> DataFrame:
+    """``rows`` (source, draw, and others of the caller's own naming) with ``source_size``, ``target`` and ``n_repeats``."""
+    side = F.broadcast(made) if made.count() <= BROADCAST_SOURCES else made.hint("merge")
+    keyed = rows.withColumns({"_ds": source_key(F.col("source")), "_k": F.col("draw")})
     joined = keyed.join(side, F.col("_ds") == F.col("_s")).withColumn("_b", hash_bucket(F.col("_k"), F.col("buckets")))
     extra = (F.col("_b") < F.col("cut_bucket")) | ((F.col("_b") == F.col("cut_bucket")) & (F.col("_k") <= F.col("cut_key")))
     n = F.col("whole") + F.when(F.col("rest") > 0, F.coalesce(extra, F.lit(False)).cast("int")).otherwise(0)
@@ -75,7 +81,7 @@ def repeats(docs: DataFrame, made: DataFrame, doc_id: str = "doc_id", source: st
 
 def mix(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str = "source", seed: int = 11, **rules) -> DataFrame:
     """The mixed corpus: each row of ``docs`` as often as the plan says, with the columns of ``docs``."""
-    sizes = common.stage(docs.select(F.col(doc_id).alias("doc_id"), F.col(source).alias("source"), words(F.col(text)).alias("size")), "sizes")
-    made = plan(sizes, seed=seed, **rules)
-    out = repeats(docs, made, doc_id, source, seed)
-    return out.where("n_repeats > 0").withColumn("_again", F.explode(F.sequence(F.lit(1), F.col("n_repeats")))).select(*docs.columns)
+    made = plan(common.stage(sizes_of(docs, doc_id, text, source, seed), "sizes"), **rules)
+    rows = common.carried(docs, source=source, draw=order_key(seed, common._named(doc_id), F.md5(common._named(text))))
+    out = repeats(rows, made).where("n_repeats > 0").withColumn("again", F.explode(F.sequence(F.lit(1), F.col("n_repeats"))))
+    return common.restored(out, docs.columns)

@@ -34,15 +34,14 @@ def op7_huffman_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query
 def op4_capped_water_filling(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = _docs(spark, sf_dir, "doc_id", "source", "text")
-    sizes = common.stage(docs.select("doc_id", "source", mixing.words(F.col("text")).alias("size")), "sizes")
+    sizes = common.stage(mixing.sizes_of(_docs(spark, sf_dir, "doc_id", "source", "text")), "sizes")
     out = mixing.repeats(sizes, mixing.plan(sizes))
     return out.select("doc_id", "size", "source_size", "target", (F.col("size") * F.col("n_repeats")).alias("taken"))
 
 
 ORACLES["op4_capped_water_filling"] = r"""
 with d as (
-  select doc_id, source, coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0)::bigint as size, md5(concat_ws(':', '11', doc_id)) as k
+  select doc_id, source, coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0)::bigint as size, md5(concat_ws(':', '11', doc_id, md5(text))) as k
   from documents
 ), s as (select source, sum(size)::bigint as source_size from d group by source),
 w as (select source, source_size, [5.0::double, 2.0::double, 1.0::double][1 + (row_number() over (order by source nulls last) - 1) % 3] as weight from s),
@@ -89,8 +88,8 @@ select d.doc_id, g.keep_id, g.group_size, d.doc_id = g.keep_id as kept, sha256(d
 def op10_stratified_interleaving(spark: SparkSession, sf_dir: str) -> DataFrame:
     text = F.coalesce(F.col("text"), F.lit(""))
     rows = _docs(spark, sf_dir, "doc_id", "source", "text").select(
-        "doc_id", "source", (F.octet_length(text) + 1).cast("long").alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"))
-    out = sharding.interleave(rows)
+        "doc_id", "source", (F.octet_length(text) + 1).cast("long").alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"), F.md5("text").alias("digest"))
+    out = sharding.interleave(rows, digest="digest")
     return out.select("doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
@@ -100,17 +99,17 @@ with z as (
   from (select unnest(range(256)) as i)
 ), tab as (select list(v order by i) as v from z),
 d as (
-  select doc_id, source, octet_length(encode(coalesce(text, ''))) + 1 as size, hex(encode(coalesce(text, ''))) as h, md5(concat_ws(':', '7', doc_id)) as k
+  select doc_id, source, octet_length(encode(coalesce(text, ''))) + 1 as size, hex(encode(coalesce(text, ''))) as h, md5(text) as m, md5(concat_ws(':', '7', doc_id, md5(text))) as k
   from documents
 ), c as (
-  select doc_id, source, size, k,
+  select doc_id, source, size, k, m,
     xor(list_reduce(list_prepend(4294967295, list_transform(range(0, size - 1), lambda i: ('0x' || h[2 * i + 1:2 * i + 2])::bigint)),
       lambda a, b: xor(a // 256, tab.v[xor(a % 256, b) + 1])), 4294967295) as text_crc32
   from d, tab
 ), r as (
-  select *, (2 * row_number() over (partition by source order by k, doc_id) - 1)::double / (2 * count(*) over (partition by source))::double as f
+  select *, (2 * row_number() over (partition by source order by k, doc_id, m) - 1)::double / (2 * count(*) over (partition by source))::double as f
   from c
-), p as (select *, row_number() over (order by f, source nulls last, k, doc_id) - 1 as pos, count(*) over () as n from r),
+), p as (select *, row_number() over (order by f, source nulls last, k, doc_id, m) - 1 as pos, count(*) over () as n from r),
 s as (select *, (pos * 8 // n)::int as shard from p)
 select doc_id, size::bigint as size, text_crc32::bigint as text_crc32, 'rows' as law, shard,
   (pos - (shard::bigint * n + 7) // 8)::bigint as slot, null::int as grown_shard
@@ -123,7 +122,7 @@ def op2_risk_controlled_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     measured = common.stage(quality_rules.measure(_docs(spark, sf_dir, "doc_id", "text", "lang")), "measured")
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
     out = quality_rules.judge(measured, quality_rules.cutoffs(measured, labels))
-    return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+    return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "scope", "level")
 
 
 @query

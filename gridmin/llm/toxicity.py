@@ -1,10 +1,11 @@
 """Toxicity by subword bags: character n-gram vectors, averaged, under a linear softmax, trained jointly in numpy.
 
-A word is the bag of its hashed character n-grams, so an unseen spelling shares most of its vectors with a known one. A few
-insults in a long text would vanish in its mean; the average is therefore taken over windows of WINDOW words and a
-document scores as its worst window. Training starts on whole-document means and then keeps to each document's worst
-windows under the current model (of marked documents, only those that it finds toxic beside the worst). As the softmax is linear, a word enters a score only by the sum of its n-grams' projections,
-so scoring is one look-up a word.
+A word is the bag of its hashed character n-grams, so an unseen spelling shares most of its vectors with a known one. The
+average is over all words of a text (``window`` None) or over every run of ``window`` words, of which the worst one is the
+document's score: a few insults in a long text vanish in its mean, and at WINDOW words they do not (README: recall of
+both). Training starts on the means of whole documents and then keeps to each document's worst windows under the current
+model; of marked documents up to ``most_windows`` that it finds toxic. As the softmax is linear, a word enters a score
+only by the sum of its n-grams' projections, so scoring is one look-up a word.
 
 Training rows: labelled documents outside the held-out fold, at most ``most_rows`` of them, chosen by hash. Labels, language,
 source and id never enter a score. Null or empty text: the score of no evidence. Null label: row unused. Repeated label
@@ -51,21 +52,23 @@ class Model:
 
     gram: np.ndarray
     bias: float
+    window: int | None = WINDOW
 
     def word(self, word: bytes) -> tuple[float, int]:
         g = grams(word, len(self.gram))
         return float(self.gram[g].sum()), len(g)
 
 
-def windows(sums: np.ndarray, counts: np.ndarray, width: int = WINDOW) -> np.ndarray:
-    """Mean projection of each run of ``width`` words (of all words, if there are fewer)."""
+def windows(sums: np.ndarray, counts: np.ndarray, width: int | None) -> np.ndarray:
+    """Mean projection of each run of ``width`` words (of all words, if there are fewer or no width is given)."""
+    width = width or len(sums)
     s, c = np.concatenate([[0.0], np.cumsum(sums)]), np.concatenate([[0.0], np.cumsum(counts)])
     w = min(width, len(sums))
     return (s[w:] - s[:-w]) / (c[w:] - c[:-w])
 
 
 def train(texts: list[bytes], labels: list[int], dim: int = 8, warm: int = 15, rounds: int = 60, rate: float = 0.5, seed: int = 3,
-          decay: float = 0.02, floor: float = 0.005, marked: float = 0.35) -> Model:
+          decay: float = 0.02, floor: float = 0.005, marked: float = 0.35, window: int | None = WINDOW, most_windows: int = 4) -> Model:
     """Joint training of n-gram vectors and softmax by AdaGrad steps over all rows, with decaying vectors.
 
     The step's denominator has a floor in the largest gradient of any n-gram, so n-grams of few documents move little. Class 1
@@ -81,7 +84,7 @@ def train(texts: list[bytes], labels: list[int], dim: int = 8, warm: int = 15, r
     docs = [d for d in docs if len(d)]
     if len(set(y.tolist())) < 2:
         share = (sum(labels) + 1.0) / (len(labels) + 2.0)
-        return Model(np.zeros(BUCKETS), float(np.log(share / (1 - share))))
+        return Model(np.zeros(BUCKETS), float(np.log(share / (1 - share))), window)
     flat, counted = array("i"), array("i")
     for w in index:
         g = grams(w)
@@ -93,23 +96,34 @@ def train(texts: list[bytes], labels: list[int], dim: int = 8, warm: int = 15, r
     largest = 0.0
     sum_v, sum_o, sum_b = np.full(BUCKETS, 1e-8), np.full(out.shape, 1e-8), np.full(2, 1e-8)
 
-    def step(bag: np.ndarray, of: np.ndarray, weight: np.ndarray, owner: np.ndarray) -> None:
-        """One step on means: entry k of ``bag`` adds weight[k] times its vector to row of[k]; row r belongs to document owner[r]."""
+    def summed(at: np.ndarray, values: np.ndarray, n: int) -> np.ndarray:
+        return np.stack([np.bincount(at, weights=values[:, k], minlength=n) for k in range(dim)], 1)
+
+    place = np.zeros(len(sizes), np.int64)
+
+    def laid_out(words: np.ndarray, of: np.ndarray, times: np.ndarray, owner: np.ndarray) -> tuple:
+        """Rows of means: word k stands times[k] times in row of[k]; row r belongs to document owner[r]. Vectors are summed once a
+        word, then by row."""
+        used = np.flatnonzero(np.bincount(words, minlength=len(sizes)))
+        place[used] = np.arange(len(used))
+        n = sizes[used]
+        bag = flat[np.repeat(first[used] - np.cumsum(n) + n, n) + np.arange(n.sum())]
+        weight = (times / np.bincount(of, weights=times * sizes[words])[of])[:, None]
+        return place[words], len(used), bag, np.repeat(np.arange(len(used)), n), of, weight, owner
+
+    def step(word: np.ndarray, used: int, bag: np.ndarray, within: np.ndarray, of: np.ndarray, weight: np.ndarray, owner: np.ndarray) -> None:
+        """One step on rows as from ``laid_out``."""
         nonlocal out, bias, largest
         label = y[owner]
         share = 1.0 / np.bincount(owner, minlength=len(docs))[owner]
         balance = np.where(label == 1, marked / max(1, (y == 1).sum()), (1 - marked) / max(1, (y == 0).sum())) * share
-        mean = np.zeros((len(owner), dim))
-        for k in range(dim):
-            mean[:, k] = np.bincount(of, weights=weight * vectors[bag, k], minlength=len(owner))
+        mean = summed(of, weight * summed(within, vectors[bag], used)[word], len(owner))
         z = mean @ out + bias
         p = np.exp(z - z.max(1, keepdims=True))
         p /= p.sum(1, keepdims=True)
         err = (p - np.eye(2)[label]) * balance[:, None]
-        back = err @ out.T
-        touched = np.unique(bag)
-        at = np.searchsorted(touched, bag)
-        grad = np.stack([np.bincount(at, weights=weight * back[of, k], minlength=len(touched)) for k in range(dim)], 1)
+        touched = np.flatnonzero(np.bincount(bag, minlength=BUCKETS))
+        grad = summed(bag, summed(word, weight * (err @ out.T)[of], used)[within], BUCKETS)[touched]
         g_out, g_bias = mean.T @ err, err.sum(0)
         sum_v[touched] += (grad**2).mean(1)
         vectors[:] *= 1.0 - decay
@@ -120,39 +134,26 @@ def train(texts: list[bytes], labels: list[int], dim: int = 8, warm: int = 15, r
         np.add(sum_b, g_bias**2, out=sum_b)
         bias = bias - rate * 0.2 * g_bias / np.sqrt(sum_b)
 
-    def chosen(pick) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        words, owner = [], []
-        for k, d in enumerate(docs):
-            for part in pick(k, d):
-                words.append(part)
-                owner.append(k)
-        of = np.repeat(np.arange(len(words)), [len(w) for w in words])
-        words = np.concatenate(words)
-        n = sizes[words]
-        bag = flat[np.repeat(first[words], n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)]
-        rows = np.repeat(of, n)
-        return bag, rows, (1.0 / np.bincount(rows, minlength=len(owner)))[rows], np.array(owner)
-
-    spread = chosen(lambda k, d: [d[np.sort(rng.choice(len(d), min(len(d), 64), replace=False))]])
-    for _ in range(warm):
-        step(*spread)
-    for _ in range(rounds):
+    counts = [np.unique(d, return_counts=True) for d in docs]
+    whole = laid_out(np.concatenate([c[0] for c in counts]), np.repeat(np.arange(len(docs)), [len(c[0]) for c in counts]), np.concatenate([c[1] for c in counts]), np.arange(len(docs)))
+    for _ in range(warm if window else warm + rounds):
+        step(*whole)
+    for _ in range(rounds if window else 0):
         projected = vectors @ (out[:, 1] - out[:, 0])
         per_word = np.add.reduceat(projected[flat], first[:-1])
         shift = bias[1] - bias[0]
-
-        def worst(k: int, d: np.ndarray) -> list[np.ndarray]:
-            z, got = windows(per_word[d], sizes[d]), []
-            for _ in range(4):
+        words, owner = [], []
+        for k, d in enumerate(docs):
+            z = windows(per_word[d], sizes[d], window)
+            for n in range(most_windows if y[k] else 1):
                 at = int(np.argmax(z))
-                if got and (y[k] == 0 or z[at] + shift <= 0):
+                if n and z[at] + shift <= 0:
                     break
-                got.append(d[at:at + WINDOW])
-                z[max(0, at - WINDOW + 1):at + WINDOW] = -np.inf
-            return got
-
-        step(*chosen(worst))
-    return Model((vectors @ (out[:, 1] - out[:, 0])), float(bias[1] - bias[0]))
+                words.append(d[at:at + window])
+                owner.append(k)
+                z[max(0, at - window + 1):at + window] = -np.inf
+        step(*laid_out(np.concatenate(words), np.repeat(np.arange(len(words)), [len(w) for w in words]), np.ones(sum(map(len, words))), np.array(owner)))
+    return Model((vectors @ (out[:, 1] - out[:, 0])), float(bias[1] - bias[0]), window)
 
 
 def training_rows(docs: DataFrame, labels: DataFrame, label: str, most_rows: int, text: str = "text", doc_id: str = "doc_id", positive: int = 1) -> tuple[list[bytes], list[int]]:
@@ -171,9 +172,9 @@ def training_rows(docs: DataFrame, labels: DataFrame, label: str, most_rows: int
     return [(r["text"] or "").encode() for r in got], [r["label"] for r in got]
 
 
-def fit(docs: DataFrame, labels: DataFrame, most_rows: int = 3000, text: str = "text", doc_id: str = "doc_id") -> Model:
+def fit(docs: DataFrame, labels: DataFrame, most_rows: int = 3000, text: str = "text", doc_id: str = "doc_id", window: int | None = WINDOW) -> Model:
     texts, known = training_rows(docs, labels, "toxic", most_rows, text, doc_id)
-    return train(texts, known)
+    return train(texts, known, window=window)
 
 
 def scores(docs: DataFrame, model: Model, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -183,18 +184,17 @@ def scores(docs: DataFrame, model: Model, doc_id: str = "doc_id", text: str = "t
     return map_arrow(own, lambda batches: _score_batches(batches, shared), SCORES)
 
 
-def with_scores(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
-    """``docs`` with a column ``score``."""
-    shared = docs.sparkSession.sparkContext.broadcast(model)
-    schema = T.StructType([*docs.schema.fields, T.StructField("score", T.DoubleType())])
+def below(docs: DataFrame, model: Model, cut: float, text: str = "text") -> DataFrame:
+    """The rows of ``docs`` that score under ``cut``, with their columns and no other."""
+    shared, at = docs.sparkSession.sparkContext.broadcast(model), f"c{docs.columns.index(text)}"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         score = _scorer(shared.value)
         for b in batches:
-            got = pa.array([score(t) for t in common.texts_of(b, text)], pa.float64())
-            yield pa.RecordBatch.from_arrays([*b.columns, got], names=[*b.schema.names, "score"])
+            yield b.filter(pa.array([score(t) < cut for t in common.texts_of(b, at)], pa.bool_()))
 
-    return map_arrow(docs, run, schema)
+    plain = T.StructType([T.StructField(f"c{k}", f.dataType, f.nullable) for k, f in enumerate(docs.schema)])
+    return map_arrow(docs.toDF(*plain.names), run, plain).toDF(*docs.columns)
 
 
 def _scorer(model: Model):
@@ -207,7 +207,7 @@ def _scorer(model: Model):
         if not words:
             return none
         pair = np.array(list(map(look, words)))
-        z = float(windows(pair[:, 0], pair[:, 1]).max()) + model.bias
+        z = float(windows(pair[:, 0], pair[:, 1], model.window).max()) + model.bias
         return 1.0 / (1.0 + float(np.exp(-np.clip(z, -500, 500))))
 
     return score
