@@ -1,18 +1,20 @@
 """Near copies by whole texts: documents whose sets of 5-word shingles agree to 0.8 (Jaccard) or more are linked.
 
-Candidates meet in buckets, and every pair of a bucket is compared over the whole sets, so no bucket links anything by
-itself. There are two kinds:
+Candidates meet under keys, and every link is verified over the whole sets of its two texts, so no key links anything by
+itself. There are two kinds of keys:
 
 * components of fingerprints within ``most`` bits (the pivot method of ``simhash``);
-* for what fingerprints miss, one bucket a shingle. In any order common to all sets, two sets at 0.8 share a shingle among
+* for what fingerprints miss, one key a shingle. In any order common to all sets, two sets at 0.8 share a shingle among
   the first n - ceil(0.8 n) + 1 of each, so every pair meets. Frequent shingles come last: passages that many unrelated
-  texts hold are then rarely among the first. Which ones count as frequent changes the work, not the result. In buckets
-  of up to ``SMALL`` nodes, pairs whose counts of shingles in ``BINS`` bins differ by more than alike sets can are left
-  out first; what is left of them forms one bucket for each lesser node of a pair.
+  texts hold are then rarely among the first. Which ones count as frequent changes the work, not the result.
 
-A bucket above ``cell_nodes`` texts or ``cell_shingles`` shingles is dealt into slices, and each pair of slices is a cell;
-tasks hold one cell at a time. A cell emits a spanning forest of its true links. The cells of a bucket grow with the
-square of its size over ``cell_nodes``: that is the price of comparing all of its pairs.
+Only components are wanted, not all links of a group, so large groups are drawn together first: in each of ``HUBS`` rounds
+every node is compared with one node of each of its keys, the hub, which is linear in the rows however large the group.
+After that, keys whose nodes are all in one component are done. Under the other keys every two nodes of different
+components are compared, so no link that joins two components is lost. Before texts move, both steps leave out pairs whose sizes or
+counts of shingles in ``BINS`` bins differ by more than those of alike sets can. The nodes of a large key are dealt into slices of ``SLICE``
+and each pair of slices is a task's cell. The second step grows with the product of different components under one key:
+many texts that share rare shingles and yet are not alike are the price of leaving nothing out.
 
 A 64-bit hash stands for a shingle, and the hash of a set for texts of equal sets, which are one node. A text below five
 words is one shingle; null counts as empty. Null ids come last in a component.
@@ -37,13 +39,13 @@ SHINGLE = 5
 #: A shingle among the first of more texts than this, in order of hash, counts as frequent; at most so many are told apart.
 FREQUENT = 8
 MOST_FREQUENT = 100_000
-SMALL = 64
+HUBS = 1
 BINS = 256
-CELL_NODES = 512
-CELL_SHINGLES = 1 << 20
-COLUMNS = 4096
-FIRST = T.StructType([T.StructField("node", T.LongType()), T.StructField("size", T.LongType()), T.StructField("first", T.ArrayType(T.LongType())), T.StructField("bins", T.BinaryType())])
-MADE = T.StructType([*simhash.FINGERPRINTS, T.StructField("node", T.LongType()), T.StructField("size", T.LongType())])
+SLICE = 512
+#: Partners that one task compares with a node; a node of more partners is copied to several tasks.
+PARTNERS = 256
+FIRST = T.StructType([T.StructField("node", T.LongType()), T.StructField("size", T.LongType()), T.StructField("first", T.ArrayType(T.LongType()))])
+MADE = T.StructType([*simhash.FINGERPRINTS, T.StructField("node", T.LongType()), T.StructField("size", T.LongType()), T.StructField("bins", T.BinaryType())])
 
 
 def shingles(text: bytes) -> np.ndarray:
@@ -69,67 +71,37 @@ def alike(both, one, other):
     return 9 * both >= 4 * (one + other)
 
 
-def overlaps(sets: list[np.ndarray]) -> np.ndarray:
-    """How many shingles each two of ``sets`` share; shingles of one set only are left out of the product."""
-    shingle, column, held = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
-    row = np.repeat(np.arange(len(sets)), [len(s) for s in sets])
-    place = np.cumsum(held > 1) - 1
-    row, column = row[held[column] > 1], place[column[held[column] > 1]]
-    by = np.argsort(column, kind="stable")
-    row, column = row[by], column[by]
-    out = np.zeros((len(sets), len(sets)), np.float32)
-    width = int((held > 1).sum())
-    for at in range(0, width, COLUMNS):
-        a, b = np.searchsorted(column, [at, at + COLUMNS])
-        part = np.zeros((len(sets), min(COLUMNS, width - at)), np.float32)
-        part[row[a:b], column[a:b] - at] = 1
-        out += part @ part.T
-    return out.astype(np.int64)
-
-
-def cell_links(texts: list[bytes]) -> list[tuple[int, int]]:
-    """Links between nodes that span every component of truly alike texts."""
-    nodes = {node_of(own): own for own in map(shingles, texts)}
-    if len(nodes) < 2:
-        return []
-    names, size = list(nodes), np.array([len(s) for s in nodes.values()])
-    near = alike(overlaps(list(nodes.values())), size[:, None], size[None, :])
-    left, out = np.ones(len(names), bool), []
-    for first in range(len(names)):
-        todo = [first] if left[first] else []
-        left[first] = False
-        while todo:
-            a = todo.pop()
-            found = np.nonzero(near[a] & left)[0].tolist()
-            left[found] = False
-            todo += found
-            out += [(min(names[a], names[b]), max(names[a], names[b])) for b in found]
-    return out
+def shared(one: np.ndarray, other: np.ndarray) -> int:
+    """How many shingles two sets share; both ascending."""
+    if len(one) > len(other):
+        one, other = other, one
+    at = np.minimum(np.searchsorted(other, one), len(other) - 1)
+    return int((other[at] == one).sum())
 
 
 def _made(docs: DataFrame) -> DataFrame:
-    """(doc_id, mark, fp, node, size): one row a document."""
+    """(doc_id, mark, fp, node, size, bins): one row a document."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         common.lean()
-        out = common.arrow_schema(MADE)
-        for b in batches:
-            texts = common.texts_of(b, "text")
-            fps = np.array([simhash.fingerprint(t) for t in texts], np.uint64).view(np.int64)
-            sets = [(node_of(own), len(own)) for own in map(shingles, texts)]
-            cols = [common.column_of(b, "doc_id"), common.column_of(b, "mark"), pa.array(fps, pa.int64()), *(pa.array([s[k] for s in sets], pa.int64()) for k in (0, 1))]
-            yield pa.RecordBatch.from_arrays(cols, schema=out)
+
+        def rows() -> Iterator[tuple]:
+            for b in batches:
+                ids, marks = (common.column_of(b, k).to_pylist() for k in ("doc_id", "mark"))
+                for key, mark, text in zip(ids, marks, common.texts_of(b, "text"), strict=True):
+                    own = shingles(text)
+                    yield key, mark, simhash._signed(simhash.fingerprint(text)), node_of(own), len(own), bins(own).tobytes()
+
+        yield from common.to_batches(rows(), common.arrow_schema(MADE), 1024)
 
     return map_arrow(docs, run, MADE)
 
 
-def pivot_buckets(made: DataFrame, most: int) -> DataFrame:
+def pivot_keys(made: DataFrame, most: int) -> DataFrame:
     """(key, node): nodes whose fingerprints are in one component, where there are several."""
-    rooted = simhash._rooted(made, most)
-    tops = common.stage(rooted.groupBy("root").agg(F.count("*").alias("fps")), "tops")
-    each = common.stage(common.attach(rooted.select("fp", "n", "root"), tops, "root", "fps", rooted.count()).select("fp", "n", "root"), "each")
-    met = common.attach(made.select("fp", "node"), each, "fp", "n", made.count()).select(F.xxhash64(F.lit("pivot"), "root").alias("key"), "node")
-    return met.distinct()
+    rooted = simhash._rooted(made, most).select("fp", "root")
+    several = rooted.groupBy("root").agg(F.count("*").alias("n")).where("n > 1").select("root")
+    return made.join(rooted.join(several, "root"), "fp").select(F.xxhash64(F.lit("pivot"), "root").alias("key"), "node").distinct()
 
 
 def first_shingles(own: np.ndarray, frequent: np.ndarray, counts: np.ndarray) -> np.ndarray:
@@ -146,14 +118,13 @@ def bins(own: np.ndarray) -> np.ndarray:
     return np.minimum(np.bincount((own % np.uint64(BINS)).astype(np.int64), minlength=BINS), 255).astype(np.uint8)
 
 
-def may_be_alike(each: np.ndarray, size: np.ndarray) -> np.ndarray:
-    """For each two rows of bins: false only if they can't be alike. Alike sets differ in a ninth of their sizes' sum at most."""
-    apart = np.array([np.abs(each - one).sum(1) for one in each])
-    return 9 * apart <= size[:, None] + size[None, :]
+def may_be_alike(one: np.ndarray, size: int, others: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """For each row of ``others``: false only if it can't be alike. Alike sets differ in a ninth of their sizes' sum at most."""
+    return 9 * np.abs(others.astype(np.int16) - one).sum(1, dtype=np.int64) <= size + sizes
 
 
 def _first(docs: DataFrame, frequent: np.ndarray, counts: np.ndarray) -> DataFrame:
-    """(node, size, first, bins): one row a document."""
+    """(node, size, first): one row a document."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         common.lean()
@@ -161,112 +132,142 @@ def _first(docs: DataFrame, frequent: np.ndarray, counts: np.ndarray) -> DataFra
         def rows() -> Iterator[tuple]:
             for b in batches:
                 for own in map(shingles, common.texts_of(b, "text")):
-                    yield node_of(own), len(own), first_shingles(own, frequent, counts).view(np.int64), bins(own).tobytes()
+                    yield node_of(own), len(own), first_shingles(own, frequent, counts).view(np.int64)
 
         yield from common.to_batches(rows(), common.arrow_schema(FIRST), 1024)
 
     return map_arrow(docs.select("text"), run, FIRST)
 
 
-def _wanted(rows: DataFrame) -> DataFrame:
-    """Staged (key, node, size) without the keys whose nodes all have one same first key (least ``pos``), as they meet there.
-
-    ``rows``: key, node, size, pos.
-    """
-    met = rows.groupBy("node", "size").agg(F.sort_array(F.collect_set(F.struct("pos", "key"))).alias("all"))
-    met = common.stage(met.select("node", "size", F.col("all")[0]["key"].alias("lead"), F.explode("all.key").alias("key")), "met")
-    held = met.groupBy("key").agg(F.count("*").alias("n"), F.min("lead").alias("lo"), F.max("lead").alias("hi"))
-    held = common.stage(held.where("n > 1 and (lo <> hi or lo = key)").select("key", "n"), "held")
-    return common.stage(common.attach(met.select("key", "node", "size"), held, "key", "n", met.count()).select("key", "node", "size"), "wanted")
+def shingle_keys(docs: DataFrame, frequent: int = FREQUENT) -> DataFrame:
+    """(key, node): nodes under each of their first shingles that another text has among its first."""
+    none = np.zeros(0, np.uint64)
+    often = _first(docs, none, none).select(F.explode("first").alias("key")).groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > frequent)
+    top = often.orderBy(F.desc("n"), "key").limit(MOST_FREQUENT).toArrow()
+    keys, counts = top["key"].to_numpy().view(np.uint64), top["n"].to_numpy()
+    by = np.argsort(keys)
+    first = common.stage(_first(docs, keys[by], counts[by]), "first")
+    rows = first.select("node", F.explode("first").alias("key"))
+    held = rows.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
+    return rows.join(held, "key", "left_semi").select("key", "node").distinct()
+
+
+def several(rows: DataFrame, labels: DataFrame | None = None) -> DataFrame:
+    """Staged ``rows`` (key, exact, node, size) with ``top``, the component of the node, under keys that hold several components."""
+    if labels is None:
+        now = rows.withColumn("top", F.col("node"))
+    else:
+        now = rows.join(labels, "node", "left").withColumn("top", F.coalesce("root", "node")).drop("root")
+    held = now.groupBy("key").agg(F.min("top").alias("lo"), F.max("top").alias("hi")).where("lo <> hi")
+    return common.stage(now.join(held.select("key"), "key", "left_semi").select("key", "exact", "node", "size", "top"), "live")
+
+
+def hub_pairs(live: DataFrame, turn: int) -> DataFrame:
+    """(a, b): each node with the hub of each of its keys, where their components differ and their sizes may be alike."""
+    order = F.struct(F.xxhash64("node", F.lit(turn)).alias("h"), "node", "size", "top")
+    hubs = live.groupBy("key").agg(F.min(order).alias("hub")).select("key", F.col("hub.node").alias("a"), F.col("hub.size").alias("hub_size"), F.col("hub.top").alias("hub_top"))
+    near = 5 * F.least("size", "hub_size") >= 4 * F.greatest("size", "hub_size")
+    return live.join(hubs, "key").where((F.col("top") != F.col("hub_top")) & near).select("a", F.col("node").alias("b")).distinct()
+
+
+def cell_pairs(live: DataFrame, nodes: DataFrame, slice_nodes: int) -> DataFrame:
+    """(a, b): all pairs of different components under one key that their bins don't rule out."""
+    led = live.join(live.groupBy("node").agg(F.min("key").alias("lead")), "node")
+    held = led.groupBy("key").agg(F.count("*").alias("n"), F.min("lead").alias("lo"), F.max("lead").alias("hi"))
+    held = held.where("lo <> hi or lo = key").select("key", F.ceil(F.col("n") / slice_nodes).cast("long").alias("g"))  # else all meet under lo
+    dealt = live.join(held, "key").withColumn("own", F.pmod(F.xxhash64("node"), "g"))
+    cells = dealt.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("g") - 1)))
+    cells = cells.select("node", "size", "top", "key", "own", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))
+    rows = cells.join(nodes.select("node", "bins"), "node").repartition("key", "i", "j").sortWithinPartitions("key", "i", "j")
+    return map_arrow(rows.select("key", "i", "j", "own", "node", "size", "top", "bins"), _run_cells, simhash.EDGES).distinct()
 
 
-def _run_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    def pairs(names: list, sizes: list, each: list) -> Iterator[tuple]:
-        size = np.array(sizes, np.int64)
-        i, j = np.nonzero(may_be_alike(np.array([np.frombuffer(x, np.uint8) for x in each], np.int16), size))
-        for a, b in zip(i.tolist(), j.tolist()):
-            if names[a] < names[b]:
-                yield names[a], names[b]
+def _run_cells(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def pairs(cell: tuple, rows: list[tuple]) -> Iterator[tuple]:
+        own, node, size, top = (np.array([r[k] for r in rows], np.int64) for k in range(4))
+        each = np.array([np.frombuffer(r[4], np.uint8) for r in rows])
+        for k in range(len(rows)):
+            at = np.flatnonzero((top != top[k]) & (node > node[k]) & (5 * np.minimum(size, size[k]) >= 4 * np.maximum(size, size[k])) & ((own != own[k]) | (cell[1] == cell[2])))
+            for m in at[may_be_alike(each[k], size[k], each[at], size[at])].tolist():
+                yield int(node[k]), int(node[m])
 
     def rows() -> Iterator[tuple]:
         common.lean()
-        at, held = None, ([], [], [])
+        cell, held = None, []
         for b in batches:
-            for key, *row in zip(*(common.column_of(b, k).to_pylist() for k in ("key", "node", "size", "bins"))):
-                if key != at:
-                    if len(held[0]) > 1:
-                        yield from pairs(*held)
-                    at, held = key, ([], [], [])
-                for x, y in zip(held, row):
-                    x.append(y)
-        if len(held[0]) > 1:
-            yield from pairs(*held)
+            for *name, own, node, size, top, raw in zip(*(b.column(k).to_pylist() for k in range(8))):
+                if name != cell:
+                    if len(held) > 1:
+                        yield from pairs(cell, held)
+                    cell, held = name, []
+                held.append((own, node, size, top, raw))
+        if len(held) > 1:
+            yield from pairs(cell, held)
 
     yield from common.to_batches(rows(), common.arrow_schema(simhash.EDGES))
 
 
-def shingle_buckets(docs: DataFrame, frequent: int = FREQUENT, small: int = SMALL) -> DataFrame:
-    """(key, node): nodes that share one of their first shingles, without pairs that can't be alike in small buckets."""
-    none = np.zeros(0, np.uint64)
-    often = _first(docs, none, none).select(F.explode("first").alias("key")).groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > frequent)
-    top = often.orderBy(F.desc("n"), "key").limit(MOST_FREQUENT).toArrow()
-    keys, counts = top["key"].to_numpy().view(np.uint64), top["n"].to_numpy()
-    by = np.argsort(keys)
-    first = common.stage(_first(docs, keys[by], counts[by]), "first")
-    rows = first.select("node", "size", F.posexplode("first").alias("pos", "key"))
-    shared = common.stage(rows.groupBy("key").agg(F.count("*").alias("n")).where("n > 1"), "shared")
-    total = rows.count()
-    few, many = (common.attach(rows, shared.where(which), "key", "n", total).select("key", "node", "size", "pos") for which in (f"n <= {small}", f"n > {small}"))
-    sketches = first.select(F.col("node").alias("_n"), "bins").dropDuplicates(["_n"])
-    binned = _wanted(few).join(sketches, F.col("node") == F.col("_n")).select("key", "node", "size", "bins")
-    pairs = common.stage(map_arrow(binned.repartition("key").sortWithinPartitions("key"), _run_pairs, simhash.EDGES).distinct(), "pairs")
-    key = F.xxhash64(F.lit("pairs"), "a").alias("key")
-    met = pairs.select(key, F.col("b").alias("node")).unionByName(pairs.select(key, F.col("a").alias("node")).distinct())
-    return met.unionByName(_wanted(many).select("key", "node"))
-
-
-def bucket_links(docs: DataFrame, buckets: DataFrame, nodes: DataFrame, cell_nodes: int, cell_shingles: int) -> DataFrame:
-    """Staged (a, b) true links that span what the buckets' texts are joined to. ``docs``: doc_id, text, mark."""
-    buckets = common.stage(buckets.join(nodes.select("node", "size"), "node"), "buckets")
-    held = buckets.groupBy("key").agg(F.count("*").alias("held"), F.sum("size").alias("load")).where("held > 1")
-    slices = F.ceil(F.greatest(F.col("held") / cell_nodes, F.col("load") / cell_shingles)).cast("long")
-    keys = common.stage(held.select("key", "held", slices.alias("g")), "keys")
-    dealt = common.attach(buckets, keys, "key", "held", buckets.count()).withColumn("own", F.pmod(F.xxhash64("node"), "g"))
-    cells = dealt.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("g") - 1)))
-    cells = common.stage(cells.select("node", "key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j")), "cells")
-    at = cells.groupBy("node").agg(F.collect_list(F.struct("key", "i", "j")).alias("at"))
-    named = at.join(nodes, "node").select("at", F.col("top.doc_id").alias("_ki"), F.col("top.mark").alias("_km"))
-    texts = docs.join(named.hint("shuffle_hash"), F.col("doc_id").eqNullSafe(F.col("_ki")) & (F.col("mark") == F.col("_km")))
-    rows = texts.select("text", F.explode("at").alias("c")).select("c.key", "c.i", "c.j", "text")
-    return common.stage(map_arrow(rows.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j"), _run_cells, simhash.EDGES).distinct(), "links")
+def plausible(pairs: DataFrame, nodes: DataFrame) -> DataFrame:
+    """Staged ``pairs`` without those that the bins of their nodes rule out."""
+    sketch = lambda p: nodes.select(F.col("node").alias(p), F.col("size").alias(f"{p}_size"), F.col("bins").alias(f"{p}_bins"))
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            a, b = (np.frombuffer(b"".join(common.column_of(batch, k).to_pylist()), np.uint8).reshape(-1, BINS) for k in ("a_bins", "b_bins"))
+            size = common.column_of(batch, "a_size").to_numpy() + common.column_of(batch, "b_size").to_numpy()
+            keep = pa.array(9 * np.abs(a.astype(np.int16) - b).sum(1, dtype=np.int64) <= size)
+            yield pa.RecordBatch.from_arrays([common.column_of(batch, k).filter(keep) for k in ("a", "b")], names=["a", "b"])
 
-def _run_cells(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    both = pairs.join(sketch("b"), "b").join(sketch("a"), "a").select("a", "b", "a_size", "b_size", "a_bins", "b_bins")
+    return common.stage(map_arrow(both, run, simhash.EDGES), "plausible")
+
+
+def true_links(docs: DataFrame, pairs: DataFrame, nodes: DataFrame, partners: int = PARTNERS) -> DataFrame:
+    """Staged: those of ``pairs`` (a, b; staged) whose whole texts are alike. ``docs``: doc_id, text, mark."""
+    held = pairs.groupBy("a").agg(F.ceil(F.count("*") / partners).cast("long").alias("g"))
+    members = pairs.join(held, "a").select(F.col("b").alias("node"), "a", F.pmod(F.xxhash64("b"), "g").alias("chunk"))
+    at = common.stage(members.unionByName(members.select(F.col("a").alias("node"), "a", "chunk").distinct()), "at")
+    named = at.select("node").distinct().join(nodes, "node").select("node", F.col("top.doc_id").alias("_ki"), F.col("top.mark").alias("_km"))
+    texts = docs.join(named, F.col("doc_id").eqNullSafe(F.col("_ki")) & (F.col("mark") == F.col("_km"))).select("node", "text")
+    rows = at.join(texts, "node").select("a", "chunk", (F.col("node") != F.col("a")).alias("member"), "node", "text")
+    return common.stage(map_arrow(rows.repartition("a", "chunk").sortWithinPartitions("a", "chunk", "member"), _run_links, simhash.EDGES).distinct(), "links")
+
+
+def _run_links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     def rows() -> Iterator[tuple]:
         common.lean()
-        cell, texts = None, []
+        cell, hub = None, np.zeros(0, np.uint64)
         for b in batches:
-            names = zip(*(common.column_of(b, k).to_pylist() for k in ("key", "i", "j")))
-            for name, text in zip(names, common.texts_of(b, "text")):
-                if name != cell:
-                    if len(texts) > 1:
-                        yield from cell_links(texts)
-                    cell, texts = name, []
-                texts.append(text)
-        if len(texts) > 1:
-            yield from cell_links(texts)
+            names = zip(*(common.column_of(b, k).to_pylist() for k in ("a", "chunk", "node")))
+            for (a, chunk, node), text in zip(names, common.texts_of(b, "text")):
+                own = shingles(text)
+                if (a, chunk) != cell:  # the first row of a chunk is the hub
+                    cell, hub = (a, chunk), own
+                elif node != a and alike(shared(hub, own), len(hub), len(own)):
+                    yield min(a, node), max(a, node)
 
     yield from common.to_batches(rows(), common.arrow_schema(simhash.EDGES))
 
 
-def distinct_documents(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", most: int = 6, cell_nodes: int = CELL_NODES, cell_shingles: int = CELL_SHINGLES) -> DataFrame:
+def groups(docs: DataFrame, made: DataFrame, nodes: DataFrame, most: int, hubs: int = HUBS, slice_nodes: int = SLICE) -> DataFrame:
+    """(node, root) of every node that a true link joins to another."""
+    keys = pivot_keys(made, most).withColumn("exact", F.lit(False)).unionByName(shingle_keys(docs).withColumn("exact", F.lit(True)))
+    live, links = several(common.stage(keys.join(nodes.select("node", "size"), "node"), "keys")), None
+    for turn in range(hubs):
+        found = true_links(docs, plausible(hub_pairs(live, turn), nodes), nodes)
+        links = found if links is None else common.stage(links.unionByName(found), "links")
+        live = several(live.drop("top"), components(links))
+    found = true_links(docs, common.stage(cell_pairs(live.where("exact"), nodes, slice_nodes), "pairs"), nodes)
+    return components(common.stage(links.unionByName(found), "links"))
+
+
+def distinct_documents(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", most: int = 6, hubs: int = HUBS, slice_nodes: int = SLICE) -> DataFrame:
     """One row of ``docs`` for each component of true links, with all its columns: the one of least id (rows without id last)."""
     own = common.own_columns(docs, doc_id=doc_id, text=text).withColumns({"doc_id": F.col("doc_id").cast("long"), "mark": common.mark(F.col("text"))})
     made = common.stage(_made(own), "made")
     order = F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "mark")
-    nodes = common.stage(made.groupBy("node").agg(F.min(order).alias("top"), F.first("size").alias("size")), "nodes")
-    buckets = pivot_buckets(made, most).unionByName(shingle_buckets(own))
-    joined = components(bucket_links(own, buckets, nodes, cell_nodes, cell_shingles))
+    nodes = common.stage(made.groupBy("node").agg(F.min(order).alias("top"), F.first("size").alias("size"), F.first("bins").alias("bins")), "nodes")
+    joined = groups(own, made, nodes, most, hubs, slice_nodes)
     rooted = nodes.join(joined, "node", "left").select("top", F.coalesce("root", "node").alias("root"))
     tops = rooted.groupBy("root").agg(F.min("top").alias("top"))
     return common.keep_rows(docs, tops.select("top.doc_id", "top.mark"), made, doc_id, text)

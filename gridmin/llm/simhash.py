@@ -3,9 +3,9 @@
 A fingerprint is the bitwise majority of its shingles' XXH64 values. Fingerprints within ``most`` bits are linked. Equal
 fingerprints become one node first. Nodes that agree on one of most + 1 blocks of bits meet in a bucket (two
 fingerprints within ``most`` bits agree on at least one block). Inside a bucket each node's distances to fixed
-reference fingerprints are tabled; by the triangle inequality a linked pair differs by at most ``most`` in every
-coordinate, so the bucket is swept in order of the first coordinate, pairs with a larger difference in any coordinate go,
-and only the survivors are compared. A bucket above ``most_nodes`` is split again over blocks of its remaining bits; as
+reference fingerprints, computed once for all of its buckets, form a row of the table; by the triangle inequality a linked pair
+differs by at most ``most`` in every coordinate, so a bucket is swept in order of the first coordinate, pairs with a
+larger difference in any coordinate go, and only the survivors are compared. A bucket above ``most_nodes`` is split again over blocks of its remaining bits; as
 nodes are distinct, a few splits leave no large bucket. Each bucket emits a spanning forest of its links, so the output
 is linear in the nodes whatever the group sizes.
 
@@ -20,7 +20,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -84,9 +84,23 @@ def _signed(x: int) -> int:
     return x - (1 << 64) if x >> 63 else x
 
 
-def forest(fps: np.ndarray, most: int, refs: np.ndarray, rows: int = 256) -> list[tuple[int, int]]:
-    """Indices of links that span every component among ``fps`` (distinct, unsigned)."""
-    table = np.bitwise_count(fps[:, None] ^ refs[None, :]).astype(np.int8)
+def pivot_table(fp: Column, refs: np.ndarray) -> Column:
+    """Distances of a fingerprint to the references."""
+    return F.array(*[F.bit_count(fp.bitwiseXOR(F.lit(_signed(int(r))))).cast("tinyint") for r in refs])
+
+
+def distances(fps: np.ndarray, refs: np.ndarray) -> np.ndarray:
+    return np.bitwise_count(fps[:, None] ^ refs[None, :]).astype(np.int8)
+
+
+def survivors(table: np.ndarray, most: int) -> int:
+    """How many pairs of a bucket no coordinate discards (all pairs are looked at: for tests and tuning)."""
+    near = np.abs(table[:, None, :].astype(np.int16) - table[None, :, :]).max(2) <= most
+    return int(np.triu(near, 1).sum())
+
+
+def forest(fps: np.ndarray, most: int, table: np.ndarray, rows: int = 256) -> list[tuple[int, int]]:
+    """Indices of links that span every component among ``fps`` (distinct, unsigned); ``table``: their distances to the references."""
     by = np.argsort(table[:, 0], kind="stable")
     fps, table = fps[by], table[by]
     n, first = len(fps), table[:, 0]
@@ -95,13 +109,13 @@ def forest(fps: np.ndarray, most: int, refs: np.ndarray, rows: int = 256) -> lis
         upto = min(n, at + rows)
         end = int(np.searchsorted(first, first[upto - 1] + most, "right"))
         near = np.ones((upto - at, end - at), bool)
-        for k in range(min(4, len(refs))):  # the first coordinates over whole tiles, the others over what is left
+        for k in range(min(4, table.shape[1])):  # the first coordinates over whole tiles, the others over what is left
             near &= np.abs(table[at:upto, None, k] - table[None, at:end, k]) <= most
         i, j = np.nonzero(near)
         i, j = i[i < j] + at, j[i < j] + at
         keep = label[i] != label[j]
         i, j = i[keep], j[keep]
-        for k in range(4, len(refs)):
+        for k in range(4, table.shape[1]):
             keep = np.abs(table[i, k] - table[j, k]) <= most
             i, j = i[keep], j[keep]
         keep = np.bitwise_count(fps[i] ^ fps[j]) <= most
@@ -130,24 +144,22 @@ def forest(fps: np.ndarray, most: int, refs: np.ndarray, rows: int = 256) -> lis
 
 def links(nodes: DataFrame, most: int = 2, most_nodes: int = MOST_NODES) -> DataFrame:
     """Staged (a, b) links whose closure joins exactly the nodes (column ``fp``, distinct) within ``most`` bits, step by step."""
-    masks, found = blocks(0, most + 1), []
-    rows = nodes.select("fp", F.explode(F.array(*[F.struct(F.lit(k).alias("m"), F.col("fp").bitwiseAND(F.lit(_signed(m))).alias("key")) for k, m in enumerate(masks)])).alias("x")).select("fp", "x.m", "x.key")
+    spark, width, found = nodes.sparkSession, most + 1, []
+    first = F.array(*[F.struct(F.lit(m).alias("m"), F.col("fp").bitwiseAND(F.lit(m)).alias("key")) for m in map(_signed, blocks(0, width))])
+    rows = nodes.select("fp", pivot_table(F.col("fp"), pivots()).alias("at")).select("fp", "at", F.explode(first).alias("x")).select("fp", "at", "x.m", "x.key")
     while True:
         counts = rows.groupBy("m", "key").agg(F.count("*").alias("n"))
         hot = common.stage(counts.where(F.col("n") > most_nodes).select(F.col("m").alias("hm"), F.col("key").alias("hk")), "hot")
         on = (F.col("m") == F.col("hm")) & (F.col("key") == F.col("hk"))
-        more = not hot.isEmpty()
-        calm = rows.join(hot, on, "left_anti") if more else rows
-        buckets = calm.groupBy("m", "key").agg(F.collect_list("fp").alias("fps")).where(F.size("fps") > 1)
-        found.append(map_arrow(buckets.select("fps"), _bucket_links(most), EDGES))
-        if not more:
+        masks = [r["hm"] for r in hot.select("hm").distinct().collect()]  # bit masks, at most width to the number of splits
+        calm = rows.join(hot, on, "left_anti") if masks else rows
+        buckets = calm.groupBy("m", "key").agg(F.collect_list(F.struct("fp", "at")).alias("each")).where(F.size("each") > 1)
+        found.append(map_arrow(buckets.select("each"), _bucket_links(most), EDGES))
+        if not masks:
             break
-        inner = [b for m in masks for b in blocks(m, most + 1)]
-        width = most + 1
-        child = F.array(*[F.lit(_signed(m)) for m in inner])
-        step = F.col("m") * width + F.col("c")
-        rows = rows.join(hot, on, "left_semi").withColumn("c", F.explode(F.sequence(F.lit(0), F.lit(width - 1)))).select("fp", step.alias("m"), F.col("fp").bitwiseAND(F.element_at(child, (step + 1).cast("int"))).alias("key"))
-        rows, masks = common.stage(rows, "split"), inner
+        inner = spark.createDataFrame([(m, _signed(c)) for m in masks for c in blocks(m & (1 << 64) - 1, width)], "pm long, cm long")
+        split = rows.join(hot, on, "left_semi").join(F.broadcast(inner), F.col("m") == F.col("pm"))
+        rows = common.stage(split.select("fp", "at", F.col("cm").alias("m"), F.col("fp").bitwiseAND(F.col("cm")).alias("key")), "split")
     out = found[0]
     for f in found[1:]:
         out = out.unionByName(f)
@@ -156,13 +168,14 @@ def links(nodes: DataFrame, most: int = 2, most_nodes: int = MOST_NODES) -> Data
 
 def _bucket_links(most: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        out, refs = common.arrow_schema(EDGES), pivots()
+        out = common.arrow_schema(EDGES)
 
         def rows() -> Iterator[tuple]:
             for b in batches:
-                for fps in common.column_of(b, "fps"):
-                    got = fps.values.to_numpy()
-                    for i, j in forest(got.view(np.uint64), most, refs):
+                for each in common.column_of(b, "each"):
+                    got = each.values.field("fp").to_numpy()
+                    table = each.values.field("at").flatten().to_numpy().reshape(len(got), -1)
+                    for i, j in forest(got.view(np.uint64), most, table):
                         yield min(got[i], got[j]), max(got[i], got[j])
 
         yield from common.to_batches(rows(), out)
