@@ -1,10 +1,11 @@
 """Harmonic packing of token sequences.
 
 A piece whose length lies in (C/(j+1), C/j] belongs to class j; a bin of class j takes exactly j pieces. Each worker packs
-the rows of its partition alone, in one pass: no exchange, and memory for a fixed number of open bins. Full bins
-leave gaps; short pieces (class K and beyond) and, while many gaps are open, whatever comes next are cut to
-fill them exactly. At the end of a partition the bins still held are laid out anew, end to end, and the rest below
-C is cut at powers of two.
+the rows of its partition alone, in one pass: no exchange, and memory for a fixed number of bins. Every piece of classes 1 to
+K - 1 goes to a bin of its class. Full bins leave gaps; the short pieces of class K and beyond are cut to fill them
+exactly. Where short pieces are too few for that, gaps are settled: each time ``GAPS`` bins wait, and at the end of the partition, the
+emptiest are taken apart and their pieces fill the others. What is left at the end, less than C and the unfinished bins, is
+cut at powers of two. ``filler`` marks the pieces that fill gaps; all others lie in the bin of their class.
 
 Null or empty text: a document of the end id alone. Null ids, ties and repeated rows: each row is packed as its own
 document under the id it has. Empty table: no rows. Extra columns are ignored.
@@ -28,34 +29,35 @@ from gridmin.session import map_arrow
 SCHEMA = T.StructType([
     T.StructField("doc_id", T.LongType()), T.StructField("start", T.LongType()), T.StructField("length", T.LongType()),
     T.StructField("ids_crc32", T.LongType()), T.StructField("doc_tokens", T.LongType()), T.StructField("sequence_id", T.LongType()),
-    T.StructField("offset", T.LongType()), T.StructField("sequence_tokens", T.LongType()), T.StructField("class", T.IntegerType()),
+    T.StructField("offset", T.LongType()), T.StructField("sequence_tokens", T.LongType()), T.StructField("class", T.IntegerType()), T.StructField("filler", T.BooleanType()),
 ])
+#: Bins with a gap that a worker holds at most; at C = 4096 they take 16 MB.
+GAPS = 1024
 
 
 class Packer:
     """Streaming packer of one partition. ``put`` and ``finish`` yield finished pieces.
 
-    A piece is (doc_id, start, ids bytes, doc_tokens); a finished one adds (sequence, offset, sequence total, class).
+    A piece is (doc_id, start, ids bytes, doc_tokens, filler); a finished one adds (sequence, offset, sequence total, class).
     """
 
-    def __init__(self, first: int, capacity: int = 4096, classes: int = 8, gaps: int = 64):
+    def __init__(self, first: int, capacity: int = 4096, classes: int = 8, gaps: int = GAPS):
         self.capacity, self.classes, self.most_gaps = capacity, classes, gaps
         self.next = first
         self.open: dict[int, list[tuple]] = {}
         self.gaps: deque[tuple[int, list[tuple], int]] = deque()  # class, pieces, tokens used
-        self.missing = 0
 
     def put(self, doc_id, ids: bytes) -> Iterator[tuple]:
         c, total = self.capacity, len(ids) // 4
         at = 0
         while total - at >= c:
-            yield from self._close(1, [(doc_id, at, ids[at * 4:(at + c) * 4], total)])
+            yield from self._close(1, [(doc_id, at, ids[at * 4:(at + c) * 4], total, False)])
             at += c
         if at == total:
             return
-        rest = (doc_id, at, ids[at * 4:], total)
+        rest = (doc_id, at, ids[at * 4:], total, False)
         j = c // (total - at)
-        if j >= self.classes or len(self.gaps) >= self.most_gaps or self.missing >= self.most_gaps * c // 4:
+        if j >= self.classes:
             yield from self._pour(rest)
             return
         held = self.open.setdefault(j, [])
@@ -67,41 +69,51 @@ class Packer:
                 yield from self._close(j, held)
             else:
                 self.gaps.append((j, held, used))
-                self.missing += c - used
+                if len(self.gaps) >= self.most_gaps:
+                    yield from self._settle(self.most_gaps // 2)
 
     def _pour(self, piece: tuple) -> Iterator[tuple]:
-        doc_id, start, ids, total = piece
+        doc_id, start, ids, total, _ = piece
         while ids:
             if not self.gaps:
                 self.gaps.append((self.classes, [], 0))
-                self.missing += self.capacity
             j, held, used = self.gaps.popleft()
             n = min(self.capacity - used, len(ids) // 4)
-            held.append((doc_id, start, ids[:n * 4], total))
+            held.append((doc_id, start, ids[:n * 4], total, True))
             start, ids, used = start + n, ids[n * 4:], used + n
-            self.missing -= n
             if used == self.capacity:
                 yield from self._close(j, held)
             else:
                 self.gaps.appendleft((j, held, used))
 
+    def _settle(self, upto: int) -> Iterator[tuple]:
+        """Takes the emptiest bins apart until ``upto`` are left; their pieces fill the fullest first."""
+        self.gaps = deque(sorted(self.gaps, key=lambda g: -g[2]))
+        while len(self.gaps) > upto:
+            for piece in self.gaps.pop()[1]:
+                yield from self._pour(piece)
+
     def _close(self, j: int, pieces: list[tuple]) -> Iterator[tuple]:
         total, at = sum(len(p[2]) for p in pieces) // 4, 0
-        for doc_id, start, ids, doc in pieces:
-            yield doc_id, start, ids, doc, self.next, at, total, j
+        for doc_id, start, ids, doc, filler in pieces:
+            yield doc_id, start, ids, doc, filler, self.next, at, total, j
             at += len(ids) // 4
         self.next += 1
 
     def finish(self) -> Iterator[tuple]:
-        held = [p for _, pieces, _ in self.gaps for p in pieces] + [p for _, pieces in sorted(self.open.items()) for p in pieces]
+        yield from self._settle(1)
+        for _, pieces in sorted(self.open.items()):
+            for piece in pieces:
+                yield from self._pour(piece)
+        held = [p for _, pieces, _ in self.gaps for p in pieces]
         self.gaps.clear()
         self.open.clear()
         left, now, size = sum(len(p[2]) for p in held) // 4, [], 0
         want = self._next_size(left)
-        for doc_id, start, ids, doc in held:
+        for doc_id, start, ids, doc, _ in held:
             while ids:
                 n = min(want - size, len(ids) // 4)
-                now.append((doc_id, start, ids[:n * 4], doc))
+                now.append((doc_id, start, ids[:n * 4], doc, True))
                 start, ids, size = start + n, ids[n * 4:], size + n
                 if size == want:
                     yield from self._close(0, now)
@@ -135,7 +147,7 @@ def pack(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", tokenizer:
                     yield from packer.put(key, encoder.wide(ids) + end)
             yield from packer.finish()
 
-        pieces = ((d, s, len(i) // 4, zlib.crc32(i), n, q, o, t, j, *([i] if with_ids else [])) for d, s, i, n, q, o, t, j in rows())
+        pieces = ((d, s, len(i) // 4, zlib.crc32(i), n, q, o, t, j, f, *([i] if with_ids else [])) for d, s, i, n, f, q, o, t, j in rows())
         yield from common.to_batches(pieces, out, 1024 if with_ids else 8192)
 
     return map_arrow(own, run, schema)

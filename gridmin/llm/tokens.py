@@ -9,9 +9,10 @@ from __future__ import annotations
 
 import json
 import os
+import re
 import unicodedata
 from collections.abc import Iterable, Iterator
-from itertools import islice
+from itertools import compress, islice
 
 import numpy as np
 import pyarrow as pa
@@ -22,7 +23,10 @@ from pyspark.sql import SparkSession
 from gridmin.llm import common
 
 END_ID = 2
+#: Bytes of text that are split at once.
+RUN = 16 << 20
 _TAIL = ".,;:!?*#$%&|"
+_BLANK = re.compile(rb"[ \t\n\x0b\x0c\r]")
 _ENCODERS: dict[str, "ChunkEncoder"] = {}
 
 
@@ -36,6 +40,21 @@ def tokenizer_json(spark: SparkSession, path: str | None = None) -> Broadcast:
         return spark.sparkContext.broadcast(f.read())
 
 
+def listed(column: pa.Array) -> list[bytes]:
+    """The texts of a column without nulls as bytes."""
+    return column.cast(pa.large_binary()).to_numpy(zero_copy_only=False).tolist()
+
+
+def runs(text: bytes, size: int) -> Iterator[bytes]:
+    """The text in runs of at least ``size`` bytes (but the last) that end before an ASCII blank."""
+    at = 0
+    while at < len(text):
+        end = _BLANK.search(text, at + size)
+        upto = end.start() if end else len(text)
+        yield text[at:upto]
+        at = upto
+
+
 class ChunkEncoder:
     """bytes of a text -> its ids as bytes of numpy type ``width``: unsigned 16-bit where the vocabulary allows, else 32-bit."""
 
@@ -64,21 +83,31 @@ class ChunkEncoder:
         return _ENCODERS[key]
 
     def encode(self, texts: Iterable[bytes], step: int = 2048) -> Iterable[bytes]:
-        """Ids of each text, in order; ``step`` texts are split, and their different chunks looked up, together."""
+        """Ids of each text, in order; ``step`` texts are taken at a time."""
         texts = iter(texts)
         while part := list(islice(texts, step)):
-            yield from self._encode_part(pa.array(part, pa.large_binary()).cast(pa.large_string()))
+            yield from self.encode_column(pa.array(part, pa.large_binary()).cast(pa.large_string()))
 
-    def encode_column(self, column: pa.Array, step: int = 2048) -> Iterator[bytes]:
-        """The same for a text column; null counts as empty."""
+    def encode_column(self, column: pa.Array, rows: int = 8192, size: int = RUN) -> Iterator[bytes]:
+        """Ids of each text of a column; null counts as empty. Up to ``rows`` texts or ``size`` bytes are split, and their different
+        chunks looked up, together. A longer text goes in runs of about ``size`` bytes that end at a blank."""
         column = pc.fill_null(column.cast(pa.large_string()), "")
-        for at in range(0, len(column), step):
-            yield from self._encode_part(column.slice(at, step))
+        ends = np.cumsum(pc.binary_length(column).to_numpy())
+        at = 0
+        while at < len(column):
+            before = int(ends[at - 1]) if at else 0
+            upto = min(at + rows, int(np.searchsorted(ends, before + size, "right")))
+            if upto > at:
+                yield from self._encode_part(column.slice(at, upto - at))
+                at = upto
+            else:
+                yield b"".join(ids for run in runs(column[at].as_buffer().to_pybytes(), size) for ids in self._encode_part(pa.array([run], pa.large_binary()).cast(pa.large_string())))
+                at += 1
 
     def _encode_part(self, texts: pa.Array) -> Iterator[bytes]:
         chunks = pc.ascii_split_whitespace(texts)
         coded = chunks.flatten().dictionary_encode()
-        names = coded.dictionary.cast(pa.large_binary()).to_pylist()
+        names = listed(coded.dictionary)
         if len(self.known) > self.limit:
             self.known = {}
         ids = list(map(self.known.get, names))
@@ -123,25 +152,23 @@ class ChunkEncoder:
 
     def _learn(self, new: list[bytes], texts: pa.Array) -> None:
         """Chunks of letters and a tail of plain signs are put together from both; all others are encoded alone."""
-        known, odd, stems, tails = self.known, [], {}, self.tails
+        known, tails = self.known, self.tails
         heads = pc.utf8_rtrim(texts, characters=_TAIL)
-        letters = pc.utf8_is_alpha(heads).to_pylist()
-        for chunk, stem, plain in zip(new, heads.cast(pa.large_binary()).to_pylist(), letters):
-            if not plain:
-                odd.append(chunk)
-            elif len(stem) == len(chunk):
-                stems.setdefault(stem, [])
-            elif (ids := known.get(stem)) is not None:
-                known[chunk] = ids + tails[chunk[len(stem):]]
-            else:
-                stems.setdefault(stem, []).append(chunk[len(stem):])
-        fresh = list(stems)
+        letters = pc.utf8_is_alpha(heads).to_numpy(zero_copy_only=False)
+        stems = heads.filter(pa.array(letters)).dictionary_encode()
+        names, chunks = listed(stems.dictionary), list(compress(new, letters))
+        ids = list(map(known.get, names))
+        fresh = [k for k, i in enumerate(ids) if i is None]
         for at in range(0, len(fresh), 2048):
             part = fresh[at:at + 2048]
-            for stem, ids in zip(part, self._joined(part)):
-                known[stem] = ids
-                for tail in stems[stem]:
-                    known[stem + tail] = ids + tails[tail]
+            for k, i in zip(part, self._joined([names[k] for k in part])):
+                ids[k] = i
+        known.update(zip(names, ids))
+        size = pc.binary_length(heads).to_numpy()[letters]
+        whole = list(map(ids.__getitem__, stems.indices.to_pylist()))
+        signs = [c[n:] for c, n in zip(chunks, size.tolist())]
+        known.update(zip(chunks, map(bytes.__add__, whole, map(tails.__getitem__, signs))))
+        odd = list(compress(new, ~letters))
         known.update(zip(odd, self._alone([c.decode() for c in odd])))
 
     def _joined(self, words: list[bytes]) -> list[bytes]:
@@ -177,9 +204,11 @@ class _Tails(dict):
     def __init__(self, encoder: ChunkEncoder):
         super().__init__()
         self.encoder = encoder
+        self[b""] = b""
 
     def __missing__(self, tail: bytes) -> bytes:
         if len(self) > 100_000:
             self.clear()
+            self[b""] = b""
         ids = self[tail] = self.encoder._alone([tail.decode()])[0]
         return ids
