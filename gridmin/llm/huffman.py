@@ -36,8 +36,7 @@ BLOCKS = T.StructType([
     T.StructField("symbols", T.LongType()), T.StructField("bits", T.LongType()), T.StructField("strides", T.ArrayType(T.IntegerType())),
     T.StructField("payload", T.BinaryType()),
 ])
-IDS = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("ids", T.BinaryType()), T.StructField("tie", T.LongType()), T.StructField("kind", T.IntegerType())])
-DOCUMENT, COUNTS = 0, 1
+IDS = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("ids", T.BinaryType()), T.StructField("tie", T.LongType()), T.StructField("counts", T.BinaryType())])
 DECODED = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("start", T.LongType()), T.StructField("n_tokens", T.LongType()), T.StructField("ids_crc32", T.LongType())])
 
 
@@ -131,8 +130,8 @@ class Codec:
 
 
 def encode_ids(docs: DataFrame, doc_id: str, text: str, tokenizer: str | None, end_id: int = tokens.END_ID) -> DataFrame:
-    """doc_id, ids (unsigned 16-bit where the vocabulary allows, else 32-bit), a hash to order equal ids, and the row's kind:
-    a document, or a task's counts of all ids as signed 64-bit numbers."""
+    """doc_id, ids (unsigned 16-bit where the vocabulary allows, else 32-bit) and a hash to order equal ids. Each task adds a row
+    with nothing but its counts of all ids, as signed 64-bit numbers: a column of its own, so reading it leaves the ids alone."""
     shared = tokens.tokenizer_json(docs.sparkSession, tokenizer)
     own = common.own_columns(docs, doc_id=doc_id, text=text).withColumn("doc_id", F.col("doc_id").cast("long"))
 
@@ -144,12 +143,12 @@ def encode_ids(docs: DataFrame, doc_id: str, text: str, tokenizer: str | None, e
         def rows() -> Iterator[tuple]:
             for b in batches:
                 for k, ids in zip(common.column_of(b, "doc_id").to_pylist(), encoder.encode_column(common.column_of(b, "text")), strict=True):
-                    yield k, ids + end, zlib.crc32(ids), DOCUMENT
+                    yield k, ids + end, zlib.crc32(ids), None
 
         for made in common.to_batches(rows(), out, 1024):
             counts += np.bincount(np.frombuffer(made.column(1).buffers()[2], width), minlength=len(counts))
             yield made
-        yield from common.to_batches([(None, counts.tobytes(), 0, COUNTS)], out)
+        yield from common.to_batches([(None, None, None, counts.tobytes())], out)
 
     return map_arrow(own, run, IDS)
 
@@ -160,16 +159,17 @@ def _counts(staged: DataFrame) -> np.ndarray:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(0, np.int64)
         for b in batches:
-            for raw in common.column_of(b, "ids").to_pylist():
+            for raw in common.column_of(b, "counts").to_pylist():
                 c = np.frombuffer(raw, np.int64)
                 total = c + total if len(total) else c
         if len(total):
-            yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()])], names=["ids"])
+            yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()])], names=["counts"])
 
-    rows = map_arrow(staged.where(F.col("kind") == COUNTS).select("ids"), run, "ids binary")
-    fewer = map_arrow(rows.repartition(8), run, "ids binary").coalesce(1)
-    got = map_arrow(fewer, run, "ids binary").collect()  # one row of a number for each id of the vocabulary
-    return np.frombuffer(got[0]["ids"], np.int64) if got else np.zeros(0, np.int64)
+    rows = map_arrow(staged.select("counts").where(F.col("counts").isNotNull()), run, "counts binary")
+    some = max(1, int(int(staged.sparkSession.conf.get("spark.sql.shuffle.partitions")) ** 0.5))
+    fewer = map_arrow(rows.repartition(some), run, "counts binary").coalesce(1)
+    got = map_arrow(fewer, run, "counts binary").collect()  # one row of a number for each id of the vocabulary
+    return np.frombuffer(got[0]["counts"], np.int64) if got else np.zeros(0, np.int64)
 
 
 def write_files(docs: DataFrame, path: str, doc_id: str = "doc_id", text: str = "text", tokenizer: str | None = None,
@@ -187,7 +187,7 @@ def write_files(docs: DataFrame, path: str, doc_id: str = "doc_id", text: str =
     header = spark.createDataFrame([(int(s), int(n)) for s, n in zip(symbols, lengths)], "symbol long, bits int")
     header.coalesce(1).write.parquet(f"{path}/header")
     parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    ordered = staged.where(F.col("kind") == DOCUMENT).repartitionByRange(parts, F.col("doc_id").asc_nulls_first(), "tie").sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "tie")
+    ordered = staged.where(F.col("ids").isNotNull()).select("doc_id", "ids", "tie").repartitionByRange(parts, F.col("doc_id").asc_nulls_first(), "tie").sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "tie")
     code = spark.sparkContext.broadcast((symbols, lengths))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
