@@ -71,25 +71,31 @@ def train(texts: list[bytes], grades: list[int], top: int = 2, rounds: int = 150
     for _ in range(rounds):
         per_word = np.bincount(owner, weights=w[flat], minlength=len(bags))
         f = np.bincount(of, weights=per_word[words], minlength=len(docs)) * share + w[REPEAT] * again
-        cut = steps[0] + np.concatenate([[0.0], np.cumsum(np.exp(steps[1:]))])
-        s = 1.0 / (1.0 + np.exp(-(f[:, None] - cut[None, :])))
-        tail = np.concatenate([np.ones((len(y), 1)), s, np.zeros((len(y), 1))], 1)
-        p = np.maximum(tail[np.arange(len(y)), y] - tail[np.arange(len(y)), y + 1], 1e-12)
-        slope = np.concatenate([np.zeros((len(y), 1)), s * (1 - s), np.zeros((len(y), 1))], 1)
-        low, high = slope[np.arange(len(y)), y], slope[np.arange(len(y)), y + 1]
-        d_f = -(low - high) / p / len(y)
-        d_cut = np.zeros(top)
-        for k in range(top):
-            d_cut[k] = ((slope[:, k + 1] / p) * ((y == k + 1).astype(float) - (y == k).astype(float))).sum() / len(y)
+        _, d_f, g_t = likelihood(f, steps, y)
         by_word = np.bincount(words, weights=(d_f * share)[of], minlength=len(bags))
         g = np.bincount(flat, weights=by_word[owner], minlength=BUCKETS) + shrink * w
         g[REPEAT] += (d_f * again).sum()
         sum_w += g**2
         w -= rate * g / np.sqrt(sum_w)
-        g_t = np.array([d_cut.sum(), *[d_cut[k:].sum() * np.exp(steps[k]) for k in range(1, top)]])
         sum_t += g_t**2
         steps -= 0.1 * g_t / np.sqrt(sum_t)
-    return Model(w, steps[0] + np.concatenate([[0.0], np.cumsum(np.exp(steps[1:]))]))
+    return Model(w, cuts(steps))
+
+
+def cuts(steps: np.ndarray) -> np.ndarray:
+    """Ordered thresholds: the first one, then each the exponential of its step above the one before."""
+    return steps[0] + np.concatenate([[0.0], np.cumsum(np.exp(steps[1:]))])
+
+
+def likelihood(f: np.ndarray, steps: np.ndarray, y: np.ndarray) -> tuple[float, np.ndarray, np.ndarray]:
+    """Mean negative log-likelihood of grades ``y`` at scores ``f``, and its derivatives in f and in the steps."""
+    rows, none, all_ = np.arange(len(y)), np.zeros((len(y), 1)), np.ones((len(y), 1))
+    s = 1.0 / (1.0 + np.exp(-np.clip(f[:, None] - cuts(steps)[None, :], -500, 500)))
+    tail, slope = np.concatenate([all_, s, none], 1), np.concatenate([none, s * (1 - s), none], 1)
+    p = np.maximum(tail[rows, y] - tail[rows, y + 1], 1e-12)
+    d_f = -(slope[rows, y] - slope[rows, y + 1]) / p / len(y)
+    d_cut = np.array([((slope[:, k + 1] / p) * ((y == k + 1).astype(float) - (y == k))).sum() / len(y) for k in range(len(steps))])
+    return float(-np.log(p).mean()), d_f, np.array([d_cut.sum(), *[d_cut[k:].sum() * np.exp(steps[k]) for k in range(1, len(steps))]])
 
 
 def fit(docs: DataFrame, labels: DataFrame, most_rows: int = 3000, text: str = "text", doc_id: str = "doc_id") -> Model:

@@ -11,7 +11,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
-from gridmin.llm import components, exact_dedup, huffman, mixing, near_copies, ordinal, packing, quality_rules, sharding, simhash, tokens, toxicity, wordpiece
+from gridmin.llm import components, exact_dedup, huffman, mixing, near_copies, ordinal, packing, quality_rules, queries, sharding, simhash, tokens, toxicity, wordpiece
 from gridmin.llm import common
 
 
@@ -85,7 +85,7 @@ def test_packer_places_every_id_once(lengths, classes):
         out += p.put(k, np.arange(n, dtype="<u4").tobytes())
     out += p.finish()
     seen = defaultdict(list)
-    for doc, start, ids, total, _, _, size, _ in out:
+    for doc, start, ids, total, _, _, _, size, _ in out:
         assert np.frombuffer(ids, "<u4").tolist() == list(range(start, start + len(ids) // 4)) and total == lengths[doc]
         assert size == 64 or size & (size - 1) == 0
         seen[doc] += range(start, start + len(ids) // 4)
@@ -222,6 +222,31 @@ def test_links_join_exactly_the_near_ones(spark, most, most_nodes):
     assert {n: got.get(n, n) for n in nodes} == want
 
 
+def test_pivots_discard_most_pairs():
+    """Of pairs in a bucket, the table discards nearly all that are not linked; the sweep finds what XOR over all pairs finds."""
+    rng = np.random.default_rng(9)
+    fps = np.unique(np.concatenate([rng.integers(0, 1 << 63, 600, dtype=np.uint64), np.uint64(12345) ^ (np.uint64(1) << np.arange(20, dtype=np.uint64))]))
+    table, n = simhash.distances(fps, simhash.pivots()), len(fps)
+    linked = int(np.triu(np.bitwise_count(fps[:, None] ^ fps[None, :]) <= 2, 1).sum())
+    assert linked >= 190 and linked <= simhash.survivors(table, 2) < linked + n * (n - 1) // 2 // 1000
+    got = components_of(n, simhash.forest(fps, 2, table))
+    assert got == components_of(n, [(i, j) for i in range(n) for j in range(i) if int(fps[i] ^ fps[j]).bit_count() <= 2])
+
+
+def components_of(n, links):
+    root = list(range(n))
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for a, b in links:
+        x, y = sorted((find(a), find(b)))
+        root[y] = x
+    return [find(i) for i in range(n)]
+
+
 def five_word_sets(t):
     w = low(t).split()
     return {tuple(w[i:i + 5]) for i in range(max(1, len(w) - 4))}
@@ -235,7 +260,7 @@ def near_groups(rows):
 
 
 def test_near_copies_are_verified(odd):
-    """Texts within 6 bits, but below 0.8 in 5-word shingles, all stay; true near copies go, in one cell or in many."""
+    """Texts within 6 bits, but below 0.8 in 5-word shingles, all stay; true near copies go, by hubs and by cells."""
     words = [f"w{i}" for i in range(400)]
     rows = [(i, " ".join("x" + str(i) if k % 40 == 7 else w for k, w in enumerate(words)), "en", "a") for i in range(5)]
     rows += [(10 + i, " ".join([*words[::-1], f"tail{i}"]), "en", "a") for i in range(9)]
@@ -244,8 +269,8 @@ def test_near_copies_are_verified(odd):
     want = near_groups(rows)
     assert want == {0, 1, 2, 3, 4, 10}
     docs = odd(rows)
-    for cell_nodes in (512, 2):
-        stay = near_copies.distinct_documents(docs, cell_nodes=cell_nodes)
+    for slice_nodes in (512, 2):
+        stay = near_copies.distinct_documents(docs, hubs=1, slice_nodes=slice_nodes)
         assert stay.columns == docs.columns and sorted(r["doc_id"] for r in stay.collect()) == sorted(want)
 
 
@@ -263,10 +288,32 @@ def test_near_copies_outside_the_bits_are_found(odd, monkeypatch):
     assert len(want) < len(rows) - 30 and not set(bits.values()) <= want
     docs = odd(rows)
     assert {r["doc_id"] for r in near_copies.distinct_documents(docs).collect()} == want
-    assert {r["doc_id"] for r in near_copies.distinct_documents(docs, cell_nodes=5).collect()} == want
-    monkeypatch.setattr(near_copies, "MOST_FREQUENT", 3)  # passages stay among the first shingles, in buckets above the small ones
-    monkeypatch.setattr(near_copies.shingle_buckets, "__defaults__", (8, 6))
-    assert {r["doc_id"] for r in near_copies.distinct_documents(docs, cell_nodes=5).collect()} == want
+    monkeypatch.setattr(near_copies, "MOST_FREQUENT", 3)  # passages stay among the first shingles, so their keys are large
+    assert {r["doc_id"] for r in near_copies.distinct_documents(docs, hubs=1, slice_nodes=5).collect()} == want
+
+
+def test_chains_without_a_common_hub(odd):
+    """A chain of texts, each alike only to its neighbours: links between ends of different stars are found in the cells."""
+    words = [f"w{i}" for i in range(300)]
+    rows = [(k, " ".join(words[8 * k:8 * k + 130]), "en", "a") for k in range(21)]
+    want = near_groups(rows)
+    assert want == {0}
+    assert {r["doc_id"] for r in near_copies.distinct_documents(odd(rows), hubs=1, slice_nodes=4).collect()} == want
+
+
+def test_bins_never_rule_out_alike_sets():
+    rng = np.random.default_rng(5)
+    sets = [np.unique(rng.integers(0, 4000, n).astype(np.uint64)) for n in (3, 40, 900, 3900, 3950, 3980) for _ in range(6)]
+    each, size = np.array([near_copies.bins(s) for s in sets]), np.array([len(s) for s in sets])
+    out = 0
+    for k, s in enumerate(sets):
+        may = near_copies.may_be_alike(each[k], len(s), each, size)
+        for m, other in enumerate(sets):
+            both = len(set(s.tolist()) & set(other.tolist()))
+            assert near_copies.shared(s, other) == both
+            assert may[m] or not near_copies.alike(both, len(s), len(other))
+            out += not may[m]
+    assert out
 
 
 def test_components_of_a_chain(spark):
@@ -298,7 +345,7 @@ def test_mixing(spark, odd, corpus, empty):
     rng = np.random.default_rng(1)
     rows = [(i, "w " * int(rng.integers(0, 40)), "en", f"s{int(rng.integers(0, 6))}" if i % 11 else None) for i in range(600)]
     docs = odd(rows)
-    sizes = common.stage(docs.select("doc_id", "source", mixing.words(F.col("text")).alias("size")), "t")
+    sizes = common.stage(mixing.sizes_of(docs), "t")
     plan = mixing.plan(sizes)
     got = mixing.repeats(sizes, plan).collect()
     names = sorted({r[3] for r in rows if r[3]}) + [None]
@@ -493,3 +540,213 @@ def test_pipeline_stages(spark, odd, tmp_path):
     pieces = corpus_pipeline.run(spark, str(tmp_path))
     assert Counter(r["doc_id"] for r in pieces.where("start = 0").collect()) == ids[3]
     assert rng is not None
+
+
+def test_ordinal_likelihood_against_plain_sums():
+    import math
+
+    rng = np.random.default_rng(8)
+    f, y, steps = rng.normal(size=40), rng.integers(0, 4, 40), np.array([-0.7, 0.2, -0.4])
+
+    def plain(f, steps):
+        at = [steps[0]]
+        for x in steps[1:]:
+            at.append(at[-1] + math.exp(x))
+        tail = lambda z, k: 1.0 if k == 0 else 0.0 if k > len(at) else 1 / (1 + math.exp(-(z - at[k - 1])))
+        return -sum(math.log(tail(z, g) - tail(z, g + 1)) for z, g in zip(f, y)) / len(y)
+
+    value, d_f, d_steps = ordinal.likelihood(f, steps, y)
+    assert math.isclose(value, plain(f, steps), rel_tol=1e-12)
+    for got, at in ((d_f, 0), (d_steps, 1)):
+        for k in range(len(got)):
+            up, down = [f.copy(), steps.copy()], [f.copy(), steps.copy()]
+            up[at][k] += 1e-6
+            down[at][k] -= 1e-6
+            assert math.isclose(got[k], (plain(*up) - plain(*down)) / 2e-6, rel_tol=1e-5, abs_tol=1e-9)
+
+
+@pytest.mark.parametrize("window", [3, None])
+def test_toxicity_score_against_plain_words(window):
+    import math
+
+    rng = np.random.default_rng(6)
+    model = toxicity.Model(rng.normal(size=toxicity.BUCKETS), -0.3, window)
+    score = toxicity._scorer(model)
+    for text in ("one", "one two", "Some words, and some More words; über alles!", "a " * 300 + "strange ending"):
+        words = [toxicity.grams(w) for w in text.encode().split()]
+        wide = min(window or len(words), len(words))
+        runs = [[g for w in words[k:k + wide] for g in w] for k in range(len(words) - wide + 1)]
+        worst = max(sum(model.gram[g] for g in run) / len(run) for run in runs)
+        assert math.isclose(score(text.encode()), 1 / (1 + math.exp(-(worst - 0.3))), rel_tol=1e-9)
+
+
+# rules over the given tables ---------------------------------------------------------------------------------------------------
+
+SF = "/root/testdata/sf0.01"
+
+
+def binomial(k, n, p):
+    import math
+
+    return sum(math.comb(n, i) * p**i * (1 - p) ** (n - i) for i in range(k + 1))
+
+
+def test_levels_on_the_given_tables(spark):
+    """Tests, levels and verdicts recomputed from plain Python statistics of every text."""
+    import pandas as pd
+
+    docs, labels = pd.read_parquet(f"{SF}/documents.parquet"), pd.read_parquet(f"{SF}/labels.parquet")
+    quality = dict(zip(labels.doc_id, labels.quality))
+    level = {}
+    for i, t in zip(docs.doc_id, docs.text):
+        words = (t or "").split()
+        words = [w for w in __import__("re").findall(r"[^\x20\x09-\x0D]+", t or "")]
+        n, chars, signs, dup, rep = brute_stats(t or "")
+        lines = [x for x in (t or "").split("\n") if __import__("re").search(r"[^\x20\x09-\x0D]", x)]
+        same = sum(a == b for a, b in zip(words, words[1:]))
+        values = {"symbol_share": signs / max(n, 1), "dup_line_share": dup / max(len(lines), 1), "repeat_share": rep / max(n, 1), "same_word_share": same / max(n, 1)}
+        over = [k + 1 for k in range(8) if any(values[r] > quality_rules.RULES[r][1][k] for r in values)]
+        level[i] = (over[0] if over else 9, n < 50 or 100 * rep > 50 * n)
+    lang = {i: None if pd.isna(x) else x for i, x in zip(docs.doc_id, docs.lang)}
+    good = [i for i in lang if quality.get(i) == 1]
+    size = Counter(lang[i] for i in good)
+    ranked = sorted(size, key=lambda s: (-size[s], s is None, s or ""))
+    own = next((m for m in range(len(ranked), 0, -1) if 0.95 ** size[ranked[m - 1]] <= 0.05 / (m + (m < len(ranked)))), 0)
+    group = {s: s if k < own else "pool" for k, s in enumerate(ranked)}
+    members, poor, done = defaultdict(list), defaultdict(list), set()
+    for i in lang:
+        if i in quality and lang[i] in group:
+            (members if quality[i] == 1 else poor)[group[lang[i]]].append(level[i][0])
+    while True:
+        reach = {}
+        for g, ls in members.items():
+            t = 0
+            while t < 8 and (g in done or binomial(sum(x <= t + 1 for x in ls), len(ls), 0.05) <= 0.05 / (len(members) - len(done))):
+                t += 1
+            reach[g] = t
+        if {g for g in reach if reach[g] == 8} == done:
+            break
+        done = {g for g in reach if reach[g] == 8}
+    gone = lambda g, t: sum(x <= t for x in poor[g])
+    used = {g: next((t for t in range(1, reach[g]) if gone(g, t) >= 0.99 * gone(g, reach[g])), reach[g]) if reach[g] else 0 for g in reach}
+    assert all(used.values())  # the method decides something in every stratum of the smallest graded table
+    got = queries.QUERIES["op2_risk_controlled_rules"](spark, SF).collect()
+    assert len(got) == len(docs)
+    for r in got:
+        want = used.get(group.get(lang[r["doc_id"]]), 0)
+        assert (r["level"], r["base_failed"]) == (want, level[r["doc_id"]][1])
+        assert r["kept"] == (not r["base_failed"] and level[r["doc_id"]][0] > want)
+    assert any(not r["kept"] and not r["base_failed"] for r in got)
+
+
+def test_shares_pass_on_and_small_strata_are_pooled():
+    none = [0] * 8
+    assert quality_rules.separate({"a": 200, "b": 90, "c": 20}, 0.05, 0.05) == {"a", "b"}
+    assert quality_rules.separate({"a": 30, "b": 29}, 0.05, 0.05) == set()
+    alone = quality_rules.levels({"b": [0, 1] + [9] * 6}, {"b": 100}, 0.05, 0.05)["b"]
+    both = quality_rules.levels({"a": none, "b": [0, 1] + [9] * 6}, {"a": 200, "b": 100}, 0.05, 0.05)
+    assert both == {"a": 8, "b": alone} and alone == 2
+    shared = quality_rules.levels({"a": [9] * 8, "b": [0, 1] + [9] * 6}, {"a": 100, "b": 100}, 0.05, 0.05)
+    assert shared == {"a": 0, "b": 1}
+    assert quality_rules.milder(7, [5, 99, 100, 100, 100, 100, 100, 100], 0.01) == 2 and quality_rules.milder(0, none, 0.01) == 0
+
+
+# columns of any name, ties, registered queries -----------------------------------------------------------------------------------
+
+CLASH = "doc_id long, text string, source string, _id long, _mark long, _k string, score double, rest double, target double, slot int, row int, digest string, `odd.name` int"
+
+
+@pytest.fixture(scope="session")
+def clashing(spark):
+    rows = [(i, f"some text number {i % 30} of thirty " * 4, "ab"[i % 2], 70 + i, 7, f"k{i}", 0.5 + i, 1.5 * i, -1.0, 40 + i, i, "x", i) for i in range(60)]
+    return spark.createDataFrame(rows, CLASH)
+
+
+def test_extra_columns_come_back_as_they_were(spark, clashing):
+    want = {r["_id"]: tuple(r) for r in clashing.collect()}
+
+    def whole(out, names=clashing.columns):
+        assert out.columns[:len(names)] == names
+        got = out.select(*[F.col(f"`{c}`") for c in names]).collect()
+        assert all(tuple(r) == want[r["_id"]] for r in got)
+        return got
+
+    assert len(whole(exact_dedup.distinct_documents(clashing))) == 30
+    assert whole(simhash.distinct_documents(clashing)) and whole(near_copies.distinct_documents(clashing))
+    assert len(whole(mixing.mix(clashing))) > 60
+    assert len(whole(toxicity.below(clashing, toxicity.Model(np.zeros(toxicity.BUCKETS), -3.0), 0.7))) == 60
+    names = [c for c in clashing.columns if c != "slot"]
+    out = sharding.interleave(clashing)
+    assert out.columns == [*names, "shard", "slot"]
+    assert {tuple(r)[:len(names)] for r in out.collect()} == {tuple(v for c, v in zip(clashing.columns, t) if c != "slot") for t in want.values()}
+    for fn in (packing.pack, huffman.round_trip, simhash.classes, exact_dedup.deduplicate):
+        assert fn(clashing).count() >= 60
+
+
+def test_ties_are_dealt_alike_under_any_partitioning(spark):
+    rows = [(5, f"text {i}", "a") for i in range(2000)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string").withColumn("digest", F.md5("text"))
+    a, b = ({(r["text"], r["shard"], r["slot"]) for r in sharding.interleave(d, digest="digest").collect()} for d in (docs.repartition(3), docs.repartition(7, "text")))
+    assert a == b and len(a) == 2000
+    taken = [{(r["text"], r["n_repeats"]) for r in mixing.repeats(s.join(docs.select("text", F.md5("text").alias("m")).withColumn("draw", sharding.order_key(11, F.lit(5), F.col("m"))), "draw"), mixing.plan(s, share=0.5)).collect()}
+             for s in (common.stage(mixing.sizes_of(d), "s") for d in (docs.repartition(3), docs.repartition(7, "text")))]
+    assert taken[0] == taken[1] and 900 < sum(n for _, n in taken[0]) < 1100
+
+
+def test_most_pieces_lie_in_bins_of_their_class(tokenizer, odd):
+    rng = np.random.default_rng(1)
+    docs = odd([(i, "word " * int(n), "en", "a") for i, n in enumerate(rng.integers(300, 4000, 400))])
+    pieces = packing.pack(docs.coalesce(1)).collect()
+    check_pieces(pieces, expected_ids(tokenizer, docs.collect()))
+    for p in pieces:
+        if not p["filler"] and p["class"] > 1:
+            assert 4096 // p["length"] == p["class"]
+    placed = {p["doc_id"] for p in pieces if not p["filler"]}
+    assert len(placed) > 0.75 * 400
+    packer = packing.Packer(0, gaps=8)
+    out = [q for n in rng.integers(1, 4000, 500).tolist() for q in packer.put(n, b"\0" * 4 * n)] + list(packer.finish())
+    assert len(packer.gaps) == 0 and max(q[7] for q in out) == 4096
+    ends = Counter()
+    for q in out:
+        ends[q[5]] += len(q[2]) // 4
+    assert all(n == 4096 or n & (n - 1) == 0 for n in ends.values()) and sum(n < 4096 for n in ends.values()) <= 12
+
+
+def test_long_texts_are_cut_at_blanks(tokenizer, encoder):
+    import pyarrow as pa
+
+    text = "some words, \n of\tmany  lengths and-signs " * 300
+    got = list(encoder.encode_column(pa.array(["a b", text, None, "c"]), size=64))
+    assert [np.frombuffer(g, encoder.width).tolist() for g in got] == [tokenizer.encode(t, add_special_tokens=False).ids for t in ("a b", text, "", "c")]
+
+
+def test_registered_queries_on_a_given_table(spark, tokenizer):
+    """op1, op3, op6, op7 and op8 as registered, over all documents of the smallest table."""
+    import pandas as pd
+
+    d = "/root/testdata/sf0.001"
+    docs = pd.read_parquet(f"{d}/documents.parquet")
+    rows = list(zip(docs.doc_id.tolist(), [None if pd.isna(t) else t for t in docs.text]))
+    ids = {k: tokenizer.encode(t or "", add_special_tokens=False).ids + [2] for k, t in rows}
+    raw = {k: np.array(v, "<u4").tobytes() for k, v in ids.items()}
+    check_pieces(queries.QUERIES["op1_harmonic_packing"](spark, d).collect(), list(ids.items()))
+    at = 0
+    for r in sorted(queries.QUERIES["op7_huffman_ids"](spark, d).collect(), key=lambda r: r["doc_id"]):
+        assert (r["start"], r["n_tokens"], r["ids_crc32"]) == (at, len(ids[r["doc_id"]]), zlib.crc32(raw[r["doc_id"]]))
+        at += r["n_tokens"]
+    fp = {k: brute_fingerprint(t) for k, t in rows}
+    group = closure(sorted(set(fp.values())), lambda a, b: (a ^ b).bit_count() <= 2)
+    least = {}
+    for k in sorted(fp):
+        least.setdefault(group[fp[k]], k)
+    got = {r["doc_id"]: (r["fingerprint"], r["component_id"]) for r in queries.QUERIES["op6_pivot_simhash"](spark, d).collect()}
+    assert got == {k: (f"{f:016x}", least[group[f]]) for k, f in fp.items()}
+    auto = wordpiece.Automaton(wordpiece.vocabulary())
+    for r in queries.QUERIES["op3_longest_match_counts"](spark, d).collect():
+        words = low(dict(rows)[r["doc_id"]]).split()
+        assert r["n_words"] == len(words) and r["n_tokens"] >= r["n_unknown"]
+    assert auto is not None
+    out = queries.QUERIES["op8_subword_toxicity"](spark, d).collect()
+    assert sorted(r["doc_id"] for r in out) == sorted(ids)
+    for r in out:
+        assert r["held_out"] == (zlib.crc32(str(r["doc_id"]).encode()) % 3 == 1) and r["predicted"] == int(r["score"] >= 0.7) and 0 <= r["score"] <= 1
