@@ -12,7 +12,6 @@ from __future__ import annotations
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from gridmin.llm import common, exact_dedup, mixing, near_copies, packing, toxicity
 
@@ -22,7 +21,7 @@ NEAR_BITS = 6
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     model = toxicity.fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    return toxicity.with_scores(docs, model).where(F.col("score") < TOXIC).select(*docs.columns)
+    return toxicity.below(docs, model, TOXIC)
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -57,7 +56,8 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     base = f"{common.shared_dir(spark)}/pipeline-{uuid.uuid4().hex}"
     for k, (name, stage) in enumerate(STAGES):
-        out = stage(spark, docs, sf_dir)
-        out.write.parquet(f"{base}/{k}-{name}")
+        with common.scratch(spark):
+            out = stage(spark, docs, sf_dir)
+            out.write.parquet(f"{base}/{k}-{name}")
         docs = spark.read.schema(out.schema).parquet(f"{base}/{k}-{name}")
     return docs
