@@ -79,7 +79,7 @@ def train(texts: list[bytes], labels: list[int], dim: int = 8, warm: int = 15, r
     out = rng.uniform(-0.5, 0.5, (dim, 2))
     bias = np.zeros(2)
     index: dict[bytes, int] = {}
-    docs = [np.array([index.setdefault(w, len(index)) for w in t.split()], np.int64) for t in texts]
+    docs = [np.array([index.setdefault(w, len(index)) for w in t.split()], np.int32) for t in texts]
     y = np.array([v for v, d in zip(labels, docs) if len(d)], np.int64)
     docs = [d for d in docs if len(d)]
     if len(set(y.tolist())) < 2:
@@ -96,8 +96,9 @@ def train(texts: list[bytes], labels: list[int], dim: int = 8, warm: int = 15, r
     largest = 0.0
     sum_v, sum_o, sum_b = np.full(BUCKETS, 1e-8), np.full(out.shape, 1e-8), np.full(2, 1e-8)
 
-    def summed(at: np.ndarray, values: np.ndarray, n: int) -> np.ndarray:
-        return np.stack([np.bincount(at, weights=values[:, k], minlength=n) for k in range(dim)], 1)
+    def summed(at: np.ndarray, values: np.ndarray, of: np.ndarray, n: int, weight: np.ndarray | float = 1.0) -> np.ndarray:
+        """Row at[j] of the result adds up weight[j] * values[of[j]]; one dimension at a time, to hold little."""
+        return np.stack([np.bincount(at, weights=weight * values[of, k], minlength=n) for k in range(dim)], 1)
 
     place = np.zeros(len(sizes), np.int64)
 
@@ -107,9 +108,9 @@ def train(texts: list[bytes], labels: list[int], dim: int = 8, warm: int = 15, r
         used = np.flatnonzero(np.bincount(words, minlength=len(sizes)))
         place[used] = np.arange(len(used))
         n = sizes[used]
-        bag = flat[np.repeat(first[used] - np.cumsum(n) + n, n) + np.arange(n.sum())]
-        weight = (times / np.bincount(of, weights=times * sizes[words])[of])[:, None]
-        return place[words], len(used), bag, np.repeat(np.arange(len(used)), n), of, weight, owner
+        bag = flat[np.repeat((first[used] - np.cumsum(n) + n).astype(np.int32), n) + np.arange(n.sum(), dtype=np.int32)]
+        weight = times / np.bincount(of, weights=times * sizes[words])[of]
+        return place[words].astype(np.int32), len(used), bag, np.repeat(np.arange(len(used), dtype=np.int32), n), of, weight, owner
 
     def step(word: np.ndarray, used: int, bag: np.ndarray, within: np.ndarray, of: np.ndarray, weight: np.ndarray, owner: np.ndarray) -> None:
         """One step on rows as from ``laid_out``."""
@@ -117,13 +118,13 @@ def train(texts: list[bytes], labels: list[int], dim: int = 8, warm: int = 15, r
         label = y[owner]
         share = 1.0 / np.bincount(owner, minlength=len(docs))[owner]
         balance = np.where(label == 1, marked / max(1, (y == 1).sum()), (1 - marked) / max(1, (y == 0).sum())) * share
-        mean = summed(of, weight * summed(within, vectors[bag], used)[word], len(owner))
+        mean = summed(of, summed(within, vectors, bag, used), word, len(owner), weight)
         z = mean @ out + bias
         p = np.exp(z - z.max(1, keepdims=True))
         p /= p.sum(1, keepdims=True)
         err = (p - np.eye(2)[label]) * balance[:, None]
         touched = np.flatnonzero(np.bincount(bag, minlength=BUCKETS))
-        grad = summed(bag, summed(word, weight * (err @ out.T)[of], used)[within], BUCKETS)[touched]
+        grad = summed(bag, summed(word, err @ out.T, of, used, weight), within, BUCKETS)[touched]
         g_out, g_bias = mean.T @ err, err.sum(0)
         sum_v[touched] += (grad**2).mean(1)
         vectors[:] *= 1.0 - decay
@@ -135,7 +136,7 @@ def train(texts: list[bytes], labels: list[int], dim: int = 8, warm: int = 15, r
         bias = bias - rate * 0.2 * g_bias / np.sqrt(sum_b)
 
     counts = [np.unique(d, return_counts=True) for d in docs]
-    whole = laid_out(np.concatenate([c[0] for c in counts]), np.repeat(np.arange(len(docs)), [len(c[0]) for c in counts]), np.concatenate([c[1] for c in counts]), np.arange(len(docs)))
+    whole = laid_out(np.concatenate([c[0] for c in counts]), np.repeat(np.arange(len(docs), dtype=np.int32), [len(c[0]) for c in counts]), np.concatenate([c[1] for c in counts]), np.arange(len(docs)))
     for _ in range(warm if window else warm + rounds):
         step(*whole)
     for _ in range(rounds if window else 0):
