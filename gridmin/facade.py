@@ -21,7 +21,7 @@ class Estimator:
     block_size: int = 1024
     ex_parts: int = 8
     minimiser: optim.Minimiser | None = None
-    strategy: str = "stationary"
+    strategy: str | None = None
     model: Vec | None = None
     result: optim.Result | None = field(default=None, repr=False)
 
@@ -41,7 +41,7 @@ class Estimator:
         f = self._objective(cells, labels)
         self.result = (self.minimiser or optim.LimitedMemory()).run(f, self._start(features.sparkSession))
         self.model = self.result.x
-        cells.unpersist()
+        f.free()
         return self
 
     def _scores(self, features: DataFrame) -> DataFrame:

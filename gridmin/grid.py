@@ -1,8 +1,10 @@
 """The grid that joins parts of the examples with parts (blocks) of the parameters.
 
 A cell holds the sub-matrix of one example part and one feature block in compressed rows; examples without a feature in the
-block have no row there. ``attach`` brings weights to cells by one of four exchange strategies, ``choose`` picks the one
-that moves the fewest bytes, and the kernels multiply cells with what has been attached.
+block have no row there. Cells are laid out once and never move again: by (example part, block), or by block beside the
+vectors' own buckets for the stationary strategy. What moves in an evaluation are weights (or, stationary, only partial scores)
+and, on the way back, the derivatives of an example to just the cells in which it has features. ``choose`` picks the
+strategy that moves the fewest bytes.
 """
 
 from __future__ import annotations
@@ -39,11 +41,13 @@ def clean_features(features: DataFrame, length: int, on_null: str = "error", on_
 
 
 def build_cells(features: DataFrame, ex_parts: int, block_size: int) -> DataFrame:
-    """Cells from long features: one exchange, once a batch. Repeated (example, feature) rows are summed, zeros dropped."""
+    """Cells from long features, laid out by (ex_part, feat_part): one exchange of the features, once a batch, and one of the
+    finished cells. Persist the result to keep that layout. Repeated (example, feature) rows are summed, zeros dropped."""
     ship(features.sparkSession)
     block, local = layout.split(F.col("feature_id"), block_size)
     placed = features.select(example_part(F.col("example_id"), ex_parts).alias("ex_part"), block.alias("feat_part"), F.col("example_id").cast("long").alias("example_id"), local.alias("local_id"), F.col("value").cast("double").alias("value"))
-    return placed.groupBy("ex_part", "feat_part").applyInArrow(_csr, CELL)
+    n = int(features.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return placed.groupBy("ex_part", "feat_part").applyInArrow(_csr, CELL).repartition(n, "ex_part", "feat_part")
 
 
 def _csr(t: pa.Table) -> pa.Table:
@@ -56,7 +60,7 @@ def _csr(t: pa.Table) -> pa.Table:
     v, e, c = v[keep], e[keep], c[keep]
     ids, start = np.unique(e, return_index=True)
     ptr = np.append(start, len(e)).astype(np.int32)
-    one = lambda x, kind: pa.array([x.tolist()], pa.list_(kind))
+    one = lambda x, kind: pa.ListArray.from_arrays(pa.array([0, len(x)], pa.int32()), pa.array(x, kind))
     return pa.table({"ex_part": pa.array([t.column("ex_part")[0].as_py()], pa.int32()), "feat_part": pa.array([t.column("feat_part")[0].as_py()], pa.int32()),
                      "ex_ids": one(ids, pa.int64()), "indptr": one(ptr, pa.int32()), "local_ids": one(c, pa.int32()), "vals": one(v, pa.float64())})
 
@@ -78,32 +82,90 @@ class Stats:
     routes: int
     gathers: int
     executors: int = 1
+    cores: int = 1
 
 
 def stats(cells: DataFrame, w: Vec, ex_parts: int) -> Stats:
     r = cells.agg(F.sum(F.size("ex_ids")), F.sum(F.size(F.array_distinct("local_ids"))), F.countDistinct("feat_part")).first()
     executors = max(1, cells.sparkSession.sparkContext._jsc.sc().getExecutorMemoryStatus().size() - 1)
-    return Stats(w.length, w.stack, ex_parts, r[2] or 0, r[0] or 0, r[1] or 0, executors)
+    return Stats(w.length, w.stack, ex_parts, r[2] or 0, r[0] or 0, r[1] or 0, executors, cells.sparkSession.sparkContext.defaultParallelism)
 
 
 def costs(s: Stats) -> dict[str, float]:
-    """Bytes moved by one evaluation under each strategy."""
+    """Bytes moved by one evaluation under each strategy: weights, as far as they move, and, alike for all, partial scores to the
+    examples and derivatives back to the cells. Cells never move, once they are laid out."""
     row = 8 + 8 * s.k
+    both = 2.0 * s.routes * row
     return {
-        "replicate": s.ex_parts * s.e * s.k * 8.0,
-        "stationary": 2.0 * s.routes * row,
-        "gather": float(s.gathers * row),
-        "broadcast": s.e * s.k * 8.0 * s.executors if s.e * s.k * 8 <= MAX_BROADCAST else float("inf"),
+        "replicate": s.ex_parts * s.e * s.k * 8.0 + both,
+        "stationary": both,
+        "gather": s.gathers * (8.0 + row) + both,
+        "broadcast": s.e * s.k * 8.0 * s.executors + both if s.e * s.k * 8 <= MAX_BROADCAST else float("inf"),
     }
 
 
 def choose(s: Stats) -> str:
     c = costs(s)
-    return min(c, key=c.get)
-
-
-def attach(cells: DataFrame, w: Vec, strategy: str = "stationary", name: str = "w") -> DataFrame:
-    """Cells with the weight block they need as column ``name``."""
+    feasible = {k: v for k, v in c.items() if k != "stationary" or s.feat_parts >= s.cores}  # beside few blocks, few tasks would work
+    return min(feasible, key=feasible.get)
+
+
+class CellGrid:
+    """Cells, persisted by (ex_part, feat_part), with the strategy that brings weights to them (None: the cheapest, by ``choose``)."""
+
+    def __init__(self, cells: DataFrame, ex_parts: int, strategy: str | None = None):
+        self.cells, self.ex_parts, self.strategy = cells, ex_parts, strategy
+        self._by_block: dict[int, DataFrame] = {}
+        self._routes: DataFrame | None = None
+        self._chosen: dict[tuple, str] = {}
+
+    def strategy_for(self, w: Vec) -> str:
+        key = (w.length, w.stack, w.block_size)
+        if self.strategy is None and key not in self._chosen:
+            self._chosen[key] = choose(stats(self.cells, w, self.ex_parts))
+        return self.strategy or self._chosen[key]
+
+    def by_block(self, w: Vec) -> DataFrame:
+        """The cells beside the buckets of vectors laid out like ``w``; made once."""
+        n = layout.buckets(self.cells.sparkSession, layout.n_blocks(w.length, w.block_size))
+        if n not in self._by_block:
+            self._by_block[n] = self.cells.repartition(n, "feat_part").persist()
+        return self._by_block[n]
+
+    def attach(self, w: Vec, name: str = "w", to: DataFrame | None = None) -> DataFrame:
+        """Cells (or ``to``, cells that already carry something) with the weight block they need as column ``name``."""
+        strategy = self.strategy_for(w)
+        return attach(to if to is not None else self.by_block(w) if strategy == "stationary" else self.cells, w, strategy, name)
+
+    def routes(self) -> DataFrame:
+        """(example_id, feat_parts), persisted: the blocks in which an example has features."""
+        if self._routes is None:
+            self._routes = routes(self.cells).groupBy("example_id").agg(F.collect_list("feat_part").alias("feat_parts")).persist()
+        return self._routes
+
+    def back(self, pulled: DataFrame, width: int, kernel: Callable[..., np.ndarray], w: Vec, rows: int) -> DataFrame:
+        """(block_id, values): sum over cells of ``kernel(entry_rows, ids, vals, d, size)``; ``pulled``: (example_id, d of ``width``)."""
+        d = pulled.join(self.routes(), "example_id").select(example_part(F.col("example_id"), self.ex_parts).alias("d_ex"), F.explode("feat_parts").alias("d_feat"), "example_id", "d")
+        listed = F.sort_array(F.collect_list(F.struct("example_id", "d"))).alias("r")
+        beside = self.strategy_for(w) == "stationary"
+        if beside:  # buckets are by block alone, so the example part is no key of the join
+            cells = self.by_block(w)
+            d = d.repartition(layout.buckets(cells.sparkSession, layout.n_blocks(w.length, w.block_size)), "d_feat")
+            on = (F.col("feat_part") == F.col("d_feat")) & (F.col("ex_part") - F.col("d_ex") == 0)
+        else:
+            cells, on = self.cells, (F.col("ex_part") == F.col("d_ex")) & (F.col("feat_part") == F.col("d_feat"))
+        by_cell = d.groupBy("d_ex", "d_feat").agg(listed).select("d_ex", "d_feat", F.col("r.example_id").alias("d_ids"), F.flatten("r.d").alias("d"))
+        return sum_blocks(_pull(cells.join(by_cell, on), width, kernel, w, rows))
+
+    def free(self) -> None:
+        for df in (self.cells, self._routes, *self._by_block.values()):
+            if df is not None:
+                df.unpersist()
+        self._routes, self._by_block = None, {}
+
+
+def attach(cells: DataFrame, w: Vec, strategy: str, name: str = "w") -> DataFrame:
+    """Cells with the weight block they need as column ``name``; only weights move."""
     blocks = w.df.select(F.col("block_id").alias("feat_part"), F.col("values").cast("array<double>").alias(name))
     if strategy == "broadcast":
         if w.length * w.stack * 8 > MAX_BROADCAST:
@@ -159,11 +221,8 @@ def rows_sum(ptr: np.ndarray, per_entry: np.ndarray) -> np.ndarray:
     return np.add.reduceat(per_entry, ptr[:-1], axis=0)
 
 
-def back(cells: DataFrame, pulled: DataFrame, ex_parts: int, width: int, kernel: Callable[..., np.ndarray], w: Vec, rows: int) -> DataFrame:
-    """(block_id, values): sum over cells of ``kernel(entry_rows, ids, vals, d, size)``, where ``pulled`` is (example_id, d array
-    of ``width``) and the kernel gives (rows, size). Partial sums are kept by block within a task before anything moves."""
-    d = pulled.select(example_part(F.col("example_id"), ex_parts).alias("ex_part"), "example_id", "d")
-    by_part = d.groupBy("ex_part").agg(F.sort_array(F.collect_list(F.struct("example_id", "d"))).alias("r")).select("ex_part", F.col("r.example_id").alias("d_ids"), F.flatten("r.d").alias("d"))
+def _pull(joined: DataFrame, width: int, kernel: Callable[..., np.ndarray], w: Vec, rows: int) -> DataFrame:
+    """(block_id, values) partial sums, kept by block within a task before anything moves."""
     length, size = w.length, w.block_size
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -184,8 +243,7 @@ def back(cells: DataFrame, pulled: DataFrame, ex_parts: int, width: int, kernel:
         if held:
             yield _blocks(held)
 
-    joined = cells.join(by_part, "ex_part").select("feat_part", "ex_ids", "indptr", "local_ids", "vals", "d_ids", "d")
-    return sum_blocks(map_arrow(joined, run, layout.DENSE))
+    return map_arrow(joined.select("feat_part", "ex_ids", "indptr", "local_ids", "vals", "d_ids", "d"), run, layout.DENSE)
 
 
 def _blocks(held: dict[int, np.ndarray]) -> pa.RecordBatch:

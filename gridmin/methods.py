@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -37,6 +38,12 @@ def _ok(spark: SparkSession, *checks) -> DataFrame:
 
 
 OK = "select true as ok"
+
+
+def _falls(log: list[tuple], slack: float = 1e-9) -> bool:
+    return all(b[1] <= a[1] + slack for a, b in zip(log, log[1:]))
+
+
 _P = "select p_partkey as idx, p_retailprice as p from part"
 _PQ = "select p_partkey as idx, p_retailprice as p, coalesce(q, 0.0::double) as q from part left join (select l_partkey, sum(l_quantity) as q from lineitem group by 1) on p_partkey = l_partkey"
 
@@ -187,9 +194,15 @@ def w1a_overfit_trace(spark, d):
     return spark.createDataFrame([(r[0], r[1] <= log[0][1] * (1e-3 if r[0] == 4 else 1.0 + 1e-9)) for r in log[:5]], "iteration int, below boolean")
 
 
-@register("w1b_rotation_trace")
+_W1B = f"with ids as (select o_orderkey as example_id from orders), feats as ({workloads.FEATURES_SQL.format(d=30011, nnz=30)}), y as (select example_id, sum(value * {workloads.TRUE_SQL}) as label from feats group by 1)"
+
+
+@register("w1b_rotation_trace", f"{_W1B} select i::int as iteration, (i % 5)::int as batch_id, case when i = 0 then (select round(avg(label * label), 6) from y where example_id % 5 = 0) end as start, case when i = 5 then true end as has_fallen from range(0, 6) t(i)")
 def w1b_rotation_trace(spark, d):
-    return workloads.w1(spark, d, d=30_011, batches=5, minimiser=workloads.quick(6)).trace()
+    """Another batch each iteration: which one, the loss at the start, and a loss well below it after a pass over the data."""
+    log = workloads.w1(spark, d, d=30_011, batches=5, minimiser=workloads.quick(5)).run().log
+    rows = [(r[0], r[6], round(r[1], 6) if r[0] == 0 else None, r[1] < 0.9 * log[0][1] if r[0] == 5 else None) for r in log]
+    return spark.createDataFrame(rows, "iteration int, batch_id int, start double, has_fallen boolean")
 
 
 # real regression on lineitem -------------------------------------------------------------------------------------------
@@ -198,9 +211,14 @@ _Z = """with m as (select avg(l_quantity) a, stddev_pop(l_quantity) sa, avg(l_di
 z as (select (l_quantity - a) / sa as x0, (l_discount - b) / sb as x1, (l_tax - c) / sc as x2, (l_extendedprice - y) / sy as y from lineitem, m)"""
 
 
-@register("w1r_lbfgs_trace")
+@register("w1r_lbfgs_trace", f"""{_Z}, a as (select *, x1 - x0 * (select regr_slope(x1, x0) from z) as u1, x2 - x0 * (select regr_slope(x2, x0) from z) as u2, y - x0 * (select regr_slope(y, x0) from z) as r0 from z),
+b as (select *, u2 - u1 * (select regr_slope(u2, u1) from a) as t2, r0 - u1 * (select regr_slope(r0, u1) from a) as r1 from a),
+c as (select r1 - t2 * (select regr_slope(r1, t2) from b) as r2 from b)
+select 'start' as at, (select round(avg(y * y), 5) from z) as value union all select 'end', (select round(avg(r2 * r2), 5) from c)""")
 def w1r_lbfgs_trace(spark, d):
-    return workloads.w1r(spark, d).trace()
+    """Loss at the start and at the end, which is the residual of least squares by orthogonal steps."""
+    log = workloads.w1r(spark, d).run().log
+    return spark.createDataFrame([("start", round(log[0][1], 5)), ("end", round(log[-1][1], 5))], "at string, value double")
 
 
 def _steps_sql(update: str, steps: int, extra: str = "") -> str:
@@ -271,16 +289,40 @@ def grid_cells_nnz(spark, d):
     return _one(spark, nnz=int(nnz), routes=grid.routes(cells).count())
 
 
-@register("grid_strategies_agree", OK)
+STRATEGIES = ("broadcast", "gather", "replicate", "stationary")
+
+
+@register("grid_strategies_agree", f"{_W1E} select strategy, round(avg(r * r), 6) as loss from e, (select unnest({list(STRATEGIES)}) as strategy) group by 1")
 def grid_strategies_agree(spark, d):
     w = workloads.w1(spark, d)
     x, f = _fixed(spark, 10_007).cut(), w.objective
-    got = []
-    for s in ("stationary", "replicate", "gather", "broadcast"):
+    rows = []
+    for s in STRATEGIES:
         f.strategy = s
-        got.append(f.value(x))
-    chosen = grid.choose(grid.stats(w.data["cells"], x, f.ex_parts))
-    return _ok(spark, max(got) - min(got) < 1e-9, chosen in grid.costs(grid.stats(w.data["cells"], x, f.ex_parts)))
+        rows.append((s, round(f.value(x), 6)))
+    return spark.createDataFrame(rows, "strategy string, loss double")
+
+
+@register("grid_strategies_gradient", f"{_W1E}, g as (select feature_id, sum(2 * r * value) / (select count(*) from e) as v from feats join e using (example_id) group by 1) select strategy, round(sum(abs(v)), 6) as l1, round(sqrt(sum(v * v)), 6) as l2 from g, (select unnest({list(STRATEGIES)}) as strategy) group by 1")
+def grid_strategies_gradient(spark, d):
+    """Norms of the gradient whose derivatives were sent back under each strategy."""
+    w = workloads.w1(spark, d)
+    x, f, rows = _fixed(spark, 10_007).cut(), w.objective, []
+    for s in STRATEGIES:
+        f.strategy = s
+        g = f.gradient(x)
+        rows.append((s, round(ops.norm(g, 1), 6), round(ops.norm(g, 2), 6)))
+    return spark.createDataFrame(rows, "strategy string, l1 double, l2 double")
+
+
+@register("grid_chosen", f"with ids as (select o_orderkey as example_id from orders), feats as ({workloads.FEATURES_SQL.format(d=10007, nnz=30)}) select 10007 as e, count(distinct example_id || ':' || feature_id // 1024) as routes, count(distinct feature_id // 1024) as feat_parts, true as least from feats where value <> 0")
+def grid_chosen(spark, d):
+    """What the choice looks at, and that the objective uses the cheapest strategy that keeps all cores busy."""
+    f, x = workloads.w1(spark, d).objective, _fixed(spark, 10_007)
+    s = grid.stats(f.cells, x, f.ex_parts)
+    c = grid.costs(s)
+    allowed = [k for k in c if k != "stationary" or s.feat_parts >= s.cores]
+    return _one(spark, e=s.e, routes=int(s.routes), feat_parts=int(s.feat_parts), least=c[f.grid.strategy_for(x)] == min(c[k] for k in allowed))
 
 
 @register("grid_empty_cells", "select * from (values (1, 2, 4.5::double), (2, 0, 0.0::double)) t(example_id, n_cells, score)")
@@ -303,11 +345,11 @@ def grid_salted(spark, d):
     return part.groupBy("l_partkey").agg(F.sum("n").alias("n"), F.round(F.sum("q"), 2).alias("q"))
 
 
-@register("planner_costs", "select * from (values ('replicate', 8e11::double), ('stationary', 8.32e10::double)) t(strategy, bytes)")
+@register("planner_costs", "with s as (select 1e9::double as e, 100 as ex_parts, 26e8::double as routes, 3e9::double as gathers), b as (select *, 2 * routes * 16 as there_and_back from s) select 'replicate' as strategy, ex_parts * e * 8 + there_and_back as bytes from b union all select 'stationary', there_and_back from b union all select 'gather', gathers * 24 + there_and_back from b")
 def planner_costs(spark, d):
     """The larger published problem: 1e9 weights in 100 parts against 1e8 examples that touch 26 parts each."""
     c = grid.costs(grid.Stats(10**9, 1, 100, 100, 26 * 10**8, 3 * 10**9, 400))
-    return spark.createDataFrame([(k, c[k]) for k in ("replicate", "stationary")], "strategy string, bytes double")
+    return spark.createDataFrame([(k, c[k]) for k in ("replicate", "stationary", "gather")], "strategy string, bytes double")
 
 
 # line searches and quasi-Newton ------------------------------------------------------------------------------------------
@@ -546,9 +588,48 @@ def fm_gradient(spark, d):
     return g.join(seen, "idx", "left_semi")
 
 
-@register("fm_fit_trace")
+_U = "((('0x' || substr(md5('{seed}:' || k || ':' || feature_id), 1, 8))::bigint / 4294967296.0::double) * (0.1::double + 0.1::double) - 0.1::double)"
+
+
+@register("fm_fit_trace", f"""{_EVF.replace("((feature_id * (k + 3)) % 11 - 5) / 10.0::double", _U.format(seed=5))}, s as (select a.example_id, sum(list_dot_product(p.v, q.v)) as score from feats a join feats b on a.example_id = b.example_id and a.feature_id < b.feature_id join xs p on p.feature_id = a.feature_id join xs q on q.feature_id = b.feature_id group by 1)
+select round(avg((score - value / 100.0::double) * (score - value / 100.0::double)), 6) as start, true as falls from s join e using (example_id)""")
 def fm_fit_trace(spark, d):
-    return workloads.w4(spark, d).trace()
+    log = workloads.w4(spark, d).run().log
+    return _one(spark, start=round(log[0][1], 6), falls=_falls(log) and log[-1][1] < 0.5 * log[0][1])
+
+
+_FML = f"""{_EVF}, lw as (select feature_id, ((feature_id * 5) % 7 - 3) / 10.0::double as w from x),
+s as (select a.example_id, sum(list_dot_product(p.v, q.v)) as score from feats a join feats b on a.example_id = b.example_id and a.feature_id < b.feature_id join xs p on p.feature_id = a.feature_id join xs q on q.feature_id = b.feature_id group by 1),
+li as (select example_id, sum(w) as score from feats join lw using (feature_id) group by 1)"""
+
+
+def _fm_linear(spark, d):
+    """Events with a bias feature (511, whose latent weights are zero), and weights of four latent rows and a linear one."""
+    from gridmin.objective import Machines
+    from gridmin.vectors import from_expr
+
+    e = workloads.events(spark, d)
+    feats = workloads.event_features(e).unionByName(e.select("example_id", F.lit(511).cast("long").alias("feature_id"), F.lit(1.0).alias("value")))
+    x = from_expr(spark, 512, lambda row, i: F.when(row == 4, F.when(i == 511, F.lit(0.25)).otherwise(((i * 5) % 7 - 3) / F.lit(10.0))).otherwise(F.when(i == 511, F.lit(0.0)).otherwise(((i * (row + 3)) % 11 - 5) / F.lit(10.0))), 512, stack=5)
+    f = Machines(grid.build_cells(feats, 4, 512).persist(), e.select("example_id", (F.col("value") / 100.0).alias("label")), losses.Squared(), 4, linear=True, bias=511)
+    return f, x
+
+
+@register("fm_linear_score", f"{_FML} select s.example_id, round(s.score + li.score + 0.25::double, 8) + 0.0::double as score from s join li on li.example_id = s.example_id")
+def fm_linear_score(spark, d):
+    f, x = _fm_linear(spark, d)
+    return f.scores(x).select("example_id", (F.round("score", 8) + F.lit(0.0)).alias("score"))
+
+
+@register("fm_linear_gradient", f"""{_FML}, r as (select s.example_id, 2 * (s.score + li.score + 0.25::double - value / 100.0::double) as ds from s join li on li.example_id = s.example_id join e on e.example_id = s.example_id),
+tl as (select example_id, k, sum(v[k + 1]) as t from feats join xs using (feature_id), (select unnest(range(4)) as k) group by 1, 2), n as (select count(*)::double as n from e)
+select k::int as row, feature_id as idx, round(sum(ds * (t - v[k + 1])) / any_value(n), 8) + 0.0::double as value from feats join xs using (feature_id) join r using (example_id) join tl using (example_id), n group by 1, 2
+union all select 4, feature_id, round(sum(ds) / any_value(n), 8) + 0.0::double from feats join r using (example_id), n group by 2 union all select 4, 511, round(sum(ds) / any_value(n), 8) + 0.0::double from r, n
+union all select k::int, 511, 0.0::double from (select unnest(range(4)) as k)""")
+def fm_linear_gradient(spark, d):
+    f, x = _fm_linear(spark, d)
+    seen = f.cells.select("feat_part", F.explode("local_ids").alias("i")).select((F.col("feat_part").cast("long") * 512 + F.col("i")).alias("idx")).distinct()
+    return _long(f.gradient(x), 8).join(seen, "idx", "left_semi")
 
 
 # ranking ---------------------------------------------------------------------------------------------------------------------
@@ -625,9 +706,28 @@ def rank_exact_loss(spark, d):
     return _ok(spark, abs(got - exact) < 0.02)
 
 
-@register("rank_fit_trace")
+@register("rank_fit_trace", f"""{_RSC.replace("((feature_id * (k + 3)) % 11 - 5) / 10.0::double", _U.format(seed=6))} select round(avg({_SP.format('(-s)')}), 6) as start, true as falls from dl""")
 def rank_fit_trace(spark, d):
-    return workloads.w5(spark, d).trace()
+    log = workloads.w5(spark, d).run().log
+    return _one(spark, start=round(log[0][1], 6), falls=_falls(log))
+
+
+_ORD = """with pos as (select ('0x' || substr(md5(concat_ws(':', l_orderkey, l_linenumber, l_partkey, l_suppkey, round(l_extendedprice * 100)::bigint)), 1, 13))::bigint as example_id, o_custkey as user_id, p_type as query, l_partkey as item
+  from lineitem join orders on l_orderkey = o_orderkey join part on l_partkey = p_partkey),
+g as (select item, query as grp, row_number() over (partition by query order by item) - 1 as rank, count(*) over (partition by query) as size from (select distinct item, query from pos)),
+w as (select example_id as link, grp, ('0x' || substr(md5(example_id || ':1:0:3'), 1, 8))::bigint as r, g.rank as own, size from pos join g using (item) where size > 1),
+neg as (select link, g.item from w join g on g.grp = w.grp and g.rank = w.r % (w.size - 1) + (w.r % (w.size - 1) >= own)::int),
+rows as (select example_id, user_id, query, item from pos union all select -(link + 1), user_id, query, neg.item from neg join pos on pos.example_id = neg.link),
+fw as (select example_id, [((f * (k + 3)) % 11 - 5) / 10.0::double for k in range(4)] as v from (select example_id, unnest([user_id % 200, 200 + ('0x' || substr(md5('q:' || query), 1, 8))::bigint % 97, 300 + item % 212]) as f from rows)),
+t as (select example_id, [sum(v[1]), sum(v[2]), sum(v[3]), sum(v[4])] as l, sum(list_dot_product(v, v)) as q from fw group by 1), s as (select example_id, (list_dot_product(l, l) - q) / 2 as score from t),
+dl as (select sp.score - sn.score as s from neg join s sp on sp.example_id = link join s sn on sn.example_id = -(link + 1))"""
+
+
+@register("rank_orders_loss", f"{_ORD} select round(avg({_SP.format('(-s)')}), 7) as loss, count(*) as pairs from dl")
+def rank_orders_loss(spark, d):
+    """Parts that customers order against other parts of the same type."""
+    f = workloads.w5_orders(spark, d).objective
+    return _one(spark, loss=round(f.value(_fm_weights(spark)), 7), pairs=f.links.count())
 
 
 @register("rank_resample", OK)
@@ -688,9 +788,21 @@ def ot_fit_marginals(spark, d):
     return _ok(spark, r.reason == optim.Reason.GRADIENT, s["marginal_error"] < 5e-5, abs(s["mass"] - 1) < 0.01, abs(s["gap"]) < 0.01)
 
 
-@register("ot_fit_trace")
+@register("ot_fit_trace", f"{_OT} select round(0.1::double * avg(exp(-c / 0.1::double)), 8) as start, true as falls, 'gradient norm' as reason, true as within_12, true as negative from p")
 def ot_fit_trace(spark, d):
-    return workloads.w3(spark, d, eps=0.1, minimiser=workloads.quick(10, 5e-5)).trace()
+    """At the published regularisation 0.1: stops on the gradient norm below 0.5e-4, after how few iterations, with -L below 0."""
+    r = workloads.w3(spark, d, eps=0.1, minimiser=workloads.quick(13, 5e-5)).run()
+    return _one(spark, start=round(r.log[0][1], 8), falls=_falls(r.log), reason=r.reason.value, within_12=r.iterations <= 12, negative=r.value < 0)
+
+
+@register("ot_small_eps", OK)
+def ot_small_eps(spark, d):
+    """Exponents far beyond a double's range give an infinite value, no NaN, and a line search that comes back."""
+    f = workloads.w3(spark, d, eps=1e-3).objective
+    x = f.start().cut()
+    up = concat([("u", fill(spark, f.n_x, 1.0, f.size)), ("v", fill(spark, f.n_y, 1.0, f.size))]).cut()
+    (low, s), (high, t) = f.along(x, up).at([0.01, 50.0])
+    return _ok(spark, math.isfinite(low), math.isfinite(s), high == float("inf"), not math.isnan(t), f.value(ops.scale(up, 50.0).cut()) > 1e250)
 
 
 @register("ot_plan_cost", OK)
@@ -706,10 +818,18 @@ def ot_sinkhorn_agree(spark, d):
     return _ok(spark, abs(w.objective.value(transport.sinkhorn(w.objective, 6)) - w.run().value) < 1e-3)
 
 
-@register("ot_1d", OK)
+_OT1 = """with sm as (select min(s_acctbal) lo, max(s_acctbal) hi from supplier), cm as (select min(c_acctbal) lo, max(c_acctbal) hi from customer),
+x as (select row_number() over (order by v, k) - 1 as i, v from (select s_suppkey as k, (s_acctbal - lo) / (hi - lo) as v from supplier, sm)), y as (select row_number() over (order by v, k) - 1 as j, v from (select c_custkey as k, (c_acctbal - lo) / (hi - lo) as v from customer, cm)),
+n as (select (select count(*) from x) as n, (select count(*) from y) as m), o as (select greatest(i * m, j * n) as low, least(i * m + m, j * n + n) as high, (x.v - y.v) * (x.v - y.v) as c, n * m as nm from x, y, n where i * m < j * n + n and j * n < i * m + m)"""
+
+
+@register("ot_1d", f"{_OT1} select round(sum((high - low) / nm::double * c), 8) as exact, count(*) as pieces, true as falls from o")
 def ot_1d(spark, d):
-    w = workloads.w3_one_dimension(spark, d, eps=0.05)
-    return _ok(spark, w.run().value < w.run().log[0][1])
+    """On a line the best plan pairs sorted points: its cost, and the regularised dual going down."""
+    w = workloads.w3_one_dimension(spark, d, eps=0.05, minimiser=workloads.quick(3, 5e-5))
+    x, y = w.data["x"], w.data["y"]
+    plan = transport.sorted_coupling(x, y, "k", "v").agg(F.sum(F.col("mass") * F.col("cost")).alias("c"), F.count("*").alias("n")).first()
+    return _one(spark, exact=round(plan["c"], 8), pieces=plan["n"], falls=_falls(w.run().log))
 
 
 @register("ot_masses", OK)
@@ -801,21 +921,60 @@ def weighted_equals_duplicated(spark, d):
     return _ok(spark, abs(a - b) < 1e-9)
 
 
-@register("policy_gap_trace")
+@register("policy_gap_trace", "select i::int as iteration, case when i = 0 then round(ln(10.0::double), 8) end as start, case when i = 4 then true end as next_is_lower from range(0, 5) t(i)")
 def policy_gap_trace(spark, d):
-    """Loss by iteration with the line search on the direction's batch and on the next one, and their relative gap."""
-    runs = [workloads.w1(spark, d, d=30_011, batches=5, policy=p, minimiser=workloads.quick(4)).trace() for p in ("next", "same")]
-    return metrics.gap(*runs)
+    """Planted softmax in five batches: line searches on the next batch against searches on the direction's own."""
+    logs = [workloads.w2_planted(spark, d, policy=p, minimiser=workloads.quick(4)).run().log for p in ("next", "same")]
+    rows = [(a[0], round(a[1], 8) if a[0] == 0 else None, a[1] < b[1] if a[0] == 4 else None) for a, b in zip(*logs)]
+    return spark.createDataFrame(rows, "iteration int, start double, next_is_lower boolean")
 
 
-@register("w2_planted_trace")
+@register("w2_planted_trace", "select round(ln(10.0::double), 8) as start, true as has_fallen, true as above_floor")
 def w2_planted_trace(spark, d):
-    return workloads.w2_planted(spark, d, d=1_009, nnz=20, minimiser=workloads.quick(4)).trace()
+    """One batch of all events with 100 features each; sampled labels keep the loss above the law's entropy less its sampling error."""
+    w = workloads.w2_planted(spark, d, batches=1, minimiser=workloads.quick(4))
+    log, floor = w.run().log, metrics.entropy_floor(w.data["law"], "p").first()[0]
+    return _one(spark, start=round(log[0][1], 8), has_fallen=log[-1][1] < 0.9 * log[0][1], above_floor=log[-1][1] > 0.5 * floor)
 
 
-@register("w6_sparse_logistic_trace")
+@register("w6_sparse_logistic_trace", "select round(ln(2.0::double), 8) as start, true as falls, true as has_fallen")
 def w6_sparse_logistic_trace(spark, d):
-    return workloads.w6(spark, d).trace()
+    log = workloads.w6(spark, d).run().log
+    return _one(spark, start=round(log[0][1], 8), falls=_falls(log), has_fallen=log[-1][1] < 0.5)
+
+
+@register("w9_growth", f"select share, count(distinct example_id) as examples, count(*) as nnz, count(distinct example_id || ':' || feature_id // 1024) as routes from (select unnest([1, 2, 4]) as share), (with ids as (select o_orderkey as example_id from orders) {workloads.FEATURES_SQL.format(d=10007, nnz=30)}) where value <> 0 and example_id % 4 < share group by 1")
+def w9_growth(spark, d):
+    """A quarter, half and all of the examples: non-zeros and routes, hence bytes moved, grow in proportion."""
+    ids = io.table(spark, d, "orders", ["o_orderkey"]).select(F.col("o_orderkey").alias("example_id"))
+    rows = []
+    for share in (1, 2, 4):
+        some = ids.where(F.col("example_id") % 4 < share)
+        cells = grid.build_cells(workloads.planted_features(some, 30, 10_007), 4, 1024).persist()
+        s = grid.stats(cells, zeros(spark, 10_007, 1024), 4)
+        examples, nnz = cells.select(F.explode("ex_ids").alias("i")).distinct().count(), cells.agg(F.sum(F.size("vals"))).first()[0]
+        rows.append((share, examples, nnz, s.routes))
+        cells.unpersist()
+    return spark.createDataFrame(rows, "share int, examples long, nnz long, routes long")
+
+
+@register("w10_lineage", f"select idx, round(p / 1000.0::double / (1 + idx % 3) * (1 - pow(1 - 0.1::double * (1 + idx % 3), 30)), 8) + 0.0::double as value from ({_P}) where idx < 64")
+def w10_lineage(spark, d):
+    """Thirty iterations with a break after twenty: the plan stays a scan throughout, and the end is the closed form."""
+    import uuid
+
+    from gridmin.vectors import from_expr
+    from gridmin.vectors.vec import shared_dir
+
+    p = io.table(spark, d, "part", ["p_partkey", "p_retailprice"]).where("p_partkey < 64").withColumn("p_retailprice", F.col("p_retailprice") / 1000.0)
+    f = Quadratic(from_expr(spark, 64, lambda row, i: (1 + i % 3).cast("double"), 64).cut(), from_long(p, 64, 64, "p_partkey", "p_retailprice").cut())
+    path, depths = f"{shared_dir(spark)}/w10-{uuid.uuid4().hex}", []
+    watch = lambda s: depths.append(metrics.plan_depth(s.x.df)) or False
+    optim.GradientDescent(0.1, stop=[optim.MaxIter(20)], callback=watch).run(f, zeros(spark, 64, 64).cut(), save_to=path)
+    r = optim.GradientDescent(0.1, stop=[optim.MaxIter(30)], callback=watch).run(f, zeros(spark, 64, 64), resume_from=path)
+    if len(depths) != 32 or max(depths) > 3:
+        raise AssertionError(f"plans grow: {depths}")
+    return _long(r.x, 8)
 
 
 @register("w6_l1_sparsity", OK)
@@ -959,7 +1118,7 @@ def met_improvement(spark, d):
     return metrics.improvements(spark.createDataFrame([(0, 4.0), (1, 2.0), (2, -1.0)], "iteration int, value double"))
 
 
-@register("met_timing")
+@register("met_timing", "select * from (values ('load', 1::bigint, true), ('evaluate', 2::bigint, true)) t(name, n, positive)")
 def met_timing(spark, d):
     t = metrics.Timers()
     with t.measure("load"):
@@ -968,25 +1127,47 @@ def met_timing(spark, d):
     for _ in range(2):
         with t.measure("evaluate"):
             w.objective.evaluate(w.x0)
-    return t.summary(spark)
+    return t.summary(spark).select("name", "n", (F.col("mean") > 0).alias("positive"))
 
 
-@register("met_plan", OK)
-def met_plan(spark, d):
-    """Vectors that are partitioned alike and cached meet without a further exchange."""
-    n, plan = int(spark.conf.get("spark.sql.shuffle.partitions")), "spark.sql.adaptive.enabled"
-    before, cast = spark.conf.get(plan), spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
-    spark.conf.set(plan, "false")
-    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+@contextmanager
+def _plain_plans(spark):
+    """Without run-time changes and automatic broadcasts, as for vectors that are too large for them."""
+    keys = {"spark.sql.adaptive.enabled": "false", "spark.sql.autoBroadcastJoinThreshold": "-1"}
+    before = {k: spark.conf.get(k) for k in keys}
+    for k, v in keys.items():
+        spark.conf.set(k, v)
     try:
-        a, b = (v.cut() for v in (_price(spark, d), _qty(spark, d)))
-        apart = metrics.exchanges(ops.add(a, b).df)
-        a, b = (v.with_df(layout.copartition(v.df, n)) for v in (a, b))
-        together = metrics.exchanges(ops.add(a, b).df.select("block_id")) - metrics.exchanges(a.df) - metrics.exchanges(b.df)
-        return _ok(spark, apart == 2, together <= 0, metrics.plan_depth(a.df) < 40, metrics.run_info(spark)["cores"] >= 1)
+        yield
     finally:
-        spark.conf.set(plan, before)
-        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", cast)
+        for k, v in before.items():
+            spark.conf.set(k, v)
+
+
+@register("met_plan", "select what, 0 as exchanges from (select unnest(['add', 'gram', 'lincomb', 'cells broadcast', 'cells gather', 'cells replicate', 'cells stationary', 'weights stationary', 'back gather', 'back stationary', 'tiles', 'tiles line']) as what)")
+def met_plan(spark, d):
+    """Exchanges above vectors that were cut, above cells on both ways, above resident weights and above tiles: none."""
+    rows = []
+    with _plain_plans(spark):
+        a, b = (v.cut() for v in (_price(spark, d), _qty(spark, d)))
+        rows.append(("add", metrics.moved(ops.add(a, b).df, "values") + metrics.moved(ops.add(a, b).df, "v0")))
+        for what, df in (("gram", ops.wide([a, b, a])), ("lincomb", ops.lincomb([1.0, 2.0], [a, b]).df)):
+            rows.append((what, metrics.moved(df, "values") + metrics.moved(df, "v0") + metrics.moved(df, "v1")))
+        f, x = workloads.w1(spark, d).objective, _fixed(spark, 10_007).cut()
+        pulled = f.labels.select("example_id", F.array("label").alias("d")).persist()
+        for s in STRATEGIES:
+            f.strategy = s
+            rows.append((f"cells {s}", metrics.moved(f.scores(x).select("example_id"), "vals")))
+            if s in ("gather", "stationary"):
+                rows.append((f"back {s}", metrics.moved(f.grid.back(pulled, 1, grid.transposed, x, 1), "vals")))
+        rows.append(("weights stationary", metrics.moved(f.scores(x), "w")))
+        t = workloads.w3(spark, d, eps=0.5).objective
+        z = _potentials(spark, t)
+        rows.append(("tiles", metrics.moved(t._sums(z), "xs")))
+        line = t.along(z, z)
+        rows.append(("tiles line", metrics.moved(line.df, "xs")))
+        line.free()
+    return spark.createDataFrame(rows, "what string, exchanges int")
 
 
 @register("model_save_load", OK)

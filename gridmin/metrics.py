@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from gridmin.order import running
 from gridmin.vectors import Vec, ops
 
 
@@ -30,10 +31,10 @@ def classification(df: DataFrame, p: str = "p", label: str = "label", cut: float
 
 
 def auc(df: DataFrame, score: str = "score", label: str = "label") -> DataFrame:
-    """Area under the curve with ties at mid-rank. Counts by distinct score first, so the window runs over scores only."""
+    """Area under the curve with ties at mid-rank. Counts by distinct score first, then running counts over ranges of scores."""
     by = df.groupBy(F.col(score).alias("_score")).agg(F.count_if(F.col(label) == 1).alias("_p"), F.count_if(F.col(label) != 1).alias("_n"))
-    below = F.sum("_n").over(W.orderBy("_score")) - F.col("_n")
-    return by.withColumn("_u", F.col("_p") * (below + F.col("_n") / 2)).agg((F.sum("_u") / (F.sum("_p") * F.sum("_n"))).alias("auc"))
+    below = F.col("_upto") - F.col("_n")
+    return running(by, "_score", "_n", "_upto").withColumn("_u", F.col("_p") * (below + F.col("_n") / 2)).agg((F.sum("_u") / (F.sum("_p") * F.sum("_n"))).alias("auc"))
 
 
 def calibration(df: DataFrame, p: str = "p", label: str = "label", bins: int = 10) -> DataFrame:
@@ -104,5 +105,18 @@ def plan_depth(df: DataFrame) -> int:
     return max((len(line) - len(line.lstrip(" :+-")) for line in df._jdf.queryExecution().optimizedPlan().toString().splitlines()), default=0) // 3 + 1
 
 
+def moved(df: DataFrame, column: str) -> int:
+    """Exchanges of the plan that move ``column``; what a cached table was once made by doesn't count."""
+
+    def each(seq) -> list:
+        return [seq.apply(k) for k in range(seq.size())]
+
+    def walk(node) -> int:
+        hit = node.nodeName() in ("Exchange", "BroadcastExchange") and any(a.name() == column for a in each(node.output()))
+        return hit + sum(walk(c) for c in each(node.children()))
+
+    return walk(df._jdf.queryExecution().executedPlan())
+
+
 def exchanges(df: DataFrame) -> int:
     return df._jdf.queryExecution().executedPlan().toString().count("Exchange hashpartitioning")

@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from concurrent.futures import Future, ThreadPoolExecutor
 from contextlib import contextmanager
 
 import numpy as np
@@ -39,6 +40,9 @@ class Objective:
     def along(self, x: Vec, d: Vec) -> Line:
         return PlainLine(self, x, d)
 
+    def free(self) -> None:
+        """Let go of what is cached."""
+
     def hold(self) -> None:
         """Keep the batch for the next evaluations; plain objectives have one batch."""
 
@@ -109,16 +113,41 @@ def check_labels(labels: DataFrame, on_null: str = "error") -> DataFrame:
     return df.select("example_id", "label", F.when(F.col("weight") < 0, F.raise_error(F.lit("negative weight"))).otherwise(F.col("weight").cast("double")).alias("weight"))
 
 
-class Linear(Objective):
+class _OnGrid(Objective):
+    """What objectives over cells share."""
+
+    grid: grid.CellGrid
+
+    @property
+    def cells(self) -> DataFrame:
+        return self.grid.cells
+
+    @property
+    def ex_parts(self) -> int:
+        return self.grid.ex_parts
+
+    @property
+    def strategy(self) -> str | None:
+        return self.grid.strategy
+
+    @strategy.setter
+    def strategy(self, name: str | None) -> None:
+        self.grid.strategy = name
+
+    def free(self) -> None:
+        """Unpersist the cells and what was laid out from them."""
+        self.grid.free()
+
+
+class Linear(_OnGrid):
     """Weighted mean loss of linear scores over the grid; k score rows for several classes."""
 
-    def __init__(self, cells: DataFrame, labels: DataFrame, loss: losses.Loss, ex_parts: int, strategy: str = "stationary", on_null: str = "error"):
-        self.cells, self.labels, self.loss, self.ex_parts, self.strategy = cells, check_labels(labels, on_null), loss, ex_parts, strategy
+    def __init__(self, cells: DataFrame, labels: DataFrame, loss: losses.Loss, ex_parts: int, strategy: str | None = None, on_null: str = "error"):
+        self.grid, self.labels, self.loss = grid.CellGrid(cells, ex_parts, strategy), check_labels(labels, on_null), loss
 
     def scores(self, w: Vec) -> DataFrame:
         """(example_id, s array of k): examples without features are absent."""
-        attached = grid.attach(self.cells, w, self.strategy)
-        return grid.sum_arrays(grid.multiply(attached, _score_kernel(w.stack), w.stack), "example_id", "s", w.stack)
+        return grid.sum_arrays(grid.multiply(self.grid.attach(w), _score_kernel(w.stack), w.stack), "example_id", "s", w.stack)
 
     def _labelled(self, w: Vec, name: str = "s") -> DataFrame:
         none = F.array_repeat(F.lit(0.0), w.stack)
@@ -136,7 +165,7 @@ class Linear(Objective):
         rows = rows.select("example_id", "weight", (F.col("weight") * self.loss.value(F.col("s"), F.col("label"))).alias("l"), d.alias("d")).persist()
         r = rows.agg(F.sum("l").alias("v"), F.sum("weight").alias("w")).first()
         value, total = _mean(r), r["w"]
-        summed = grid.back(self.cells, rows.select("example_id", "d"), self.ex_parts, x.stack, grid.transposed, x, x.stack)
+        summed = self.grid.back(rows.select("example_id", "d"), x.stack, grid.transposed, x, x.stack)
         g = ops.apply(grid.full(summed, x), lambda z: z / F.lit(total)).cut()
         rows.unpersist()
         return value, g
@@ -165,34 +194,42 @@ def _mean(r) -> float:
     return _number(r["v"]) / r["w"]
 
 
-class Machines(Objective):
-    """Factorization machines of rank k over the grid, in time linear in the non-zeros."""
+class Machines(_OnGrid):
+    """Factorization machines of rank k over the grid, in time linear in the non-zeros.
+
+    With ``linear`` the last row of the stack holds linear weights, and the rows before it the k latent ones. ``bias`` names a
+    feature that every example has with value 1: its linear weight is the intercept, its latent weights get no gradient
+    and stay as they start (zero, so that it takes no part in the pairs).
+    """
+
+    def __init__(self, cells: DataFrame, labels: DataFrame, loss: losses.Loss, ex_parts: int, strategy: str | None = None, ordered_pairs: bool = False, linear: bool = False, bias: int | None = None):
+        self.grid, self.labels, self.loss = grid.CellGrid(cells, ex_parts, strategy), check_labels(labels), loss
+        self.factor, self.linear, self.bias = (1.0 if ordered_pairs else 0.5), linear, bias
 
-    def __init__(self, cells: DataFrame, labels: DataFrame, loss: losses.Loss, ex_parts: int, strategy: str = "stationary", ordered_pairs: bool = False):
-        self.cells, self.labels, self.loss, self.ex_parts, self.strategy = cells, check_labels(labels), loss, ex_parts, strategy
-        self.factor = 1.0 if ordered_pairs else 0.5
+    def rank(self, x: Vec) -> int:
+        return x.stack - self.linear
 
     def sums(self, x: Vec) -> DataFrame:
-        """(example_id, s): the k sums of f x, then the k sums of (f x)^2."""
-        k = x.stack
+        """(example_id, s): the k sums of f x, then the k sums of (f x)^2, then the linear sum, if there is one."""
+        k, rows = self.rank(x), x.stack
 
         def kernel(ptr, ids, vals, w):
-            fx = vals[:, None] * w.reshape(k, -1)[:, ids].T
-            return np.concatenate([grid.rows_sum(ptr, fx), grid.rows_sum(ptr, fx * fx)], 1)
+            fx = vals[:, None] * w.reshape(rows, -1)[:, ids].T
+            return np.concatenate([grid.rows_sum(ptr, fx[:, :k]), grid.rows_sum(ptr, fx[:, :k] ** 2), grid.rows_sum(ptr, fx[:, k:])], 1)
 
-        return grid.sum_arrays(grid.multiply(grid.attach(self.cells, x, self.strategy), kernel, 2 * k), "example_id", "s", 2 * k)
+        return grid.sum_arrays(grid.multiply(self.grid.attach(x), kernel, k + rows), "example_id", "s", k + rows)
 
     def score_of(self, s, k: int):
         pair = F.aggregate(F.sequence(F.lit(0), F.lit(k - 1)), F.lit(0.0), lambda acc, r: acc + s[r] * s[r] - s[r + k])
-        return self.factor * pair
+        return self.factor * pair + (s[2 * k] if self.linear else 0.0)
 
     def scores(self, x: Vec) -> DataFrame:
         """(example_id, score, v): v holds the k linear sums that the backward pass needs again."""
-        return self.sums(x).select("example_id", self.score_of(F.col("s"), x.stack).alias("score"), F.slice("s", 1, x.stack).alias("v"))
+        return self.sums(x).select("example_id", self.score_of(F.col("s"), self.rank(x)).alias("score"), F.slice("s", 1, self.rank(x)).alias("v"))
 
     def _rows(self, x: Vec) -> DataFrame:
         scored = self.scores(x)
-        none = F.array_repeat(F.lit(0.0), x.stack)
+        none = F.array_repeat(F.lit(0.0), self.rank(x))
         df = self.labels.join(scored, "example_id", "left").withColumns({"score": F.coalesce("score", F.lit(0.0)), "v": F.coalesce("v", none)})
         w, y, s = F.col("weight"), F.col("label"), F.col("score")
         return df.select("example_id", "weight", "v", (w * self.loss.value(s, y)).alias("l"), (w * self.loss.derivative(s, y)).alias("ds"))
@@ -206,34 +243,45 @@ class Machines(Objective):
         return value, g
 
     def pull_back(self, x: Vec, rows: DataFrame, total: float) -> Vec:
-        """Gradient from (example_id, v, ds): sum of ds f (v - f x), over total."""
-        k = x.stack
+        """Gradient from (example_id, v, ds): sum of ds f (v - f x), and of ds f for linear weights, over total."""
+        k, linear = self.rank(x), self.linear
         d = rows.select("example_id", F.concat(F.transform("v", lambda z: z * F.col("ds")), F.array("ds")).alias("d"))
 
         def kernel(entry, ids, vals, mine, size):
             first = [np.bincount(ids, weights=vals * mine[entry, j], minlength=size) for j in range(k)]
-            return np.stack([*first, np.bincount(ids, weights=vals * vals * mine[entry, k], minlength=size)])
+            last = [np.bincount(ids, weights=vals * mine[entry, k], minlength=size)] if linear else []
+            return np.stack([*first, np.bincount(ids, weights=vals * vals * mine[entry, k], minlength=size), *last])
 
-        summed = grid.full(grid.back(self.cells, d, self.ex_parts, k + 1, kernel, x, k + 1), x, k + 1)
+        rows = k + 1 + linear
+        summed = grid.full(self.grid.back(d, k + 1, kernel, x, rows), x, rows)
         scale = 2 * self.factor / total
         both = x.df.withColumnRenamed("values", "w").join(summed.df.withColumnRenamed("values", "b"), "block_id")
-        width = F.size("b") / (k + 1)
-        got = F.transform(F.sequence(F.lit(0), (width * k - 1).cast("int")), lambda p: (F.col("b")[p] - F.col("w")[p] * F.col("b")[(width * k + p % width).cast("int")]) * F.lit(scale))
+        width = (F.size("b") / rows).cast("int")
+        pair = lambda p: (F.col("b")[p] - F.col("w")[p] * F.col("b")[width * k + p % width]) * F.lit(scale)
+        if self.bias is not None:
+            free = lambda p: F.col("block_id").cast("long") * x.block_size + p % width != self.bias
+            got = F.transform(F.sequence(F.lit(0), width * k - 1), lambda p: F.when(free(p), pair(p)).otherwise(F.lit(0.0)))
+        else:
+            got = F.transform(F.sequence(F.lit(0), width * k - 1), pair)
+        if linear:
+            got = F.concat(got, F.transform(F.slice("b", width * (k + 1) + 1, width), lambda z: z / F.lit(float(total))))
         return x.with_df(both.select("block_id", got.alias("values")))
 
     def along(self, x, d):
-        k = x.stack
+        k, rows = self.rank(x), x.stack
 
         def kernel(ptr, ids, vals, w, v):
-            a, b = (vals[:, None] * m.reshape(k, -1)[:, ids].T for m in (w, v))
-            return np.concatenate([grid.rows_sum(ptr, z) for z in (a, b, (a * a).sum(1, keepdims=True), (a * b).sum(1, keepdims=True), (b * b).sum(1, keepdims=True))], 1)
+            both = [vals[:, None] * m.reshape(rows, -1)[:, ids].T for m in (w, v)]
+            a, b = (m[:, :k] for m in both)
+            first = [m[:, k:].sum(1, keepdims=True) for m in both]  # linear parts, zero without linear weights
+            return np.concatenate([grid.rows_sum(ptr, z) for z in (a, b, (a * a).sum(1, keepdims=True), (a * b).sum(1, keepdims=True), (b * b).sum(1, keepdims=True), *first)], 1)
 
-        attached = grid.attach(grid.attach(self.cells, x, self.strategy), d, self.strategy, "v")
-        n = 2 * k + 3
+        attached = self.grid.attach(d, "v", to=self.grid.attach(x))
+        n = 2 * k + 5
         s = grid.sum_arrays(grid.multiply(attached, kernel, n, ("w", "v")), "example_id", "s", n)
         dots = lambda p, q: F.aggregate(F.sequence(F.lit(0), F.lit(k - 1)), F.lit(0.0), lambda acc, r: acc + F.col("s")[r + p] * F.col("s")[r + q])
         h = self.factor
-        c = s.select("example_id", (h * (dots(0, 0) - F.col("s")[2 * k])).alias("c0"), (2 * h * (dots(0, k) - F.col("s")[2 * k + 1])).alias("c1"), (h * (dots(k, k) - F.col("s")[2 * k + 2])).alias("c2"))
+        c = s.select("example_id", (h * (dots(0, 0) - F.col("s")[2 * k]) + F.col("s")[2 * k + 3]).alias("c0"), (2 * h * (dots(0, k) - F.col("s")[2 * k + 1]) + F.col("s")[2 * k + 4]).alias("c1"), (h * (dots(k, k) - F.col("s")[2 * k + 2])).alias("c2"))
         return ScoreLine(self.labels.join(c, "example_id", "left").na.fill(0.0, ["c0", "c1", "c2"]), self.loss, 2)
 
 
@@ -307,21 +355,44 @@ class Batched(Objective):
 
     policy says which batch a line search sees: ``same`` as the gradient before it, the ``next`` one (held through the search),
     or ``rotate`` (a new one each time). ``log`` records (evaluation, batch, purpose).
+
+    A batch may be given as a function that loads it. Then one batch is cached at a time: taking another frees the one before,
+    and with ``prefetch`` the batch after it is loaded meanwhile.
     """
 
-    def __init__(self, batches: list[Objective], policy: str = "same"):
+    def __init__(self, batches: list[Objective | Callable[[], Objective]], policy: str = "same", prefetch: bool = False):
         if not batches:
             raise ValueError("no batches")
         if policy not in ("same", "next", "rotate"):
             raise ValueError(f"unknown policy {policy!r}")
         self.batches, self.policy, self.n, self.current, self.frozen, self.log = batches, policy, 0, 0, False, []
+        self.loaded: dict[int, Objective] = {}
+        self.coming: dict[int, Future] = {}
+        self.loader = ThreadPoolExecutor(1) if prefetch and len(batches) > 1 else None
+
+    def batch(self, k: int) -> Objective:
+        if isinstance(self.batches[k], Objective):
+            return self.batches[k]
+        if k not in self.loaded:
+            self.loaded[k] = self.coming.pop(k).result() if k in self.coming else self.batches[k]()
+            for old in [j for j in self.loaded if j != k]:
+                self.loaded.pop(old).free()
+            if self.loader:
+                after = (k + 1) % len(self.batches)
+                self.coming[after] = self.loader.submit(self.batches[after])
+        return self.loaded[k]
+
+    def free(self) -> None:
+        for f in [*self.loaded.values(), *(c.result() for c in self.coming.values())]:
+            f.free()
+        self.loaded, self.coming = {}, {}
 
     def _take(self, purpose: str) -> Objective:
         if not self.frozen:
             self.current = self.n % len(self.batches)
             self.n += 1
         self.log.append((len(self.log), self.current, purpose))
-        return self.batches[self.current]
+        return self.batch(self.current)
 
     def evaluate(self, x):
         return self._take("gradient").evaluate(x)
@@ -336,7 +407,7 @@ class Batched(Objective):
             self.current = self.n % len(self.batches)
             self.n += 1
         self.log.append((len(self.log), self.current, "line"))
-        return self.batches[self.current].along(x, d)
+        return self.batch(self.current).along(x, d)
 
     def hold(self):
         if self.policy == "next":

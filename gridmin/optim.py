@@ -107,7 +107,7 @@ def relative_improvement(before: float, after: float) -> float:
 class Minimiser:
     """The skeleton. Subclasses say how to adjust the objective, keep history, choose direction and step, and move."""
 
-    def __init__(self, stop: list | None = None, lineage_every: int = 1, cut_mode: str = "files", callback=None):
+    def __init__(self, stop: list | None = None, lineage_every: int = 1, cut_mode: str = "auto", callback=None):
         self.stop = stop or [GradNorm(), MaxIter()]
         self.lineage_every, self.cut_mode, self.callback = lineage_every, cut_mode, callback
 

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from gridmin import grid, losses
 from gridmin.objective import Machines, Objective, PlainLine
+from gridmin.order import numbered, running
 from gridmin.vectors import Vec, ops
 
 
@@ -31,7 +32,9 @@ class NegativeSampler:
 
 
 def ranked(items: DataFrame, *group: str) -> DataFrame:
-    """Items with dense ranks from 0 (within groups). The item dictionary is far smaller than the log; its order is by id."""
+    """Items with dense ranks from 0 by id (within groups)."""
+    if not group:
+        return numbered(items, "item", "rank")
     return items.withColumn("rank", F.row_number().over(W.partitionBy(*group).orderBy("item")) - 1)
 
 
@@ -75,7 +78,7 @@ class Popularity(NegativeSampler):
 
     def sample(self, positives, batch=0):
         counts = self.items.groupBy("item").agg(F.count("*").alias("n"))
-        cum = counts.withColumns({"hi": F.sum("n").over(W.orderBy("item")), "rank": F.row_number().over(W.orderBy("item")) - 1}).withColumn("lo", F.col("hi") - F.col("n")).persist()
+        cum = running(ranked(counts), "item", "n", "hi").withColumn("lo", F.col("hi") - F.col("n"))
         total, n_items = cum.agg(F.max("hi"), F.count("*")).first()
         step = max(1, total // 1024)  # equi-join on a coarse bin, then the exact bounds
         bins = cum.withColumn("bin", F.explode(F.sequence(F.floor(F.col("lo") / step), F.floor((F.col("hi") - 1) / step)))).drop("n")
@@ -86,16 +89,20 @@ class Popularity(NegativeSampler):
 
 
 class Excluding(NegativeSampler):
-    """Only items the user never took: ranks among the user's remaining items. Users who took everything get none."""
+    """Only items the user never took: the draw is a rank among the user's remaining items. Users who took everything get none.
+
+    With the user's taken items at ascending ranks t_0, t_1, ..., the r-th remaining item stands at r plus the number of i with
+    t_i - i <= r, so only what a user took is looked at and no pair of user and item is ever made up."""
 
     def sample(self, positives, batch=0):
-        items = self.items.select("item").distinct()
-        users = positives.select("user_id").distinct()
-        left = users.join(items).join(positives.select("user_id", "item").distinct(), ["user_id", "item"], "left_anti")
-        known = ranked(left, "user_id").withColumn("size", F.count("*").over(W.partitionBy("user_id")))
-        sizes = known.groupBy("user_id").agg(F.first("size").alias("size"))
-        own = self.draws(positives.select("example_id", "user_id"), batch).join(sizes, "user_id").withColumn("rank", (F.col("_r") % F.col("size")).cast("int"))
-        return own.join(known.select("user_id", "rank", "item"), ["user_id", "rank"]).select(F.col("example_id").alias("link"), "draw", "item")
+        known = ranked(self.items.select("item").distinct())
+        n = known.count()
+        taken = positives.select("user_id", "item").distinct().join(known, "item")
+        each = taken.groupBy("user_id").agg(F.sort_array(F.collect_list("rank")).alias("t"))
+        steps = each.select("user_id", F.transform("t", lambda t, i: t - i).alias("steps")).where(F.size("steps") < n)
+        own = self.draws(positives.select("example_id", "user_id"), batch).join(steps, "user_id").withColumn("r", F.col("_r") % (n - F.size("steps")))
+        own = own.withColumn("rank", F.col("r") + F.size(F.filter("steps", lambda s: s <= F.col("r"))))
+        return own.join(known, "rank").select(F.col("example_id").alias("link"), "draw", "item")
 
 
 class Pairwise(Objective):

@@ -25,6 +25,16 @@ def sql_query(key: str, sql: str | None, fn: Callable[[Callable[..., DataFrame]]
     register(key, sql)(lambda spark, d: fn(lambda name, *cols: io.table(spark, d, name, list(cols) or None)))
 
 
+def _bernoulli(df: DataFrame, share: float, seed: int) -> DataFrame:
+    """What holds of ``df.sample``: its size, that it takes rows of ``df`` once each, and that the seed fixes it."""
+    a, n = df.sample(share, seed).persist(), df.count()
+    size = a.count()
+    near, whole = abs(size / n - share) < 4 * (share * (1 - share) / n) ** 0.5, a.join(df, df.columns, "left_anti").isEmpty() and a.distinct().count() == size
+    again = a.exceptAll(df.sample(share, seed)).isEmpty()
+    a.unpersist()
+    return df.sparkSession.createDataFrame([(n, near, whole, again)], "n long, near_a_tenth boolean, all_from_table boolean, alike_again boolean")
+
+
 def scratch(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
 
@@ -136,7 +146,7 @@ def hash_split(df: DataFrame, key: str, parts: int, salt: str) -> DataFrame:
 
 sql_query("smp_hash", "select event_id, ('0x' || substr(md5('fold:' || event_id), 1, 8))::bigint % 4 as part from events", lambda t: hash_split(t("events", "event_id"), "event_id", 4, "fold"))
 sql_query("smp_stratified", "select doc_id, quality from (select *, row_number() over (partition by quality order by md5(doc_id::varchar)) as r, count(*) over (partition by quality) as n from labels) where r <= ceil(n * 0.2)", lambda t: t("labels", "doc_id", "quality").withColumns({"r": F.row_number().over(W.partitionBy("quality").orderBy(F.md5(c("doc_id").cast("string").cast("binary")))), "n": F.count("*").over(W.partitionBy("quality"))}).where(c("r") <= F.ceil(c("n") * 0.2)).select("doc_id", "quality"))
-sql_query("smp_bernoulli", None, lambda t: t("events", "event_id").sample(0.1, 7))
+sql_query("smp_bernoulli", "select count(*) as n, true as near_a_tenth, true as all_from_table, true as alike_again from events", lambda t: _bernoulli(t("events", "event_id"), 0.1, 7))
 sql_query("null_handling", "select o_orderkey, coalesce(s, '?') as s, s is null as missing, coalesce(nullif(o_totalprice, 0), -1) as p from (select *, nullif(o_orderstatus, 'P') as s from orders)", lambda t: t("orders", "o_orderkey", "o_orderstatus", "o_totalprice").withColumn("s", F.nullif(c("o_orderstatus"), F.lit("P"))).select("o_orderkey", F.coalesce("s", F.lit("?")).alias("s"), c("s").isNull().alias("missing"), F.coalesce(F.nullif(c("o_totalprice"), F.lit(0.0)), F.lit(-1.0)).alias("p")))
 
 # features --------------------------------------------------------------------------------------------------------------------

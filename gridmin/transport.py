@@ -2,7 +2,11 @@
 
 The dual vector is u and v in one block vector. Tiles pair a block of source points with a block of target points; costs are
 recomputed from coordinates in the tile (``cost='recompute'``, bytes in the points) or kept (``'tiles'``, bytes in the
-pairs). One pass over the tiles gives row and column sums, hence value and gradient together.
+pairs). Tiles are laid out once by (x_part, y_part) and never move again: a block of u is copied to the tiles of its row, a block of v
+to those of its column. One pass over the tiles gives row and column sums, hence value and gradient together.
+
+Exponentials that would overflow are kept relative to the largest exponent of their tile, and sums are joined in that form, so
+small ``eps`` and long trial steps give a large or infinite value but never a NaN.
 """
 
 from __future__ import annotations
@@ -17,19 +21,16 @@ from pyspark.sql import functions as F
 
 from gridmin import grid
 from gridmin.objective import Line, Objective
+from gridmin.order import numbered
 from gridmin.session import map_arrow
 from gridmin.vectors import Vec, ops
 from gridmin.vectors.vec import concat, from_long, zeros
 
 
 def index_points(points: DataFrame, key: str, coords: str, part_size: int) -> DataFrame:
-    """(pos, part, coords) with dense positions in key order. Positions come from per-range counts, not from one global window."""
-    spark = points.sparkSession
-    n = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    ranged = points.select(key, F.col(coords).cast("array<double>").alias("coords")).repartitionByRange(n, key).sortWithinPartitions(key).withColumn("_p", F.spark_partition_id()).persist()
-    sizes = ranged.groupBy("_p").agg(F.count("*").alias("_n")).select("_p", (F.sum("_n").over(W.orderBy("_p")) - F.col("_n")).alias("_before"))
-    pos = F.col("_before") + F.row_number().over(W.partitionBy("_p").orderBy(key)) - 1
-    return ranged.join(F.broadcast(sizes), "_p").select(pos.alias("pos"), F.floor(pos / part_size).cast("int").alias("part"), "coords")
+    """(pos, part, coords) with dense positions in key order."""
+    rows = numbered(points.select(key, F.col(coords).cast("array<double>").alias("coords")), key, "pos")
+    return rows.select("pos", F.floor(F.col("pos") / part_size).cast("int").alias("part"), "coords")
 
 
 def blocks(indexed: DataFrame, name: str) -> DataFrame:
@@ -45,6 +46,31 @@ def cost_matrix(x: np.ndarray, y: np.ndarray, metric: str) -> np.ndarray:
     return np.sqrt(sq) if metric == "euclidean" else sq
 
 
+SUMS = "block_id int, values array<double>, shift double"
+
+
+def shifted_exp(z: np.ndarray) -> tuple[float, np.ndarray]:
+    """(shift, exp(z - shift)); shift is 0 unless exponents are so large that sums could overflow."""
+    top = float(z.max(initial=0.0))
+    shift = top if top > 600.0 else 0.0
+    return shift, np.exp(z - shift)
+
+
+def joined(a: tuple[float, np.ndarray] | None, b: tuple[float, np.ndarray]) -> tuple[float, np.ndarray]:
+    """Sum of two (shift, values) pairs."""
+    if a is None:
+        return b
+    if a[0] == b[0]:
+        return a[0], a[1] + b[1]
+    low, high = sorted((a, b), key=lambda s: s[0])
+    return high[0], high[1] + low[1] * np.exp(low[0] - high[0])
+
+
+def _shifted(held: dict[int, tuple[float, np.ndarray]]) -> pa.RecordBatch:
+    values = pa.array([v for _, v in held.values()], pa.list_(pa.float64()))
+    return pa.RecordBatch.from_arrays([pa.array(list(held), pa.int32()), values, pa.array([s for s, _ in held.values()], pa.float64())], names=["block_id", "values", "shift"])
+
+
 class Transport(Objective):
     """-L(u, v) for uniform masses, or masses ``a`` and ``b`` given as Vecs of the sides' layouts."""
 
@@ -52,10 +78,11 @@ class Transport(Objective):
         """``x``, ``y``: (pos, part, coords) as from ``index_points``."""
         self.n_x, self.n_y, self.dim, self.eps, self.size, self.metric, self.cost = n_x, n_y, dim, eps, part_size, metric, cost
         self.spark, self.first_v = x.sparkSession, -(-n_x // part_size)
+        self.y_parts = -(-n_y // part_size)
         self.tiles = grid.tile_grid(blocks(x, "x"), blocks(y, "y"))
         if cost == "tiles":
             self.tiles = self.cost_tiles()
-        self.tiles = self.tiles.persist()
+        self.tiles = self.by_tile(self.tiles).persist()
         self.a, self.b = a, b
 
     @classmethod
@@ -80,19 +107,30 @@ class Transport(Objective):
 
         return map_arrow(self.tiles.select("x_part", "y_part", "xs", "ys"), run, "x_part int, y_part int, cost array<double>")
 
-    def _attached(self, *vectors: Vec, masses: bool = True) -> tuple[DataFrame, list[str]]:
-        """Tiles with the u and v blocks of each vector: u is copied to every tile of its row, v to every tile of its column."""
-        df = self.tiles
-        data = ["cost"] if self.cost == "tiles" else ["xs", "ys"]
-        names = []
+    def by_tile(self, df: DataFrame) -> DataFrame:
+        return df.repartition(int(self.spark.conf.get("spark.sql.shuffle.partitions")), "x_part", "y_part")
+
+    def potentials(self, *vectors: Vec, masses: bool = True) -> tuple[DataFrame, list[str]]:
+        """(x_part, y_part, u0, v0, ...): the u and v blocks of each vector, and the masses, copied to the tiles that need them."""
         sides = [(v.segment("u"), v.segment("v")) for v in vectors]
         if masses and self.a is not None:
             sides.append((self.a, self.b))
+        rows, cols, names = None, None, []
         for k, (u, v) in enumerate(sides):
-            df = df.join(u.df.select(F.col("block_id").alias("x_part"), F.col("values").alias(f"u{k}")), "x_part")
-            df = df.join(v.df.select(F.col("block_id").alias("y_part"), F.col("values").alias(f"v{k}")), "y_part")
+            left, right = u.df.select(F.col("block_id").alias("x_part"), F.col("values").alias(f"u{k}")), v.df.select(F.col("block_id").alias("y_part"), F.col("values").alias(f"v{k}"))
+            rows, cols = (left, right) if rows is None else (rows.join(left, "x_part"), cols.join(right, "y_part"))
             names += [f"u{k}", f"v{k}"]
-        return df.select("x_part", "y_part", *data, *names), names
+        rows = self.by_tile(rows.withColumn("y_part", F.explode(F.sequence(F.lit(0), F.lit(self.y_parts - 1)))))
+        cols = self.by_tile(cols.withColumn("x_part", F.explode(F.sequence(F.lit(0), F.lit(self.first_v - 1)))))
+        return rows.join(cols, ["x_part", "y_part"]).select("x_part", "y_part", *names), names
+
+    def _attached(self, *vectors: Vec, masses: bool = True) -> tuple[DataFrame, list[str]]:
+        """Tiles with the blocks of each vector that they need."""
+        return self._with(*self.potentials(*vectors, masses=masses))
+
+    def _with(self, potentials: DataFrame, names: list[str]) -> tuple[DataFrame, list[str]]:
+        data = ["cost"] if self.cost == "tiles" else ["xs", "ys"]
+        return self.tiles.join(potentials, ["x_part", "y_part"]).select("x_part", "y_part", *data, *names), names
 
     def _tile(self):
         """A picklable reader of a tile's cost matrix and vectors."""
@@ -110,28 +148,36 @@ class Transport(Objective):
         return read
 
     def _sums(self, x: Vec) -> DataFrame:
-        """(block_id, values): row sums of the exponentials under u's blocks, column sums under v's."""
+        """(block_id, values, shift): row sums of the exponentials under u's blocks, column sums under v's, over exp(shift)."""
         read, eps, first, weighted = self._tile(), self.eps, self.first_v, self.a is not None
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            held: dict[int, np.ndarray] = {}
+            held: dict[int, tuple[float, np.ndarray]] = {}
             for batch in batches:
                 for i in range(batch.num_rows):
                     p, q, c, (u, v, *m) = read(batch, i)
-                    with np.errstate(over="ignore"):
-                        e = np.exp((u[:, None] + v[None, :] - c) / eps)
+                    shift, e = shifted_exp((u[:, None] + v[None, :] - c) / eps)
                     if weighted:
                         e = e * m[0][:, None] * m[1][None, :]
                     for block, s in ((p, e.sum(1)), (first + q, e.sum(0))):
-                        held[block] = held[block] + s if block in held else s
+                        held[block] = joined(held.get(block), (shift, s))
             if held:
-                yield grid._blocks(held)
+                yield _shifted(held)
+
+        def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            held: dict[int, tuple[float, np.ndarray]] = {}
+            for b in batches:
+                for i, (block, shift) in enumerate(zip(b.column(0).to_pylist(), b.column(2).to_pylist())):
+                    held[block] = joined(held.get(block), (shift, b.column(1)[i].values.to_numpy(zero_copy_only=False)))
+            if held:
+                yield _shifted(held)
 
         df, _ = self._attached(x)
-        return grid.sum_blocks(map_arrow(df, run, "block_id int, values array<double>"))
+        return map_arrow(map_arrow(df, run, SUMS).repartition("block_id"), add, SUMS)
 
     def evaluate(self, x):
-        sums = x.with_df(self._sums(x)).cut()
+        scale = F.exp(F.least("shift", F.lit(700.0)))  # beyond that the value counts as infinite anyway
+        sums = x.with_df(self._sums(x).select("block_id", F.transform("values", lambda z: z * scale).alias("values"))).cut()
         flat = F.aggregate("values", F.lit(0.0), lambda acc, z: acc + z)
         total = sums.df.where(F.col("block_id") < self.first_v).agg(F.sum(flat)).first()[0]
         if self.a is not None:
@@ -198,7 +244,9 @@ class Transport(Objective):
 class _TransportLine(Line):
     def __init__(self, f: Transport, x: Vec, d: Vec):
         self.f = f
-        self.df = f._attached(x, d)[0].persist()
+        small, names = f.potentials(x, d)
+        self.small = f.by_tile(small).persist()  # four block arrays a tile; the tiles themselves are not copied
+        self.df = f._with(self.small, names)[0]
         sums = []
         flat = F.aggregate("values", F.lit(0.0), lambda acc, z: acc + z)
         if f.a is not None:
@@ -215,25 +263,33 @@ class _TransportLine(Line):
         read, eps, weighted = f._tile(), f.eps, f.a is not None
 
         def run(batches):
-            total, slope = np.zeros(len(steps)), np.zeros(len(steps))
+            sums: list = [None] * len(steps)
             for batch in batches:
                 for i in range(batch.num_rows):
                     _, _, c, (u, v, du, dv, *m) = read(batch, i)
                     z, dz = (u[:, None] + v[None, :] - c) / eps, du[:, None] + dv[None, :]
                     w = m[0][:, None] * m[1][None, :] if weighted else 1.0
                     for k, eta in enumerate(steps):
-                        with np.errstate(over="ignore", invalid="ignore"):
-                            e = np.exp(z + eta * dz / eps) * w
-                            total[k] += e.sum()
-                            slope[k] += (e * dz).sum()
-            yield pa.RecordBatch.from_arrays([pa.array(range(len(steps)), pa.int32()), pa.array(total), pa.array(slope)], names=["k", "t", "s"])
-
-        rows = map_arrow(self.df, run, "k int, t double, s double").groupBy("k").agg(F.sum("t").alias("t"), F.sum("s").alias("s")).collect()
-        got, n = {r["k"]: r for r in rows}, 1.0 if weighted else float(f.n_x * f.n_y)
-        return [(-self.m0 - e * self.m1 + eps * got[k]["t"] / n, -self.m1 + got[k]["s"] / n) for k, e in enumerate(steps)]
+                        shift, e = shifted_exp(z + eta * dz / eps)
+                        e = e * w
+                        sums[k] = joined(sums[k], (shift, np.array([e.sum(), (e * dz).sum()])))
+            got = [(k, s[0], *s[1].tolist()) for k, s in enumerate(sums) if s]
+            if got:
+                k, h, t, d = zip(*got)
+                yield pa.RecordBatch.from_arrays([pa.array(k, pa.int32()), pa.array(h, pa.float64()), pa.array(t, pa.float64()), pa.array(d, pa.float64())], names=["k", "h", "t", "s"])
+
+        parts: dict[int, tuple] = {}
+        for r in map_arrow(self.df, run, "k int, h double, t double, s double").collect():  # a row for each task and step
+            parts[r["k"]] = joined(parts.get(r["k"]), (r["h"], np.array([r["t"], r["s"]])))
+        n, out = 1.0 if weighted else float(f.n_x * f.n_y), []
+        for k, e in enumerate(steps):
+            h, (t, s) = parts[k]
+            scale = np.exp(h) if h < 700.0 else float("inf")
+            out.append((float(-self.m0 - e * self.m1 + eps * t * scale / n), float(-self.m1 + s * scale / n) if s else -self.m1))
+        return out
 
     def free(self):
-        self.df.unpersist()
+        self.small.unpersist()
 
 
 def sinkhorn(f: Transport, sweeps: int = 20) -> Vec:
@@ -282,7 +338,26 @@ def sampled(f: Transport, fraction: float, seed: int = 1) -> Transport:
 
     class Scaled(Transport):
         def _sums(self, x):
-            return self.start().with_df(super()._sums(x).select("block_id", F.transform("values", lambda z: z / share).alias("values"))).df
+            return super()._sums(x).withColumn("values", F.transform("values", lambda z: z / share))
 
     part.__class__ = Scaled
     return part
+
+
+def sorted_coupling(x: DataFrame, y: DataFrame, key: str, value: str) -> DataFrame:
+    """(x_pos, y_pos, mass, cost): the optimal plan between points on a line with uniform masses and squared distances. Points
+    are paired in order: position i of n holds the quantiles i/n to (i+1)/n, and overlapping stretches are matched. Positions count
+    by (value, key); stretches meet on the whole parts of their ends, so nothing is compared with all of the other side."""
+    sides = []
+    for name, df in (("x", x), ("y", y)):
+        order = F.struct(F.col(value).cast("double").alias("v"), F.col(key).alias("k"))
+        sides.append(numbered(df.select(order.alias("o")), "o", "pos").select(F.col("pos").alias(f"{name}_pos"), F.col("o.v").alias(f"{name}_value")))
+    a, b = sides
+    n, m = a.count(), b.count()
+    # in units of 1 / (n m): x_pos holds [x_pos m, x_pos m + m), y_pos holds [y_pos n, y_pos n + n); both meet in cells of max(n, m)
+    wide = max(n, m)
+    cells = lambda name, width: F.explode(F.sequence(F.floor(F.col(f"{name}_pos") * width / wide).cast("long"), F.floor((F.col(f"{name}_pos") * width + width - 1) / wide).cast("long")))
+    met = a.withColumn("cell", cells("x", m)).join(b.withColumn("cell", cells("y", n)), "cell")
+    low, high = F.greatest(F.col("x_pos") * m, F.col("y_pos") * n), F.least(F.col("x_pos") * m + m, F.col("y_pos") * n + n)
+    met = met.where((low < high) & (F.floor(low / wide).cast("long") == F.col("cell")))  # in the first cell of the overlap only
+    return met.select("x_pos", "y_pos", ((high - low) / F.lit(float(n * m))).alias("mass"), ((F.col("x_value") - F.col("y_value")) * (F.col("x_value") - F.col("y_value"))).alias("cost"))

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -24,6 +24,11 @@ def n_blocks(length: int, block_size: int) -> int:
     return -(-length // block_size)
 
 
+def buckets(spark: SparkSession, blocks: int) -> int:
+    """Partitions of a vector of so many blocks: the same for all vectors of one layout, so that they meet without an exchange."""
+    return max(1, min(blocks, int(spark.conf.get("spark.sql.shuffle.partitions"))))
+
+
 def block_length(block: Column, length: int, block_size: int) -> Column:
     """Elements in a block; only the last one may be short."""
     return F.least(F.lit(block_size), F.lit(length) - block.cast("long") * block_size).cast("int")

@@ -22,7 +22,7 @@ def _check(*vectors: Vec) -> None:
 
 
 def wide(vectors: list[Vec]) -> DataFrame:
-    """(block_id, v0, v1, ...): one co-partitioned join."""
+    """(block_id, v0, v1, ...): joined by block. Large vectors that were cut meet without an exchange; others move once."""
     df = vectors[0].df.withColumnRenamed("values", "v0")
     for k, v in enumerate(vectors[1:], 1):
         df = df.join(v.df.withColumnRenamed("values", f"v{k}"), "block_id")

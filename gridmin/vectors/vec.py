@@ -11,6 +11,7 @@ from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from gridmin.session import shared_base
 from gridmin.vectors import layout
 
 
@@ -25,9 +26,10 @@ class Vec:
     dtype: str = "double"
     segments: tuple[tuple[str, int, int], ...] = field(default=())
     path: str | None = None
+    table: str | None = None
 
     def with_df(self, df: DataFrame) -> "Vec":
-        return replace(self, df=df, path=None)
+        return replace(self, df=df, path=None, table=None)
 
     def to_long(self) -> DataFrame:
         """(idx, value), or (row, idx, value) for a stack."""
@@ -41,7 +43,7 @@ class Vec:
     def row(self, k: int) -> "Vec":
         """Row k of a stack as a dense vector."""
         width = layout.block_length(F.col("block_id"), self.length, self.block_size)
-        return replace(self, df=self.df.select("block_id", F.slice("values", F.lit(k) * width + 1, width).alias("values")), stack=1, path=None)
+        return replace(self, df=self.df.select("block_id", F.slice("values", F.lit(k) * width + 1, width).alias("values")), stack=1, path=None, table=None)
 
     def as_stacked(self, k: int) -> "Vec":
         """A dense vector of k x m elements seen as k rows of m."""
@@ -63,7 +65,7 @@ class Vec:
         first, length = next((f, n) for s, f, n in self.segments if s == name)
         last = first + layout.n_blocks(length, self.block_size)
         part = self.df.where((F.col("block_id") >= first) & (F.col("block_id") < last)).select((F.col("block_id") - first).cast("int").alias("block_id"), "values")
-        return replace(self, df=part, length=length, segments=(), path=None)
+        return replace(self, df=part, length=length, segments=(), path=None, table=None)
 
     def persist(self, level: StorageLevel = StorageLevel.MEMORY_AND_DISK) -> "Vec":
         self.df.persist(level)
@@ -73,6 +75,8 @@ class Vec:
         """Frees the cache, or the files of a vector that ``cut`` has written."""
         if self.path:
             spark = self.df.sparkSession
+            if self.table:
+                spark.sql(f"drop table if exists {self.table}")
             at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(self.path)
             at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
         else:
@@ -83,15 +87,19 @@ class Vec:
         self.persist().df.count()
         return self
 
-    def cut(self, mode: str = "files") -> "Vec":
-        """Lineage cut; all three survive lost executors. ``files``: Parquet in the shared folder, read back (the plan becomes a
-        scan). ``checkpoint``: an RDD checkpoint. ``table``: a table bucketed by block, which keeps the partitioning."""
+    def cut(self, mode: str = "auto") -> "Vec":
+        """Lineage cut; all of them survive lost executors and write to the shared folder. ``table``: files bucketed by block, read
+        back as a table: equally laid out vectors and cells meet without an exchange. ``files``: Parquet without buckets.
+        ``auto``: a table, unless the vector is so small that joins broadcast it anyway. ``checkpoint``: an RDD checkpoint."""
         spark = self.df.sparkSession
+        if mode == "auto":
+            small = spark._jsparkSession.sessionState().conf().autoBroadcastJoinThreshold()
+            mode = "table" if 8 * self.length * self.stack > small else "files"
         if mode == "table":
-            name = f"gridmin_cut_{uuid4().hex}"
-            n = int(spark.conf.get("spark.sql.shuffle.partitions"))
-            self.df.write.bucketBy(n, "block_id").saveAsTable(name)
-            return self.with_df(spark.table(name))
+            name = f"gridmin_{uuid4().hex}"
+            n, path = layout.buckets(spark, layout.n_blocks(self.length, self.block_size)), f"{shared_dir(spark)}/{name}"
+            self.df.repartition(n, "block_id").write.option("path", path).bucketBy(n, "block_id").saveAsTable(name)
+            return replace(self, df=spark.table(name), path=path, table=name)
         if mode == "checkpoint":
             return self.with_df(checkpointed(self.df))
         path, schema = f"{shared_dir(spark)}/vec-{uuid4().hex}", self.df.schema
@@ -100,16 +108,15 @@ class Vec:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """A folder that driver and executors share: spark.checkpoint.dir, or one below the warehouse where that is unset."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_stage"
-    return f"{base.rstrip('/')}/vectors-{spark.sparkContext.applicationId}"
+    """A folder that driver and executors share."""
+    return f"{shared_base(spark)}/vectors-{spark.sparkContext.applicationId}"
 
 
 def checkpointed(df: DataFrame) -> DataFrame:
-    """df.checkpoint() in the folder the session names, else in one below the warehouse."""
+    """df.checkpoint() in the shared folder."""
     spark = df.sparkSession
     if not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_checkpoints")
+        spark.sparkContext.setCheckpointDir(f"{shared_base(spark)}/checkpoints")
     return df.checkpoint()
 
 
@@ -175,7 +182,7 @@ def stack(vectors: list[Vec]) -> Vec:
     df = vectors[0].df.withColumnRenamed("values", "v0")
     for k, v in enumerate(vectors[1:], 1):
         df = df.join(v.df.withColumnRenamed("values", f"v{k}"), "block_id")
-    return replace(vectors[0], df=df.select("block_id", F.concat(*[f"v{k}" for k in range(len(vectors))]).alias("values")), stack=len(vectors), path=None)
+    return replace(vectors[0], df=df.select("block_id", F.concat(*[f"v{k}" for k in range(len(vectors))]).alias("values")), stack=len(vectors), path=None, table=None)
 
 
 def concat(vectors: list[tuple[str, Vec]]) -> Vec:

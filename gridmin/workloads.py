@@ -4,6 +4,8 @@ from __future__ import annotations
 
 from collections.abc import Callable
 from dataclasses import dataclass, field
+from functools import partial
+from uuid import uuid4
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -11,9 +13,9 @@ from pyspark.sql import functions as F
 
 from gridmin import grid, io, losses, optim, transport
 from gridmin.objective import Batched, Linear, Machines, Objective
-from gridmin.ranking import Pairwise, Uniform
+from gridmin.ranking import Pairwise, Uniform, Within
 from gridmin.vectors import Vec, from_expr, uniform, zeros
-from gridmin.vectors.vec import from_long
+from gridmin.vectors.vec import from_long, shared_dir
 
 
 def h32(*parts) -> Column:
@@ -61,21 +63,43 @@ class Workload:
         return self.run().log_df(self.x0.df.sparkSession)
 
 
-def _parts(spark: SparkSession) -> int:
-    return max(2, int(spark.conf.get("spark.sql.shuffle.partitions")) // 2)
+#: Examples in a part of the grid, at most about; a cell and the derivatives it is sent are one row each.
+EXAMPLES_A_PART = 1 << 17
+
+
+def _parts(examples: DataFrame) -> int:
+    """Example parts: half as many as shuffle partitions, more where there are many examples."""
+    least = max(2, int(examples.sparkSession.conf.get("spark.sql.shuffle.partitions")) // 2)
+    return max(least, -(-examples.count() // EXAMPLES_A_PART))
 
 
 def quick(n: int = 10, tol: float = 1e-7, **kw) -> optim.LimitedMemory:
     return optim.LimitedMemory(stop=[optim.GradNorm(tol), optim.MaxIter(n)], **kw)
 
 
-def linear(features: DataFrame, labels: DataFrame, length: int, loss: losses.Loss, block: int = 1024, minimiser=None, strategy="stationary") -> Workload:
+def linear(features: DataFrame, labels: DataFrame, length: int, loss: losses.Loss, block: int = 1024, minimiser=None, strategy: str | None = None) -> Workload:
     spark = features.sparkSession
-    cells = grid.build_cells(features, _parts(spark), block).persist()
-    f = Linear(cells, labels, loss, _parts(spark), strategy)
+    parts = _parts(labels)
+    cells = grid.build_cells(features, parts, block).persist()
+    f = Linear(cells, labels, loss, parts, strategy)
     return Workload(f, zeros(spark, length, block, stack=loss.k), minimiser or quick(), {"cells": cells, "features": features, "labels": labels})
 
 
+def batched(features: DataFrame, labels: DataFrame, batch: Callable[[Column], Column], m: int, length: int, loss: losses.Loss, policy: str = "same", block: int = 1024, prefetch: bool = True) -> Batched:
+    """Batches on disk, a folder each; one is read, laid out and cached at a time, and the next one meanwhile."""
+    spark, path = features.sparkSession, f"{shared_dir(features.sparkSession)}/batches-{uuid4().hex}"
+    for name, df in (("features", features), ("labels", labels)):
+        io.write_batches(df.withColumn("batch_id", batch(F.col("example_id"))), f"{path}/{name}")
+
+    def load(k: int) -> Objective:
+        parts = [io.read_batch(spark, f"{path}/{name}", k).drop("batch_id") for name in ("features", "labels")]
+        f = linear(*parts, length, loss, block).objective
+        f.cells.count()
+        return f
+
+    return Batched([partial(load, k) for k in range(m)], policy, prefetch)
+
+
 def standardised(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame, dict]:
     """W1r: price from quantity, discount and tax, z-scored, with a bias (feature 3)."""
     cols = ["l_quantity", "l_discount", "l_tax"]
@@ -105,8 +129,10 @@ def w1(spark: SparkSession, sf_dir: str, d: int = 10_007, nnz: int = 30, batches
         out = linear(feats.where(keep), y.where(keep), d, losses.Squared(), 1024, minimiser)
         out.data["truth"] = from_expr(spark, d, lambda row, i: true_weight(i), 1024)
         return out
-    parts = [linear(feats.where(of == b), y.where(of == b), d, losses.Squared(), 1024).objective for b in range(batches)]
-    return Workload(Batched(parts, policy), zeros(spark, d, 1024), minimiser or quick())
+    f = batched(feats, y, lambda i: F.pmod(i, F.lit(5)).cast("int"), batches, d, losses.Squared(), policy)
+    feats.unpersist()
+    y.unpersist()
+    return Workload(f, zeros(spark, d, 1024), minimiser or quick())
 
 
 def w2(spark: SparkSession, sf_dir: str, minimiser=None) -> Workload:
@@ -116,9 +142,17 @@ def w2(spark: SparkSession, sf_dir: str, minimiser=None) -> Workload:
     return linear(feats, e.select("example_id", "label"), 64, losses.Softmax(10), 64, minimiser)
 
 
-def w2_planted(spark: SparkSession, sf_dir: str, d: int = 5_003, nnz: int = 100, k: int = 10, batches: int = 5, policy: str = "same", minimiser=None) -> Workload:
-    """Planted softmax on events, labels drawn from the law by inverse distribution function of a hashed uniform."""
+def next_prime(n: int) -> int:
+    while n < 2 or any(n % q == 0 for q in range(2, int(n**0.5) + 1)):
+        n += 1
+    return n
+
+
+def w2_planted(spark: SparkSession, sf_dir: str, d: int | None = None, nnz: int = 100, k: int = 10, batches: int = 5, policy: str = "same", minimiser=None) -> Workload:
+    """Planted softmax on events, labels drawn from the law by inverse distribution function of a hashed uniform. As published, a
+    batch has five examples for each feature, unless ``d`` says otherwise."""
     ids = io.table(spark, sf_dir, "events", ["event_id"]).select(F.col("event_id").alias("example_id"))
+    d = d or next_prime(max(2 * nnz, ids.count() // batches // 5))
     feats = planted_features(ids, nnz, d).persist()
     s = feats.groupBy("example_id").agg(*[F.sum(F.col("value") * true_weight(F.col("feature_id"), F.lit(c))).alias(f"s{c}") for c in range(k)])
     law = s.select("example_id", losses.softmax(F.array(*[f"s{c}" for c in range(k)])).alias("p")).persist()
@@ -126,9 +160,11 @@ def w2_planted(spark: SparkSession, sf_dir: str, d: int = 5_003, nnz: int = 100,
     u = h32("u", F.col("example_id")) / F.lit(4294967296.0)
     label = sum(((u >= cdf(c)).cast("int") for c in range(1, k)), F.lit(0))
     labels = law.select("example_id", label.cast("double").alias("label")).persist()
-    of = F.pmod(F.col("example_id"), F.lit(batches))
-    parts = [linear(feats.where(of == b), labels.where(of == b), d, losses.Softmax(k), 1024).objective for b in range(batches)]
-    f = parts[0] if batches == 1 else Batched(parts, policy)
+    if batches == 1:
+        f = linear(feats, labels, d, losses.Softmax(k), 1024).objective
+    else:
+        f = batched(feats, labels, lambda i: F.pmod(i, F.lit(batches)).cast("int"), batches, d, losses.Softmax(k), policy)
+    feats.unpersist()
     return Workload(f, zeros(spark, d, 1024, stack=k), minimiser or quick(6), {"law": law, "labels": labels})
 
 
@@ -146,7 +182,8 @@ def w3_one_dimension(spark: SparkSession, sf_dir: str, eps: float = 0.01, minimi
         lo, hi = df.agg(F.min(bal), F.max(bal)).first()
         both.append(df.select(F.col(key).alias("k"), F.array((F.col(bal) - lo) / (hi - lo)).alias("c")))
     f = transport.Transport.of(*both, "k", "c", part_size=512, eps=eps)
-    return Workload(f, f.start(), minimiser or quick(10, 5e-5))
+    flat = [df.select("k", F.col("c")[0].alias("v")) for df in both]
+    return Workload(f, f.start(), minimiser or quick(10, 5e-5), {"x": flat[0], "y": flat[1]})
 
 
 def ball(spark: SparkSession, n: int, d: int, seed: int) -> DataFrame:
@@ -182,15 +219,39 @@ def events(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def w4(spark: SparkSession, sf_dir: str, k: int = 4, minimiser=None) -> Workload:
     e = events(spark, sf_dir)
-    cells = grid.build_cells(event_features(e), _parts(spark), 512).persist()
-    f = Machines(cells, e.select("example_id", (F.col("value") / 100.0).alias("label")), losses.Squared(), _parts(spark))
+    parts = _parts(e)
+    cells = grid.build_cells(event_features(e), parts, 512).persist()
+    f = Machines(cells, e.select("example_id", (F.col("value") / 100.0).alias("label")), losses.Squared(), parts)
     return Workload(f, uniform(spark, 512, 5, -0.1, 0.1, 512, k), minimiser or quick(5))
 
 
 def w5(spark: SparkSession, sf_dir: str, k: int = 4, n_neg: int = 2, sampler: Callable | None = None, minimiser=None) -> Workload:
     pos = events(spark, sf_dir).where(F.col("query").isin("purchase", "click")).drop("value").persist()
     made = sampler(pos) if sampler else Uniform(pos.select("item"), n_neg, 3)
-    f = Pairwise(pos, made, event_features, 512, _parts(spark))
+    f = Pairwise(pos, made, event_features, 512, _parts(pos))
+    return Workload(f, uniform(spark, 512, 6, -0.1, 0.1, 512, k), minimiser or optim.AdaptiveGradient(eta=0.05, stop=[optim.MaxIter(4)]), {"positives": pos})
+
+
+def orders_positives(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(example_id, user_id, query, item): customer, part type and part of every line of every order."""
+    o = io.table(spark, sf_dir, "orders", ["o_orderkey", "o_custkey"])
+    li = io.table(spark, sf_dir, "lineitem", ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice"])
+    p = io.table(spark, sf_dir, "part", ["p_partkey", "p_type"])
+    rows = li.join(o, F.col("l_orderkey") == F.col("o_orderkey")).join(p, F.col("l_partkey") == F.col("p_partkey"))
+    line = F.md5(F.concat_ws(":", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", F.round(F.col("l_extendedprice") * 100).cast("long")).cast("binary"))
+    return rows.select(F.conv(F.substring(line, 1, 13), 16, 10).cast("long").alias("example_id"), F.col("o_custkey").alias("user_id"), F.col("p_type").alias("query"), F.col("l_partkey").alias("item"))
+
+
+def order_features(df: DataFrame) -> DataFrame:
+    """One-hot customer, type and part, hashed to 200, 97 and 212 of 512 features."""
+    ids = F.array(F.col("user_id") % 200, F.lit(200) + h32("q", F.col("query")) % 97, F.lit(300) + F.col("item") % 212)
+    return df.select("example_id", F.explode(ids).alias("feature_id"), F.lit(1.0).alias("value"))
+
+
+def w5_orders(spark: SparkSession, sf_dir: str, k: int = 4, n_neg: int = 1, minimiser=None) -> Workload:
+    """Ranking of the parts that customers order, against other parts of the same type."""
+    pos = orders_positives(spark, sf_dir).persist()
+    f = Pairwise(pos, Within(pos.select("item", F.col("query").alias("grp")), "grp", n_neg, 3), order_features, 512, _parts(pos))
     return Workload(f, uniform(spark, 512, 6, -0.1, 0.1, 512, k), minimiser or optim.AdaptiveGradient(eta=0.05, stop=[optim.MaxIter(4)]), {"positives": pos})
 
 

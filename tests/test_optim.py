@@ -101,3 +101,57 @@ def test_strategy_is_the_cheapest():
     s = grid.Stats(10**9, 1, 100, 100, 26 * 10**8, 3 * 10**9, 400)
     assert grid.choose(s) == min(grid.costs(s), key=grid.costs(s).get)
     assert grid.choose(grid.Stats(100, 1, 100, 1, 10**6, 10**6, 4)) == "broadcast"
+
+
+def test_one_batch_is_cached_at_a_time(spark, data):
+    """Batches given as loaders: values as with all in memory, and no more than the current and the coming one loaded."""
+    alive, freed = [], []
+
+    class Watched(Linear):
+        def free(self):
+            freed.append(self.number)
+            alive.remove(self.number)
+
+    def load(k):
+        f = Watched(data[0], data[1].where(f"example_id % 3 = {k}"), losses.Squared(), 3, "broadcast")
+        f.number = k
+        alive.append(k)
+        assert len(alive) <= 3  # the one before is freed right after
+        return f
+
+    plain = [Linear(data[0], data[1].where(f"example_id % 3 = {k}"), losses.Squared(), 3, "broadcast") for k in range(3)]
+    x, lazy, eager = vec(spark, np.full(D, 0.2)), Batched([lambda k=k: load(k) for k in range(3)], prefetch=True), Batched(plain)
+    for _ in range(4):
+        assert np.isclose(lazy.value(x), eager.value(x))
+    assert lazy.log == eager.log and freed[:3] == [0, 1, 2]
+    lazy.free()
+    assert not alive
+
+
+def test_machine_with_linear_weights_and_bias(spark, data):
+    """Value, gradient and line by finite differences; the bias feature's latent weights get no gradient."""
+    feats = data[2].unionByName(data[1].selectExpr("example_id", "5L as feature_id", "1D as value"))
+    f = Machines(grid.build_cells(feats, 3, 2).persist(), data[1], losses.Squared(), 3, "stationary", linear=True, bias=5)
+    flat = lambda v: np.array([r["value"] for r in v.to_long().orderBy("row", "idx").collect()])
+    z = RNG.normal(size=(3, 6)) * 0.3
+    z[:2, 5] = 0.0
+    x = from_long(spark.createDataFrame([(r, i, float(z[r, i])) for r in range(3) for i in range(6)], "row int, idx long, value double"), 6, 2, stack=3)
+
+    def value(m):
+        one = np.concatenate([X, np.ones((N, 1))], 1)
+        pairs = 0.5 * ((X @ m[:2, :5].T) ** 2 - (X**2) @ (m[:2, :5] ** 2).T).sum(1)
+        return ((pairs + one @ m[2] - Y) ** 2).mean()
+
+    v, g = f.evaluate(x)
+    assert np.isclose(v, value(z))
+    got = flat(g).reshape(3, 6)
+    assert (got[:2, 5] == 0).all()
+    for r, i in [(0, 0), (1, 3), (2, 2), (2, 5)]:
+        up, down = z.copy(), z.copy()
+        up[r, i] += 1e-5
+        down[r, i] -= 1e-5
+        assert np.isclose(got[r, i], (value(up) - value(down)) / 2e-5, rtol=1e-4, atol=1e-7)
+    line = f.along(x, g)
+    (a, s), (b, _) = line.at([0.0, -0.1])
+    assert np.isclose(a, v) and np.isclose(s, (got**2).sum()) and np.isclose(b, value(z - 0.1 * got))
+    line.free()

@@ -13,7 +13,7 @@ from gridmin import registry
 
 DIR = os.environ.get("GRIDMIN_TEST_DIR", "/root/testdata/sf0.001")
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-KEYS = ["vec_add", "vec_keyed_zip", "w1_gradient", "sgd_constant", "adagrad_elastic", "loss_softmax", "fm_score", "fm_gradient", "rank_sampler_uniform", "rank_gradient", "ot_value", "ot_gradient", "met_auc", "join_asof", "agg_cube", "win_sessionise", "st_tumbling", "feat_index"]
+KEYS = ["vec_add", "vec_keyed_zip", "w1_gradient", "sgd_constant", "adagrad_elastic", "loss_softmax", "fm_score", "fm_gradient", "rank_sampler_uniform", "rank_gradient", "ot_value", "ot_gradient", "met_auc", "met_plan", "grid_chosen", "fm_linear_gradient", "rank_sampler_excluding", "join_asof", "agg_cube", "win_sessionise", "st_tumbling", "feat_index"]
 
 
 def rows(frame):
