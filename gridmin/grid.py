@@ -106,7 +106,7 @@ def costs(s: Stats) -> dict[str, float]:
 
 def choose(s: Stats) -> str:
     c = costs(s)
-    feasible = {k: v for k, v in c.items() if k != "stationary" or s.feat_parts >= s.cores}  # beside few blocks, few tasks would work
+    feasible = {k: v for k, v in c.items() if k != "stationary" or s.feat_parts >= max(2, s.cores)}  # beside few blocks, few tasks would work
     return min(feasible, key=feasible.get)
 
 

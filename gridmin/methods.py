@@ -321,7 +321,7 @@ def grid_chosen(spark, d):
     f, x = workloads.w1(spark, d).objective, _fixed(spark, 10_007)
     s = grid.stats(f.cells, x, f.ex_parts)
     c = grid.costs(s)
-    allowed = [k for k in c if k != "stationary" or s.feat_parts >= s.cores]
+    allowed = [k for k in c if k != "stationary" or s.feat_parts >= max(2, s.cores)]
     return _one(spark, e=s.e, routes=int(s.routes), feat_parts=int(s.feat_parts), least=c[f.grid.strategy_for(x)] == min(c[k] for k in allowed))
 
 
