@@ -88,3 +88,9 @@ def test_block_grid_has_every_supplier(spark, tmp_path):
     pd.DataFrame({"s_suppkey": range(180)}).to_parquet(tmp_path / "supplier.parquet")
     got, want = sql_and_spark(spark, "join_block_grid", tmp_path)
     assert got == want and len(got) == 3 * 4
+
+
+def test_machines_fall_to_the_variance(spark):
+    """On values whose variance is about half their mean square, as on the larger tables, half the first loss is out of reach."""
+    got, want = sql_and_spark(spark, "fm_fit_trace", Path(DIR.replace("sf0.001", "sf0.01")))
+    assert got == want
