@@ -1,9 +1,10 @@
 """Entropy-regularised optimal transport by minimising the negative dual over a grid of point tiles.
 
-The dual vector is u and v in one block vector. Tiles pair a block of source points with a block of target points; costs are
-recomputed from coordinates in the tile (``cost='recompute'``, bytes in the points) or kept (``'tiles'``, bytes in the
-pairs). Tiles are laid out once by (x_part, y_part) and never move again: a block of u is copied to the tiles of its row, a block of v
-to those of its column. One pass over the tiles gives row and column sums, hence value and gradient together.
+The dual vector is u and v in one block vector. Tiles pair a strip of source points (several blocks) with a strip of target points;
+costs are recomputed from coordinates in the tile (``cost='recompute'``, bytes in the points times the strips of the other side) or
+kept (``'tiles'``, bytes in the pairs). Tiles are laid out once by (x_part, y_part) and never move again: a strip of u is copied to the
+tiles of its row, a strip of v to those of its column. A tile is worked through in chunks of whole blocks, so its matrix is never
+held. One pass over the tiles gives row and column sums, hence value and gradient together.
 
 Exponentials that would overflow are kept relative to the largest exponent of their tile, and sums are joined in that form, so
 small ``eps`` and long trial steps give a large or infinite value but never a NaN.
@@ -11,6 +12,7 @@ small ``eps`` and long trial steps give a large or infinite value but never a Na
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -33,12 +35,18 @@ def index_points(points: DataFrame, key: str, coords: str, part_size: int) -> Da
     return rows.select("pos", F.floor(F.col("pos") / part_size).cast("int").alias("part"), "coords")
 
 
-def blocks(indexed: DataFrame, name: str) -> DataFrame:
-    """(<name>_part, <name>s): a block's coordinates, point after point."""
-    listed = indexed.groupBy("part").agg(F.sort_array(F.collect_list(F.struct("pos", "coords"))).alias("r"))
+def strips(indexed: DataFrame, name: str, wide: int) -> DataFrame:
+    """(<name>_part, <name>s): the coordinates of ``wide`` blocks, point after point."""
+    listed = indexed.groupBy(F.floor(F.col("part") / wide).cast("int").alias("part")).agg(F.sort_array(F.collect_list(F.struct("pos", "coords"))).alias("r"))
     return listed.select(F.col("part").alias(f"{name}_part"), F.flatten("r.coords").alias(f"{name}s"))
 
 
+def strip_values(v: Vec, name: str, wide: int, out: str) -> DataFrame:
+    """(<name>_part, <out>): a vector's blocks put together as ``strips`` does with points."""
+    listed = v.df.groupBy(F.floor(F.col("block_id") / wide).cast("int").alias(f"{name}_part")).agg(F.sort_array(F.collect_list(F.struct("block_id", "values"))).alias("r"))
+    return listed.select(f"{name}_part", F.flatten("r.values").cast("array<double>").alias(out))
+
+
 def cost_matrix(x: np.ndarray, y: np.ndarray, metric: str) -> np.ndarray:
     if metric == "cosine":
         return 1.0 - (x @ y.T) / np.maximum(np.linalg.norm(x, axis=1)[:, None] * np.linalg.norm(y, axis=1)[None, :], 1e-300)
@@ -47,12 +55,42 @@ def cost_matrix(x: np.ndarray, y: np.ndarray, metric: str) -> np.ndarray:
 
 
 SUMS = "block_id int, values array<double>, shift double"
+#: Points in a strip at most, bytes of its coordinates at most, points where costs are kept, points on a side of a chunk at most (unless a block is longer).
+STRIP, STRIP_BYTES, KEPT_STRIP, CHUNK = 1 << 14, 8 << 20, 1 << 10, 512
+LARGE = 600.0  # exponents beyond this are kept relative to the largest
+
+
+def wide_strip(n: int, dim: int, size: int, cores: int, kept: bool) -> int:
+    """Blocks in a strip: few strips, as points are copied to all strips of the other side, but tiles enough for all cores."""
+    points = min(-(-n // math.ceil(math.sqrt(4 * cores))), KEPT_STRIP if kept else STRIP, STRIP_BYTES // (8 * max(1, dim)))
+    return max(1, points // size)
+
+
+def chosen(x: np.ndarray, y: np.ndarray, of_10000: int, seed: int) -> np.ndarray:
+    """Which pairs of block numbers a hash sample takes."""
+    with np.errstate(over="ignore"):
+        h = x.astype(np.uint64)[:, None] * np.uint64(0x9E3779B97F4A7C15) + y.astype(np.uint64)[None, :] * np.uint64(0xC2B2AE3D27D4EB4F) + np.uint64(seed) * np.uint64(0x165667B19E3779F9)
+        h = (h ^ (h >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+        h = (h ^ (h >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+        return (h ^ (h >> np.uint64(31))) % np.uint64(10_000) < np.uint64(of_10000)
+
+
+def heaviest(plan: np.ndarray, top: int) -> np.ndarray:
+    """Columns of the ``top`` largest entries of each row, the first of equal ones first."""
+    top = min(top, plan.shape[1])
+    if top > 8:
+        return np.argsort(-plan, axis=1, kind="stable")[:, :top]
+    left, out, rows = plan.copy(), [], np.arange(len(plan))
+    for _ in range(top):
+        out.append(left.argmax(1))
+        left[rows, out[-1]] = -np.inf
+    return np.stack(out, 1)
 
 
 def shifted_exp(z: np.ndarray) -> tuple[float, np.ndarray]:
     """(shift, exp(z - shift)); shift is 0 unless exponents are so large that sums could overflow."""
     top = float(z.max(initial=0.0))
-    shift = top if top > 600.0 else 0.0
+    shift = top if top > LARGE else 0.0
     return shift, np.exp(z - shift)
 
 
@@ -71,6 +109,16 @@ def _shifted(held: dict[int, tuple[float, np.ndarray]]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(list(held), pa.int32()), values, pa.array([s for s, _ in held.values()], pa.float64())], names=["block_id", "values", "shift"])
 
 
+def _weigh(e: np.ndarray, a: np.ndarray | None, b: np.ndarray | None, taken: np.ndarray | None) -> np.ndarray:
+    """``e`` times the masses of rows and columns, without the pairs that a sample leaves out; in place."""
+    if a is not None:
+        e *= a[:, None]
+        e *= b[None, :]
+    if taken is not None:
+        e *= taken
+    return e
+
+
 class Transport(Objective):
     """-L(u, v) for uniform masses, or masses ``a`` and ``b`` given as Vecs of the sides' layouts."""
 
@@ -79,7 +127,11 @@ class Transport(Objective):
         self.n_x, self.n_y, self.dim, self.eps, self.size, self.metric, self.cost = n_x, n_y, dim, eps, part_size, metric, cost
         self.spark, self.first_v = x.sparkSession, -(-n_x // part_size)
         self.y_parts = -(-n_y // part_size)
-        self.tiles = grid.tile_grid(blocks(x, "x"), blocks(y, "y"))
+        cores = self.spark.sparkContext.defaultParallelism
+        self.x_wide, self.y_wide = (wide_strip(n, dim, part_size, cores, cost == "tiles") for n in (n_x, n_y))
+        self.x_strips, self.y_strips = -(-self.first_v // self.x_wide), -(-self.y_parts // self.y_wide)
+        self.sample: tuple[int, int] | None = None
+        self.tiles = grid.tile_grid(strips(x, "x", self.x_wide), strips(y, "y", self.y_wide))
         if cost == "tiles":
             self.tiles = self.cost_tiles()
         self.tiles = self.by_tile(self.tiles).persist()
@@ -111,17 +163,17 @@ class Transport(Objective):
         return df.repartition(int(self.spark.conf.get("spark.sql.shuffle.partitions")), "x_part", "y_part")
 
     def potentials(self, *vectors: Vec, masses: bool = True) -> tuple[DataFrame, list[str]]:
-        """(x_part, y_part, u0, v0, ...): the u and v blocks of each vector, and the masses, copied to the tiles that need them."""
+        """(x_part, y_part, u0, v0, ...): the u and v strips of each vector, and the masses, copied to the tiles that need them."""
         sides = [(v.segment("u"), v.segment("v")) for v in vectors]
         if masses and self.a is not None:
             sides.append((self.a, self.b))
         rows, cols, names = None, None, []
         for k, (u, v) in enumerate(sides):
-            left, right = u.df.select(F.col("block_id").alias("x_part"), F.col("values").alias(f"u{k}")), v.df.select(F.col("block_id").alias("y_part"), F.col("values").alias(f"v{k}"))
+            left, right = strip_values(u, "x", self.x_wide, f"u{k}"), strip_values(v, "y", self.y_wide, f"v{k}")
             rows, cols = (left, right) if rows is None else (rows.join(left, "x_part"), cols.join(right, "y_part"))
             names += [f"u{k}", f"v{k}"]
-        rows = self.by_tile(rows.withColumn("y_part", F.explode(F.sequence(F.lit(0), F.lit(self.y_parts - 1)))))
-        cols = self.by_tile(cols.withColumn("x_part", F.explode(F.sequence(F.lit(0), F.lit(self.first_v - 1)))))
+        rows = self.by_tile(rows.withColumn("y_part", F.explode(F.sequence(F.lit(0), F.lit(self.y_strips - 1)))))
+        cols = self.by_tile(cols.withColumn("x_part", F.explode(F.sequence(F.lit(0), F.lit(self.x_strips - 1)))))
         return rows.join(cols, ["x_part", "y_part"]).select("x_part", "y_part", *names), names
 
     def _attached(self, *vectors: Vec, masses: bool = True) -> tuple[DataFrame, list[str]]:
@@ -133,34 +185,77 @@ class Transport(Objective):
         return self.tiles.join(potentials, ["x_part", "y_part"]).select("x_part", "y_part", *data, *names), names
 
     def _tile(self):
-        """A picklable reader of a tile's cost matrix and vectors."""
-        kept, dim, metric = self.cost == "tiles", self.dim, self.metric
-
-        def read(b: pa.RecordBatch, i: int) -> tuple[int, int, np.ndarray, list[np.ndarray]]:
+        """A picklable reader of a tile: its numbers, an iterator of its chunks as (rows, columns, costs, taken), and its vectors.
+        Chunks hold whole blocks; ``taken`` is None, or 0 where a sample leaves pairs out."""
+        kept, dim, metric, size, sample = self.cost == "tiles", self.dim, self.metric, self.size, self.sample
+        x_points, y_points, n_x, n_y, x_wide, y_wide = self.x_wide * self.size, self.y_wide * self.size, self.n_x, self.n_y, self.x_wide, self.y_wide
+        edge = size * max(1, CHUNK // size)
+
+        def read(b: pa.RecordBatch, i: int) -> tuple[int, int, Iterator[tuple], list[np.ndarray]]:
+            p, q = b.column(0)[i].as_py(), b.column(1)[i].as_py()
             arrays = [b.column(k)[i].values.to_numpy(zero_copy_only=False) for k in range(2, b.num_columns)]
-            if kept:
-                vectors = arrays[1:]
-                c = arrays[0].reshape(len(vectors[0]), -1)
-            else:
-                c, vectors = cost_matrix(arrays[0].reshape(-1, dim), arrays[1].reshape(-1, dim), metric), arrays[2:]
-            return b.column(0)[i].as_py(), b.column(1)[i].as_py(), c, vectors
+            rows, cols = min(x_points, n_x - p * x_points), min(y_points, n_y - q * y_points)
+            data = [arrays[0].reshape(rows, cols)] if kept else [arrays[0].reshape(rows, dim), arrays[1].reshape(cols, dim)]
+
+            def chunks() -> Iterator[tuple]:
+                for r in (slice(k, min(k + edge, rows)) for k in range(0, rows, edge)):
+                    for s in (slice(k, min(k + edge, cols)) for k in range(0, cols, edge)):
+                        taken = None
+                        if sample:
+                            at = [np.arange(c.start // size, -(-c.stop // size)) + first for c, first in ((r, p * x_wide), (s, q * y_wide))]
+                            taken = np.repeat(np.repeat(chosen(*at, *sample), size, 0), size, 1)[: r.stop - r.start, : s.stop - s.start].astype(float)
+                        yield r, s, data[0][r, s] if kept else cost_matrix(data[0][r], data[1][s], metric), taken
+
+            return p, q, chunks(), arrays[len(data) :]
 
         return read
 
+    def costs(self) -> DataFrame:
+        """(lo, hi, total, pairs) of each tile's costs."""
+        read, data = self._tile(), ["cost"] if self.cost == "tiles" else ["xs", "ys"]
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                for i in range(batch.num_rows):
+                    got = [(c.min(), c.max(), c.sum(), c.size) for _, _, c, _ in read(batch, i)[2]]
+                    lo, hi, total, pairs = zip(*got)
+                    yield pa.RecordBatch.from_arrays([pa.array([min(lo)]), pa.array([max(hi)]), pa.array([math.fsum(total)]), pa.array([sum(pairs)], pa.int64())], names=["lo", "hi", "total", "pairs"])
+
+        return map_arrow(self.tiles.select("x_part", "y_part", *data), run, "lo double, hi double, total double, pairs bigint")
+
     def _sums(self, x: Vec) -> DataFrame:
         """(block_id, values, shift): row sums of the exponentials under u's blocks, column sums under v's, over exp(shift)."""
-        read, eps, first, weighted = self._tile(), self.eps, self.first_v, self.a is not None
+        read, eps, first, weighted, size, x_wide, y_wide = self._tile(), self.eps, self.first_v, self.a is not None, self.size, self.x_wide, self.y_wide
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             held: dict[int, tuple[float, np.ndarray]] = {}
+
+            def put(block: int, shift: float, values: np.ndarray) -> None:
+                held[block] = joined(held.get(block), (shift, values))
+
             for batch in batches:
                 for i in range(batch.num_rows):
-                    p, q, c, (u, v, *m) = read(batch, i)
-                    shift, e = shifted_exp((u[:, None] + v[None, :] - c) / eps)
-                    if weighted:
-                        e = e * m[0][:, None] * m[1][None, :]
-                    for block, s in ((p, e.sum(1)), (first + q, e.sum(0))):
-                        held[block] = joined(held.get(block), (shift, s))
+                    p, q, chunks, (u, v, *m) = read(batch, i)
+                    by_row, by_col = np.zeros(len(u)), np.zeros(len(v))
+                    for r, s, c, taken in chunks:
+                        z = u[r, None] + v[None, s]
+                        z -= c
+                        z /= eps
+                        if z.max(initial=0.0) <= LARGE:
+                            e = _weigh(np.exp(z, out=z), m[0][r] if weighted else None, m[1][s] if weighted else None, taken)
+                            by_row[r] += e.sum(1)
+                            by_col[s] += e.sum(0)
+                            continue
+                        for k in range(0, z.shape[0], size):  # a shift for each pair of blocks
+                            for j in range(0, z.shape[1], size):
+                                part = slice(k, k + size), slice(j, j + size)
+                                shift, e = shifted_exp(z[part])
+                                e = _weigh(e, m[0][r][part[0]] if weighted else None, m[1][s][part[1]] if weighted else None, taken if taken is None else taken[part])
+                                put(p * x_wide + (r.start + k) // size, shift, e.sum(1))
+                                put(first + q * y_wide + (s.start + j) // size, shift, e.sum(0))
+                    for at, values in ((p * x_wide, by_row), (first + q * y_wide, by_col)):
+                        for k in range(0, len(values), size):
+                            put(at + k // size, 0.0, values[k : k + size])
             if held:
                 yield _shifted(held)
 
@@ -200,22 +295,34 @@ class Transport(Objective):
     def read_outs(self, x: Vec, top: int = 1) -> DataFrame:
         """(x_part, y_part, mass, cost, entropy, rows): per tile the plan's mass, transport cost, sum of p (log(p / (a b)) - 1), and
         the ``top`` heaviest partners of each source point as (pos, partner, mass) structs."""
-        read, eps, size, n_x, n_y, weighted = self._tile(), self.eps, self.size, self.n_x, self.n_y, self.a is not None
+        read, eps, n_x, n_y, weighted = self._tile(), self.eps, self.n_x, self.n_y, self.a is not None
+        x_points, y_points = self.x_wide * self.size, self.y_wide * self.size
         schema = "x_part int, y_part int, mass double, cost double, entropy double, pos array<bigint>, partner array<bigint>, share array<double>"
 
         def run(batches):
             for batch in batches:
                 for i in range(batch.num_rows):
-                    p, q, c, (u, v, *m) = read(batch, i)
-                    z = (u[:, None] + v[None, :] - c) / eps
-                    base = m[0][:, None] * m[1][None, :] if weighted else 1.0 / (n_x * n_y)
-                    plan = np.exp(z) * base
-                    best = np.argsort(-plan, axis=1, kind="stable")[:, :top]
-                    rows = np.repeat(np.arange(len(u)), best.shape[1])
-                    cols = best.reshape(-1)
-                    vals = [[p], [q], [plan.sum()], [(plan * c).sum()], [(plan * (z - 1)).sum()], [(p * size + rows).tolist()], [(q * size + cols).tolist()], [plan[rows, cols].tolist()]]
+                    p, q, chunks, (u, v, *m) = read(batch, i)
+                    mass = cost = entropy = 0.0
+                    out, at, cols, vals = [], None, None, None  # rows in hand, and their heaviest in the columns seen so far
+                    for r, s, c, taken in chunks:
+                        if r != at:
+                            out += [(at, cols, vals)] if at else []
+                            at, cols, vals = r, np.zeros((r.stop - r.start, 0), np.int64), np.zeros((r.stop - r.start, 0))
+                        z = (u[r, None] + v[None, s] - c) / eps
+                        plan = np.exp(z) * (m[0][r, None] * m[1][None, s] if weighted else 1.0 / (n_x * n_y))
+                        plan = plan if taken is None else plan * taken
+                        mass, cost, entropy = mass + plan.sum(), cost + (plan * c).sum(), entropy + (plan * (z - 1)).sum()
+                        best, rows = heaviest(plan, top), np.arange(len(plan))[:, None]
+                        cols, vals = np.concatenate([cols, best + s.start], 1), np.concatenate([vals, plan[rows, best]], 1)
+                        again = heaviest(vals, top)
+                        cols, vals = cols[rows, again], vals[rows, again]
+                    out.append((at, cols, vals))
+                    pos = np.concatenate([np.repeat(np.arange(r.start, r.stop), c.shape[1]) for r, c, _ in out]) + p * x_points
+                    partner, share = (np.concatenate([o[k].reshape(-1) for o in out]) for k in (1, 2))
+                    row = [[p], [q], [mass], [cost], [entropy], [pos], [partner + q * y_points], [share]]
                     kinds = [pa.int32(), pa.int32(), pa.float64(), pa.float64(), pa.float64(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.list_(pa.float64())]
-                    yield pa.RecordBatch.from_arrays([pa.array(a, k) for a, k in zip(vals, kinds)], names=["x_part", "y_part", "mass", "cost", "entropy", "pos", "partner", "share"])
+                    yield pa.RecordBatch.from_arrays([pa.array(a, k) for a, k in zip(row, kinds)], names=["x_part", "y_part", "mass", "cost", "entropy", "pos", "partner", "share"])
 
         df, _ = self._attached(x)
         return map_arrow(df, run, schema)
@@ -245,7 +352,7 @@ class _TransportLine(Line):
     def __init__(self, f: Transport, x: Vec, d: Vec):
         self.f = f
         small, names = f.potentials(x, d)
-        self.small = f.by_tile(small).persist()  # four block arrays a tile; the tiles themselves are not copied
+        self.small = f.by_tile(small).persist()  # four strips a tile; the tiles themselves are not copied
         self.df = f._with(self.small, names)[0]
         sums = []
         flat = F.aggregate("values", F.lit(0.0), lambda acc, z: acc + z)
@@ -266,13 +373,13 @@ class _TransportLine(Line):
             sums: list = [None] * len(steps)
             for batch in batches:
                 for i in range(batch.num_rows):
-                    _, _, c, (u, v, du, dv, *m) = read(batch, i)
-                    z, dz = (u[:, None] + v[None, :] - c) / eps, du[:, None] + dv[None, :]
-                    w = m[0][:, None] * m[1][None, :] if weighted else 1.0
-                    for k, eta in enumerate(steps):
-                        shift, e = shifted_exp(z + eta * dz / eps)
-                        e = e * w
-                        sums[k] = joined(sums[k], (shift, np.array([e.sum(), (e * dz).sum()])))
+                    _, _, chunks, (u, v, du, dv, *m) = read(batch, i)
+                    for r, s, c, taken in chunks:
+                        z, dz = (u[r, None] + v[None, s] - c) / eps, du[r, None] + dv[None, s]
+                        for k, eta in enumerate(steps):
+                            shift, e = shifted_exp(z + eta * dz / eps)
+                            e = _weigh(e, m[0][r] if weighted else None, m[1][s] if weighted else None, taken)
+                            sums[k] = joined(sums[k], (shift, np.array([e.sum(), (e * dz).sum()])))
             got = [(k, s[0], *s[1].tolist()) for k, s in enumerate(sums) if s]
             if got:
                 k, h, t, d = zip(*got)
@@ -310,31 +417,45 @@ def _half_sweep(f: Transport, x: Vec, side: str) -> Vec:
     def run(batches):
         for batch in batches:
             for i in range(batch.num_rows):
-                p, q, c, (u, v, *m) = read(batch, i)
-                z = (v[None, :] - c) / eps if rows else ((u[:, None] - c) / eps).T
-                top = z.max(1)
-                mass = m[1 if rows else 0] if m else np.full(z.shape[1], 1.0 / n_other)
-                total = (np.exp(z - top[:, None]) * mass[None, :]).sum(1)
-                yield pa.RecordBatch.from_arrays([pa.array([p if rows else q], pa.int32()), pa.array([top], pa.list_(pa.float64())), pa.array([total], pa.list_(pa.float64()))], names=["block", "top", "total"])
+                p, q, chunks, (u, v, *m) = read(batch, i)
+                top, total = np.full(len(u if rows else v), -np.inf), np.zeros(len(u if rows else v))
+                for r, s, c, taken in chunks:
+                    if not rows:
+                        r, s, c, taken = s, r, c.T, taken if taken is None else taken.T
+                    z = ((v if rows else u)[None, s] - c) / eps
+                    z = z if taken is None else np.where(taken > 0, z, -np.inf)
+                    mass = m[1 if rows else 0][s] if m else np.full(z.shape[1], 1.0 / n_other)
+                    new = np.maximum(top[r], z.max(1))
+                    near = np.where(np.isfinite(new), new, 0.0)
+                    total[r] = total[r] * np.exp(top[r] - near) + (np.exp(z - near[:, None]) * mass[None, :]).sum(1)
+                    top[r] = new
+                yield pa.RecordBatch.from_arrays([pa.array([p if rows else q], pa.int32()), pa.array([top], pa.list_(pa.float64())), pa.array([total], pa.list_(pa.float64()))], names=["part", "top", "total"])
 
     df, _ = f._attached(x)
-    tiles = map_arrow(df, run, "block int, top array<double>, total array<double>")
-    each = tiles.select("block", F.posexplode(F.arrays_zip("top", "total")).alias("p", "r")).select("block", "p", "r.top", "r.total")
-    peak = each.groupBy("block", "p").agg(F.max("top").alias("peak"), F.collect_list(F.struct("top", "total")).alias("all"))
+    tiles = map_arrow(df, run, "part int, top array<double>, total array<double>")
+    each = tiles.select("part", F.posexplode(F.arrays_zip("top", "total")).alias("p", "r")).select("part", "p", "r.top", "r.total").where("top > double('-Infinity')")
+    peak = each.groupBy("part", "p").agg(F.max("top").alias("peak"), F.collect_list(F.struct("top", "total")).alias("all"))
     lse = F.col("peak") + F.log(F.aggregate("all", F.lit(0.0), lambda acc, s: acc + s["total"] * F.exp(s["top"] - F.col("peak"))))
-    long = peak.select((F.col("block").cast("long") * f.size + F.col("p")).alias("idx"), (-eps * lse).alias("value"))
+    points = f.size * (f.x_wide if rows else f.y_wide)
+    long = peak.select((F.col("part").cast("long") * points + F.col("p")).alias("idx"), (-eps * lse).alias("value"))
     return from_long(long, n, f.size)
 
 
 def sampled(f: Transport, fraction: float, seed: int = 1) -> Transport:
-    """The same dual over a hash sample of tiles, sums rescaled: what an earlier stochastic method sees of the cost matrix."""
+    """The same dual over a hash sample of pairs of blocks, sums rescaled: what an earlier stochastic method sees of the cost matrix."""
     import copy
 
-    keep = F.pmod(F.xxhash64("x_part", "y_part", F.lit(seed)), F.lit(10_000)) < int(fraction * 10_000)
     part = copy.copy(f)
-    kept = f.tiles.where(keep).persist()
-    share = kept.count() / max(1, f.tiles.count())
-    part.tiles = kept
+    part.sample = sample = (int(fraction * 10_000), seed)
+    x_wide, y_wide, x_parts, y_parts = f.x_wide, f.y_wide, f.first_v, f.y_parts
+
+    def count(batches):
+        for b in batches:
+            for p, q in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
+                at = [np.arange(k * wide, min((k + 1) * wide, n)) for k, wide, n in ((p, x_wide, x_parts), (q, y_wide, y_parts))]
+                yield pa.RecordBatch.from_arrays([pa.array([int(chosen(*at, *sample).sum())], pa.int64())], names=["n"])
+
+    share = map_arrow(f.tiles.select("x_part", "y_part"), count, "n bigint").agg(F.sum("n")).first()[0] / (x_parts * y_parts)
 
     class Scaled(Transport):
         def _sums(self, x):
