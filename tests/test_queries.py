@@ -94,3 +94,26 @@ def test_machines_fall_to_the_variance(spark):
     """On values whose variance is about half their mean square, as on the larger tables, half the first loss is out of reach."""
     got, want = sql_and_spark(spark, "fm_fit_trace", Path(DIR.replace("sf0.001", "sf0.01")))
     assert got == want
+
+
+@pytest.fixture
+def groups(monkeypatch):
+    """Sizes of the groups that cells are built from, with parts of at most about 100 examples."""
+    from gridmin import grid
+
+    monkeypatch.setattr(grid, "EXAMPLES_A_PART", 100)
+    made, build = [], grid.build_cells
+
+    def watched(features, ex_parts, block_size):
+        out = build(features, ex_parts, block_size).persist()
+        made.append(max(len(r.ex_ids) for r in out.collect()))
+        return out
+
+    monkeypatch.setattr(grid, "build_cells", watched)
+    return made
+
+
+def test_groups_are_bounded(spark, groups):
+    got, want = sql_and_spark(spark, "group_apply", Path(DIR))
+    assert got == want
+    assert len(groups) == 1 and groups[0] < 200
