@@ -15,7 +15,8 @@ from gridmin.vectors import Vec, uniform, zeros
 
 @dataclass
 class Estimator:
-    """``features``: (example_id, feature_id, value); ``labels``: (example_id, label[, weight])."""
+    """``features``: (example_id, feature_id, value); ``labels``: (example_id, label[, weight]). ``ex_parts`` is the least number
+    of example parts; there are more where there are many examples."""
 
     length: int
     block_size: int = 1024
@@ -33,21 +34,23 @@ class Estimator:
     def _start(self, spark: SparkSession) -> Vec:
         return zeros(spark, self.length, self.block_size, stack=self.stack)
 
-    def _objective(self, cells: DataFrame, labels: DataFrame):
-        return Linear(cells, labels, self.loss(), self.ex_parts, self.strategy)
+    def _objective(self, cells: DataFrame, labels: DataFrame, parts: int):
+        return Linear(cells, labels, self.loss(), parts, self.strategy)
 
     def fit(self, features: DataFrame, labels: DataFrame) -> "Estimator":
-        cells = grid.build_cells(grid.clean_features(features, self.length), self.ex_parts, self.block_size).persist()
-        f = self._objective(cells, labels)
+        parts = grid.example_parts(labels, self.ex_parts)
+        cells = grid.build_cells(grid.clean_features(features, self.length), parts, self.block_size).persist()
+        f = self._objective(cells, labels, parts)
         self.result = (self.minimiser or optim.LimitedMemory()).run(f, self._start(features.sparkSession))
         self.model = self.result.x
         f.free()
         return self
 
     def _scores(self, features: DataFrame) -> DataFrame:
-        cells = grid.build_cells(grid.clean_features(features, self.length, on_unseen="drop"), self.ex_parts, self.block_size)
         none = features.select("example_id").distinct().withColumn("label", F.lit(0.0))
-        got = self._objective(cells, none).scores(self.model)
+        parts = grid.example_parts(none, self.ex_parts)
+        cells = grid.build_cells(grid.clean_features(features, self.length, on_unseen="drop"), parts, self.block_size)
+        got = self._objective(cells, none, parts).scores(self.model)
         return none.select("example_id").join(got, "example_id", "left")
 
     def transform(self, features: DataFrame) -> DataFrame:
@@ -141,8 +144,8 @@ class FMRegressor(Estimator):
     def _start(self, spark):
         return uniform(spark, self.length, self.seed, -0.1, 0.1, self.block_size, self.rank)  # zero is a stationary point
 
-    def _objective(self, cells, labels):
-        return Machines(cells, labels, self.loss(), self.ex_parts, self.strategy)
+    def _objective(self, cells, labels, parts):
+        return Machines(cells, labels, self.loss(), parts, self.strategy)
 
     def transform(self, features):
         return self._scores(features).select("example_id", F.coalesce("score", F.lit(0.0)).alias("score"))

@@ -117,3 +117,14 @@ def test_groups_are_bounded(spark, groups):
     got, want = sql_and_spark(spark, "group_apply", Path(DIR))
     assert got == want
     assert len(groups) == 1 and groups[0] < 200
+
+
+def test_estimators_bound_their_cells(spark, groups):
+    from gridmin.facade import Regressor
+    from gridmin.workloads import quick
+
+    feats = spark.range(3000).selectExpr("id as example_id", "0L as feature_id", "id % 7 - 3.0D as value")
+    labels = spark.range(3000).selectExpr("id as example_id", "2 * (id % 7 - 3.0D) as label")
+    m = Regressor(1, 4, minimiser=quick(3)).fit(feats, labels)
+    assert max(abs(r.score - 2 * (r.example_id % 7 - 3)) for r in m.transform(feats).collect()) < 1e-6
+    assert len(groups) == 2 and max(groups) < 200
