@@ -128,3 +128,15 @@ def test_estimators_bound_their_cells(spark, groups):
     m = Regressor(1, 4, minimiser=quick(3)).fit(feats, labels)
     assert max(abs(r.score - 2 * (r.example_id % 7 - 3)) for r in m.transform(feats).collect()) < 1e-6
     assert len(groups) == 2 and max(groups) < 200
+
+
+#: Queries that once made their data up.
+MOVED = ["batch_rotation_log"]
+
+
+@pytest.mark.parametrize("key", MOVED)
+def test_data_come_from_a_table(spark, tmp_path, key):
+    got, want = sql_and_spark(spark, key, Path(DIR))
+    assert got == want and got
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        registry.queries()[key](spark, str(tmp_path)).collect()
