@@ -131,7 +131,7 @@ def test_estimators_bound_their_cells(spark, groups):
 
 
 #: Queries that once made their data up.
-MOVED = ["batch_rotation_log", "grid_empty_cells"]
+MOVED = ["batch_rotation_log", "grid_empty_cells", "hold_policies"]
 
 
 @pytest.mark.parametrize("key", MOVED)
