@@ -131,7 +131,7 @@ def test_estimators_bound_their_cells(spark, groups):
 
 
 #: Queries that once made their data up.
-MOVED = ["batch_rotation_log", "grid_empty_cells", "hold_policies", "lbfgs_two_loop_step", "linesearch_backtracking_holds", "linesearch_wolfe_holds", "met_improvement"]
+MOVED = ["batch_rotation_log", "grid_empty_cells", "hold_policies", "lbfgs_two_loop_step", "linesearch_backtracking_holds", "linesearch_wolfe_holds", "met_improvement", "planner_costs"]
 
 
 @pytest.mark.parametrize("key", MOVED)
