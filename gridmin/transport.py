@@ -60,9 +60,9 @@ STRIP, STRIP_BYTES, KEPT_STRIP, CHUNK = 1 << 14, 8 << 20, 1 << 10, 512
 LARGE = 600.0  # exponents beyond this are kept relative to the largest
 
 
-def wide_strip(n: int, dim: int, size: int, cores: int, kept: bool) -> int:
-    """Blocks in a strip: few strips, as points are copied to all strips of the other side, but tiles enough for all cores."""
-    points = min(-(-n // math.ceil(math.sqrt(4 * cores))), KEPT_STRIP if kept else STRIP, STRIP_BYTES // (8 * max(1, dim)))
+def wide_strip(n: int, dim: int, size: int, strips: int, kept: bool) -> int:
+    """Blocks in a strip: so few strips, as points are copied to all strips of the other side, more where a strip would be too large."""
+    points = min(-(-n // strips), KEPT_STRIP if kept else STRIP, STRIP_BYTES // (8 * max(1, dim)))
     return max(1, points // size)
 
 
@@ -128,7 +128,10 @@ class Transport(Objective):
         self.spark, self.first_v = x.sparkSession, -(-n_x // part_size)
         self.y_parts = -(-n_y // part_size)
         cores = self.spark.sparkContext.defaultParallelism
-        self.x_wide, self.y_wide = (wide_strip(n, dim, part_size, cores, cost == "tiles") for n in (n_x, n_y))
+        few = min(math.ceil(math.sqrt(4 * cores)), self.first_v, self.y_parts)  # a side with few blocks leaves more strips to the other
+        other = -(-4 * cores // few)
+        want = (few, other) if self.first_v <= self.y_parts else (other, few)
+        self.x_wide, self.y_wide = (wide_strip(n, dim, part_size, k, cost == "tiles") for n, k in zip((n_x, n_y), want))
         self.x_strips, self.y_strips = -(-self.first_v // self.x_wide), -(-self.y_parts // self.y_wide)
         self.sample: tuple[int, int] | None = None
         self.tiles = grid.tile_grid(strips(x, "x", self.x_wide), strips(y, "y", self.y_wide))
