@@ -81,7 +81,7 @@ def uncached(workload) -> Linear:
     """The same objective with nothing kept between evaluations: input is read and cells are built each time."""
     f = workload.objective
     cells = grid.build_cells(workload.data["features"], f.ex_parts, workload.x0.block_size)
-    return Linear(cells, workload.data["labels"], f.loss, f.ex_parts, f.strategy)
+    return Linear(cells, workload.data["labels"], f.loss, f.ex_parts, f.strategy, whole=False)
 
 
 def sgd_vs_lbfgs(workload, evaluations: int) -> tuple[optim.Result, optim.Result]:
