@@ -144,7 +144,13 @@ class Transport(Objective):
     def of(cls, points_x: DataFrame, points_y: DataFrame, key: str, coords: str, part_size: int = 1024, **kw) -> "Transport":
         x, y = (index_points(p, key, coords, part_size).persist() for p in (points_x, points_y))
         dim = x.select(F.size("coords")).first()[0]
-        return cls(x, y, x.count(), y.count(), dim, part_size=part_size, **kw)
+        n_x, n_y = x.count(), y.count()
+        if cls is Transport and dim == 1 and kw.get("metric", "sqeuclidean") == "sqeuclidean" and kw.get("cost", "recompute") == "recompute":
+            low, high = x.select("coords").unionByName(y.select("coords")).agg(F.min(F.col("coords")[0]), F.max(F.col("coords")[0])).first()
+            cells = OnLine.cells(low, high, kw.get("eps", 0.1))
+            if cells <= MAX_CELLS and (n_x + n_y) * cells * TERMS < n_x * n_y:
+                return OnLine(x, y, n_x, n_y, dim, part_size=part_size, low=low, high=high, **kw)
+        return cls(x, y, n_x, n_y, dim, part_size=part_size, **kw)
 
     def start(self) -> Vec:
         return concat([("u", zeros(self.spark, self.n_x, self.size)), ("v", zeros(self.spark, self.n_y, self.size))])
@@ -351,6 +357,172 @@ class Transport(Objective):
         return minimiser.run(self, x0 or self.start())
 
 
+#: Terms of the series between two cells of a line (the one after them is below 1e-17 of the first), and cells at most.
+TERMS, MAX_CELLS = 17, 64
+
+
+class OnLine(Transport):
+    """Points on a line with squared distances: sums over all pairs from moments of cells, without going through the pairs.
+
+    The line is cut into cells of width sqrt(eps) at most. With x = a + s and y = b + t around the middles a, b of their cells,
+    -(x - y)^2 = -(a - y)^2 - 2 s (a - b) - s^2 + 2 s t, and |2 s t| <= eps / 2, so exp(2 s t / eps) is a short series to the last bit
+    of a double. Each point adds ``TERMS`` moments for each cell of the other side; a sum over the other side is a sum over its
+    cells. Every term of it is positive but for the series, so nothing cancels and small sums are as exact as large ones.
+    Everything else (plans, read-outs, scaling, samples) goes through tiles, which nothing lays out before.
+    """
+
+    def __init__(self, x, y, n_x, n_y, dim, low: float, high: float, **kw):
+        super().__init__(x, y, n_x, n_y, dim, **kw)
+        self.low, self.n_cells = low, self.cells(low, high, self.eps)
+        self.wide = (high - low) / self.n_cells if high > low else 1.0
+        sides = [strips(side, "p", 1).select((F.col("p_part") + first).cast("int").alias("block_id"), F.col("ps").alias("at")) for side, first in ((x, 0), (y, self.first_v))]
+        self.points = sides[0].unionByName(sides[1]).repartition(int(self.spark.conf.get("spark.sql.shuffle.partitions")), "block_id").persist()
+
+    @staticmethod
+    def cells(low: float, high: float, eps: float) -> int:
+        return max(1, math.ceil((high - low) / math.sqrt(eps)))
+
+    def beside(self, *vectors: Vec) -> DataFrame:
+        """(block_id, at, v0, v1, ...): coordinates of a block's points, and its part of the vectors (of the masses, last)."""
+        vectors = [*vectors, concat([("u", self.a), ("v", self.b)])] if self.a is not None else vectors
+        df = self.points
+        for k, v in enumerate(vectors):
+            df = df.join(v.df.select("block_id", F.col("values").cast("array<double>").alias(f"v{k}")), "block_id")
+        return df
+
+    def _cell(self):
+        """A picklable function: the cell of each point, and where in it the point lies, from its middle."""
+        low, wide, n = self.low, self.wide, self.n_cells
+
+        def of(at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+            c = np.clip(((at - low) / wide).astype(np.int64), 0, n - 1)
+            return c, at - (low + (c + 0.5) * wide)
+
+        return of
+
+    def _moments(self):
+        """A picklable function: (cells of the other side, own cells, TERMS) moments of points with exponents ``z`` (over eps) and weights,
+        each pair of cells over exp(shift), and the shifts. Powers are of t over half a cell."""
+        of, eps, low, wide, n = self._cell(), self.eps, self.low, self.wide, self.n_cells
+
+        def moments(at: np.ndarray, z: np.ndarray, weights: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+            c, t = of(at)
+            powers = (t / (wide / 2))[None, :] ** np.arange(TERMS)[:, None]
+            out, shifts = np.zeros((len(weights), n, n, TERMS)), np.full((n, n), -np.inf)
+            for k in range(n):
+                e = z - (low + (k + 0.5) * wide - at) ** 2 / eps
+                np.maximum.at(shifts[k], c, e)
+                e = np.exp(e - shifts[k][c])
+                for w, weight in enumerate(weights):
+                    for p in range(TERMS):
+                        out[w, k, :, p] = np.bincount(c, weights=powers[p] * e * weight, minlength=n)
+            return shifts, out
+
+        return moments
+
+    def _gather(self, df: DataFrame, exponents, kinds: int) -> dict:
+        """Moments of both sides over all blocks: {(side, step): (shifts, moments)}. ``exponents(vectors)`` gives for each step the exponents
+        over eps and the weights of a block. What comes back are numbers of cells, whose count no input grows."""
+        moments, first, n = self._moments(), self.first_v, self.n_cells
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            held: dict = {}
+            for b in batches:
+                for i in range(b.num_rows):
+                    side = int(b.column(0)[i].as_py() >= first)
+                    at, *vectors = (b.column(k)[i].values.to_numpy(zero_copy_only=False) for k in range(1, b.num_columns))
+                    for step, (z, weights) in enumerate(exponents(*vectors)):
+                        held[side, step] = _add_moments(held.get((side, step)), moments(at, z, weights))
+            if held:
+                columns = [pa.array([k[j] for k in held], pa.int32()) for j in (0, 1)]
+                columns += [pa.array([v[j].reshape(-1) for v in held.values()], pa.list_(pa.float64())) for j in (0, 1)]
+                yield pa.RecordBatch.from_arrays(columns, names=["side", "step", "shifts", "moments"])
+
+        out: dict = {}
+        for r in map_arrow(df, run, "side int, step int, shifts array<double>, moments array<double>").collect():  # two rows for each task and step
+            got = np.array(r["shifts"]).reshape(n, n), np.array(r["moments"]).reshape(kinds, n, n, TERMS)
+            out[r["side"], r["step"]] = _add_moments(out.get((r["side"], r["step"])), got)
+        return out
+
+    def _sums(self, x):
+        eps, weighted, n, first, of, low, wide = self.eps, self.a is not None, self.n_cells, self.first_v, self._cell(), self.low, self.wide
+        found = self._gather(self.beside(x), lambda z, m=None: [(z / eps, [np.ones(len(z)) if m is None else m])], 1)
+        other = {0: found[1, 0], 1: found[0, 0]}
+        series = np.array([(wide / eps) ** p / math.factorial(p) for p in range(TERMS)])  # 2 s t / eps with t in halves of a cell
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            held = {}
+            for b in batches:
+                for i in range(b.num_rows):
+                    block = b.column(0)[i].as_py()
+                    at, z, *m = (b.column(k)[i].values.to_numpy(zero_copy_only=False) for k in range(1, b.num_columns))
+                    shifts, moments = other[int(block >= first)]
+                    c, s = of(at)
+                    powers = s[None, :] ** np.arange(TERMS)[:, None] * series[:, None]
+                    logs, factors = np.full((n, len(at)), -np.inf), np.zeros((n, len(at)))
+                    for k in range(n):  # cells of the other side
+                        logs[k] = (z - s * s - 2 * s * (c - k) * wide) / eps + shifts[c, k]
+                        factors[k] = (powers * moments[0][c, k].T).sum(0)
+                    shift = float(logs.max(initial=0.0))
+                    shift = shift if shift > LARGE else 0.0
+                    total = (np.exp(logs - shift) * factors).sum(0)
+                    held[block] = shift, total * m[0] if weighted else total
+            if held:
+                yield _shifted(held)
+
+        return map_arrow(self.beside(x), run, SUMS)
+
+    def along(self, x, d):
+        return _OnLineLine(self, x, d)
+
+
+def _add_moments(a: tuple | None, b: tuple) -> tuple:
+    """Sum of two (shifts, moments)."""
+    if a is None:
+        return b
+    top = np.maximum(a[0], b[0])
+    near = np.where(np.isfinite(top), top, 0.0)
+    return top, sum(m * np.exp(s - near)[None, :, :, None] for s, m in (a, b))
+
+
+class _OnLineLine(Line):
+    """Along a line, sums and slopes are products of both sides' moments."""
+
+    def __init__(self, f: OnLine, x: Vec, d: Vec):
+        self.f, self.df = f, f.beside(x, d).persist()
+        first, weighted = f.first_v, f.a is not None
+        flat = lambda p, q: F.sum(F.aggregate(F.zip_with(p, q, lambda a, b: a * b), F.lit(0.0), lambda acc, z: acc + z))
+        mass = F.col("v2") if weighted else F.transform("v0", lambda _: F.when(F.col("block_id") < first, 1.0 / f.n_x).otherwise(1.0 / f.n_y))
+        self.m0, self.m1 = self.df.agg(flat("v0", mass), flat("v1", mass)).first()
+
+    def at(self, etas):
+        f, steps = self.f, [float(e) for e in etas]
+        eps, wide, n = f.eps, f.wide, f.n_cells
+
+        def exponents(z, dz, m=None):
+            one = np.ones(len(z)) if m is None else m
+            return [((z + e * dz) / eps, [one, one * dz]) for e in steps]
+
+        found = f._gather(self.df, exponents, 2)
+        series = np.array([(wide * wide / (2 * eps)) ** p / math.factorial(p) for p in range(TERMS)])
+        mid = f.low + (np.arange(n) + 0.5) * wide
+        twice = (mid[:, None] - mid[None, :]) ** 2 / eps  # both sides' moments hold the distance of the middles
+        scale, out = 1.0 if f.a is not None else float(f.n_x * f.n_y), []
+        for k, e in enumerate(steps):
+            (h, p), (g, q) = found[0, k], found[1, k]
+            logs = h.T + g + twice  # x's cell by y's cell
+            shift = max(float(logs.max()), 0.0)
+            shift = shift if shift > LARGE else 0.0
+            joint = lambda a, b: float((np.exp(logs - shift) * (series * a.transpose(1, 0, 2) * b).sum(2)).sum())  # noqa: B023, E731
+            total, slope = joint(p[0], q[0]), joint(p[1], q[0]) + joint(p[0], q[1])
+            by = math.exp(shift) if shift < 700.0 else float("inf")
+            out.append((float(-self.m0 - e * self.m1 + eps * total * by / scale), float(-self.m1 + slope * by / scale) if slope else -self.m1))
+        return out
+
+    def free(self):
+        self.df.unpersist()
+
+
 class _TransportLine(Line):
     def __init__(self, f: Transport, x: Vec, d: Vec):
         self.f = f

@@ -1,6 +1,7 @@
 """Entropic transport against dense matrices, and how often its points are copied."""
 
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
 from gridmin import transport
@@ -59,3 +60,39 @@ def test_large_exponents_keep_their_blocks(spark, monkeypatch):
     assert sums[0][0] > 600
     for block in range(1, 10):
         assert sums[block][0] == 0.0 and np.abs(np.array(sums[block][1]) - z[4 * block : 4 * block + 4]).max() < 1e-9
+
+
+@pytest.mark.parametrize("eps, weighted, up", [(0.05, False, 0.0), (0.02, True, 0.0), (0.004, False, 3.0)])
+def test_points_on_a_line_do_without_pairs(spark, eps, weighted, up):
+    """Sums, value, gradient and line searches from moments of cells against the whole matrix; exponents beyond LARGE in the last case."""
+    n, m = 700, 900
+    x, y = np.random.default_rng(1).random(n) ** 2, np.random.default_rng(2).random(m)
+    frames = [spark.createDataFrame([(i, [float(p)]) for i, p in enumerate(a)], "k long, c array<double>") for a in (x, y)]
+    masses = [from_expr(spark, k, lambda r, i, k=k: (i % 3 + 1) / F.lit(2.0 * k), 64) for k in (n, m)] if weighted else [None, None]
+    f = transport.Transport.of(*frames, "k", "c", eps=eps, part_size=64, a=masses[0], b=masses[1])
+    assert isinstance(f, transport.OnLine)
+    at = [from_expr(spark, k, lambda r, i, q=q: (i % q) / F.lit(10.0) + up, 64) for k, q in ((n, 5), (m, 3))]
+    p = concat([("u", at[0]), ("v", at[1])]).cut()
+    u, v = np.arange(n) % 5 / 10 + up, np.arange(m) % 3 / 10 + up
+    a, b = ((np.arange(k) % 3 + 1) / (2.0 * k) if weighted else np.full(k, 1.0 / k) for k in (n, m))
+    z = (u[:, None] + v[None] - (x[:, None] - y[None]) ** 2) / eps
+    top = z.max() if up else 0.0
+    e = np.exp(z - top) * a[:, None] * b[None]
+    sums = {r["block_id"]: np.array(r["values"]) * np.exp(r["shift"] - top) for r in f._sums(p).collect()}
+    got = np.concatenate([sums[k] for k in sorted(sums)])
+    want = np.concatenate([e.sum(1), e.sum(0)]) * (1.0 if weighted else n * m)
+    assert np.abs(got / want - 1).max() < 1e-11
+    value, g = f.evaluate(p)
+    if up:
+        assert value == float("inf") or value > 1e250
+        return
+    assert abs(value / (-a @ u - b @ v + eps * e.sum()) - 1) < 1e-12
+    assert np.abs(flat(g.segment("u")) - (e.sum(1) - a)).max() < 1e-12 * e.sum()
+    step = eps / ops.norm(g, float("inf"))
+    (w, s), (t, _) = f.along(p, g).at([0.0, step])
+    assert abs(w / value - 1) < 1e-12 and abs(s / ops.dot(g, g) - 1) < 1e-9
+    assert abs(t / f.value(ops.lincomb([1.0, step], [p, g]).cut()) - 1) < 1e-12
+
+
+def test_the_pairs_are_kept_where_cells_are_many(spark):
+    assert type(made(spark, 30, 40, dim=1, part_size=8)[0]) is transport.Transport
