@@ -109,6 +109,16 @@ def _shifted(held: dict[int, tuple[float, np.ndarray]]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(list(held), pa.int32()), values, pa.array([s for s, _ in held.values()], pa.float64())], names=["block_id", "values", "shift"])
 
 
+def _add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Sums of the rows of a block."""
+    held: dict[int, tuple[float, np.ndarray]] = {}
+    for b in batches:
+        for i, (block, shift) in enumerate(zip(b.column(0).to_pylist(), b.column(2).to_pylist())):
+            held[block] = joined(held.get(block), (shift, b.column(1)[i].values.to_numpy(zero_copy_only=False)))
+    if held:
+        yield _shifted(held)
+
+
 def _weigh(e: np.ndarray, a: np.ndarray | None, b: np.ndarray | None, taken: np.ndarray | None) -> np.ndarray:
     """``e`` times the masses of rows and columns, without the pairs that a sample leaves out; in place."""
     if a is not None:
@@ -122,6 +132,9 @@ def _weigh(e: np.ndarray, a: np.ndarray | None, b: np.ndarray | None, taken: np.
 class Transport(Objective):
     """-L(u, v) for uniform masses, or masses ``a`` and ``b`` given as Vecs of the sides' layouts."""
 
+    balancing = 2
+    share = 1.0  # of the pairs, where a sample stands for all
+
     def __init__(self, x: DataFrame, y: DataFrame, n_x: int, n_y: int, dim: int, eps: float = 0.1, part_size: int = 1024, metric: str = "sqeuclidean", cost: str = "recompute", a: Vec | None = None, b: Vec | None = None):
         """``x``, ``y``: (pos, part, coords) as from ``index_points``."""
         self.n_x, self.n_y, self.dim, self.eps, self.size, self.metric, self.cost = n_x, n_y, dim, eps, part_size, metric, cost
@@ -268,16 +281,8 @@ class Transport(Objective):
             if held:
                 yield _shifted(held)
 
-        def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            held: dict[int, tuple[float, np.ndarray]] = {}
-            for b in batches:
-                for i, (block, shift) in enumerate(zip(b.column(0).to_pylist(), b.column(2).to_pylist())):
-                    held[block] = joined(held.get(block), (shift, b.column(1)[i].values.to_numpy(zero_copy_only=False)))
-            if held:
-                yield _shifted(held)
-
         df, _ = self._attached(x)
-        return map_arrow(map_arrow(df, run, SUMS).repartition("block_id"), add, SUMS)
+        return map_arrow(map_arrow(df, run, SUMS).repartition("block_id"), _add, SUMS)
 
     def evaluate(self, x):
         scale = F.exp(F.least("shift", F.lit(700.0)))  # beyond that the value counts as infinite anyway
@@ -301,6 +306,13 @@ class Transport(Objective):
     def along(self, x, d):
         return _TransportLine(self, x, d)
 
+    def curvature(self, x, g):
+        return _TransportCurvature(self, x, g)
+
+    def balanced(self, x):
+        """One sweep of scaling: u at its best for v, then v at its best for that u."""
+        return _sweep(self, x)
+
     def read_outs(self, x: Vec, top: int = 1) -> DataFrame:
         """(x_part, y_part, mass, cost, entropy, rows): per tile the plan's mass, transport cost, sum of p (log(p / (a b)) - 1), and
         the ``top`` heaviest partners of each source point as (pos, partner, mass) structs."""
@@ -574,17 +586,72 @@ class _TransportLine(Line):
         self.small.unpersist()
 
 
+class _TransportCurvature:
+    """The second derivative at x, from x and the gradient there: (m p + P p) / eps with the masses m of the points and the plan P
+    between the sides. Scaled by its diagonal m / eps on both sides it is p + s P (s p) / eps, with s = ``scale``. A product is one pass over the tiles."""
+
+    def __init__(self, f: Transport, x: Vec, g: Vec):
+        self.f = f
+        small, self.names = f.potentials(x)
+        self.small = f.by_tile(small).persist()
+        root = lambda m, eps=f.eps: np.sqrt(eps / np.maximum(m, 1e-300))
+        if f.a is not None:
+            self.scale = ops.numpy_map([g, concat([("u", f.a), ("v", f.b)])], lambda g, m: root(g + m)).cut()
+        else:
+            one = F.when(F.col("block_id") < f.first_v, F.lit(1.0 / f.n_x)).otherwise(F.lit(1.0 / f.n_y))
+            self.scale = ops.numpy_map([g.with_df(g.df.select("block_id", F.transform("values", lambda z: z + one).alias("values")))], root).cut()
+
+    def times(self, p: Vec, scaled: Vec) -> Vec:
+        """The scaled curvature times ``p``; ``scaled`` is scale * p."""
+        f = self.f
+        read, eps, weighted, first, size, x_wide, y_wide = f._tile(), f.eps, f.a is not None, f.first_v, f.size, f.x_wide, f.y_wide
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            held: dict[int, tuple[float, np.ndarray]] = {}
+            for batch in batches:
+                for i in range(batch.num_rows):
+                    p, q, chunks, (u, v, *m, pu, pv) = read(batch, i)
+                    by_row, by_col = np.zeros(len(u)), np.zeros(len(v))
+                    for r, s, c, taken in chunks:
+                        z = u[r, None] + v[None, s]
+                        z -= c
+                        z /= eps
+                        e = _weigh(np.exp(z, out=z), m[0][r] if weighted else None, m[1][s] if weighted else None, taken)
+                        by_row[r] += e @ pv[s]
+                        by_col[s] += pu[r] @ e
+                    for at, values in ((p * x_wide, by_row), (first + q * y_wide, by_col)):
+                        for k in range(0, len(values), size):
+                            held[at + k // size] = joined(held.get(at + k // size), (0.0, values[k : k + size]))
+            if held:
+                yield _shifted(held)
+
+        strip, names = f.potentials(scaled, masses=False)
+        strip = strip.withColumnsRenamed({n: f"p{n}" for n in names})
+        df, _ = f._with(self.small.join(strip, ["x_part", "y_part"]), [*self.names, *(f"p{n}" for n in names)])
+        cross = map_arrow(map_arrow(df, run, SUMS).repartition("block_id"), _add, SUMS).select("block_id", "values")
+        by = 1.0 / (eps * f.share * (1.0 if weighted else f.n_x * f.n_y))
+        return ops.numpy_map([p, self.scale, p.with_df(cross)], lambda p, s, c: p + by * s * c)
+
+    def free(self) -> None:
+        self.small.unpersist()
+        self.scale.unpersist()
+
+
 def sinkhorn(f: Transport, sweeps: int = 20) -> Vec:
     """Reference solution by alternating log-domain scaling: each half sweep sets one side's potential to its fixed point."""
     x = f.start()
     for _ in range(sweeps):
-        for side in ("u", "v"):
-            new = _half_sweep(f, x, side)
-            other = x.segment("v" if side == "u" else "u")
-            x = concat([("u", new), ("v", other)] if side == "u" else [("u", other), ("v", new)]).cut()
+        x = _sweep(f, x)
     return x
 
 
+def _sweep(f: Transport, x: Vec) -> Vec:
+    half = concat([("u", _half_sweep(f, x, "u")), ("v", x.segment("v"))]).cut()
+    whole = concat([("u", half.segment("u")), ("v", _half_sweep(f, half, "v"))]).cut()
+    half.unpersist()
+    return whole
+
+
 def _half_sweep(f: Transport, x: Vec, side: str) -> Vec:
     read, eps, rows = f._tile(), f.eps, side == "u"
     n, n_other = (f.n_x, f.n_y) if rows else (f.n_y, f.n_x)
@@ -612,7 +679,7 @@ def _half_sweep(f: Transport, x: Vec, side: str) -> Vec:
     peak = each.groupBy("part", "p").agg(F.max("top").alias("peak"), F.collect_list(F.struct("top", "total")).alias("all"))
     lse = F.col("peak") + F.log(F.aggregate("all", F.lit(0.0), lambda acc, s: acc + s["total"] * F.exp(s["top"] - F.col("peak"))))
     points = f.size * (f.x_wide if rows else f.y_wide)
-    long = peak.select((F.col("part").cast("long") * points + F.col("p")).alias("idx"), (-eps * lse).alias("value"))
+    long = peak.select((F.col("part").cast("long") * points + F.col("p")).alias("idx"), (-eps * (lse - math.log(f.share))).alias("value"))
     return from_long(long, n, f.size)
 
 
@@ -636,7 +703,7 @@ def sampled(f: Transport, fraction: float, seed: int = 1) -> Transport:
         def _sums(self, x):
             return super()._sums(x).withColumn("values", F.transform("values", lambda z: z / share))
 
-    part.__class__ = Scaled
+    part.__class__, part.share = Scaled, share
     return part
 
 

@@ -1,10 +1,12 @@
 """Entropic transport against dense matrices, and how often its points are copied."""
 
+import duckdb
 import numpy as np
+import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
-from gridmin import transport
+from gridmin import registry, transport
 from gridmin.vectors import concat, from_expr, ops
 
 
@@ -96,3 +98,31 @@ def test_points_on_a_line_do_without_pairs(spark, eps, weighted, up):
 
 def test_the_pairs_are_kept_where_cells_are_many(spark):
     assert type(made(spark, 30, 40, dim=1, part_size=8)[0]) is transport.Transport
+
+
+@pytest.mark.parametrize("weighted", [False, True])
+def test_curvature_agrees_with_the_matrix(spark, monkeypatch, weighted):
+    monkeypatch.setattr(transport, "CHUNK", 8)
+    masses = [from_expr(spark, k, lambda r, i, k=k: (i % 3 + 1) / F.lit(2.0 * k), 4) for k in (37, 43)] if weighted else [None, None]
+    f, x, _, e = made(spark, 37, 43, part_size=4, a=masses[0], b=masses[1])
+    a, b = ((np.arange(k) % 3 + 1) / (2.0 * k) if weighted else np.full(k, 1.0 / k) for k in (37, 43))
+    plan = e * a[:, None] * b[None]
+    m = np.concatenate([plan.sum(1), plan.sum(0)])
+    h = f.curvature(x, f.gradient(x))
+    scale = np.concatenate([flat(h.scale.segment(k)) for k in "uv"])
+    assert np.abs(scale - np.sqrt(0.3 / m)).max() < 1e-9
+    got = h.times(x, ops.mul(x, h.scale).cut()).cut()
+    p = np.concatenate([flat(x.segment(k)) for k in "uv"])
+    want = p + scale * np.concatenate([plan @ (scale * p)[37:], (scale * p)[:37] @ plan]) / 0.3
+    assert np.abs(np.concatenate([flat(got.segment(k)) for k in "uv"]) - want).max() < 1e-9
+
+
+def test_fit_ends_on_the_gradient_where_clusters_exchange_mass(spark, tmp_path):
+    """Three clusters with other shares on each side: thirteen quasi-Newton steps from the start end on the count of steps, far off."""
+    r = np.random.default_rng(7)
+    points = [np.eye(4)[r.choice(3, p=[0.7, 0.2, 0.1] if i % 2 == 0 else [0.2, 0.5, 0.3])] + 0.25 * r.normal(size=4) for i in range(240)]
+    pd.DataFrame({"vec_id": range(240), "embedding": [p.astype("float32") for p in points]}).to_parquet(tmp_path / "embeddings.parquet")
+    con = duckdb.connect()
+    con.execute(f"create view embeddings as select * from '{tmp_path}/embeddings.parquet'")
+    want = con.execute(registry.oracles()["ot_fit_trace"]).df().iloc[0].to_dict()
+    assert registry.queries()["ot_fit_trace"](spark, str(tmp_path)).first().asDict() == want
